@@ -1,6 +1,26 @@
-"""Queries of the operators, and SQL for those that SQL can express."""
+"""Queries of the operators over their whole tables, and SQL for those that SQL can express."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from pyspark.sql import DataFrame, SparkSession
+
+from copath.llm import decontaminate, simhash
+from copath.llm.store import read_table
+
+
+def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, fingerprint (hex), component_id of every document; links at 4 or fewer differing bits."""
+    found = simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
+    return found.selectExpr("id AS doc_id", "lower(lpad(hex(fp), 16, '0')) AS fingerprint", "component_id")
+
+
+def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hit words and items of every document against windows of ten benchmark words."""
+    return decontaminate.report(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
+
+
+QUERIES = {
+    "op3_simhash_near_dedup": op3_simhash_near_dedup,
+    "op7_benchmark_decontamination": op7_benchmark_decontamination,
+}
+ORACLES: dict[str, str] = {}
