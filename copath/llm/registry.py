@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from copath.llm import decontaminate, simhash, substring
+from copath.llm import decontaminate, lines, simhash, substring
 from copath.llm.store import read_table
 
 
@@ -19,6 +19,11 @@ def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     return decontaminate.report(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
 
 
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What is left of every document without lines that are within one word edit of an earlier line."""
+    return lines.report(read_table(spark, sf_dir, "documents"))
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What is left of every document without windows of 13 words that an earlier document starts too."""
     return substring.report(read_table(spark, sf_dir, "documents"))
@@ -27,6 +32,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
+    "op8_line_dedup": op8_line_dedup,
     "op10_substring_dedup": op10_substring_dedup,
 }
 ORACLES: dict[str, str] = {}
