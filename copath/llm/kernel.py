@@ -153,7 +153,7 @@ def unpack_sorted(b: bytes) -> np.ndarray:
     return np.cumsum(unpack(b), dtype=U)
 
 
-def slices(table: pa.Table | pa.RecordBatch, column: str, most: int = 8 << 20):
+def slices(table: pa.Table | pa.RecordBatch, column: str, most: int = 2 << 20):
     """Row ranges of a table whose texts sum to about ``most`` bytes."""
     size = pc.fill_null(pc.binary_length(table.column(column)), 0)
     size = np.asarray(size.to_numpy(zero_copy_only=False) if isinstance(size, pa.Array) else size.to_numpy(), np.int64)
