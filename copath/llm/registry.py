@@ -4,10 +4,15 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from copath.llm import decontaminate, lines, pieces, simhash, substring
+from copath.llm import decontaminate, hmm, lines, pieces, simhash, substring
 from copath.llm.store import read_table
 
 
+def op2_hmm_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact log10 likelihood of every document under a hidden Markov model, beside the unigram base score."""
+    return hmm.score(read_table(spark, sf_dir, "documents"))
+
+
 def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, fingerprint (hex), component_id of every document; links at 4 or fewer differing bits."""
     found = simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
@@ -35,6 +40,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op2_hmm_language_model": op2_hmm_language_model,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_line_dedup": op8_line_dedup,
