@@ -2,8 +2,7 @@
 
 Two lines are near if one word edit (insert, delete, replace) turns one into the other, and
 both have at least ``min_words`` words; shorter lines are near only if their words are equal.
-Each long line emits, as hashed keys, itself and every variant with one word
-deleted. Equal keys mean: same line; one line is the other without a word; or both
+A line emits, as hashed keys, itself and every variant with one word deleted. Equal keys mean: same line; one line is the other without a word; or both
 lack the word at the same place, so that they differ by a replacement. The edit
 distance is verified as part of the key: the key holds the length and the place, and a second,
 independent 32-bit hash of the same words must agree. A line goes where an
@@ -36,78 +35,122 @@ SELF, LESS, GAP = 0, 1, 2  # the line itself; a line without one word, as a line
 
 
 class Part:
-    def __init__(self, table: pa.Table, min_words: int, payload: str | None = None):
-        self.table = table
-        ids = table.column("id")
+    """Lines of a part's texts, and the keys that it exchanges."""
+
+    def __init__(self, table: pa.Table, min_words: int):
+        self.table, self.min_words = table, min_words
         self.buf, self.off = K.flat(table.column("text"))
         start, end, _ = K.words(self.buf, self.off, TABLE)
         # A line ends at each line feed; each text ends with one.
         self.stop = np.flatnonzero(self.buf[: self.off[-1]] == 10)
         self.begin = np.concatenate(([0], self.stop[:-1] + 1))
-        self.doc = np.searchsorted(self.off, self.begin, "right") - 1
-        first_line = np.searchsorted(self.begin, self.off[:-1])
-        self.number = np.arange(len(self.begin)) - first_line[self.doc]
-        first = np.searchsorted(start, np.append(self.begin, self.off[-1]))
-        h = K.word_hashes(self.buf, start, end)
-        n = np.diff(first)
-        self.n = n
-        m = K.U(0x9E3779B97F4A7C15)
-        keys, lines, kinds = [], [], []
-        # Polynomials over each line's words; place by place from both ends through running sums over the part.
-        power = np.cumprod(np.concatenate((np.ones(1, np.uint64), np.full(int(n.max(initial=0)) + 1, m))))
-        inner = np.arange(len(h)) - np.repeat(first[:-1], n)
-        line_of = np.repeat(np.arange(len(n)), n)
-        term = h * power[inner]
-        run = np.concatenate((np.zeros(1, np.uint64), np.cumsum(term, dtype=np.uint64)))
-        whole = run[first[1:]] - run[first[:-1]]
-        # Without word i: what precedes it stays, what follows moves up by one place.
-        inverse = K.U(pow(int(m), -1, 1 << 64))
-        before = run[:-1] - run[first[:-1]][line_of]
-        after = (run[first[1:]][line_of] - run[1:]) * inverse
-        less = before + after
-        count = n.astype(np.uint64)
-        self_key = K.mix(K.mix(whole + count * K.U(0xA24BAED4963EE407)))
-        live = np.flatnonzero(n > 0)
-        keys.append(self_key[live])
-        lines.append(live)
-        kinds.append(np.full(len(live), SELF))
-        wide = np.flatnonzero((n > min_words)[line_of])  # lines that may lose a word and still be long enough
-        keys.append(K.mix(K.mix(less[wide] + (count[line_of[wide]] - K.U(1)) * K.U(0xA24BAED4963EE407))))
-        lines.append(line_of[wide])
-        kinds.append(np.full(len(wide), LESS))
-        gap = np.flatnonzero((n >= min_words)[line_of])
-        keys.append(K.mix(K.mix(less[gap] + count[line_of[gap]] * K.U(0x9FB21C651E98DF25)) + inner[gap].astype(np.uint64)))
-        lines.append(line_of[gap])
-        kinds.append(np.full(len(gap), GAP))
-        self.key, self.line, self.kind = (np.concatenate(x) for x in (keys, lines, kinds))
-        self.h, self.first, self.inner, self.line_of = h, first, inner, line_of
-        self.wide, self.gap, self.live = wide, gap, live
-        self.id = ids.fill_null(LAST).to_numpy()[self.doc] if len(self.doc) else np.zeros(0, np.int64)
-
-    def checks(self) -> np.ndarray:
-        """A second 32-bit hash for each key, of the same words by other constants."""
-        m = K.U(0xD6E8FEB86659FD93)
-        n = self.n
-        power = np.cumprod(np.concatenate((np.ones(1, np.uint64), np.full(int(n.max(initial=0)) + 1, m))))
-        g = K.mix(self.h + K.U(0x2545F4914F6CDD1D))
-        run = np.concatenate((np.zeros(1, np.uint64), np.cumsum(g * power[self.inner], dtype=np.uint64)))
-        whole = run[self.first[1:]] - run[self.first[:-1]]
-        inverse = K.U(pow(int(m), -1, 1 << 64))
-        less = run[:-1] - run[self.first[:-1]][self.line_of] + (run[self.first[1:]][self.line_of] - run[1:]) * inverse
-        return (K.mix(np.concatenate((whole[self.live], less[self.wide], less[self.gap]))) >> K.U(32)).astype(np.uint32)
-
-    def shared(self, told, n: int):
-        """Rows (key, check, side, id, number, line, whether a gap key) of keys that may be shared, sorted by key, check, side, id, number.
-
-        side 0: the line itself; 1: a line that lacks a word (as line or with a gap).
-        """
-        uniq, _ = X.ask_shared(self.key, None, n)
-        at = np.flatnonzero(X.among(self.key, X.shared_keys(uniq, told, n)))
-        line = self.line[at]
-        key, check, side = self.key[at], self.checks()[at], (self.kind[at] != SELF).astype(np.uint8)
-        order = np.lexsort((self.number[line], self.id[line], side, check, key))
+        doc = np.searchsorted(self.off, self.begin, "right") - 1
+        self.number = np.arange(len(self.begin)) - np.searchsorted(self.begin, self.off[:-1])[doc]
+        self.first = np.searchsorted(start, np.append(self.begin, self.off[-1]))
+        self.n = np.diff(self.first)
+        self.h = K.word_hashes(self.buf, start, end)
+        self.id = table.column("id").fill_null(LAST).to_numpy()[doc] if len(doc) else np.zeros(0, np.int64)
+        self.inner = np.arange(len(self.h)) - np.repeat(self.first[:-1], self.n)
+        self.key = Polynomial(self, self.h, 0x9E3779B97F4A7C15)
+        self._check = None
+
+    @property
+    def check(self) -> Polynomial:
+        """A second hash of the same words by other constants."""
+        if self._check is None:
+            self._check = Polynomial(self, K.mix(self.h + K.U(0x2545F4914F6CDD1D)), 0xD6E8FEB86659FD93)
+        return self._check
+
+    def selves(self) -> tuple[np.ndarray, ...]:
+        """Of each line with words, sorted: key, check, id, number, line."""
+        line = np.flatnonzero(self.n > 0)
+        key, check = self.key.whole(line), short(self.check.whole(line))
+        order = np.lexsort((self.number[line], self.id[line], check, key))
         line = line[order]
-        return key[order], check[order], side[order], self.id[line], self.number[line], line, (self.kind[at] == GAP)[order]
+        return key[order], check[order], self.id[line], self.number[line], line
+
+    def halves(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Keys of halves, sorted, with the key of the whole line; and the line.
+
+        Two lines within one word edit agree in the first or the second half of the shorter one.
+        """
+        keys, lines = [], []
+        for less in (0, 1):
+            line = np.flatnonzero(self.n - less >= self.min_words)
+            n = self.n[line] - less
+            a = n // 2
+            size = n.astype(np.uint64) * K.U(0xC2B2AE3D27D4EB4F)
+            keys += [K.mix(K.mix(self.key.head(line, a) + size)), K.mix(K.mix(self.key.tail(line, n - a) + size) + K.U(1))]
+            lines += [line, line]
+        key, line = np.concatenate(keys), np.concatenate(lines)
+        whole = self.key.whole(line)
+        order = np.lexsort((whole, key))
+        return key[order], whole[order], line[order]
+
+    def variants(self, line: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Keys of the lines, of the lines without one word, and of the lines with a gap; sorted.
+
+        Key, check, side (0: the line itself, 1: one that lacks a word), id, number, line, whether of a gap.
+        """
+        wide = line[self.n[line] > self.min_words]
+        parts = [(self.key.whole(line), self.check.whole(line), line, SELF)]
+        for chosen, kind in ((wide, LESS), (line, GAP)):
+            at, of = words_of(self, chosen)
+            parts.append((self.key.without(at, of, kind == GAP), self.check.without(at, of, kind == GAP), of, kind))
+        key, of = np.concatenate([x[0] for x in parts]), np.concatenate([x[2] for x in parts])
+        check = short(np.concatenate([x[1] for x in parts]))
+        kind = np.concatenate([np.full(len(x[0]), x[3]) for x in parts])
+        side = (kind != SELF).astype(np.uint8)
+        order = np.lexsort((self.number[of], self.id[of], side, check, key))
+        of = of[order]
+        return key[order], check[order], side[order], self.id[of], self.number[of], of, (kind == GAP)[order]
+
+
+def short(h: np.ndarray) -> np.ndarray:
+    return (h >> K.U(32)).astype(np.uint32)
+
+
+def words_of(part: Part, line: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of the lines' words, and the line of each."""
+    n = part.n[line]
+    to = np.concatenate(([0], np.cumsum(n)))
+    return np.arange(to[-1]) + np.repeat(part.first[line] - to[:-1], n), np.repeat(line, n)
+
+
+class Polynomial:
+    """Hashes of word sequences from running sums: of lines, their beginnings and ends, and lines without a word."""
+
+    def __init__(self, part: Part, h: np.ndarray, m: int):
+        most = int(part.n.max(initial=0)) + 2
+        ones = np.ones(1, np.uint64)
+        self.inverse = K.U(pow(m, -1, 1 << 64))
+        self.back = np.cumprod(np.concatenate((ones, np.full(most, self.inverse))))
+        power = np.cumprod(np.concatenate((ones, np.full(most, K.U(m)))))
+        self.run = np.concatenate((np.zeros(1, np.uint64), np.cumsum(h * power[part.inner], dtype=np.uint64)))
+        self.part = part
+
+    def head(self, line, a):
+        at = self.part.first[line]
+        return self.run[at + a] - self.run[at]
+
+    def tail(self, line, b):
+        to = self.part.first[line + 1]
+        return (self.run[to] - self.run[to - b]) * self.back[self.part.n[line] - b]
+
+    def finish(self, h, n, gap=None):
+        """The key says how many words there are, and where the gap is if there is one."""
+        if gap is None:
+            return K.mix(K.mix(h + n.astype(np.uint64) * K.U(0xA24BAED4963EE407)))
+        return K.mix(K.mix(h + n.astype(np.uint64) * K.U(0x9FB21C651E98DF25)) + gap.astype(np.uint64))
+
+    def whole(self, line):
+        return self.finish(self.head(line, self.part.n[line]), self.part.n[line])
+
+    def without(self, at, line, gap: bool):
+        """Lines without the word at position ``at``; as a line of its own, or with a gap there."""
+        h = self.run[at] - self.run[self.part.first[line]] + (self.run[self.part.first[line + 1]] - self.run[at + 1]) * self.inverse
+        n = self.part.n[line]
+        return self.finish(h, n, self.part.inner[at]) if gap else self.finish(h, n - 1)
 
 
 def runs(*columns: np.ndarray) -> np.ndarray:
@@ -140,12 +183,52 @@ def before(i, j, ids, number):
     return (i < ids) | ((i == ids) & (j < number))
 
 
-def _reply(table: pa.Table) -> pa.Table:
-    """For each row that parts sent (their earliest line on one side of a key): the earliest line of both sides anywhere, packed."""
+def _first_reply(table: pa.Table) -> pa.Table:
+    """Kind 1: whether an equal line comes earlier in another part. Kind 3: whether a different line has the half."""
+    made, whole, half = [], [], []
+    for p, k, x in zip(table.column("pid").to_pylist(), table.column("kind").to_pylist(), table.column("blob").to_pylist()):
+        x = X.split(x)
+        if k == 1:
+            whole.append((p, K.unpack_sorted(x[0]), K.unpack(x[1]), K.unpack(x[2]).view(np.int64), K.unpack(x[3]).astype(np.int64)))
+        else:
+            half.append((p, K.unpack_sorted(x[0]), K.unpack(x[1])))
+    if whole:
+        key, check, ids, number = (np.concatenate([s[i] for s in whole]) for i in range(1, 5))
+        order = np.lexsort((number, ids, check, key))
+        new = runs(key[order], check[order])
+        size = np.diff(np.append(new, len(key)))
+        i, j = np.repeat(ids[order][new], size), np.repeat(number[order][new], size)
+        beaten = np.empty(len(key), bool)
+        beaten[order] = before(i, j, ids[order], number[order])
+        made += marks(whole, beaten, 1)
+    if half:
+        key, line = (np.concatenate([s[i] for s in half]) for i in (1, 2))
+        order = np.lexsort((line, key))
+        sk, sl = key[order], line[order]
+        new = runs(sk)
+        size = np.diff(np.append(new, len(sk)))
+        shared = np.empty(len(key), bool)
+        shared[order] = np.repeat(sl[new] != sl[new + size - 1], size)
+        made += marks(half, shared, 3)
+    return X.answers(table.column("bucket")[0].as_py(), made)
+
+
+def marks(sent: list[tuple], mask: np.ndarray, kind: int) -> list[tuple[int, int, bytes]]:
+    made, at = [], 0
+    for s in sent:
+        own = mask[at : at + len(s[1])]
+        at += len(s[1])
+        if own.any():
+            made.append((s[0], kind, X.bits(own)))
+    return made
+
+
+def _second_reply(table: pa.Table) -> pa.Table:
+    """For each row sent (a part's earliest line on one side of a key): the earliest line of both sides anywhere. The rest is passed on."""
     made, sent = [], []
     for p, k, x in zip(table.column("pid").to_pylist(), table.column("kind").to_pylist(), table.column("blob").to_pylist()):
-        if k == 2:
-            made.append((int(np.frombuffer(x[:4], "<i4")[0]), p, 0, x[4:]))
+        if k != 4:
+            made.append((int(np.frombuffer(x[:4], "<i4")[0]), p, k, x[4:]))
         else:
             a, b, c, d, e = X.split(x)
             sent.append((p, K.unpack_sorted(a), K.unpack(b), K.unpack(c), K.unpack(d).view(np.int64), K.unpack(e).astype(np.int64)))
@@ -160,13 +243,47 @@ def _reply(table: pa.Table) -> pa.Table:
         for s in sent:
             to = slice(at, at + len(s[1]))
             at = to.stop
-            made.append((table.column("bucket")[0].as_py(), s[0], 1, X.join([K.pack(x[to].view(np.uint64)) for x in back])))
+            made.append((table.column("bucket")[0].as_py(), s[0], 4, X.join([K.pack(x[to].view(np.uint64)) for x in back])))
     return pa.table({"bucket": pa.array([m[0] for m in made], pa.int32()), "pid": pa.array([m[1] for m in made], pa.int32()), "kind": pa.array([m[2] for m in made], pa.int32()), "blob": pa.array([m[3] for m in made], pa.binary())})
 
 
+def spread(told: list[tuple[int, bytes]], at: np.ndarray, total: int) -> np.ndarray:
+    mask = np.zeros(total, bool)
+    for b, x in told:
+        mask[at[b] : at[b + 1]] = X.from_bits(x, at[b + 1] - at[b])
+    return mask
+
+
+def first_round(part: Part, n: int):
+    """What a part sends first, by bucket: its distinct lines with their earliest place, and its halves. With all rows, for the answers."""
+    key, check, ids, number, line = part.selves()
+    new = runs(key, check)
+    hk, hw, hl = part.halves()
+    hnew = runs(hk, hw)
+    return (key, check, ids, number, line, new, X.cuts(key[new], 64, n)), (hk, hw, hl, hnew, X.cuts(hk[hnew], 64, n))
+
+
+def after_first(part: Part, told: pa.Table, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Lines that repeat an earlier one word for word; and the others that share a half with a different line."""
+    (key, check, ids, number, line, new, at), (hk, _, hl, hnew, hat) = first_round(part, n)
+    gone = np.zeros(len(part.begin), bool)
+    if len(key):
+        size = np.diff(np.append(new, len(key)))
+        own = before(np.repeat(ids[new], size), np.repeat(number[new], size), ids, number)
+        gone[line[np.repeat(spread(X.by_kind(told, 1), at, len(new)), size) | own]] = True
+    near = np.zeros(len(part.begin), bool)
+    if len(hk):
+        size = np.diff(np.append(hnew, len(hk)))
+        near[hl[np.repeat(spread(X.by_kind(told, 3), hat, len(hnew)), size)]] = True
+    return gone, np.flatnonzero(near & ~gone)
+
+
 def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5, emit=None, schema="id long, n_lines long, n_removed long, text string", extra: str | None = None) -> DataFrame:
     """One row per document through ``emit(part, gone)``; by default the lines that stay. ``gone`` marks the part's lines.
 
+    First, equal lines meet, and halves: two lines within one edit share one. Only the earliest of equal
+    lines, and only if a different line shares a half, then emits its deletion neighbourhood.
+
     extra: a struct column of ``docs`` that goes with each row, unread.
     """
     rows, size = X.parts(docs, id_col, text_col)
@@ -175,48 +292,52 @@ def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5,
         n_parts = F.lit(max(1, -(-size // X.PART_BYTES)))
         last = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), F.col(text_col).isNull().alias("was_null"), F.col(extra).alias("extra"))
         last = last.withColumn("pid", F.pmod(F.xxhash64("id", "text"), n_parts).cast("int"))
-    n = X.buckets_for(size / 2.5)
+    n = X.buckets_for(size / 20)
     emit = emit or kept_lines
     empty = to_arrow_schema(T.StructType.fromDDL(schema)).empty_table()
 
     def ask(table: pa.Table) -> pa.Table:
-        return X.rows(table.column("pid")[0].as_py(), X.ask_shared(Part(table, min_words).key, None, n)[1])
+        (key, check, ids, number, _, new, at), (hk, hw, _, hnew, hat) = first_round(Part(table, min_words), n)
+        key, check, ids, number, hk, hw = key[new], check[new], ids[new], number[new], hk[hnew], hw[hnew]
+        made = [(b, 1, X.join([K.pack_sorted(key[i:j]), K.pack(check[i:j]), K.pack(ids[i:j].view(np.uint64)), K.pack(number[i:j].astype(np.uint32))])) for b, (i, j) in enumerate(zip(at[:-1].tolist(), at[1:].tolist())) if j > i]
+        made += [(b, 3, X.join([K.pack_sorted(hk[i:j]), K.pack(hw[i:j])])) for b, (i, j) in enumerate(zip(hat[:-1].tolist(), hat[1:].tolist())) if j > i]
+        return X.rows(table.column("pid")[0].as_py(), made)
 
     def compare(table: pa.Table, told: pa.Table) -> pa.Table:
         if not table.num_rows:
             return X.rows(0, [])
-        got = X.by_kind(told, 0)
-        key, check, side, ids, number, *_ = Part(table, min_words).shared(got, n)
+        part = Part(table, min_words)
+        key, check, side, ids, number, *_ = part.variants(after_first(part, told, n)[1])
         new = runs(key, check, side)  # the earliest of each side; rows come sorted
         key, check, side, ids, number = (x[new] for x in (key, check, side, ids, number))
         at = X.cuts(key, 64, n)
-        made = [(i, 1, X.join([K.pack_sorted(key[lo:hi]), K.pack(check[lo:hi]), K.pack(side[lo:hi]), K.pack(ids[lo:hi].view(np.uint64)), K.pack(number[lo:hi].astype(np.uint32))])) for i, (lo, hi) in enumerate(zip(at[:-1].tolist(), at[1:].tolist())) if hi > lo]
-        made += [(i, 2, np.array([i], "<i4").tobytes() + x) for i, x in got]
+        made = [(b, 4, X.join([K.pack_sorted(key[i:j]), K.pack(check[i:j]), K.pack(side[i:j]), K.pack(ids[i:j].view(np.uint64)), K.pack(number[i:j].astype(np.uint32))])) for b, (i, j) in enumerate(zip(at[:-1].tolist(), at[1:].tolist())) if j > i]
+        # What the buckets told is needed once more, beside their next answers.
+        made += [(b, k, np.array([b], "<i4").tobytes() + x) for k in (1, 3) for b, x in X.by_kind(told, k)]
         return X.rows(table.column("pid")[0].as_py(), made)
 
     def finish(table: pa.Table, told: pa.Table) -> pa.Table:
         if not table.num_rows:
             return empty
         part = Part(table, min_words)
-        gone = np.zeros(len(part.begin), bool)
-        got = X.by_kind(told, 0)
-        if got:
-            key, check, side, ids, number, line, gap = part.shared(got, n)
+        gone, near = after_first(part, told, n)
+        if len(near):
+            key, check, side, ids, number, line, gap = part.variants(near)
             new = runs(key, check, side)
             at = X.cuts(key[new], 64, n)
             best = [np.full(len(new), LAST) for _ in range(4)]
-            for i, x in X.by_kind(told, 1):
-                for b, y in zip(best, X.split(x)):
-                    b[at[i] : at[i + 1]] = K.unpack(y).view(np.int64)
+            for b, x in X.by_kind(told, 4):
+                for to, y in zip(best, X.split(x)):
+                    to[at[b] : at[b + 1]] = K.unpack(y).view(np.int64)
             size_of = np.diff(np.append(new, len(key)))
             i0, j0, i1, j1 = (np.repeat(b, size_of) for b in best)
-            # Side 0 meets both sides; a line that lacks a word meets the whole line, and by a gap another gap.
+            # A line meets lines that become it without a word; a line without a word meets lines, a gap meets gaps.
             gone[line[before(i0, j0, ids, number)]] = True
             gone[line[before(i1, j1, ids, number) & ((side == 0) | gap)]] = True
         return emit(part, gone)
 
-    told = rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(X.tell_shared, X.MESSAGE)
-    told = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(compare, X.MESSAGE).groupBy("bucket").applyInArrow(_reply, X.MESSAGE)
+    told = rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(_first_reply, X.MESSAGE)
+    told = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(compare, X.MESSAGE).groupBy("bucket").applyInArrow(_second_reply, X.MESSAGE)
     return last.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(finish, schema)
 
 
