@@ -1,10 +1,10 @@
 """Toxicity by class-conditional Kneser-Ney models.
 
-Two models, toxic and ordinary, give each token a probability after its predecessor: discounted
-counts of the pair, then of the word, then of its stem (first bytes), then a shared
-backoff over both classes. As Kneser-Ney counts a form by the contexts that it appears in,
-and contexts here are texts, bursts inside one text count once. Rare expressions lean on counts that
-both classes share, so that they tell nothing unless their stem does. A text's evidence is the
+Two models, toxic and ordinary, give each token a probability: after its predecessor where
+the pair is frequent enough, else alone, else through its stem (first bytes). Counts are discounted, and what
+that frees goes to a backoff over the forms of both classes, so that a rare expression says
+little. As Kneser-Ney counts a form by the contexts that it appears in, and contexts here are
+texts, bursts inside one text count once. A text's evidence is the
 difference of its two length-normalised log-likelihoods, and the same at the tokens
 where the difference is largest; a logistic curve, fitted on evidence that models of
 the other folds give for each labelled text, turns it into a score from 0 to 1.
@@ -58,49 +58,53 @@ def contexts(keys: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 class Level:
-    """Counts of one order in both classes, with the discounted probability over any backoff."""
+    """Discounted counts of one order in both classes; what the discount frees goes evenly to all forms that either class has."""
 
-    def __init__(self, by_class: list[tuple[np.ndarray, np.ndarray]], least: int, discount: float):
+    def __init__(self, by_class: list[tuple[np.ndarray, np.ndarray]], least: int, discount: float = 0.75):
         self.keys = np.unique(np.concatenate([k for k, _ in by_class]))
         count = np.zeros((2, len(self.keys)), np.float32)
         for c, (k, n) in enumerate(by_class):
             count[c, np.searchsorted(self.keys, k)] = n
+        self.total = np.maximum(count.sum(1), 1).astype(np.float64)[:, None]
+        self.even = discount * np.maximum((count > 0).sum(1), 1)[:, None] / (len(self.keys) + 1)
         keep = count.sum(0) >= least
-        self.total = np.maximum(count.sum(1), 1).astype(np.float64)
-        self.keys, self.count = self.keys[keep], count[:, keep]
-        self.discount = discount
-        # What the discount frees, as a share of all counts of the class.
-        used = np.where(self.count > 0, self.count - discount, 0).sum(1)
-        self.free = 1 - used / self.total
-
-    def find(self, keys: np.ndarray) -> np.ndarray:
+        self.keys, self.count, self.discount, self.least = self.keys[keep], count[:, keep], discount, least
+
+    def difference(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """log probability in the toxic model less that in the ordinary one, and whether the form is frequent enough for this order."""
         if not len(self.keys):
-            return np.zeros((2, len(keys)))
+            return np.zeros(len(keys)), np.zeros(len(keys), bool)
         at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
-        return np.where(self.keys[at] == keys, self.count[:, at], 0)
-
-    def probability(self, n: np.ndarray, back: np.ndarray) -> np.ndarray:
-        return np.where(n > 0, n - self.discount, 0) / self.total[:, None] + self.free[:, None] * back
+        known = self.keys[at] == keys
+        p = (np.maximum(self.count - self.discount, 0) + self.even) / self.total
+        d = np.log(p[1]) - np.log(p[0])
+        none = float(np.log(self.even[1, 0] / self.total[1, 0]) - np.log(self.even[0, 0] / self.total[0, 0]))
+        return np.where(known, d[at], none), known
 
 
 class Model:
-    def __init__(self, texts: list, labels: np.ndarray, discount: float = 0.75):
+    def __init__(self, texts: list, labels: np.ndarray):
         self.curve = np.zeros(5)
+        # A form with a fixed share of the toxic texts differs by this much more when there are more of them.
+        self.level = float(np.log(max(1, (labels == 1).sum())))
         by = [tokenised(pa.array([t for t, y in zip(texts, labels) if y == c], pa.string())) for c in (0, 1)]
         counts = [[contexts(x[i], x[3]) for x in by] for i in range(3)]
-        self.pair = Level(counts[0], 3, discount)
-        self.word = Level(counts[1], 1, discount)
-        self.stem = Level(counts[2], 1, discount)
+        self.pair = Level(counts[0], 5)
+        self.word = Level(counts[1], 3)
+        self.stem = Level(counts[2], 1)
 
     def differences(self, pair, word, stem) -> np.ndarray:
-        """log probability of each token in the toxic model less that in the ordinary one."""
-        ns, nw = self.stem.find(stem), self.word.find(word)
-        both = (ns.sum(0) + 0.5) / (self.stem.count.sum() + 0.5 * (len(self.stem.keys) + 1))  # shared by both classes
-        p = self.stem.probability(ns, np.broadcast_to(both, ns.shape))
-        inside = np.minimum(1, np.maximum(nw.sum(0), 0.5) / np.maximum(ns.sum(0), 1))  # share of the stem, by both classes
-        p = self.word.probability(nw, p * inside)
-        p = self.pair.probability(self.pair.find(pair), p)
-        return np.log(p[1]) - np.log(p[0])
+        """log probability of each token in the toxic model less that in the ordinary one.
+
+        The highest order that knows the form decides. The share of a rare word in its stem is the
+        same in both models, so that there only the stem speaks.
+        """
+        by_stem, _ = self.stem.difference(stem)
+        by_word, known = self.word.difference(word)
+        alone = np.where(known, by_word, by_stem)
+        joint, known = self.pair.difference(pair)
+        before = np.concatenate((np.zeros(1), alone[:-1]))[: len(alone)]
+        return np.where(known, np.maximum(joint - before, alone), alone)
 
     def evidence(self, texts) -> np.ndarray:
         """Per text: length-normalised difference, the two largest differences of tokens, and their normalised excess."""
@@ -117,6 +121,7 @@ class Model:
         out[full, 1] = d[order[first[:-1][full]]]
         out[two, 2] = d[order[first[:-1][two] + 1]]
         out[:, 3] = np.bincount(doc, weights=np.maximum(d - 1.5, 0), minlength=len(n)) / np.sqrt(size)
+        out[:, 1:3] -= self.level
         return out
 
     def fit(self, x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> None:
@@ -124,7 +129,7 @@ class Model:
         mean, scale = x[:, :4].mean(0), x[:, :4].std(0) + 1e-9
         z = np.column_stack(((x[:, :4] - mean) / scale, np.ones(len(x))))
         w = np.zeros(5)
-        ridge = np.diag([0.3, 0.3, 0.3, 0.3, 1e-3])
+        ridge = np.diag([0.05, 0.05, 0.05, 0.05, 1e-3])
         for _ in range(50):
             p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
             g = z.T @ (weight * (p - y)) + ridge @ w
