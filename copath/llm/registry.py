@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from copath.llm import decontaminate, hmm, lines, pieces, simhash, substring, toxicity
+from copath.llm import decontaminate, hmm, html, lines, pieces, simhash, substring, toxicity, warc
 from copath.llm.store import read_table
 
 
@@ -19,6 +19,16 @@ def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.selectExpr("id AS doc_id", "lower(lpad(hex(fp), 16, '0')) AS fingerprint", "component_id")
 
 
+def op4_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Metadata and conversion records of every page's response."""
+    return warc.report(read_table(spark, sf_dir, "pages"))
+
+
+def op5_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of every page."""
+    return html.report(read_table(spark, sf_dir, "pages"))
+
+
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Toxicity score of every document, learnt from the labelled ones that aren't held out."""
     return toxicity.report(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
@@ -47,6 +57,8 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op2_hmm_language_model": op2_hmm_language_model,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
+    "op4_warc_derivatives": op4_warc_derivatives,
+    "op5_html_extraction": op5_html_extraction,
     "op6_toxicity": op6_toxicity,
     "op7_benchmark_decontamination": op7_benchmark_decontamination,
     "op8_line_dedup": op8_line_dedup,
