@@ -4,10 +4,15 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from copath.llm import decontaminate, hmm, html, lines, pieces, simhash, substring, toxicity, warc
+from copath.llm import decontaminate, embeddings, hmm, html, lines, pieces, simhash, substring, toxicity, warc
 from copath.llm.store import read_table
 
 
+def op1_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links, component and representative of every vector."""
+    return embeddings.groups(read_table(spark, sf_dir, "embeddings"))
+
+
 def op2_hmm_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Exact log10 likelihood of every document under a hidden Markov model, beside the unigram base score."""
     return hmm.score(read_table(spark, sf_dir, "documents"))
@@ -55,6 +60,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_embedding_near_dedup": op1_embedding_near_dedup,
     "op2_hmm_language_model": op2_hmm_language_model,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
     "op4_warc_derivatives": op4_warc_derivatives,
