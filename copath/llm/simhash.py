@@ -73,7 +73,8 @@ def fingerprints(docs: DataFrame, id_col="doc_id", text_col="text", shingle=4, s
 
 def correlated_groups(bits: np.ndarray, m: int) -> list[list[int]]:
     """64 bit numbers in m groups of nearly equal size; a group starts at the least correlated free bit and takes the most correlated."""
-    c = np.abs(np.nan_to_num(np.corrcoef(bits.T))) if len(bits) > 2 else np.zeros((64, 64))
+    with np.errstate(all="ignore"):  # bits that never change
+        c = np.abs(np.nan_to_num(np.corrcoef(bits.T))) if len(bits) > 2 else np.zeros((64, 64))
     np.fill_diagonal(c, 0)
     free, out = list(range(64)), []
     for g in range(m):
@@ -211,7 +212,52 @@ def near_duplicates(docs: DataFrame, id_col="doc_id", text_col="text", shingle=4
     return fps.join(labels, "fp").select("id", "fp", "component_id")
 
 
-def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bound=4) -> DataFrame:
-    """One document of each group of near-duplicates: the one with the smallest id (of rows that repeat it, one)."""
-    groups = near_duplicates(docs, id_col, text_col, shingle, bound).where("id = component_id").select(F.col("id").alias("_keep")).distinct()
-    return docs.dropDuplicates([id_col]).join(groups, F.col(id_col) == F.col("_keep"), "left_semi")
+def shingle_sets(texts, shingle: int) -> list[np.ndarray]:
+    """Sorted distinct hashes of each text's word shingles (fewer words: the whole sequence; none: no shingle)."""
+    buf, off = K.flat(texts, bytes.lower)
+    start, end, first = K.words(buf, off, TABLE)
+    h = K.word_hashes(buf, start, end)
+    w = K.windows(h, shingle)
+    out = []
+    for lo, hi in zip(first[:-1].tolist(), first[1:].tolist()):
+        n = hi - lo
+        out.append(np.unique(w[lo : hi - shingle + 1]) if n >= shingle else K.windows(h[lo:hi], n) if n else w[:0])
+    return out
+
+
+def similarity(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard similarity of two sets; two empty sets are equal."""
+    if not len(a) and not len(b):
+        return 1.0
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / (len(a) + len(b) - both)
+
+
+def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bound=8, least=0.8, rounds=8) -> DataFrame:
+    """The documents without those that are near-duplicates of one that stays.
+
+    Fingerprints within ``bound`` bits make groups. Each group's smallest id stays, and a member goes if the
+    Jaccard similarity of its shingles with that document's is ``least`` or more. Members that are not similar to
+    it are grouped again among themselves. Of rows that repeat an id one stays. A null id is an id like any other here.
+    """
+    rows, _ = write_table(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).dropDuplicates(["id"]))
+    left, lost = rows, None
+    for _ in range(rounds):
+        groups = near_duplicates(left, "id", "text", shingle, bound).where("NOT id <=> component_id").select("id", "component_id")
+        heads = groups.select("component_id").distinct().join(rows.select(F.col("id").alias("component_id"), F.col("text").alias("head")), "component_id")
+
+        def judge(batches):
+            for whole in batches:
+                for b in K.slices(whole, "text", 1 << 20):
+                    both = zip(shingle_sets(b.column("text"), shingle), shingle_sets(b.column("head"), shingle))
+                    yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([similarity(x, y) >= least for x, y in both], pa.bool_())], ["id", "same"])
+
+        pairs = groups.join(rows, "id").join(heads, "component_id").select("id", "text", "head")
+        judged, _ = write_table(pairs.mapInArrow(judge, f"id {rows.schema['id'].dataType.simpleString()}, same boolean"))
+        gone = judged.where("same").select("id")
+        lost = gone if lost is None else lost.union(gone)
+        again = judged.where("NOT same")
+        if again.isEmpty():
+            break
+        left, _ = write_table(rows.join(again.select("id"), "id", "left_semi"))
+    return docs.dropDuplicates([id_col]).join(lost.select(F.col("id").alias("_lost")), F.col(id_col) == F.col("_lost"), "left_anti")
