@@ -61,7 +61,8 @@ def small_table(df: DataFrame, rows: list[tuple], schema: str) -> DataFrame:
 
 def settle(c: Catalogue, found: DataFrame, key: str, scale: float, step: str, i: int, generated: int, began: float) -> dict[int, float]:
     """Supports of the candidates in ``found`` (distinct rows of pid and ``key``) that are frequent; ``scale`` turns sampled counts into estimates."""
-    counts = found.groupBy("pid").agg(F.count_distinct(key).alias("n")) if key != "v" else found.groupBy("pid").agg(F.count("*").alias("n"))
+    one_row = set(found.columns) == {"pid", key}
+    counts = found.groupBy("pid").agg(F.count("*").alias("n") if one_row else F.count_distinct(key).alias("n"))
     rows = counts.where(F.col("n") / scale >= c.theta - 1e-9).collect()
     out = {r.pid: r.n / scale if scale != 1 else r.n for r in rows}
     c.support.update({c.names[k]: n for k, n in out.items()})
@@ -131,12 +132,18 @@ def extend_length(c: Catalogue, t: Targets, g: PropertyGraph, i: int, cfg: Miner
     return out
 
 
-def extend_items(c: Catalogue, parents: list[Pattern], i: int, cfg: MinerConfig) -> list[tuple[Pattern, int, Pattern]]:
-    """(parent, item, child): patterns with one more item at their end, larger than those there."""
+def extend_items(c: Catalogue, t: Targets, parents: list[Pattern], i: int, cfg: MinerConfig) -> list[tuple[Pattern, int, Pattern]]:
+    """(parent, item, child): patterns with one more item at their end, larger than those there.
+
+    The plain policy tries every item that any edge of the label ends at.
+    """
     ends: dict[tuple, list[int]] = {}
     for p in c.of(i):
         if len(p.hops[-1][1]) == 1:
             ends.setdefault((p.head, p.hops[:-1], p.hops[-1][0]), []).append(p.hops[-1][1][0])
+    if cfg.policy == "prefix_only":
+        for key in ends:
+            ends[key] = sorted(item for label, item in t.ends if label == key[2])
     out = []
     for p in parents:
         label, last = p.hops[-1]
@@ -148,6 +155,24 @@ def extend_items(c: Catalogue, parents: list[Pattern], i: int, cfg: MinerConfig)
     return out
 
 
+def examined(c: Catalogue, g: PropertyGraph, i: int, m: int, tried: int, cfg: MinerConfig) -> int:
+    """Candidates of a vertical round. The plain policy has every frequent prefix with every label and item, whether or not they occur."""
+    return tried if cfg.policy == "pruned" else sum(p.n_items == m - 1 for p in c.of(i - 1)) * len(g.labels) * len(g.items)
+
+
+def last_hop(g: PropertyGraph, c: Catalogue, states: DataFrame, cand: list[tuple[Pattern, int, tuple[int, ...], Pattern]]) -> DataFrame:
+    """(pid, src) of candidates (prefix, label, items, pattern): prefixes' ends meet the vertices that an edge of the label leads to the items from."""
+    number = {x: k for k, x in enumerate(sorted({(label, s) for _, label, s, _ in cand}))}
+    want = small_table(states, [(k, label, x, len(s)) for (label, s), k in number.items() for x in s], "sid int, label int, item int, k int")
+    held = g.attrs.join(want, "item")
+    if any(len(s) > 1 for _, s in number):
+        held = held.groupBy("sid", "label", "v").agg(F.count("*").alias("have"), F.first("k").alias("k")).where("have = k")
+    ends = held.select("sid", "label", F.col("v").alias("dst")).join(g.edges, ["label", "dst"]).select("sid", F.col("src").alias("tail")).distinct()
+    rows = [(c.ids[p], number[label, s], c.number(q)) for p, label, s, q in cand]
+    hit = states.join(ends, "tail").join(small_table(states, rows, "pid int, sid int, new int"), ["pid", "sid"])
+    return hit.select(F.col("new").alias("pid"), "src")
+
+
 def grow_fixed(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, scale: float, cfg: MinerConfig) -> DataFrame | None:
     """matches(pid, v) of all frequent fixed patterns of length 1 to max_len."""
     states = heads.select("pid", F.col("v").alias("src"), F.col("v").alias("tail"))
@@ -163,9 +188,14 @@ def grow_fixed(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, sca
         while m <= max(max(todo, default=0), max(done, default=0) + 1):
             began = time.monotonic()
             up = [(p, label, item, q) for p, label, item, q in todo.get(m, []) if _covered(c, q, cfg)]
-            grown = [x for x in extend_items(c, [p for p in c.of(i) if p.n_items == m - 1], i, cfg) if _covered(c, x[2], cfg)]
+            grown = [x for x in extend_items(c, t, [p for p in c.of(i) if p.n_items == m - 1], i, cfg) if _covered(c, x[2], cfg)]
             pieces = []
-            if up:
+            if i == cfg.max_len:
+                # No pattern goes on from here, so that which vertex ends a walk no longer matters.
+                cand = [(p, label, q.hops[-1][1], q) for p, label, _, q in up] + [(Pattern(q.head, q.hops[:-1]), q.hops[-1][0], q.hops[-1][1], q) for _, _, q in grown]
+                if cand:
+                    pieces.append(last_hop(g, c, states, cand))
+            elif up:
                 cand = [(c.ids[p], label, item, c.number(q)) for p, label, item, q in up]
                 own = states.join(small_table(states, sorted({(a,) for a, *_ in cand}), "pid int"), "pid", "left_semi")
                 steps = g.edges.select(F.col("src").alias("tail"), "label", "dst")
@@ -173,14 +203,14 @@ def grow_fixed(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, sca
                 hop = hop.select("pid", "label", "src", F.col("dst").alias("v")).distinct()
                 ends = hop.join(g.attrs, "v").join(small_table(states, cand, "pid int, label int, item int, new int"), ["pid", "label", "item"])
                 pieces.append(ends.select(F.col("new").alias("pid"), "src", F.col("v").alias("tail")))
-            if grown and done.get(m - 1) is not None:
+            if i < cfg.max_len and grown and done.get(m - 1) is not None:
                 cand = [(c.ids[p], item, c.number(q)) for p, item, q in grown]
                 wide = done[m - 1].join(small_table(states, cand, "pid int, item int, new int"), "pid").join(g.attrs.select(F.col("v").alias("tail"), "item"), ["tail", "item"])
                 pieces.append(wide.select(F.col("new").alias("pid"), "src", "tail"))
             if pieces:
                 found = pieces[0] if len(pieces) == 1 else pieces[0].union(pieces[1])
                 found = cut(found.distinct())
-                keep = settle(c, found, "src", scale, f"fixed_{i}", m, len(up) + len(grown), began)
+                keep = settle(c, found, "src", scale, f"fixed_{i}", m, examined(c, g, i, m, len(up), cfg) + len(grown), began)
                 done[m] = only(found, keep) if keep else None
                 if keep:
                     level.append(done[m])
@@ -192,7 +222,8 @@ def grow_fixed(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, sca
         states = level[0]
         for x in level[1:]:
             states = states.union(x)
-        states = cut(states)
+        if i < cfg.max_len:
+            states = cut(states)
         own = states.select("pid", F.col("src").alias("v")).distinct()
         matches = own if matches is None else matches.union(own)
     return None if matches is None else cut(matches)

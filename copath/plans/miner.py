@@ -71,7 +71,12 @@ def resolve_theta(g: PropertyGraph, cfg: MinerConfig) -> int:
     return max(1, ceil(cfg.theta * g.n - 1e-9)) if cfg.relative else ceil(cfg.theta)
 
 
-def mine_rules(g: PropertyGraph, cfg: MinerConfig) -> MiningResult:
+def mine_patterns(g: PropertyGraph, cfg: MinerConfig) -> MiningResult:
+    """A run that ends with the patterns; its pairs are empty."""
+    return mine_rules(g, cfg, with_rules=False)
+
+
+def mine_rules(g: PropertyGraph, cfg: MinerConfig, with_rules: bool = True) -> MiningResult:
     theta = resolve_theta(g, cfg)
     c = growth.Catalogue(theta, deadline=None if cfg.deadline_s is None else time.monotonic() + cfg.deadline_s)
     steps: dict[str, float] = {}
@@ -106,7 +111,10 @@ def mine_rules(g: PropertyGraph, cfg: MinerConfig) -> MiningResult:
         if part is not None:
             matches = part if matches is None else matches.union(part)
     matches = cut(heads.limit(0) if matches is None else matches)
-    pairs = rules.mine(matches, c, scale, cfg if cfg.max_len else cfg.but(min_len=0))
+    if with_rules:
+        pairs = rules.mine(matches, c, scale, cfg if cfg.max_len else cfg.but(min_len=0))
+    else:
+        pairs = g.vertices.sparkSession.createDataFrame([], "x int, y int, n long")
     pairs.count()
     tick("rules")
     return MiningResult(g, cfg, theta, c, targets, matches, pairs, scale, steps)
