@@ -243,7 +243,7 @@ def propagate(g: PropertyGraph, seeds: DataFrame, hops: int) -> DataFrame:
             break
         seen = new if seen is None else seen.union(new)
         front = new
-    return cut(seen.select("tid", "v"))
+    return seeds.select("tid", "v").limit(0) if seen is None else cut(seen.select("tid", "v"))
 
 
 def grow_reach(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, scale: float, cfg: MinerConfig) -> DataFrame | None:

@@ -142,7 +142,7 @@ _RULES = O.rules("trade", SHARE["trade"])
 for _name, _more in {"rules_trade": {}, "rules_lattice_trade": {"rule_form": "lattice"}, "rules_bitmap_trade": {"rule_form": "bitmap"}, "rules_prefix_only_trade": {"policy": "prefix_only"}, "rules_per_label_bound_trade": {"bound": "per_label"}, "rules_psi1_trade": {"psi": 1.0}}.items():
     query(_name, _RULES)(lambda s, d, more=_more: measured(mine_rules(build(s, d, "trade"), config("trade", **more)).rules()))
 query("rules_copart", O.rules("copart", 0.1, 0, False))(lambda s, d: measured(mine_rules(build(s, d, "copart"), config("copart", max_len=1, reach=False)).rules()))
-query("rules_users", O.rules("users", 0.8, 2, False))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", theta=0.8, max_len=1, max_reach=2)).rules()))
+query("rules_users", O.rules("users", 0.5, 2, False))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", theta=0.5, max_len=1, max_reach=2)).rules()))
 query("rules_lineage", O.rules("lineage", SHARE["lineage"]))(lambda s, d: measured(mine_rules(build(s, d, "lineage"), config("lineage")).rules()))
 query("rules_eventchain", O.rules("eventchain", SHARE["eventchain"], 4))(lambda s, d: measured(mine_rules(build(s, d, "eventchain"), config("eventchain", max_reach=4)).rules()))
 query("rules_corpus", O.rules("corpus", SHARE["corpus"]))(lambda s, d: measured(mine_rules(build(s, d, "corpus"), config("corpus")).rules()))
