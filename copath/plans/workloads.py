@@ -27,12 +27,12 @@ def run(g: PropertyGraph, cfg: MinerConfig, graph: str, method: str, parameter:
     return (graph, method, parameter, float(value), r.status, time.monotonic() - began, sum(x[2] for x in r.catalogue.rounds), len(r.catalogue.support), n), r
 
 
-def theta_sweep(spark: SparkSession, sf_dir: str, graph: str = "trade", shares=(0.2, 0.1), methods=tuple(METHODS)) -> DataFrame:
+def theta_sweep(spark: SparkSession, sf_dir: str, graph: str = "trade", shares=(0.2, 0.1), methods=tuple(METHODS), max_items: int | None = 1) -> DataFrame:
     g = build(spark, sf_dir, graph)
-    return spark.createDataFrame([run(g, MinerConfig(t, relative=True, max_items=2), graph, m, "theta", t)[0] for t in shares for m in methods], LOG)
+    return spark.createDataFrame([run(g, MinerConfig(t, relative=True, max_items=max_items), graph, m, "theta", t)[0] for t in shares for m in methods], LOG)
 
 
-def length_sweep(spark: SparkSession, sf_dir: str, graph: str = "trade", share: float = 0.1, lengths=(1, 2, 3, 4), methods=("exact", "both")) -> DataFrame:
+def length_sweep(spark: SparkSession, sf_dir: str, graph: str = "trade", share: float = 0.1, lengths=(1, 2, 3), methods=("exact", "both")) -> DataFrame:
     g = build(spark, sf_dir, graph)
     return spark.createDataFrame([run(g, MinerConfig(share, relative=True, max_items=1, max_len=k, deadline_s=3600), graph, m, "max_len", k)[0] for k in lengths for m in methods], LOG)
 

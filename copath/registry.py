@@ -142,13 +142,13 @@ _RULES = O.rules("trade", SHARE["trade"])
 for _name, _more in {"rules_trade": {}, "rules_lattice_trade": {"rule_form": "lattice"}, "rules_bitmap_trade": {"rule_form": "bitmap"}, "rules_prefix_only_trade": {"policy": "prefix_only"}, "rules_per_label_bound_trade": {"bound": "per_label"}, "rules_psi1_trade": {"psi": 1.0}}.items():
     query(_name, _RULES)(lambda s, d, more=_more: measured(mine_rules(build(s, d, "trade"), config("trade", **more)).rules()))
 query("rules_copart", O.rules("copart", 0.1, 0, False))(lambda s, d: measured(mine_rules(build(s, d, "copart"), config("copart", max_len=1, reach=False)).rules()))
-query("rules_users", O.rules("users", 0.5, 2, False))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", theta=0.5, max_len=1, max_reach=2)).rules()))
+query("rules_users", O.rules("users", 0.4, 2, False))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", max_len=1, max_reach=2)).rules()))
 query("rules_lineage", O.rules("lineage", SHARE["lineage"]))(lambda s, d: measured(mine_rules(build(s, d, "lineage"), config("lineage")).rules()))
 query("rules_eventchain", O.rules("eventchain", SHARE["eventchain"], 4))(lambda s, d: measured(mine_rules(build(s, d, "eventchain"), config("eventchain", max_reach=4)).rules()))
 query("rules_corpus", O.rules("corpus", SHARE["corpus"]))(lambda s, d: measured(mine_rules(build(s, d, "corpus"), config("corpus")).rules()))
 query("rules_dialog", O.rules("dialog", SHARE["dialog"]))(lambda s, d: measured(mine_rules(build(s, d, "dialog"), config("dialog")).rules()))
 query("rules_web")(lambda s, d: measured(mine_rules(build(s, d, "web"), MinerConfig(0.02, relative=True, max_items=2)).rules()))
-query("rules_vecnn")(lambda s, d: measured(mine_rules(build(s, d, "vecnn"), MinerConfig(0.05, relative=True)).rules()))
+query("rules_vecnn")(lambda s, d: measured(mine_rules(build(s, d, "vecnn"), MinerConfig(0.01, relative=True)).rules()))
 query("rules_multi_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", theta=0.2, max_items=3)).rules()))
 query("rules_keep_dominated_trade", O.rule_tables("trade", SHARE["trade"]).replace("WHERE coalesce(sx.pre, '') <> pr.y AND coalesce(sy.pre, '') <> pr.x", "") + f" SELECT {O.MEASURED} FROM ru")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", keep_dominated=True)).rules()))
 query("rules_drop_implied_trade", O.rule_tables("trade", SHARE["trade"]) + f" SELECT {O.MEASURED} FROM ru WHERE replace(x, '*', '') <> replace(y, '*', '')")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", drop_implied=True)).rules()))
@@ -273,7 +273,7 @@ query("label_bands_places", oracle_graph("lineage") + " SELECT label, count(*) A
 # Comparator.
 _CP = oracle_graph("copart") + f", one AS (SELECT concat('{{', a.item, '}}|', es.label, '|{{', b.item, '}}') AS t, es.src, es.dst FROM es JOIN ats AS a ON a.v = es.src JOIN ats AS b ON b.v = es.dst), im AS (SELECT DISTINCT t, 0 AS pos, src AS v FROM one UNION ALL SELECT DISTINCT t, 1 AS pos, dst AS v FROM one), fr AS (SELECT t FROM (SELECT t, pos, count(*) AS n FROM im GROUP BY t, pos) AS z GROUP BY t HAVING min(n) >= {O.theta(0.1)}), tv AS (SELECT DISTINCT t, v FROM im WHERE t IN (SELECT t FROM fr)) SELECT a.t AS x, b.t AS y, count(*) AS correlation FROM tv AS a JOIN tv AS b ON a.v = b.v AND a.t < b.t GROUP BY a.t, b.t ORDER BY correlation DESC, x, y LIMIT 100"
 query("correlated_pairs_copart", _CP)(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("copart")), 100, max_edges=1))(build(s, d, "copart")))
-query("correlated_pairs_trade_reduced")(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("trade", theta=0.05)), 100))(graphs.reduce_items(build(s, d, "trade"))))
+query("correlated_pairs_trade_reduced")(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("trade", theta=0.05)), 100))(graphs.reduce_items(build(s, d, "trade"), "most")))
 query("reduce_items_trade", oracle_graph("trade") + " SELECT v, min(item) AS item FROM ats GROUP BY v")(lambda s, d: (lambda g: named(g, graphs.reduce_items(g).attrs, labels=False).select("v", "item"))(build(s, d, "trade")))
 query("sample_graph_trade")(lambda s, d: graph_stats(graphs.sample_graph(build(s, d, "trade"), 0.4)))
 
