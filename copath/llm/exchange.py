@@ -43,6 +43,7 @@ def cuts(sorted_keys: np.ndarray, bits: int, n: int) -> np.ndarray:
 
 def rows(pid: int, made: list[tuple[int, int, bytes]]) -> pa.Table:
     """Messages (bucket, kind, blob) of a part."""
+    K.tidy()
     return pa.table(
         {
             "bucket": pa.array([m[0] for m in made], pa.int32()),
@@ -55,6 +56,7 @@ def rows(pid: int, made: list[tuple[int, int, bytes]]) -> pa.Table:
 
 def answers(bucket: int, made: list[tuple[int, int, bytes]]) -> pa.Table:
     """Messages (pid, kind, blob) of a bucket."""
+    K.tidy()
     return pa.table(
         {
             "bucket": pa.array([bucket] * len(made), pa.int32()),

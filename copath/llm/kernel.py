@@ -6,6 +6,8 @@ that words never cross texts. All functions take whole batches; none loops over
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -153,9 +155,30 @@ def unpack_sorted(b: bytes) -> np.ndarray:
     return np.cumsum(unpack(b), dtype=U)
 
 
-def slices(table: pa.Table | pa.RecordBatch, column: str, most: int = 2 << 20):
-    """Row ranges of a table whose texts sum to about ``most`` bytes."""
-    size = pc.fill_null(pc.binary_length(table.column(column)), 0)
+def ranges(texts: pa.Array, most: int = 1 << 20):
+    """Slices of an array of texts that sum to about ``most`` bytes each."""
+    for part in slices(pa.table({"t": texts}), "t", most):
+        yield part.column("t").combine_chunks()
+
+
+def field(table: pa.RecordBatch, column: str, name: str) -> pa.Array:
+    """A field of a struct column."""
+    struct = table.column(column)
+    return pc.struct_field(struct, struct.type.get_field_index(name))
+
+
+def tidy() -> None:
+    """Gives memory that freed arrays leave in allocators back; workers live on between stages."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def slices(table: pa.Table | pa.RecordBatch, column: str, most: int = 2 << 20, inside: str | None = None):
+    """Row ranges of a table whose texts (of a column, or of a field of the struct column) sum to about ``most`` bytes."""
+    texts = table.column(column) if inside is None else field(table, column, inside)
+    size = pc.fill_null(pc.binary_length(texts), 0)
     size = np.asarray(size.to_numpy(zero_copy_only=False) if isinstance(size, pa.Array) else size.to_numpy(), np.int64)
     group = np.cumsum(size) // most
     cut = np.flatnonzero(group[1:] != group[:-1]) + 1
@@ -163,4 +186,5 @@ def slices(table: pa.Table | pa.RecordBatch, column: str, most: int = 2 << 20):
     for hi in [*cut.tolist(), len(size)]:
         if hi > lo:
             yield table.slice(lo, hi - lo)
+            tidy()
         lo = hi

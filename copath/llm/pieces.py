@@ -16,6 +16,7 @@ as one, so such a text doesn't return; any other valid text does.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -244,21 +245,35 @@ def load(spark, path: str = DEFAULT_MODEL):
     return spark.sparkContext.broadcast(_MODELS[key])
 
 
-def encode(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL, out_col="piece_ids") -> DataFrame:
-    """The rows with their texts' piece ids; all other columns stay (one named like ``out_col`` is replaced)."""
-    model = load(docs.sparkSession, model_path)
-    rest = [c for c in docs.columns if c != out_col]
-    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in rest]).alias("row"), F.col(text_col).alias("text"))
+def _lists(ids: np.ndarray, at: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
 
-    def one(batches):
-        for whole in batches:
-            for b in K.slices(whole, "text"):
-                ids, at = model.value.encode(b.column("text"))
-                yield pa.RecordBatch.from_arrays([b.column("row"), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))], ["row", "ids"])
 
-    row_type = packed.schema["row"].dataType.simpleString()
-    out = packed.mapInArrow(one, f"row {row_type}, ids array<int>")
-    return out.select(*[F.col(f"row.`{c}`").alias(c) for c in rest], F.col("ids").alias(out_col))
+def encode(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL, out_col="piece_ids", decoded_col: str | None = None) -> DataFrame:
+    """The rows with their texts' piece ids, and, if it is named, the text that these decode to.
+
+    All other columns stay (those named like a new one are replaced).
+    """
+    model = load(docs.sparkSession, model_path)
+    kind = "ids array<int>, back string" if decoded_col else "ids array<int>"
+
+    # Only the texts go to Python, and only what is new comes back.
+    @F.arrow_udf(f"struct<{kind.replace('ids ', 'ids: ').replace('back ', 'back: ')}>")
+    def one(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for texts in batches:
+            made = []
+            for part in K.ranges(texts):
+                ids, at = model.value.encode(part)
+                fields = {"ids": _lists(ids, at)}
+                if decoded_col:
+                    fields["back"] = pa.array([x.decode(errors="replace") for x in model.value.decode(ids, at)], pa.string())
+                made.append(pa.StructArray.from_arrays(list(fields.values()), list(fields)))
+            yield pa.concat_arrays(made) if made else pa.array([], pa.struct([("ids", pa.list_(pa.int32()))] + ([("back", pa.string())] if decoded_col else [])))
+
+    rest = [c for c in docs.columns if c not in (out_col, decoded_col)]
+    out = docs.select(*[F.col(f"`{c}`") for c in rest], one(F.col(text_col)).alias("_new"))
+    new = [F.col("_new.ids").alias(out_col)] + ([F.col("_new.back").alias(decoded_col)] if decoded_col else [])
+    return out.select(*[F.col(f"`{c}`") for c in rest], *new)
 
 
 def decode(encoded: DataFrame, ids_col="piece_ids", model_path: str = DEFAULT_MODEL, out_col="decoded") -> DataFrame:
@@ -268,11 +283,13 @@ def decode(encoded: DataFrame, ids_col="piece_ids", model_path: str = DEFAULT_MO
     packed = encoded.select(F.struct(*[F.col(f"`{c}`") for c in rest]).alias("row"), F.coalesce(F.col(ids_col), F.array().cast("array<int>")).alias("ids"))
 
     def one(batches):
-        for b in batches:
-            ids = b.column("ids")
-            at = ids.offsets.to_numpy().astype(np.int64)
-            texts = model.value.decode(ids.values.to_numpy(zero_copy_only=False)[at[0] : at[-1]].astype(np.int64), at - at[0])
-            yield pa.RecordBatch.from_arrays([b.column("row"), pa.array([x.decode(errors="replace") for x in texts], pa.string())], ["row", "text"])
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 500):
+                b = whole.slice(lo, 500)
+                ids = b.column("ids")
+                at = ids.offsets.to_numpy().astype(np.int64)
+                texts = model.value.decode(ids.values.to_numpy(zero_copy_only=False)[at[0] : at[-1]].astype(np.int64), at - at[0])
+                yield pa.RecordBatch.from_arrays([b.column("row"), pa.array([x.decode(errors="replace") for x in texts], pa.string())], ["row", "text"])
 
     row_type = packed.schema["row"].dataType.simpleString()
     out = packed.mapInArrow(one, f"row {row_type}, text string")

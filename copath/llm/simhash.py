@@ -89,6 +89,10 @@ def correlated_groups(bits: np.ndarray, m: int) -> list[list[int]]:
     return out
 
 
+#: Cost of comparing a pair, where a probe that is sent costs one.
+PAIR_COST = 0.02
+
+
 def plan_partitions(sample: np.ndarray, n: int, bound: int, most: int | None = None) -> list[tuple[int, int]]:
     """(bit mask, threshold) of each partition to probe, for n distinct fingerprints of which ``sample`` are some."""
     bits = (sample[:, None] >> np.arange(64, dtype=np.uint64) & K.U(1)).astype(np.uint8)
@@ -105,7 +109,7 @@ def plan_partitions(sample: np.ndarray, n: int, bound: int, most: int | None = N
                 # Share of pairs within t bits here, never below what independent even bits would give.
                 even = sum(comb(len(g), k) for k in range(t + 1))
                 pairs = max(float((near <= t).mean()), even / 2.0 ** len(g)) * n * n / 2
-                row.append(n * (even + (t > 0)) + pairs)
+                row.append(n * (even + (t > 0)) + PAIR_COST * pairs)
             cost.append(row)
         total = bound - m + 1
         # least[s]: least cost so far with thresholds that sum to s; a threshold of -1 skips a partition.
@@ -201,9 +205,8 @@ def link_fingerprints(fps: DataFrame, bound: int = 4, sample_rows: int = 4096) -
     return keyed.repartition("part", "key").mapInArrow(one, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, id_col="doc_id", text_col="text", shingle=4, bound=4) -> DataFrame:
-    """(id, fp, component_id): the smallest id that links reach, the row's own included."""
-    fps, _ = write_table(fingerprints(docs, id_col, text_col, shingle))
+def group_fingerprints(fps: DataFrame, bound: int = 4) -> DataFrame:
+    """(id, fp, component_id) of a stored table (id, fp): the smallest id that links reach, the row's own included."""
     roots = components(link_fingerprints(fps, bound))
     of_fp = fps.groupBy("fp").agg(F.min("id").alias("first")).join(roots, F.col("fp") == F.col("node"), "left")
     of_fp = of_fp.select("fp", "first", F.coalesce("root", "fp").alias("root"))
@@ -212,6 +215,12 @@ def near_duplicates(docs: DataFrame, id_col="doc_id", text_col="text", shingle=4
     return fps.join(labels, "fp").select("id", "fp", "component_id")
 
 
+def near_duplicates(docs: DataFrame, id_col="doc_id", text_col="text", shingle=4, bound=4) -> DataFrame:
+    """(id, fp, component_id) of every document."""
+    fps, _ = write_table(fingerprints(docs, id_col, text_col, shingle))
+    return group_fingerprints(fps, bound)
+
+
 def shingle_sets(texts, shingle: int) -> list[np.ndarray]:
     """Sorted distinct hashes of each text's word shingles (fewer words: the whole sequence; none: no shingle)."""
     buf, off = K.flat(texts, bytes.lower)
@@ -233,18 +242,30 @@ def similarity(a: np.ndarray, b: np.ndarray) -> float:
     return both / (len(a) + len(b) - both)
 
 
+#: Tables of ids up to this many rows are broadcast; larger ones are joined by a shuffle.
+BROADCAST_IDS = 2_000_000
+
+
+def checked(ids: DataFrame) -> DataFrame:
+    """A stored table, to be broadcast if it is small enough."""
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
 def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bound=8, least=0.8, rounds=8) -> DataFrame:
     """The documents without those that are near-duplicates of one that stays.
 
     Fingerprints within ``bound`` bits make groups. Each group's smallest id stays, and a member goes if the
     Jaccard similarity of its shingles with that document's is ``least`` or more. Members that are not similar to
-    it are grouped again among themselves. Of rows that repeat an id one stays. A null id is an id like any other here.
+    it are grouped again among themselves. Of rows that repeat an id one stays; rows without an id all stay.
     """
-    rows, _ = write_table(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).dropDuplicates(["id"]))
-    left, lost = rows, None
+    fps, _ = write_table(fingerprints(docs, id_col, text_col, shingle))
+    repeated, _ = write_table(fps.where("id IS NOT NULL").groupBy("id").count().where("count > 1").select(F.col("id").alias("_id")))
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    left, lost = fps.where("id IS NOT NULL").dropDuplicates(["id"]), None
     for _ in range(rounds):
-        groups = near_duplicates(left, "id", "text", shingle, bound).where("NOT id <=> component_id").select("id", "component_id")
-        heads = groups.select("component_id").distinct().join(rows.select(F.col("id").alias("component_id"), F.col("text").alias("head")), "component_id")
+        left, _ = write_table(left)
+        groups, _ = write_table(group_fingerprints(left, bound).where("id != component_id").select("id", "component_id"))
+        heads, _ = write_table(groups.select("component_id").distinct())
 
         def judge(batches):
             for whole in batches:
@@ -252,12 +273,19 @@ def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bou
                     both = zip(shingle_sets(b.column("text"), shingle), shingle_sets(b.column("head"), shingle))
                     yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([similarity(x, y) >= least for x, y in both], pa.bool_())], ["id", "same"])
 
-        pairs = groups.join(rows, "id").join(heads, "component_id").select("id", "text", "head")
-        judged, _ = write_table(pairs.mapInArrow(judge, f"id {rows.schema['id'].dataType.simpleString()}, same boolean"))
-        gone = judged.where("same").select("id")
+        members = texts.join(checked(groups), "id")
+        firsts = texts.withColumnsRenamed({"id": "component_id", "text": "head"}).join(checked(heads), "component_id", "left_semi")
+        pairs = members.join(firsts, "component_id").select("id", "text", "head")
+        judged, _ = write_table(pairs.mapInArrow(judge, f"id {fps.schema['id'].dataType.simpleString()}, same boolean"))
+        gone = judged.where("same").select(F.col("id").alias("_id"))
         lost = gone if lost is None else lost.union(gone)
-        again = judged.where("NOT same")
+        again = judged.groupBy("id").agg(F.bool_or("same").alias("same")).where("NOT same")
         if again.isEmpty():
             break
-        left, _ = write_table(rows.join(again.select("id"), "id", "left_semi"))
-    return docs.dropDuplicates([id_col]).join(lost.select(F.col("id").alias("_lost")), F.col(id_col) == F.col("_lost"), "left_anti")
+        left = left.join(again.select("id"), "id", "left_semi")
+    lost, _ = write_table(lost.distinct())
+    kept = docs.join(checked(lost), F.col(id_col) == F.col("_id"), "left_anti")
+    if repeated.isEmpty():
+        return kept
+    own = F.col(id_col) == F.col("_id")
+    return kept.join(checked(repeated), own, "left_anti").union(kept.join(checked(repeated), own, "left_semi").dropDuplicates([id_col]))

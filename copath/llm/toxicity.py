@@ -17,6 +17,8 @@ Without labelled rows of both classes every score is the share of toxic labels,
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -152,7 +154,7 @@ class Constant:
         return np.full(len(texts), self.value)
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col="doc_id", text_col="text", label_col="toxic", learn: str = "true", per_class: int = 3000, most_bytes: int = 24 << 20):
+def train(docs: DataFrame, labels: DataFrame, id_col="doc_id", text_col="text", label_col="toxic", learn: str = "true", per_class: int = 2000, most_bytes: int = 12 << 20):
     """A model from the bounded sample of labelled rows whose id (``id``) satisfies the SQL condition ``learn``."""
     marked = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).where(F.expr(f"coalesce({learn}, false)") & F.col("y").isin(0, 1))
     marked = marked.groupBy("id").agg(F.max("y").alias("y"))
@@ -184,26 +186,29 @@ def train(docs: DataFrame, labels: DataFrame, id_col="doc_id", text_col="text",
             part = Model(texts.take(pa.array(others)).to_pylist(), y[others])
             for i in range(0, len(own), 500):
                 seen[own[i : i + 500]] = part.evidence(texts.take(pa.array(own[i : i + 500])))
+            del part
+            K.tidy()
     model = Model(texts.to_pylist(), y)
     # The curve is for the labels' own proportion, not the sample's.
     weight = np.where(y == 1, totals[1] / max(1, (y == 1).sum()), totals[0] / max(1, (y == 0).sum())) * len(y) / (totals[0] + totals[1])
     model.fit(seen, y.astype(float), weight)
+    del texts, got
+    K.tidy()
     return model
 
 
 def score(docs: DataFrame, model, text_col="text", out_col="score") -> DataFrame:
     """The rows with their scores; all other columns stay (one named like ``out_col`` is replaced)."""
     known = docs.sparkSession.sparkContext.broadcast(model)
-    rest = [c for c in docs.columns if c != out_col]
-    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in rest]).alias("row"), F.col(text_col).alias("text"))
 
-    def one(batches):
-        for whole in batches:
-            for b in K.slices(whole, "text"):
-                yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(known.value.score(b.column("text")), pa.float64())], ["row", "s"])
+    # Only the texts go to Python, and only scores come back.
+    @F.arrow_udf("double")
+    def one(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for texts in batches:
+            yield pa.array(np.concatenate([known.value.score(part) for part in K.ranges(texts)] or [np.zeros(0)]), pa.float64())
 
-    out = packed.mapInArrow(one, f"row {packed.schema['row'].dataType.simpleString()}, s double")
-    return out.select(*[F.col(f"row.`{c}`").alias(c) for c in rest], F.col("s").alias(out_col))
+    rest = [c for c in docs.columns if c != out_col]
+    return docs.select(*[F.col(f"`{c}`") for c in rest], one(F.col(text_col)).alias(out_col))
 
 
 HELD_OUT = "crc32(cast({} AS string)) % 4 = 2"
