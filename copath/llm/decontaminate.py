@@ -72,8 +72,8 @@ def hits(buf, start, end, first, known: WindowSet) -> tuple[np.ndarray, list[set
     return hit, items
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text", item_col="item_id", item_text="text", n=10, block_bytes=BLOCK_BYTES) -> DataFrame:
-    """Per document: id, text, n_words, hit (one byte a word), items (distinct ids, sorted)."""
+def scan(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text", item_col="item_id", item_text="text", n=10, block_bytes=BLOCK_BYTES, finish=None, finish_schema: str | None = None) -> DataFrame:
+    """Per document: id, text, hit (one byte a word), items (distinct ids, sorted); or what ``finish`` makes of such batches, in the same task."""
     spark = docs.sparkSession
     bench = benchmark.select(F.coalesce(F.col(item_col).cast("string"), F.lit("")).alias("i"), F.coalesce(item_text, F.lit("")).alias("t"))
     id_type = docs.schema[id_col].dataType.simpleString()
@@ -92,7 +92,9 @@ def scan(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text"
     for block in blocks:
         known = spark.sparkContext.broadcast(WindowSet([i for i, _ in block], [t for _, t in block], n))
 
-        def one(batches: Iterator[pa.RecordBatch], known=known) -> Iterator[pa.RecordBatch]:
+        last = finish if block is blocks[-1] else None
+
+        def add(batches: Iterator[pa.RecordBatch], known=known) -> Iterator[pa.RecordBatch]:
             for whole in batches:
                 for b in K.slices(whole, "text"):
                     buf, off = K.flat(b.column("text"), K.ALNUM)
@@ -105,14 +107,16 @@ def scan(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text"
                     items = [sorted(x.union(y or ())) for x, y in zip(items, b.column("items").to_pylist())]
                     yield pa.RecordBatch.from_arrays([b.column("id"), b.column("text"), pa.array(maps, pa.binary()), pa.array(items, pa.list_(pa.string()))], ["id", "text", "hit", "items"])
 
-        out = out.mapInArrow(one, schema)
+        def one(batches, add=add, last=last):
+            return add(batches) if last is None else last(add(batches))
+
+        out = out.mapInArrow(one, schema if last is None else finish_schema)
     return out
 
 
 def report(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated: one row per document."""
-    found = scan(docs, benchmark, **options)
-    id_type = found.schema["id"].dataType.simpleString()
+    id_type = docs.schema[options.get("id_col", "doc_id")].dataType.simpleString()
 
     def one(batches):
         for b in batches:
@@ -131,7 +135,7 @@ def report(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
                 ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"],
             )
 
-    return found.select("id", "hit", "items").mapInArrow(one, f"doc_id {id_type}, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+    return scan(docs, benchmark, **options, finish=one, finish_schema=f"doc_id {id_type}, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text", drop_share: float = 0.5, **options) -> DataFrame:
@@ -141,12 +145,11 @@ def clean(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text
     """
     rest = [c for c in docs.columns if c != text_col]
     packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in rest]).alias("row"), F.col(text_col).alias("text"))
-    found = scan(packed, benchmark, id_col="row", text_col="text", **options)
-    schema = found.select("id", "text").schema
+    schema = f"id {packed.schema['row'].dataType.simpleString()}, text string"
 
     def one(batches):
-        for b in batches:
-            for t in K.slices(b, "text"):
+        for t in batches:
+            if t.num_rows:
                 buf, off = K.flat(t.column("text"), K.ALNUM)
                 start, end, _ = K.words(buf, off, TABLE)
                 texts, keep, at = t.column("text").to_pylist(), [], 0
@@ -167,5 +170,5 @@ def clean(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text
                 out = pa.RecordBatch.from_arrays([t.column("id"), pa.array(texts, pa.string())], ["id", "text"])
                 yield out.filter(pa.array(keep, pa.bool_()))
 
-    back = found.mapInArrow(one, schema)
+    back = scan(packed, benchmark, id_col="row", text_col="text", **options, finish=one, finish_schema=schema)
     return back.select(*[F.col("text").alias(c) if c == text_col else F.col(f"id.`{c}`").alias(c) for c in docs.columns])

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from copath.llm import kernel as K
 
-PART_BYTES = 4 << 20
+PART_BYTES = 3 << 20
 #: What a part sends to a bucket, and what a bucket answers.
 MESSAGE = "bucket int, pid int, kind int, blob binary"
 

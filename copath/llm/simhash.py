@@ -96,7 +96,7 @@ PAIR_COST = 0.02
 def plan_partitions(sample: np.ndarray, n: int, bound: int, most: int | None = None) -> list[tuple[int, int]]:
     """(bit mask, threshold) of each partition to probe, for n distinct fingerprints of which ``sample`` are some."""
     bits = (sample[:, None] >> np.arange(64, dtype=np.uint64) & K.U(1)).astype(np.uint8)
-    half = len(sample) // 2
+    half, n = len(sample) // 2, max(n, 1000)
     best = None
     for m in range(2, (most or bound + 1) + 1):
         groups = correlated_groups(bits, m)
@@ -251,12 +251,12 @@ def checked(ids: DataFrame) -> DataFrame:
     return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
 
-def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bound=8, least=0.8, rounds=8) -> DataFrame:
+def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bound=8, least=0.8, rounds=50) -> DataFrame:
     """The documents without those that are near-duplicates of one that stays.
 
     Fingerprints within ``bound`` bits make groups. Each group's smallest id stays, and a member goes if the
     Jaccard similarity of its shingles with that document's is ``least`` or more. Members that are not similar to
-    it are grouped again among themselves. Of rows that repeat an id one stays; rows without an id all stay.
+    it are grouped again among themselves, until none is left (each round settles the smallest id of every group). Of rows that repeat an id one stays; rows without an id all stay.
     """
     fps, _ = write_table(fingerprints(docs, id_col, text_col, shingle))
     repeated, _ = write_table(fps.where("id IS NOT NULL").groupBy("id").count().where("count > 1").select(F.col("id").alias("_id")))

@@ -130,7 +130,8 @@ def test_dense_bucket_takes_blocks():
 
 
 def test_keep_first(spark, docs, texts):
-    kept = {r.doc_id for r in simhash.keep_first(docs).collect()}
+    texts = texts[:36]
+    kept = {r.doc_id for r in simhash.keep_first(docs.where("doc_id < 36")).collect()}
     sets = [set(tuple(w[i : i + 5]) for i in range(len(w) - 4)) or ({tuple(w)} if w else set()) for w in (split(lower(t)) for t in texts)]
     same = lambda a, b: (not a and not b) or (a | b and len(a & b) / len(a | b) >= 0.8)
     assert 0 in kept
