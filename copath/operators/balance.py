@@ -13,9 +13,9 @@ from copath.sources.graphs import PropertyGraph
 
 
 def vertex_cost(g: PropertyGraph, t: Targets) -> DataFrame:
-    """(v, cost): outgoing edges with target labels times target items on the vertex; every vertex has a row."""
+    """(v, cost): outgoing edges with target labels times target items on the vertex; every vertex has a row. An item is a target if it can start or end a frequent hop."""
     labels = sorted({label for item, label in t.starts if t.step_ok(1, item, label)})
-    tails = sorted({item for label, item in t.ends if t.tail_ok(1, label, item)})
+    tails = sorted({item for label, item in t.ends if t.tail_ok(1, label, item)} | {item for item, label in t.starts if t.step_ok(1, item, label)})
     out = g.edges.where(F.col("label").isin(labels)).groupBy(F.col("src").alias("v")).agg(F.count("*").alias("d")) if labels else g.vertices.limit(0).withColumn("d", F.lit(0).cast("long"))
     own = g.attrs.where(F.col("item").isin(tails)).groupBy("v").agg(F.count("*").alias("a")) if tails else g.vertices.limit(0).withColumn("a", F.lit(0).cast("long"))
     return g.vertices.join(out, "v", "left").join(own, "v", "left").select("v", (F.coalesce("d", F.lit(0)) * F.coalesce("a", F.lit(0))).alias("cost"))

@@ -237,7 +237,7 @@ def _interval(s, d):
 query("accuracy_grid_trade")(lambda s, d: W.accuracy_grid(build(s, d, "trade"), config("trade"), "trade", (0.2, 0.6)))
 
 # Placement.
-_COST = oracle_graph("trade") + f", ta AS (SELECT label, item FROM (SELECT label, item, count(*) AS n FROM es JOIN ats ON v = dst GROUP BY label, item) AS x WHERE n >= {O.theta(0.1)}), tl AS (SELECT DISTINCT label FROM (SELECT label, item, count(*) AS n FROM (SELECT DISTINCT src, label FROM es) AS x JOIN ats ON v = src GROUP BY label, item) AS y WHERE n >= {O.theta(0.1)}), o AS (SELECT src, count(*) AS d FROM es WHERE label IN (SELECT label FROM tl) GROUP BY src), w AS (SELECT v, count(*) AS a FROM ats WHERE item IN (SELECT item FROM ta) GROUP BY v) SELECT vs.v, coalesce(o.d, 0) * coalesce(w.a, 0) AS cost FROM vs LEFT JOIN o ON o.src = vs.v LEFT JOIN w ON w.v = vs.v"
+_COST = oracle_graph("trade") + f", ta AS (SELECT label, item FROM (SELECT label, item, count(*) AS n FROM es JOIN ats ON v = dst GROUP BY label, item) AS x WHERE n >= {O.theta(0.1)} UNION SELECT label, item FROM (SELECT label, item, count(*) AS n FROM (SELECT DISTINCT src, label FROM es) AS x JOIN ats ON v = src GROUP BY label, item) AS y WHERE n >= {O.theta(0.1)}), tl AS (SELECT DISTINCT label FROM (SELECT label, item, count(*) AS n FROM (SELECT DISTINCT src, label FROM es) AS x JOIN ats ON v = src GROUP BY label, item) AS y WHERE n >= {O.theta(0.1)}), o AS (SELECT src, count(*) AS d FROM es WHERE label IN (SELECT label FROM tl) GROUP BY src), w AS (SELECT v, count(*) AS a FROM ats WHERE item IN (SELECT item FROM ta) GROUP BY v) SELECT vs.v, coalesce(o.d, 0) * coalesce(w.a, 0) AS cost FROM vs LEFT JOIN o ON o.src = vs.v LEFT JOIN w ON w.v = vs.v"
 
 
 def _costs(s, d):
