@@ -150,7 +150,15 @@ def group_links(part: np.ndarray, key: np.ndarray, fp: np.ndarray, own: np.ndarr
     nodes, which = np.unique(fp, return_inverse=True)
     root = np.arange(len(nodes))
     wide = 256
-    a, b = [], []
+
+    def merge(p: np.ndarray, q: np.ndarray) -> None:
+        """Joins the components of nodes p[i] and q[i]; only pairs that still differ are kept in hand."""
+        nonlocal root
+        p, q = root[p], root[q]
+        live = p != q
+        if live.any():
+            root = local_roots(len(nodes), np.concatenate((np.arange(len(nodes)), p[live])), np.concatenate((root, q[live])))
+
     live = np.repeat((size > 1) & (size <= wide) & (indexed > 0), size)
     gid = np.cumsum(new)
     rows = np.flatnonzero(live & own)
@@ -159,23 +167,17 @@ def group_links(part: np.ndarray, key: np.ndarray, fp: np.ndarray, own: np.ndarr
         rows = rows[rows + shift < len(fp)]
         rows = rows[gid[rows] == gid[rows + shift]]
         ok = rows[np.bitwise_count(fp[rows] ^ fp[rows + shift]) <= bound]
-        a.append(which[ok])
-        b.append(which[ok + shift])
+        merge(which[ok], which[ok + shift])
         shift += 1
-    if a:
-        root = local_roots(len(nodes), np.concatenate(a), np.concatenate(b))
     for g in np.flatnonzero((size > wide) & (indexed > 0)):
         lo, k, n = begin[g], indexed[g], size[g]
-        for i in range(lo, lo + k, 512):
-            left = slice(i, min(i + 512, lo + k))
-            for j in range(i, lo + n, 4096):
-                right = slice(j, min(j + 4096, lo + n))
-                r, c = np.nonzero(np.bitwise_count(fp[left, None] ^ fp[None, right]) <= bound)
-                x, y = root[which[left]][r], root[which[right]][c]
-                diff = np.flatnonzero(x != y)
-                if len(diff):
-                    pairs = np.unique(np.stack((x[diff], y[diff]), 1), axis=0)
-                    root = local_roots(len(nodes), np.concatenate((np.arange(len(nodes)), pairs[:, 0])), np.concatenate((root, pairs[:, 1])))
+        for i in range(lo, lo + k, 256):
+            left = slice(i, min(i + 256, lo + k))
+            for j in range(i, lo + n, 2048):
+                right = slice(j, min(j + 2048, lo + n))
+                apart = root[which[left]][:, None] != root[which[right]][None]
+                r, c = np.nonzero(apart & (np.bitwise_count(fp[left, None] ^ fp[None, right]) <= bound))
+                merge(which[left][r], which[right][c])
     linked = np.flatnonzero(root != np.arange(len(nodes)))
     return nodes[linked], nodes[root[linked]]
 
@@ -200,6 +202,8 @@ def link_fingerprints(fps: DataFrame, bound: int = 4, sample_rows: int = 4096) -
             t = pa.Table.from_batches(held)
             col = lambda c: t.column(c).to_numpy()
             a, b = group_links(col("part"), col("key"), col("fp").view(np.uint64), col("own").astype(bool), bound)
+            del t, held
+            K.tidy()
             yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["a", "b"])
 
     return keyed.repartition("part", "key").mapInArrow(one, "a long, b long")
