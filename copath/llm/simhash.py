@@ -10,10 +10,14 @@ spanning forest of the verified pairs leaves a task.
 
 Null, empty and word-less texts have fingerprint zero, which links like any other.
 Repeated rows share a component.
+
+``keep_first`` asks for similar shingle sets instead and finds its pairs by rare shingles, without fingerprints.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+from hashlib import blake2b
 from itertools import combinations
 from math import comb
 
@@ -255,41 +259,180 @@ def checked(ids: DataFrame) -> DataFrame:
     return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
 
-def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, bound=8, least=0.8, rounds=50) -> DataFrame:
+#: Slots that shingles are counted in. The counts only order shingles; any order finds the same pairs.
+SLOTS = 1 << 16
+
+
+def set_digests(texts: DataFrame, shingle: int) -> DataFrame:
+    """(id, digest): equal digests, equal shingle sets."""
+
+    def one(batches):
+        for whole in batches:
+            for b in K.slices(whole, "text"):
+                yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([blake2b(x.tobytes(), digest_size=16).digest() for x in shingle_sets(b.column("text"), shingle)], pa.binary())], ["id", "digest"])
+
+    return texts.mapInArrow(one, f"id {texts.schema['id'].dataType.simpleString()}, digest binary")
+
+
+def slot_counts(texts: DataFrame, shingle: int) -> np.ndarray:
+    """How many shingles of all texts fall into each slot."""
+
+    def one(batches):
+        n = np.zeros(SLOTS, np.int64)
+        for whole in batches:
+            for b in K.slices(whole, "text"):
+                n += np.bincount((np.concatenate(shingle_sets(b.column("text"), shingle)) >> K.U(48)).astype(np.int64), minlength=SLOTS)
+        at = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array(n[at])], ["slot", "n"])
+
+    t = texts.mapInArrow(one, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(SLOTS, np.int64)
+    out[t.column("slot").to_numpy()] = t.column("n").to_numpy()
+    return out
+
+
+def shared_prefixes(texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """(key, id, n, pos): of each text's n shingles, rare ones first, those that two texts with similarity ``least`` can't both lack.
+
+    Two such sets share at least ``least`` of either one's shingles, so that the first one they share is among the first
+    n - least * n + 1 of both. Keys that one text alone has are left out.
+    """
+    counts = texts.sparkSession.sparkContext.broadcast(slot_counts(texts, shingle))
+    kind = f"key long, id {texts.schema['id'].dataType.simpleString()}, n int, pos int"
+
+    def first(batches):
+        for whole in batches:
+            for b in K.slices(whole, "text"):
+                sets = shingle_sets(b.column("text"), shingle)
+                size = np.array([len(x) for x in sets], np.int64)
+                take = np.where(size > 0, size - np.ceil(least * size - 1e-9).astype(np.int64) + 1, 0)
+                h = np.concatenate(sets)
+                of = np.repeat(np.arange(len(sets)), size)
+                order = np.lexsort((h, counts.value[(h >> K.U(48)).astype(np.int64)], of))
+                pos = np.arange(len(h)) - np.repeat(np.cumsum(size) - size, size)
+                ok = pos < take[of]
+                yield pa.RecordBatch.from_arrays([pa.array(h[order][ok].view(np.int64)), b.column("id").take(pa.array(of[ok])), pa.array(size[of[ok]], pa.int32()), pa.array(pos[ok], pa.int32())], ["key", "id", "n", "pos"])
+
+    def several(batches):
+        held = [b for b in batches if b.num_rows]
+        if held:
+            t = pa.Table.from_batches(held)
+            _, which, count = np.unique(t.column("key").to_numpy(), return_inverse=True, return_counts=True)
+            t = t.filter(pa.array(count[which] > 1))
+            del held
+            K.tidy()
+            yield from t.to_batches(max_chunksize=1 << 16)
+
+    return texts.mapInArrow(first, kind).repartition("key").mapInArrow(several, kind)
+
+
+def meet(keys: np.ndarray, n: np.ndarray, pos: np.ndarray, heads: int, least: float, most: int = 1 << 20):
+    """Row numbers (a, b) of rows sorted by key that share a key, a among its first ``heads`` rows and before b, if they can be similar."""
+    if not len(keys):
+        return
+    new = np.concatenate(([True], keys[1:] != keys[:-1]))
+    begin = np.flatnonzero(new)[np.cumsum(new) - 1]
+    partners = np.minimum(np.arange(len(keys)) - begin, heads)
+    done = np.concatenate(([0], np.cumsum(partners)))
+    lo = 0
+    while lo < len(keys):
+        hi = max(lo + 1, int(np.searchsorted(done, done[lo] + most, "right")) - 1)
+        b = np.repeat(np.arange(lo, hi), partners[lo:hi])
+        a = begin[b] + np.arange(len(b)) - (done[b] - done[lo])
+        need = least / (1 + least) * (n[a] + n[b]) - 1e-9
+        # Shingles that both can share if this is the first one they do.
+        ok = np.minimum(n[a] - pos[a], n[b] - pos[b]) >= need
+        yield a[ok], b[ok]
+        lo = hi
+
+
+def candidates(prefixes: DataFrame, heads: int, least: float) -> DataFrame:
+    """(a, b), a < b: documents with a common key, a among the ``heads`` smallest ids of the key; (null, b) if b isn't among them itself."""
+    kind = prefixes.schema["id"].dataType.simpleString()
+
+    def one(batches):
+        held = [b for b in batches if b.num_rows]
+        if held:
+            t = pa.Table.from_batches(held).combine_chunks()
+            codes = t.column("id").combine_chunks().dictionary_encode()
+            of, ids = codes.indices.to_numpy().astype(np.int64), codes.dictionary
+            key = t.column("key").to_numpy()
+            for a, b in meet(key, t.column("n").to_numpy().astype(np.int64), t.column("pos").to_numpy().astype(np.int64), heads, least):
+                pair = np.unique(of[a] * len(ids) + of[b])
+                yield pa.RecordBatch.from_arrays([ids.take(pa.array(pair // len(ids))), ids.take(pa.array(pair % len(ids)))], ["a", "b"])
+            new = np.concatenate(([True], key[1:] != key[:-1]))
+            late = np.unique(of[np.arange(len(key)) - np.flatnonzero(new)[np.cumsum(new) - 1] >= heads])
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(late), ids.type), ids.take(pa.array(late))], ["a", "b"])
+
+    return prefixes.repartition("key").sortWithinPartitions("key", "id").mapInArrow(one, f"a {kind}, b {kind}").distinct()
+
+
+def similar(pairs: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """The pairs (a, b) of a stored table whose texts' shingles have a Jaccard similarity of ``least`` or more."""
+    kind = pairs.schema["a"].dataType.simpleString()
+
+    def judge(batches):
+        for whole in batches:
+            for b in K.slices(whole, "text", 1 << 20):
+                both = zip(shingle_sets(b.column("text"), shingle), shingle_sets(b.column("head"), shingle))
+                yield b.select(["a", "b"]).filter(pa.array([similarity(x, y) >= least for x, y in both], pa.bool_()))
+
+    members = texts.withColumnsRenamed({"id": "b"}).join(checked(pairs), "b")
+    heads, _ = write_table(pairs.select("a").distinct())
+    firsts = texts.withColumnsRenamed({"id": "a", "text": "head"}).join(checked(heads), "a", "left_semi")
+    return members.join(firsts, "a").select("a", "b", "text", "head").mapInArrow(judge, f"a {kind}, b {kind}")
+
+
+def settle(links: DataFrame) -> DataFrame:
+    """(id) of the documents that go by all links (a, b), a < b: those with a linked a that stays."""
+    kind = links.schema["a"].dataType.simpleString()
+
+    def one(batches):
+        # A component is in one task, by b: whatever links to b from below is settled before.
+        gone = set()
+        for batch in batches:
+            out = []
+            for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist()):
+                if b not in gone and a not in gone:
+                    gone.add(b)
+                    out.append(b)
+            yield pa.RecordBatch.from_arrays([pa.array(out, batch.schema.field("b").type)], ["id"])
+
+    roots = components(links)
+    return links.join(roots, F.col("b") == F.col("node")).select("a", "b", "root").repartition("root").sortWithinPartitions("b").mapInArrow(one, f"id {kind}")
+
+
+def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, least=0.8) -> DataFrame:
     """The documents without those that are near-duplicates of one that stays.
 
-    Fingerprints within ``bound`` bits make groups. Each group's smallest id stays, and a member goes if the
-    Jaccard similarity of its shingles with that document's is ``least`` or more. Members that are not similar to
-    it are grouped again among themselves, until none is left (each round settles the smallest id of every group). Of rows that repeat an id one stays; rows without an id all stay.
+    In the order of ids, a document goes if the Jaccard similarity of its shingles with those of a document that stays is
+    ``least`` or more. Of equal shingle sets the smallest id goes on; others meet by rare shingles, and no similar pair can
+    fail to. First each shingle's smallest id meets the rest, then more and more of those that aren't
+    settled, until every pair has met or left: large groups of copies cost a row a copy and not one a pair.
+    Of rows that repeat an id one stays; rows without an id all stay.
     """
-    fps, _ = write_table(fingerprints(docs, id_col, text_col, shingle))
-    repeated, _ = write_table(fps.where("id IS NOT NULL").groupBy("id").count().where("count > 1").select(F.col("id").alias("_id")))
-    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    left, lost = fps.where("id IS NOT NULL").dropDuplicates(["id"]), None
-    for _ in range(rounds):
-        left, _ = write_table(left)
-        groups, _ = write_table(group_fingerprints(left, bound).where("id != component_id").select("id", "component_id"))
-        heads, _ = write_table(groups.select("component_id").distinct())
-
-        def judge(batches):
-            for whole in batches:
-                for b in K.slices(whole, "text", 1 << 20):
-                    both = zip(shingle_sets(b.column("text"), shingle), shingle_sets(b.column("head"), shingle))
-                    yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([similarity(x, y) >= least for x, y in both], pa.bool_())], ["id", "same"])
-
-        members = texts.join(checked(groups), "id")
-        firsts = texts.withColumnsRenamed({"id": "component_id", "text": "head"}).join(checked(heads), "component_id", "left_semi")
-        pairs = members.join(firsts, "component_id").select("id", "text", "head")
-        judged, _ = write_table(pairs.mapInArrow(judge, f"id {fps.schema['id'].dataType.simpleString()}, same boolean"))
-        gone = judged.where("same").select(F.col("id").alias("_id"))
-        lost = gone if lost is None else lost.union(gone)
-        again = judged.groupBy("id").agg(F.bool_or("same").alias("same")).where("NOT same")
-        if again.isEmpty():
+    if not docs.where(F.col(id_col).isNotNull()).groupBy(id_col).count().where("count > 1").isEmpty():
+        own = F.col(id_col).isNotNull()
+        docs, _ = write_table(docs.where(own).dropDuplicates([id_col]).union(docs.where(~own)))
+    texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    digests, _ = write_table(set_digests(texts, shingle))
+    smallest = digests.groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("k")).where("k > 1")
+    copies, _ = write_table(digests.join(smallest, "digest").where("id != first").select("id"))
+    lost = [copies]
+    left, _ = write_table(shared_prefixes(texts.join(checked(copies), "id", "left_anti"), shingle, least))
+    heads = 1
+    while True:
+        met, _ = write_table(candidates(left, heads, least))
+        pairs, late = met.where("a IS NOT NULL"), met.where("a IS NULL").select(F.col("b").alias("id"))
+        links, _ = write_table(similar(pairs, texts, shingle, least))
+        if late.isEmpty():
             break
-        left = left.join(again.select("id"), "id", "left_semi")
-    lost, _ = write_table(lost.distinct())
-    kept = docs.join(checked(lost), F.col(id_col) == F.col("_id"), "left_anti")
-    if repeated.isEmpty():
-        return kept
-    own = F.col(id_col) == F.col("_id")
-    return kept.join(checked(repeated), own, "left_anti").union(kept.join(checked(repeated), own, "left_semi").dropDuplicates([id_col]))
+        # Has met all smaller ids and none is similar: stays.
+        stays, _ = write_table(left.select("id").distinct().join(late, "id", "left_anti").join(links.select(F.col("b").alias("id")), "id", "left_anti"))
+        goes, _ = write_table(links.join(stays.select(F.col("id").alias("a")), "a", "left_semi").select(F.col("b").alias("id")).distinct())
+        lost.append(goes)
+        left, _ = write_table(left.join(checked(stays), "id", "left_anti").join(checked(goes), "id", "left_anti"))
+        heads *= 8
+    lost.append(settle(links))
+    gone, _ = write_table(reduce(DataFrame.union, lost).select(F.col("id").alias("_id")))
+    return docs.join(checked(gone), F.col(id_col) == F.col("_id"), "left_anti")

@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -408,3 +409,40 @@ def test_pipeline(spark):
         assert after.columns == docs.columns, name
         assert stage(spark, before.limit(0), sf).count() == 0, name
         before = after
+
+
+def first_come(sets, least=0.8):
+    """Numbers of the sets that stay when each one goes that is similar to an earlier one that stays."""
+    stay = []
+    for i, a in enumerate(sets):
+        if not any((not a and not sets[j]) or (a | sets[j] and len(a & sets[j]) / len(a | sets[j]) >= least) for j in stay):
+            stay.append(i)
+    return set(stay)
+
+
+def five_words(text):
+    w = split(lower(text))
+    return set(tuple(w[i : i + 5]) for i in range(len(w) - 4)) or ({tuple(w)} if w else set())
+
+
+def test_keep_first_meets_every_similar_pair(spark):
+    rng = random.Random(5)
+    rows = []
+    for _ in range(25):
+        base = [rng.choice(WORDS) for _ in range(rng.randint(60, 300))]
+        for _ in range(5):
+            t = list(base)
+            for k in range(rng.randint(0, len(t) // 40)):
+                t[rng.randrange(len(t))] = f"new{k}{rng.random()}"
+            rows.append(" ".join(t))
+    rng.shuffle(rows)
+    sets = [five_words(t) for t in rows]
+    near = [(i, j) for j in range(len(rows)) for i in range(j) if len(sets[i] & sets[j]) / len(sets[i] | sets[j]) >= 0.8]
+    fp = simhash.fingerprints_of(pa.array(rows), 5)
+    assert any(bin(int(fp[i] ^ fp[j])).count("1") > 8 for i, j in near)
+    docs = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    texts = docs.withColumnRenamed("doc_id", "id")
+    left = simhash.shared_prefixes(texts, 5, 0.8).localCheckpoint()
+    met = {(r.a, r.b) for r in simhash.candidates(left, 1000, 0.8).where("a IS NOT NULL").collect()}
+    assert {(i, j) for i, j in near if sets[i] != sets[j]} <= met
+    assert {r.doc_id for r in simhash.keep_first(docs).collect()} == first_come(sets)
