@@ -446,3 +446,23 @@ def test_keep_first_meets_every_similar_pair(spark):
     met = {(r.a, r.b) for r in simhash.candidates(left, 1000, 0.8).where("a IS NOT NULL").collect()}
     assert {(i, j) for i, j in near if sets[i] != sets[j]} <= met
     assert {r.doc_id for r in simhash.keep_first(docs).collect()} == first_come(sets)
+
+
+def test_keep_first_settles_many_groups_of_one_template(spark):
+    rng = random.Random(6)
+    word = lambda: f"t{rng.randrange(10**6)}"
+    common = [word() for _ in range(258)]
+    rows = []
+    for _ in range(64):
+        t = common + [word() for _ in range(42)]
+        rows += [" ".join(t), " ".join([*t[:-1], "other"])]
+    sets = [five_words(t) for t in rows]
+    want = first_come(sets)
+    assert len(want) == 64
+    got = simhash.keep_first(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string"))
+    assert {r.doc_id for r in got.collect()} == want
+    # A chain: every second document goes, one after the other.
+    long = [word() for _ in range(900)]
+    chain = [" ".join(long[20 * i : 20 * i + 200]) for i in range(30)]
+    got = simhash.keep_first(spark.createDataFrame(list(enumerate(chain)), "doc_id long, text string"))
+    assert {r.doc_id for r in got.collect()} == first_come([five_words(t) for t in chain]) == set(range(0, 30, 2))
