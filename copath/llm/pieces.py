@@ -1,7 +1,8 @@
 """SentencePiece encoding by unigram Viterbi over a double-array trie, and decoding.
 
-The pieces and their log scores come from a model file; the best segmentation is the
-one with the greatest sum of scores (ties: the piece that starts first). A character that no
+The pieces come from a model file. The scores of a unigram model's file are log scores; a file
+of merges has ranks in their place, so ``fit`` estimates log scores from all documents by
+expectation-maximisation over all segmentations. The best segmentation is the one with the greatest sum of scores (ties: the piece that starts first). A character that no
 piece covers costs ten less than the worst piece and becomes its UTF-8 bytes' pieces.
 A space is the marker U+2581 and each text gets one in front.
 
@@ -15,6 +16,7 @@ as one, so such a text doesn't return; any other valid text does.
 
 from __future__ import annotations
 
+import copy
 import hashlib
 from collections.abc import Iterator
 
@@ -25,12 +27,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.llm import kernel as K
+from copath.llm.store import drop_table, write_table
 
 MARK = "▁"
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 #: Kinds of pieces in a model file (fixed values of its format).
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 PENALTY = 10.0
+#: Kind of model whose scores are ranks.
+BPE = 2
 
 
 class DoubleArray:
@@ -102,6 +107,8 @@ class Model:
         self.scores = np.array([p.score for p in proto.pieces])
         kinds = [p.type for p in proto.pieces]
         self.ids = np.array([i for i, k in enumerate(kinds) if k in (NORMAL, USER)], np.int64)
+        #: Whether scores are ranks of merges.
+        self.ranked = proto.trainer_spec.model_type == BPE
         self.unknown = kinds.index(UNKNOWN)
         self.byte_id = np.full(256, self.unknown, np.int64)
         out = []
@@ -123,8 +130,14 @@ class Model:
         if any(b" " in k.lstrip(b" ") for k in keys):
             raise ValueError("a piece holds a marker after another character; chunks would not be independent")
 
-    def segment(self, buf: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Best pieces of the byte ranges: ids of all, and where each range's ids begin (one more at the end)."""
+    def scored(self, scores: np.ndarray) -> Model:
+        """The same pieces with other scores."""
+        out = copy.copy(self)
+        out.scores, out.least = scores, scores[self.ids].min() - PENALTY
+        return out
+
+    def _edges(self, buf: np.ndarray, lo: np.ndarray, hi: np.ndarray):
+        """All pieces in the byte ranges, laid end to end: bytes, index of each in its range, where ranges begin; begin, end, id (-1: none) and score of the pieces."""
         size = hi - lo
         to = np.concatenate(([0], np.cumsum(size)))
         total = int(to[-1])
@@ -142,6 +155,56 @@ class Model:
         finish = begin + np.concatenate((length, width[odd]))
         token = np.concatenate((self.ids[key], np.full(len(odd), -1)))
         score = np.concatenate((self.scores[self.ids[key]], np.full(len(odd), self.least)))
+        return data, inner, to, begin, finish, token, score
+
+    def expected(self, buf: np.ndarray, lo: np.ndarray, hi: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, float]:
+        """Expected uses of each piece over all segmentations of the byte ranges, each ``times`` over, and their log likelihood."""
+        size = hi - lo
+        # Products of probabilities that can't vanish are taken as they are, others as logs.
+        short = size * -self.least <= 700
+        if short.any() and not short.all():
+            (n, x), (m, y) = (self.expected(buf, lo[k], hi[k], times[k]) for k in (short, ~short))
+            return n + m, x + y
+        plain = bool(short.all())
+        _, inner, to, begin, finish, token, score = self._edges(buf, lo, hi)
+        of = np.repeat(np.arange(len(lo)), size)[begin]
+        s, e = begin + of, finish + of
+        first, last = to[:-1] + np.arange(len(lo)), to[1:] + np.arange(len(lo))
+        most = int(size.max(initial=0))
+        place, steps = inner[begin].astype(np.uint16 if most < 1 << 16 else np.int64), np.arange(most + 2)
+        forth = np.full(int(to[-1]) + len(lo), 0.0 if plain else -np.inf)
+        back = forth.copy()
+        forth[first] = back[last] = 1.0 if plain else 0.0
+        weight = np.exp(score) if plain else score
+
+        def walk(order, cut, into, out, table):
+            """A step's states to go to are distinct: no two pieces of a range begin and end together."""
+            t, f, w = into[order], out[order], weight[order]
+            for i, j in cut:
+                x = t[i:j]
+                table[x] = table[x] + table[f[i:j]] * w[i:j] if plain else np.logaddexp(table[x], table[f[i:j]] + w[i:j])
+
+        order = np.argsort(place, kind="stable")
+        cut = np.searchsorted(place[order], steps).tolist()
+        walk(order, zip(cut[:-1], cut[1:]), e, s, forth)
+        place = (place + (finish - begin)).astype(place.dtype)
+        order = np.argsort(place, kind="stable")
+        cut = [*np.searchsorted(place[order], steps).tolist(), len(place)]
+        walk(order, zip(cut[-2::-1], cut[:0:-1]), s, e, back)
+        ends = forth[last]
+        if plain:
+            use = forth[s] * weight * back[e] * (times / ends)[of]
+            ends = np.log(ends)
+        else:
+            use = np.exp(forth[s] + weight + back[e] - ends[of]) * times[of]
+        known = token >= 0
+        return np.bincount(token[known], use[known], len(self.pieces)), float((ends * times).sum())
+
+    def segment(self, buf: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Best pieces of the byte ranges: ids of all, and where each range's ids begin (one more at the end)."""
+        size = hi - lo
+        data, inner, to, begin, finish, token, score = self._edges(buf, lo, hi)
+        total = int(to[-1])
         place = inner[begin]
         order = np.argsort(place, kind="stable")
         begin, finish, token, score = begin[order], finish[order], token[order], score[order]
@@ -189,8 +252,8 @@ class Model:
             tok = np.where(unk, self.unknown, tok)
         return tok, np.searchsorted(row, np.arange(len(lo) + 1))
 
-    def encode(self, texts) -> tuple[np.ndarray, np.ndarray]:
-        """Piece ids of all texts, and where each text's ids begin (one more at the end)."""
+    def chunks(self, texts):
+        """Chunks of all texts: bytes, begin and end of each, where each text begins, a chunk of each distinct kind, and each chunk's kind."""
         if isinstance(texts, pa.ChunkedArray):
             texts = texts.combine_chunks()
         raw = pc.fill_null(texts.cast(pa.large_binary()), b"")
@@ -205,7 +268,8 @@ class Model:
         buf = np.frombuffer(flat + bytes(8), np.uint8)
         n = int(off[-1])
         if not n:
-            return np.zeros(0, np.int64), np.zeros(len(length) + 1, np.int64)
+            none = np.zeros(0, np.int64)
+            return buf, none, none, off, none, none
         b = buf[:n]
         begin = self.alone[b]
         begin[1:] |= self.alone[b[:-1]]
@@ -217,6 +281,13 @@ class Model:
         hi = np.append(lo[1:], n)
         h = K.word_hashes(buf, lo, hi)
         _, one, which = np.unique(h, return_index=True, return_inverse=True)
+        return buf, lo, hi, off, one, which
+
+    def encode(self, texts) -> tuple[np.ndarray, np.ndarray]:
+        """Piece ids of all texts, and where each text's ids begin (one more at the end)."""
+        buf, lo, hi, off, one, which = self.chunks(texts)
+        if not len(lo):
+            return np.zeros(0, np.int64), np.zeros(len(off), np.int64)
         ids, at = self.segment(buf, lo[one], hi[one])
         count = np.diff(at)[which]
         start = np.concatenate(([0], np.cumsum(count)))
@@ -245,16 +316,84 @@ def load(spark, path: str = DEFAULT_MODEL):
     return spark.sparkContext.broadcast(_MODELS[key])
 
 
+#: Uses that every piece has besides those in the documents, so that unused ones keep a score.
+SPARE = 0.01
+#: Relative gain of the log likelihood under which the scores have settled.
+SETTLED = 1e-4
+
+
+def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
+    """The file's pieces with log scores, as a broadcast: a unigram model's own ones, else from all documents.
+
+    The distinct chunks of all texts are counted once. The first scores are the logs of how often a piece's text occurs in them; then
+    expected uses over all segmentations give new ones, until the likelihood of the documents settles.
+    """
+    spark = docs.sparkSession
+    start = load(spark, model_path)
+    if not start.value.ranked:
+        return start
+
+    def count(batches):
+        for whole in batches:
+            for b in K.slices(whole, "text"):
+                buf, lo, hi, _, one, which = start.value.chunks(b.column("text"))
+                raw = buf.tobytes()
+                yield pa.RecordBatch.from_arrays([pa.array([raw[i:j] for i, j in zip(lo[one].tolist(), hi[one].tolist())], pa.binary()), pa.array(np.bincount(which, minlength=len(one)), pa.int64())], ["chunk", "n"])
+
+    found = docs.select(F.col(text_col).alias("text")).mapInArrow(count, "chunk binary, n long")
+    chunks, path = write_table(found.groupBy("chunk").agg(F.sum("n").alias("n")))
+    ids = start.value.ids
+
+    def uses(model, first):
+        def one(batches):
+            n, likelihood = np.zeros(len(start.value.pieces)), 0.0
+            for whole in batches:
+                for b in K.slices(whole, "chunk", 1 << 18):
+                    raw = b.column("chunk").to_pylist()
+                    to = np.concatenate(([0], np.cumsum([len(x) for x in raw]))).astype(np.int64)
+                    buf, times = np.frombuffer(b"".join(raw) + bytes(8), np.uint8), b.column("n").to_numpy()
+                    if first:
+                        _, _, _, begin, _, token, _ = model.value._edges(buf, to[:-1], to[1:])
+                        w = times[np.searchsorted(to, begin, "right") - 1]
+                        n += np.bincount(token[token >= 0], w[token >= 0], len(n))
+                    else:
+                        more, gain = model.value.expected(buf, to[:-1], to[1:], times)
+                        n, likelihood = n + more, likelihood + gain
+            at = np.flatnonzero(n)
+            yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1), pa.int32()), pa.array(np.append(n[at], likelihood))], ["piece", "n"])
+
+        # Sorted, so that sums don't depend on the order in which tasks end.
+        t = chunks.mapInArrow(one, "piece int, n double").groupBy("piece").agg(F.sort_array(F.collect_list("n")).alias("n")).select("piece", F.aggregate("n", F.lit(0.0), lambda x, y: x + y).alias("n")).toArrow()
+        piece, n = t.column("piece").to_numpy(), t.column("n").to_numpy()
+        total = np.zeros(len(start.value.pieces))
+        total[piece[piece >= 0]] = n[piece >= 0]
+        return total, float(n[piece < 0].sum())
+
+    model, before, first = start, None, True
+    while True:
+        total, now = uses(model, first)
+        if not first and before is not None and now - before <= SETTLED * abs(before):
+            break
+        before = None if first else now
+        first = False
+        scores = start.value.scores.copy()
+        share = total[ids] + SPARE
+        scores[ids] = np.round(np.log(share / share.sum()), 6)
+        model = spark.sparkContext.broadcast(start.value.scored(scores))
+    drop_table(spark, path)
+    return model
+
+
 def _lists(ids: np.ndarray, at: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
 
 
-def encode(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL, out_col="piece_ids", decoded_col: str | None = None) -> DataFrame:
+def encode(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL, out_col="piece_ids", decoded_col: str | None = None, model=None) -> DataFrame:
     """The rows with their texts' piece ids, and, if it is named, the text that these decode to.
 
-    All other columns stay (those named like a new one are replaced).
+    All other columns stay (those named like a new one are replaced). Without a ``model`` of ``fit`` the file's scores count.
     """
-    model = load(docs.sparkSession, model_path)
+    model = model or load(docs.sparkSession, model_path)
     kind = "ids array<int>, back string" if decoded_col else "ids array<int>"
 
     # Only the texts go to Python, and only what is new comes back.
@@ -298,7 +437,7 @@ def decode(encoded: DataFrame, ids_col="piece_ids", model_path: str = DEFAULT_MO
 
 def report(docs: DataFrame, id_col="doc_id", text_col="text", model_path: str = DEFAULT_MODEL) -> DataFrame:
     """doc_id, n_pieces, n_bytes (byte pieces), score, pieces_sha256 (ids as little-endian 32-bit), returns (whether decoding gives the text)."""
-    model = load(docs.sparkSession, model_path)
+    model = fit(docs, text_col, model_path)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
 
     def one(batches):

@@ -466,3 +466,31 @@ def test_keep_first_settles_many_groups_of_one_template(spark):
     chain = [" ".join(long[20 * i : 20 * i + 200]) for i in range(30)]
     got = simhash.keep_first(spark.createDataFrame(list(enumerate(chain)), "doc_id long, text string"))
     assert {r.doc_id for r in got.collect()} == first_come([five_words(t) for t in chain]) == set(range(0, 30, 2))
+
+
+def test_pieces_have_log_scores(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text").unionByName(spark.createDataFrame([(-1, "the house is information"), (-2, None), (-3, "")], "doc_id long, text string"))
+    m = pieces.fit(docs).value
+    assert np.exp(m.scores[m.ids]).sum() == pytest.approx(1, abs=1e-3)
+    old = pieces.load(spark).value
+    new, at = m.encode(pa.array(["the house is information"]))
+    assert len(new) < len(old.encode(pa.array(["the house is information"]))[0])
+    assert m.pieces[new[0]] == "▁the"
+    # Expected uses and likelihood against all segmentations.
+    text = " theand"
+    score = {m.pieces[i].replace("▁", " "): m.scores[i] for i in m.ids}
+
+    def ways(t):
+        return [[t[:k], *w] for k in range(1, len(t) + 1) if t[:k] in score for w in ways(t[k:])] if t else [[]]
+
+    p = [np.exp(sum(score[x] for x in w)) for w in ways(text)]
+    use, likelihood = m.expected(np.frombuffer(text.encode() + bytes(8), np.uint8), np.array([0]), np.array([len(text)]), np.array([3]))
+    assert likelihood == pytest.approx(3 * np.log(sum(p)))
+    for i in np.flatnonzero(use):
+        x = m.pieces[i].replace("▁", " ")
+        assert use[i] == pytest.approx(3 * sum(q * w.count(x) for q, w in zip(p, ways(text))) / sum(p))
+    # The same by logs, where products would vanish.
+    far = m.scored(np.where(np.arange(len(m.scores)) == m.ids[-1], -1000.0, m.scores))
+    both = far.expected(np.frombuffer(text.encode() + bytes(8), np.uint8), np.array([0]), np.array([len(text)]), np.array([3]))
+    assert both[1] == pytest.approx(likelihood) and both[0] == pytest.approx(use)
+    assert pieces.fit(docs.limit(0)).value.encode(pa.array(["a b"]))[1][-1] > 0
