@@ -47,17 +47,19 @@ class Targets:
     psi: float = 1.0
     by_label: dict[int, int] | None = None
 
-    def _grow(self, hops: int, psi: float, labels=()) -> float:
-        """log of d^(psi * hops), or of the product of the labels' own degrees."""
+    def _grow(self, hops: int, psi: float, labels=None) -> float:
+        """log of d^(psi * hops), or of the product of the labels' own degrees (labels unknown: the largest one each hop)."""
+        if self.by_label is not None and labels is None:
+            return psi * hops * log(max(1, *self.by_label.values(), 0))
         if self.by_label is not None:
             return psi * sum(log(max(1, self.by_label.get(x, 0))) for x in labels)
         return psi * hops * log(max(1, self.degree))
 
-    def tail_ok(self, i: int, label: int, item: int, before: tuple[int, ...] = ()) -> bool:
+    def tail_ok(self, i: int, label: int, item: int, before: tuple[int, ...] | None = None) -> bool:
         n = self.ends.get((label, item), 0)
         return n > 0 and log(n) + self._grow(i - 1, self.psi, before) >= log(self.theta) - 1e-12
 
-    def step_ok(self, i: int, item: int, label: int, before: tuple[int, ...] = ()) -> bool:
+    def step_ok(self, i: int, item: int, label: int, before: tuple[int, ...] | None = None) -> bool:
         n = self.starts.get((item, label), 0)
         return n > 0 and log(n) + self._grow(i - 1, 1.0, before) >= log(self.theta) - 1e-12
 

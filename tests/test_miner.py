@@ -189,3 +189,16 @@ def test_graph_tools(spark, g):
     assert {"Follows_1", "Follows_2_4"} <= set(split.labels) and split.edges.count() == 15
     sets = comparators.itemsets_mllib(g, 2, 12).collect()
     assert len(sets) == 9
+
+
+def test_per_label_bound_keeps_late_labels(spark):
+    # Few B edges, reached by ten A edges each: {customer}|A|{nation}|B|{region} has 100 sources.
+    attrs = [(v, "customer") for v in range(100)] + [(100 + k, "nation") for k in range(10)] + [(110 + k, "region") for k in range(2)]
+    edges = [(v, "A", 100 + v % 10) for v in range(100)] + [(100 + k, "B", 110 + k % 2) for k in range(10)]
+    g = from_rows(spark, [v for v, _ in attrs], attrs, edges)
+    cfg = MinerConfig(theta=80, bound="per_label")
+    frequent, pairs = comparators.brute_force(*rows_of(g), 2, 2, 80)
+    r = mine_rules(g, cfg)
+    assert any(len(p.hops) == 2 and n == 100 for p, n in r.catalogue.support.items())
+    assert {p: len(s) for p, s in frequent.items()} == r.catalogue.support
+    assert {tuple(sorted(k, key=repr)) + (n,) for k, n in pairs.items()} == pair_set(r)
