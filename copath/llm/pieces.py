@@ -335,7 +335,7 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
 
     def count(batches):
         for whole in batches:
-            for b in K.slices(whole, "text"):
+            for b in K.slices(whole, "text", 4 << 20):
                 buf, lo, hi, _, one, which = start.value.chunks(b.column("text"))
                 raw = buf.tobytes()
                 yield pa.RecordBatch.from_arrays([pa.array([raw[i:j] for i, j in zip(lo[one].tolist(), hi[one].tolist())], pa.binary()), pa.array(np.bincount(which, minlength=len(one)), pa.int64())], ["chunk", "n"])
@@ -348,7 +348,7 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
         def one(batches):
             n, likelihood = np.zeros(len(start.value.pieces)), 0.0
             for whole in batches:
-                for b in K.slices(whole, "chunk", 1 << 18):
+                for b in K.slices(whole, "chunk", 1 << 19):
                     raw = b.column("chunk").to_pylist()
                     to = np.concatenate(([0], np.cumsum([len(x) for x in raw]))).astype(np.int64)
                     buf, times = np.frombuffer(b"".join(raw) + bytes(8), np.uint8), b.column("n").to_numpy()
