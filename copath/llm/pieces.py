@@ -95,6 +95,38 @@ class DoubleArray:
         return tuple(np.concatenate(x) for x in zip(*found)) if found else (who, who, who)
 
 
+class Memory:
+    """Pieces of chunks that a task has met, by the chunks' hashes; emptied when it holds ``most`` of them, which costs time and no result."""
+
+    def __init__(self, most: int = 1 << 18):
+        self.most = most
+        self.forget()
+
+    def forget(self) -> None:
+        self.keys, self.begin, self.count, self.ids = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int32)
+
+    def holds(self, h: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return np.zeros(len(h), bool)
+        return self.keys[np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)] == h
+
+    def learn(self, h: np.ndarray, ids: np.ndarray, at: np.ndarray) -> None:
+        """h: sorted hashes that aren't held yet."""
+        to = np.searchsorted(self.keys, h)
+        self.keys = np.insert(self.keys, to, h)
+        self.begin = np.insert(self.begin, to, at[:-1] + len(self.ids))
+        self.count = np.insert(self.count, to, np.diff(at))
+        self.ids = np.concatenate((self.ids, ids.astype(np.int32)))
+
+    def of(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.searchsorted(self.keys, h)
+        return self.begin[at], self.count[at]
+
+    def tidy(self) -> None:
+        if len(self.keys) > self.most:
+            self.forget()
+
+
 class Model:
     """Pieces, scores and trie of a model file's bytes."""
 
@@ -253,7 +285,7 @@ class Model:
         return tok, np.searchsorted(row, np.arange(len(lo) + 1))
 
     def chunks(self, texts):
-        """Chunks of all texts: bytes, begin and end of each, where each text begins, a chunk of each distinct kind, and each chunk's kind."""
+        """Chunks of all texts: bytes, begin and end of each, where each text begins, a chunk of each distinct kind, each chunk's kind, and the kinds' hashes (sorted)."""
         if isinstance(texts, pa.ChunkedArray):
             texts = texts.combine_chunks()
         raw = pc.fill_null(texts.cast(pa.large_binary()), b"")
@@ -269,7 +301,7 @@ class Model:
         n = int(off[-1])
         if not n:
             none = np.zeros(0, np.int64)
-            return buf, none, none, off, none, none
+            return buf, none, none, off, none, none, none.view(np.uint64)
         b = buf[:n]
         begin = self.alone[b]
         begin[1:] |= self.alone[b[:-1]]
@@ -279,20 +311,23 @@ class Model:
         begin[off[:-1][length > 0]] = True
         lo = np.flatnonzero(begin)
         hi = np.append(lo[1:], n)
-        h = K.word_hashes(buf, lo, hi)
-        _, one, which = np.unique(h, return_index=True, return_inverse=True)
-        return buf, lo, hi, off, one, which
+        h, one, which = np.unique(K.word_hashes(buf, lo, hi), return_index=True, return_inverse=True)
+        return buf, lo, hi, off, one, which, h
 
-    def encode(self, texts) -> tuple[np.ndarray, np.ndarray]:
-        """Piece ids of all texts, and where each text's ids begin (one more at the end)."""
-        buf, lo, hi, off, one, which = self.chunks(texts)
+    def encode(self, texts, memory: Memory | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Piece ids of all texts, and where each text's ids begin (one more at the end). ``memory``: chunks that were segmented before."""
+        buf, lo, hi, off, one, which, h = self.chunks(texts)
         if not len(lo):
             return np.zeros(0, np.int64), np.zeros(len(off), np.int64)
-        ids, at = self.segment(buf, lo[one], hi[one])
-        count = np.diff(at)[which]
+        memory = memory or Memory()
+        new = ~memory.holds(h)
+        if new.any():
+            memory.learn(h[new], *self.segment(buf, lo[one[new]], hi[one[new]]))
+        begin, count = memory.of(h)
+        begin, count = begin[which], count[which]
         start = np.concatenate(([0], np.cumsum(count)))
-        out = ids[np.arange(start[-1]) + np.repeat(at[:-1][which] - start[:-1], count)]
-        return out, start[np.searchsorted(lo, off)]
+        out = memory.ids[np.arange(start[-1]) + np.repeat(begin - start[:-1], count)]
+        return out.astype(np.int64), start[np.searchsorted(lo, off)]
 
     def decode(self, ids: np.ndarray, at: np.ndarray) -> list[bytes]:
         """Texts of id lists: pieces joined, markers as spaces, byte pieces as bytes, without the first space."""
@@ -320,13 +355,15 @@ def load(spark, path: str = DEFAULT_MODEL):
 SPARE = 0.01
 #: Relative gain of the log likelihood under which the scores have settled.
 SETTLED = 1e-4
+#: How much farther than expectation-maximisation each round goes; a round that loses likelihood is taken back and all later ones go as far as it says.
+REACH = 1.3
 
 
 def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
     """The file's pieces with log scores, as a broadcast: a unigram model's own ones, else from all documents.
 
     The distinct chunks of all texts are counted once. The first scores are the logs of how often a piece's text occurs in them; then
-    expected uses over all segmentations give new ones, until the likelihood of the documents settles.
+    expected uses over all segmentations give new ones, by steps that are stretched by ``REACH``, until the likelihood of the documents settles.
     """
     spark = docs.sparkSession
     start = load(spark, model_path)
@@ -335,8 +372,8 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
 
     def count(batches):
         for whole in batches:
-            for b in K.slices(whole, "text", 4 << 20):
-                buf, lo, hi, _, one, which = start.value.chunks(b.column("text"))
+            for b in K.slices(whole, "text", 2 << 20):
+                buf, lo, hi, _, one, which, _ = start.value.chunks(b.column("text"))
                 raw = buf.tobytes()
                 yield pa.RecordBatch.from_arrays([pa.array([raw[i:j] for i, j in zip(lo[one].tolist(), hi[one].tolist())], pa.binary()), pa.array(np.bincount(which, minlength=len(one)), pa.int64())], ["chunk", "n"])
 
@@ -348,7 +385,7 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
         def one(batches):
             n, likelihood = np.zeros(len(start.value.pieces)), 0.0
             for whole in batches:
-                for b in K.slices(whole, "chunk", 1 << 19):
+                for b in K.slices(whole, "chunk", 1 << 18):
                     raw = b.column("chunk").to_pylist()
                     to = np.concatenate(([0], np.cumsum([len(x) for x in raw]))).astype(np.int64)
                     buf, times = np.frombuffer(b"".join(raw) + bytes(8), np.uint8), b.column("n").to_numpy()
@@ -369,21 +406,49 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
         total[piece[piece >= 0]] = n[piece >= 0]
         return total, float(n[piece < 0].sum())
 
-    model, before, first = start, None, True
-    while True:
-        total, now = uses(model, first)
-        if not first and before is not None and now - before <= SETTLED * abs(before):
-            break
-        before = None if first else now
-        first = False
+    def learned(total):
         scores = start.value.scores.copy()
         share = total[ids] + SPARE
         scores[ids] = np.round(np.log(share / share.sum()), 6)
-        model = spark.sparkContext.broadcast(start.value.scored(scores))
+        return Fitted(start, spark.sparkContext.broadcast(scores))
+
+    total, _ = uses(start, True)
+    model, plain, before, reach = learned(total), total, None, REACH
+    while True:
+        found, now = uses(model, False)
+        if before is not None and now < before and reach > 1:
+            # Too far: back to where the last round's own counts lead.
+            reach, total, now = 1.0, plain, before
+        elif before is not None and now - before <= SETTLED * abs(before):
+            break
+        else:
+            share = lambda x: (x[ids] + SPARE) / (x[ids] + SPARE).sum()
+            step, plain, last = np.ones(len(found)), found, total
+            step[ids] = np.clip(share(found) / share(last), 1e-3, 1e3) ** (reach - 1)
+            total = found * step
+        before = now
+        model.scores.destroy()
+        model = learned(total)
     drop_table(spark, path)
     return model
 
 
+class Fitted:
+    """A model under other scores: one broadcast of pieces and trie serves all of them."""
+
+    def __init__(self, base, scores):
+        self.base, self.scores = base, scores
+
+    def __getstate__(self):
+        return {"base": self.base, "scores": self.scores}
+
+    @property
+    def value(self) -> Model:
+        if "_made" not in self.__dict__:
+            self._made = self.base.value.scored(self.scores.value)
+        return self._made
+
+
 def _lists(ids: np.ndarray, at: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
 
@@ -399,10 +464,12 @@ def encode(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL, ou
     # Only the texts go to Python, and only what is new comes back.
     @F.arrow_udf(f"struct<{kind.replace('ids ', 'ids: ').replace('back ', 'back: ')}>")
     def one(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        memory = Memory()
         for texts in batches:
             made = []
             for part in K.ranges(texts):
-                ids, at = model.value.encode(part)
+                memory.tidy()
+                ids, at = model.value.encode(part, memory)
                 fields = {"ids": _lists(ids, at)}
                 if decoded_col:
                     fields["back"] = pa.array([x.decode(errors="replace") for x in model.value.decode(ids, at)], pa.string())
@@ -441,10 +508,12 @@ def report(docs: DataFrame, id_col="doc_id", text_col="text", model_path: str =
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
 
     def one(batches):
+        memory = Memory()
         for whole in batches:
             for b in K.slices(whole, "text"):
                 m = model.value
-                ids, at = m.encode(b.column("text"))
+                memory.tidy()
+                ids, at = m.encode(b.column("text"), memory)
                 raw = ids.astype("<u4").tobytes()
                 cut = (at * 4).tolist()
                 is_byte = np.isin(np.arange(len(m.pieces)), m.byte_id)
