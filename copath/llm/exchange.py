@@ -4,7 +4,8 @@ Rows are dealt into parts of a few megabytes by a hash of the row. Each part is
 group, so a part can gather its keys, drop repeats and send each bucket one sorted,
 compressed list; a bucket answers each part with one value for each key it sent, in
 order. A key held by a third of all rows arrives once from each part at most, and
-rows leave a part at most as often as it has keys.
+rows leave a part at most as often as it has keys. Rows without an id are dealt one by one, so that
+equal ones are no hot group either.
 """
 
 from __future__ import annotations
@@ -15,26 +16,60 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from copath.llm import kernel as K
+from copath.llm.store import free_name, write_table
 
 PART_BYTES = 3 << 20
 #: What a part sends to a bucket, and what a bucket answers.
 MESSAGE = "bucket int, pid int, kind int, blob binary"
 
 
-def parts(docs: DataFrame, id_col: str, text_col: str, part_bytes: int = PART_BYTES) -> tuple[DataFrame, int]:
-    """(pid, id, text), and the bytes of all texts. Null texts are empty; ids are whole numbers or null."""
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    size = rows.agg(F.sum(F.octet_length("text") + 32)).first()[0] or 0
-    n = max(1, ceil(size / part_bytes))
-    return rows.select(F.pmod(F.xxhash64("id", "text"), F.lit(n)).cast("int").alias("pid"), "id", "text"), size
+def parts(docs: DataFrame, id_col: str, text_col: str, *more, part_bytes: int = PART_BYTES) -> tuple[DataFrame, int]:
+    """(pid, id, text, more), and the bytes of all texts. Null texts are empty; ids are whole numbers or null."""
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("text"), *more)
+    size, nulls = rows.agg(F.coalesce(F.sum(F.octet_length("text") + 32), F.lit(0)), F.count_if(F.col("id").isNull())).first()
+    n = F.lit(max(1, ceil(size / part_bytes)))
+    if nulls:
+        # The row's place tells rows without an id apart; it is written down, as a second run could count otherwise.
+        place = F.when(F.col("id").isNull(), F.monotonically_increasing_id())
+        return write_table(rows.withColumn("pid", F.pmod(F.xxhash64("id", "text", place), n).cast("int")))[0], size
+    return rows.withColumn("pid", F.pmod(F.xxhash64("id", "text"), n).cast("int")), size
 
 
-def buckets_for(keys: float, each: float = 3e6) -> int:
+def numbered(docs: DataFrame, id_col: str) -> tuple[DataFrame, DataFrame | None]:
+    """The rows with whole numbers for ids, in the order of the ids; and, if ids were something else, a table (id, num) of both."""
+    if isinstance(docs.schema[id_col].dataType, (T.ByteType, T.ShortType, T.IntegerType, T.LongType)):
+        return docs, None
+    own = docs.select(F.col(f"`{id_col}`").alias("id")).where("id IS NOT NULL").distinct().orderBy("id")
+    table, _ = write_table(own.withColumn("num", F.monotonically_increasing_id()))
+    names = table.withColumnsRenamed({"id": (old := free_name(docs, "old")), "num": (num := free_name(docs, "num"))})
+    rest = [F.col(num).alias(c) if c == id_col else F.col(f"`{c}`") for c in docs.columns]
+    return docs.join(names, F.col(f"`{id_col}`") == F.col(old), "left").select(*rest), table
+
+
+def renamed(out: DataFrame, table: DataFrame | None, col: str) -> DataFrame:
+    """Puts the ids back that ``numbered`` replaced."""
+    if table is None:
+        return out
+    rest = [F.col("id").alias(c) if c == col else F.col(f"`{c}`") for c in out.columns]
+    return out.join(table, F.col(f"`{col}`") == F.col("num"), "left").select(*rest)
+
+
+def buckets_for(keys: float, each: float = 1e6) -> int:
     return max(1, min(1 << 30, ceil(keys / each)))
 
 
+def tally(told: DataFrame, kind: int) -> int:
+    """Sum of the counts that buckets put into messages of a kind to nobody (pid -1)."""
+    return told.where((F.col("pid") == -1) & (F.col("kind") == kind)).agg(F.sum(F.conv(F.hex("blob"), 16, 10).cast("long"))).first()[0] or 0
+
+
+def count_of(n: int) -> bytes:
+    return np.array([n], ">i8").tobytes()
+
+
 def cuts(sorted_keys: np.ndarray, bits: int, n: int) -> np.ndarray:
     """Where each bucket's keys begin, in a sorted array of ``bits``-bit keys."""
     edges = [(b << bits) // n for b in range(n)]

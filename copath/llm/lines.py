@@ -3,9 +3,9 @@
 Two lines are near if one word edit (insert, delete, replace) turns one into the other, and
 both have at least ``min_words`` words; shorter lines are near only if their words are equal.
 A line emits, as hashed keys, itself and every variant with one word deleted. Equal keys mean: same line; one line is the other without a word; or both
-lack the word at the same place, so that they differ by a replacement. The edit
-distance is verified as part of the key: the key holds the length and the place, and a second,
-independent 32-bit hash of the same words must agree. A line goes where an
+lack the word at the same place, so that they differ by a replacement. Key equality is the edit
+distance: the key holds the length and the place, and a hit counts only if a second 32-bit hash with word and place seeds of its own
+agrees, 96 bits in all. Words aren't shipped to compare them. A line goes where an
 earlier line (smaller document id, then smaller line number) is near; decisions are made on
 the input, not on what is left.
 
@@ -28,6 +28,7 @@ from pyspark.sql.pandas.types import to_arrow_schema
 
 from copath.llm import exchange as X
 from copath.llm import kernel as K
+from copath.llm.store import free_name, write_table
 
 TABLE = K.word_table()
 LAST = np.iinfo(np.int64).max
@@ -51,14 +52,15 @@ class Part:
         self.h = K.word_hashes(self.buf, start, end)
         self.id = table.column("id").fill_null(LAST).to_numpy()[doc] if len(doc) else np.zeros(0, np.int64)
         self.inner = np.arange(len(self.h)) - np.repeat(self.first[:-1], self.n)
-        self.key = Polynomial(self, self.h, 0x9E3779B97F4A7C15)
+        self.span = start, end
+        self.key = Sums(self, self.h, 0x243F6A8885A308D3)
         self._check = None
 
     @property
-    def check(self) -> Polynomial:
-        """A second hash of the same words by other constants."""
+    def check(self) -> Sums:
+        """A second hash, of word hashes and places with seeds of their own."""
         if self._check is None:
-            self._check = Polynomial(self, K.mix(self.h + K.U(0x2545F4914F6CDD1D)), 0xD6E8FEB86659FD93)
+            self._check = Sums(self, K.word_hashes(self.buf, *self.span, seed=2), 0x13198A2E03707344)
         return self._check
 
     def selves(self) -> tuple[np.ndarray, ...]:
@@ -82,6 +84,7 @@ class Part:
             size = n.astype(np.uint64) * K.U(0xC2B2AE3D27D4EB4F)
             keys += [K.mix(K.mix(self.key.head(line, a) + size)), K.mix(K.mix(self.key.tail(line, n - a) + size) + K.U(1))]
             lines += [line, line]
+        self.key._rear = None
         key, line = np.concatenate(keys), np.concatenate(lines)
         whole = self.key.whole(line)
         order = np.lexsort((whole, key))
@@ -117,25 +120,41 @@ def words_of(part: Part, line: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.arange(to[-1]) + np.repeat(part.first[line] - to[:-1], n), np.repeat(line, n)
 
 
-class Polynomial:
-    """Hashes of word sequences from running sums: of lines, their beginnings and ends, and lines without a word."""
+class Sums:
+    """Hashes of word sequences from running sums of one pseudo-random number for each (word, place).
 
-    def __init__(self, part: Part, h: np.ndarray, m: int):
-        most = int(part.n.max(initial=0)) + 2
-        ones = np.ones(1, np.uint64)
-        self.inverse = K.U(pow(m, -1, 1 << 64))
-        self.back = np.cumprod(np.concatenate((ones, np.full(most, self.inverse))))
-        power = np.cumprod(np.concatenate((ones, np.full(most, K.U(m)))))
-        self.run = np.concatenate((np.zeros(1, np.uint64), np.cumsum(h * power[part.inner], dtype=np.uint64)))
-        self.part = part
+    Beginnings count places from the line's start, ends from its end; behind a word that is left out, places move up by one.
+    As every place has numbers of its own, no rearrangement of words keeps a sum but by chance.
+    """
+
+    def __init__(self, part: Part, h: np.ndarray, seed: int):
+        self.part, self.h, self.seed = part, h, K.U(seed)
+        self.fore = self.run(part.inner)
+        self._less = self._rear = None
+
+    def run(self, place: np.ndarray) -> np.ndarray:
+        own = K.mix(self.h + place.astype(np.uint64) * K.U(0x9E3779B97F4A7C15) + self.seed)
+        return np.concatenate((np.zeros(1, np.uint64), np.cumsum(own, dtype=np.uint64)))
+
+    @property
+    def less(self) -> np.ndarray:
+        if self._less is None:
+            self._less = self.run(self.part.inner - 1)
+        return self._less
+
+    @property
+    def rear(self) -> np.ndarray:
+        if self._rear is None:
+            self._rear = self.run(np.repeat(self.part.n, self.part.n) - 1 - self.part.inner)
+        return self._rear
 
     def head(self, line, a):
         at = self.part.first[line]
-        return self.run[at + a] - self.run[at]
+        return self.fore[at + a] - self.fore[at]
 
     def tail(self, line, b):
         to = self.part.first[line + 1]
-        return (self.run[to] - self.run[to - b]) * self.back[self.part.n[line] - b]
+        return self.rear[to] - self.rear[to - b]
 
     def finish(self, h, n, gap=None):
         """The key says how many words there are, and where the gap is if there is one."""
@@ -148,8 +167,9 @@ class Polynomial:
 
     def without(self, at, line, gap: bool):
         """Lines without the word at position ``at``; as a line of its own, or with a gap there."""
-        h = self.run[at] - self.run[self.part.first[line]] + (self.run[self.part.first[line + 1]] - self.run[at + 1]) * self.inverse
-        n = self.part.n[line]
+        n, end = self.part.n[line], self.part.first[line + 1]
+        behind = self.fore if gap else self.less
+        h = self.fore[at] - self.fore[self.part.first[line]] + behind[end] - behind[at + 1]
         return self.finish(h, n, self.part.inner[at]) if gap else self.finish(h, n - 1)
 
 
@@ -185,8 +205,11 @@ def before(i, j, ids, number):
 
 def _first_reply(table: pa.Table) -> pa.Table:
     """Kind 1: whether an equal line comes earlier in another part. Kind 3: whether a different line has the half."""
-    made, whole, half = [], [], []
+    made, whole, half, sized = [], [], [], 0
     for p, k, x in zip(table.column("pid").to_pylist(), table.column("kind").to_pylist(), table.column("blob").to_pylist()):
+        if k == 7:
+            sized += int(np.frombuffer(x, ">i8")[0])
+            continue
         x = X.split(x)
         if k == 1:
             whole.append((p, K.unpack_sorted(x[0]), K.unpack(x[1]), K.unpack(x[2]).view(np.int64), K.unpack(x[3]).astype(np.int64)))
@@ -210,6 +233,8 @@ def _first_reply(table: pa.Table) -> pa.Table:
         shared = np.empty(len(key), bool)
         shared[order] = np.repeat(sl[new] != sl[new + size - 1], size)
         made += marks(half, shared, 3)
+        made.append((-1, 8, X.count_of(int(shared.sum()))))
+    made.append((-1, 7, X.count_of(sized)))
     return X.answers(table.column("bucket")[0].as_py(), made)
 
 
@@ -224,14 +249,11 @@ def marks(sent: list[tuple], mask: np.ndarray, kind: int) -> list[tuple[int, int
 
 
 def _second_reply(table: pa.Table) -> pa.Table:
-    """For each row sent (a part's earliest line on one side of a key): the earliest line of both sides anywhere. The rest is passed on."""
+    """For each row sent (a part's earliest line on one side of a key): the earliest line of both sides anywhere."""
     made, sent = [], []
-    for p, k, x in zip(table.column("pid").to_pylist(), table.column("kind").to_pylist(), table.column("blob").to_pylist()):
-        if k != 4:
-            made.append((int(np.frombuffer(x[:4], "<i4")[0]), p, k, x[4:]))
-        else:
-            a, b, c, d, e = X.split(x)
-            sent.append((p, K.unpack_sorted(a), K.unpack(b), K.unpack(c), K.unpack(d).view(np.int64), K.unpack(e).astype(np.int64)))
+    for p, x in zip(table.column("pid").to_pylist(), table.column("blob").to_pylist()):
+        a, b, c, d, e = X.split(x)
+        sent.append((p, K.unpack_sorted(a), K.unpack(b), K.unpack(c), K.unpack(d).view(np.int64), K.unpack(e).astype(np.int64)))
     if sent:
         key, check, side, ids, number = (np.concatenate([s[i] for s in sent]) for i in range(1, 6))
         order = np.lexsort((number, ids, side, check, key))
@@ -243,8 +265,8 @@ def _second_reply(table: pa.Table) -> pa.Table:
         for s in sent:
             to = slice(at, at + len(s[1]))
             at = to.stop
-            made.append((table.column("bucket")[0].as_py(), s[0], 4, X.join([K.pack(x[to].view(np.uint64)) for x in back])))
-    return pa.table({"bucket": pa.array([m[0] for m in made], pa.int32()), "pid": pa.array([m[1] for m in made], pa.int32()), "kind": pa.array([m[2] for m in made], pa.int32()), "blob": pa.array([m[3] for m in made], pa.binary())})
+            made.append((s[0], 4, X.join([K.pack(x[to].view(np.uint64)) for x in back])))
+    return X.answers(table.column("bucket")[0].as_py(), made)
 
 
 def spread(told: list[tuple[int, bytes]], at: np.ndarray, total: int) -> np.ndarray:
@@ -286,21 +308,21 @@ def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5,
 
     extra: a struct column of ``docs`` that goes with each row, unread.
     """
-    rows, size = X.parts(docs, id_col, text_col)
-    last = rows
-    if extra:
-        n_parts = F.lit(max(1, -(-size // X.PART_BYTES)))
-        last = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), F.col(text_col).isNull().alias("was_null"), F.col(extra).alias("extra"))
-        last = last.withColumn("pid", F.pmod(F.xxhash64("id", "text"), n_parts).cast("int"))
-    n = X.buckets_for(size / 20)
+    more = [F.col(f"`{text_col}`").isNull().alias("was_null"), F.col(extra).alias("extra")] if extra else []
+    last, size = X.parts(docs, id_col, text_col, *more, part_bytes=2 << 20)
+    rows = last.select("pid", "id", "text")
+    n = X.buckets_for(size / 12)
     emit = emit or kept_lines
     empty = to_arrow_schema(T.StructType.fromDDL(schema)).empty_table()
 
     def ask(table: pa.Table) -> pa.Table:
-        (key, check, ids, number, _, new, at), (hk, hw, _, hnew, hat) = first_round(Part(table, min_words), n)
+        part = Part(table, min_words)
+        (key, check, ids, number, _, new, at), (hk, hw, _, hnew, hat) = first_round(part, n)
         key, check, ids, number, hk, hw = key[new], check[new], ids[new], number[new], hk[hnew], hw[hnew]
         made = [(b, 1, X.join([K.pack_sorted(key[i:j]), K.pack(check[i:j]), K.pack(ids[i:j].view(np.uint64)), K.pack(number[i:j].astype(np.uint32))])) for b, (i, j) in enumerate(zip(at[:-1].tolist(), at[1:].tolist())) if j > i]
         made += [(b, 3, X.join([K.pack_sorted(hk[i:j]), K.pack(hw[i:j])])) for b, (i, j) in enumerate(zip(hat[:-1].tolist(), hat[1:].tolist())) if j > i]
+        # Halves and the words behind them tell how large the second round can get.
+        made.append((0, 7, X.count_of(int(part.n[part.n >= min_words].sum()))))
         return X.rows(table.column("pid")[0].as_py(), made)
 
     def compare(table: pa.Table, told: pa.Table) -> pa.Table:
@@ -310,10 +332,8 @@ def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5,
         key, check, side, ids, number, *_ = part.variants(after_first(part, told, n)[1])
         new = runs(key, check, side)  # the earliest of each side; rows come sorted
         key, check, side, ids, number = (x[new] for x in (key, check, side, ids, number))
-        at = X.cuts(key, 64, n)
+        at = X.cuts(key, 64, wide)
         made = [(b, 4, X.join([K.pack_sorted(key[i:j]), K.pack(check[i:j]), K.pack(side[i:j]), K.pack(ids[i:j].view(np.uint64)), K.pack(number[i:j].astype(np.uint32))])) for b, (i, j) in enumerate(zip(at[:-1].tolist(), at[1:].tolist())) if j > i]
-        # What the buckets told is needed once more, beside their next answers.
-        made += [(b, k, np.array([b], "<i4").tobytes() + x) for k in (1, 3) for b, x in X.by_kind(told, k)]
         return X.rows(table.column("pid")[0].as_py(), made)
 
     def finish(table: pa.Table, told: pa.Table) -> pa.Table:
@@ -324,7 +344,7 @@ def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5,
         if len(near):
             key, check, side, ids, number, line, gap = part.variants(near)
             new = runs(key, check, side)
-            at = X.cuts(key[new], 64, n)
+            at = X.cuts(key[new], 64, wide)
             best = [np.full(len(new), LAST) for _ in range(4)]
             for b, x in X.by_kind(told, 4):
                 for to, y in zip(best, X.split(x)):
@@ -336,9 +356,12 @@ def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5,
             gone[line[before(i1, j1, ids, number) & ((side == 0) | gap)]] = True
         return emit(part, gone)
 
-    told = rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(_first_reply, X.MESSAGE)
-    told = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(compare, X.MESSAGE).groupBy("bucket").applyInArrow(_second_reply, X.MESSAGE)
-    return last.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(finish, schema)
+    told, _ = write_table(rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(_first_reply, X.MESSAGE))
+    # A line within an edit of others shares halves; its neighbourhood has two keys a word. All words bound them, and so do shared halves of the longest lines.
+    wide = X.buckets_for(min(2.0 * X.tally(told, 7), X.tally(told, 8) * 256.0))
+    told = told.where("pid >= 0")
+    again = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(compare, X.MESSAGE).groupBy("bucket").applyInArrow(_second_reply, X.MESSAGE)
+    return last.groupBy("pid").cogroup(told.unionByName(again).groupBy("pid")).applyInArrow(finish, schema)
 
 
 def kept_texts(part: Part, gone: np.ndarray) -> list[bytes]:
@@ -370,17 +393,20 @@ def kept_digest(part: Part, gone: np.ndarray) -> pa.Table:
 
 def report(docs: DataFrame, **options) -> DataFrame:
     """doc_id, n_lines, n_removed, kept_sha256 (of the remaining lines, joined by line feeds) of every document."""
-    return dedup(docs, emit=kept_digest, schema="doc_id long, n_lines long, n_removed long, kept_sha256 string", **options)
+    docs, names = X.numbered(docs, options.get("id_col", "doc_id"))
+    return X.renamed(dedup(docs, emit=kept_digest, schema="doc_id long, n_lines long, n_removed long, kept_sha256 string", **options), names, "doc_id")
 
 
 def clean(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5) -> DataFrame:
     """The documents with their repeated lines removed; every row and all other columns stay."""
-    packed = docs.withColumn("_row", F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != text_col]))
-    row_type = packed.schema["_row"].dataType.simpleString()
+    row = free_name(docs, "row")
+    packed = docs.withColumn(row, F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != text_col]))
+    row_type = packed.schema[row].dataType.simpleString()
+    packed, _ = X.numbered(packed, id_col)
 
     def emit(part, gone):
         texts = [None if null else x.decode() for x, null in zip(kept_texts(part, gone), part.table.column("was_null").to_pylist())]
         return pa.table({"row": part.table.column("extra"), "text": pa.array(texts, pa.string())})
 
-    out = dedup(packed, id_col, text_col, min_words, emit=emit, schema=f"row {row_type}, text string", extra="_row")
+    out = dedup(packed, id_col, text_col, min_words, emit=emit, schema=f"row {row_type}, text string", extra=row)
     return out.select(*[F.col("text").alias(c) if c == text_col else F.col(f"row.`{c}`").alias(c) for c in docs.columns])

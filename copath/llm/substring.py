@@ -3,7 +3,7 @@
 Every document is cut into blocks of seven words; any thirteen consecutive words hold a
 whole block. The blocks are the index, and every rolling window of seven words of every
 document is a probe. Where a probe meets the index, the hit is extended: the windows
-of thirteen words around it are compared by a 96-bit fingerprint, and overlapping equal windows
+of thirteen words around it are compared by a 96-bit fingerprint (64 and 32 bits of hashes with seeds of their own), and overlapping equal windows
 join into maximal repeats. A window is removed where a document with a smaller id starts
 it too; the words inside removed windows go.
 
@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 
 from copath.llm import exchange as X
 from copath.llm import kernel as K
+from copath.llm.store import write_table
 
 TABLE = K.word_table()
 LAST = np.iinfo(np.int64).max
@@ -55,7 +56,9 @@ class Part:
         ok = K.inside_text(self.first, self.window, self.total)
         pos = np.flatnonzero(ok & (run[self.window - self.block + 1 :][: len(ok)] > run[: len(ok)]))
         a = K.windows(self.h, self.window)[pos]
-        b = (K.windows(self.h, self.window, 0xD6E8FEB86659FD93)[pos] >> K.U(32)).astype(np.uint32)
+        # A second hash, of word hashes with a seed of their own.
+        other = K.word_hashes(self.buf, self.start, self.end, seed=2)
+        b = (K.windows(other, self.window, 0xD6E8FEB86659FD93)[pos] >> K.U(32)).astype(np.uint32)
         order = np.lexsort((b, a))
         return pos[order], a[order], b[order]
 
@@ -67,14 +70,11 @@ class Part:
 
 
 def _reply(table: pa.Table) -> pa.Table:
-    """A bucket's answer: for each window, whether another part starts it with a smaller id. Passes on what parts sent themselves."""
+    """A bucket's answer: for each window, whether another part starts it with a smaller id."""
     made, sent = [], []
-    for p, k, x in zip(table.column("pid").to_pylist(), table.column("kind").to_pylist(), table.column("blob").to_pylist()):
-        if k == 2:
-            made.append((p, 0, x))
-        else:
-            a, b, d = X.split(x)
-            sent.append((p, K.unpack_sorted(a), K.unpack(b), K.unpack(d).view(np.int64)))
+    for p, x in zip(table.column("pid").to_pylist(), table.column("blob").to_pylist()):
+        a, b, d = X.split(x)
+        sent.append((p, K.unpack_sorted(a), K.unpack(b), K.unpack(d).view(np.int64)))
     if sent:
         a, b, d = (np.concatenate([s[i] for s in sent]) for i in (1, 2, 3))
         order = np.lexsort((b, a))
@@ -89,15 +89,7 @@ def _reply(table: pa.Table) -> pa.Table:
             at += len(s[1])
             if mask.any():
                 made.append((s[0], 1, X.bits(mask)))
-    # Kind 2 came with the sender's own bucket number in front.
-    return pa.table(
-        {
-            "bucket": pa.array([int(np.frombuffer(x[:4], "<i4")[0]) if k == 0 else table.column("bucket")[0].as_py() for _, k, x in made], pa.int32()),
-            "pid": pa.array([p for p, _, _ in made], pa.int32()),
-            "kind": pa.array([k for _, k, _ in made], pa.int32()),
-            "blob": pa.array([x[4:] if k == 0 else x for _, k, x in made], pa.binary()),
-        }
-    )
+    return X.answers(table.column("bucket")[0].as_py(), made)
 
 
 def removed_words(docs: DataFrame, id_col="doc_id", text_col="text", window: int = 13, emit=None, schema: str = "id long, n_words long, n_removed long, kept string"):
@@ -106,7 +98,7 @@ def removed_words(docs: DataFrame, id_col="doc_id", text_col="text", window: int
     ``removed`` marks the part's words that an earlier document's window covers.
     """
     rows, size = X.parts(docs, id_col, text_col)
-    n = X.buckets_for(size / 5)
+    n = X.buckets_for(size / 5, 3e6)
     emit = emit or kept_text
 
     def ask(table: pa.Table) -> pa.Table:
@@ -122,8 +114,6 @@ def removed_words(docs: DataFrame, id_col="doc_id", text_col="text", window: int
         a, b = a[new], b[new]
         at = X.cuts(a, 64, n)
         made = [(i, 1, X.join([K.pack_sorted(a[lo:hi]), K.pack(b[lo:hi]), K.pack(least[lo:hi].view(np.uint64))])) for i, (lo, hi) in enumerate(zip(at[:-1].tolist(), at[1:].tolist())) if hi > lo]
-        # What the buckets told is needed once more, beside their next answers.
-        made += [(i, 2, np.array([i], "<i4").tobytes() + x) for i, x in got]
         return X.rows(pid, made)
 
     def finish(table: pa.Table, told: pa.Table) -> pa.Table:
@@ -143,9 +133,9 @@ def removed_words(docs: DataFrame, id_col="doc_id", text_col="text", window: int
             gone = K.covered(pos[cut], window, part.total)
         return emit(part, gone)
 
-    told = rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(X.tell_shared, X.MESSAGE)
-    told = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(extend, X.MESSAGE).groupBy("bucket").applyInArrow(_reply, X.MESSAGE)
-    return rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(finish, schema)
+    told, _ = write_table(rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(X.tell_shared, X.MESSAGE))
+    again = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(extend, X.MESSAGE).groupBy("bucket").applyInArrow(_reply, X.MESSAGE)
+    return rows.groupBy("pid").cogroup(told.unionByName(again).groupBy("pid")).applyInArrow(finish, schema)
 
 
 def _kept(part: Part, gone: np.ndarray):
@@ -189,4 +179,5 @@ def kept_digest(part: Part | None, gone: np.ndarray | None) -> pa.Table:
 
 def report(docs: DataFrame, **options) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 of every document."""
-    return removed_words(docs, emit=kept_digest, schema="doc_id long, n_words long, n_removed long, kept_sha256 string", **options)
+    docs, names = X.numbered(docs, options.get("id_col", "doc_id"))
+    return X.renamed(removed_words(docs, emit=kept_digest, schema="doc_id long, n_words long, n_removed long, kept_sha256 string", **options), names, "doc_id")
