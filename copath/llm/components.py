@@ -14,17 +14,17 @@ from pyspark.sql import functions as F
 from copath.llm.store import drop_table, write_table
 
 
-def components(links: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
+def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, root) for each linked node but the roots themselves; root is the smallest node of the component.
 
-    Self links, repeated links, both directions and nulls (dropped) are allowed; no links give no rows.
+    Rounds end when one changes nothing. Self links, repeated links, both directions and nulls (dropped) are allowed; no links give no rows.
     """
     spark = links.sparkSession
     x, y = F.col(a), F.col(b)
     start = links.where(x != y).select(F.greatest(x, y).alias("u"), F.least(x, y).alias("v")).distinct()
     edges, path = write_table(start)
     state = None
-    for _ in range(rounds):
+    while True:
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == state or not now[0]:
             break

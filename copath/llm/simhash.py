@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from copath.llm import kernel as K
 from copath.llm.components import components, local_roots
-from copath.llm.store import write_table
+from copath.llm.store import Tables, free_name, write_table
 
 TABLE = K.word_table()
 
@@ -186,6 +186,89 @@ def group_links(part: np.ndarray, key: np.ndarray, fp: np.ndarray, own: np.ndarr
     return nodes[linked], nodes[root[linked]]
 
 
+def block_links(own: np.ndarray, fp: np.ndarray, bound: int) -> tuple[np.ndarray, np.ndarray]:
+    """A spanning forest of the verified pairs of an index row and any row."""
+    nodes, which = np.unique(np.concatenate((own, fp)), return_inverse=True)
+    p, q = which[: len(own)], which[len(own) :]
+    root = np.arange(len(nodes))
+    for i in range(0, len(own), 256):
+        for j in range(0, len(fp), 2048):
+            apart = root[p[i : i + 256]][:, None] != root[q[j : j + 2048]][None]
+            r, c = np.nonzero(apart & (np.bitwise_count(own[i : i + 256, None] ^ fp[None, j : j + 2048]) <= bound))
+            if len(r):
+                root = local_roots(len(nodes), np.concatenate((np.arange(len(nodes)), p[i + r])), np.concatenate((root, q[j + c])))
+    linked = np.flatnonzero(root != np.arange(len(nodes)))
+    return nodes[linked], nodes[root[linked]]
+
+
+#: Rows that a task holds at once; a group of more is compared block by block, by many tasks.
+HELD = 1 << 16
+
+
+def whole_groups(batches, keys: list[str], most: int = HELD):
+    """(table, dense) of a stream that is sorted by ``keys``: whole groups, about ``most`` rows at a time; the rows of a group of more, in pieces, as dense."""
+    held, dense_key = [], None
+
+    def first_row(t):
+        return tuple(t.column(c)[0].as_py() for c in keys)
+
+    def starts(t):
+        """Where each group begins."""
+        new = np.zeros(t.num_rows, bool)
+        new[0] = True
+        for c in keys:
+            x = t.column(c).to_numpy()
+            new[1:] |= x[1:] != x[:-1]
+        return np.flatnonzero(new)
+
+    for b in batches:
+        if not b.num_rows:
+            continue
+        held.append(b)
+        if sum(x.num_rows for x in held) < most:
+            continue
+        t = pa.Table.from_batches(held)
+        at = starts(t)
+        if dense_key is not None and first_row(t) == dense_key:
+            end = int(at[1]) if len(at) > 1 else t.num_rows
+            yield t.slice(0, end), True
+            t, at = t.slice(end), at[1:] - end
+        if len(at) > 1:
+            yield t.slice(0, int(at[-1])), False
+            t = t.slice(int(at[-1]))
+        if t.num_rows >= most:
+            dense_key = first_row(t)
+            yield t, True
+            t = t.slice(t.num_rows)
+        held = t.to_batches()
+    if held:
+        t = pa.Table.from_batches(held)
+        if t.num_rows and dense_key is not None and first_row(t) == dense_key:
+            at = starts(t)
+            end = int(at[1]) if len(at) > 1 else t.num_rows
+            yield t.slice(0, end), True
+            t = t.slice(end)
+        if t.num_rows:
+            yield t, False
+
+
+def dense_links(rows: DataFrame, bound: int) -> DataFrame:
+    """Links (a, b) among rows (part, key, fp, own) of groups too large for a task: index blocks against all blocks of their group."""
+    sizes = rows.groupBy("part", "key").agg(F.ceil(F.count_if("own") / HELD).alias("owns"), F.ceil(F.count("*") / HELD).alias("all")).where("owns > 0")
+    placed = rows.join(sizes, ["part", "key"])
+    place = lambda n: F.pmod(F.xxhash64("fp"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), (F.col(n) - 1).cast("int")))
+    left = placed.where("own").select("part", "key", "fp", F.lit(True).alias("own"), place("owns").alias("i"), every("all").alias("j"))
+    right = placed.select("part", "key", "fp", F.lit(False).alias("own"), every("owns").alias("i"), place("all").alias("j"))
+
+    def compare(t: pa.Table) -> pa.Table:
+        own, fp = t.column("own").to_numpy().astype(bool), t.column("fp").to_numpy().view(np.uint64)
+        a, b = block_links(fp[own], fp[~own], bound)
+        return pa.table({"a": a.view(np.int64), "b": b.view(np.int64)})
+
+    return left.unionByName(right).groupBy("part", "key", "i", "j").applyInArrow(compare, "a long, b long")
+
+
 def link_fingerprints(fps: DataFrame, bound: int = 4, sample_rows: int = 4096) -> DataFrame:
     """Links (a, b) whose components are those of all pairs of distinct ``fp`` values within ``bound`` bits.
 
@@ -201,16 +284,19 @@ def link_fingerprints(fps: DataFrame, bound: int = 4, sample_rows: int = 4096) -
     keyed = distinct.select("fp", probes.alias("x")).select(F.col("x.p").alias("part"), F.col("fp").bitwiseAND(F.col("x.m")).bitwiseXOR(F.col("x.f")).alias("key"), "fp", (F.col("x.f") == 0).alias("own"))
 
     def one(batches):
-        held = [b for b in batches if b.num_rows]
-        if held:
-            t = pa.Table.from_batches(held)
-            col = lambda c: t.column(c).to_numpy()
-            a, b = group_links(col("part"), col("key"), col("fp").view(np.uint64), col("own").astype(bool), bound)
-            del t, held
-            K.tidy()
-            yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["a", "b"])
+        for t, dense in whole_groups(batches, ["part", "key"]):
+            col = lambda c: t.column(c).to_numpy()  # noqa: E731, B023
+            if dense:
+                none = pa.nulls(t.num_rows, pa.int64())
+                out = [none, none, t.column("part").combine_chunks(), t.column("key").combine_chunks(), t.column("fp").combine_chunks(), t.column("own").combine_chunks()]
+            else:
+                a, b = group_links(col("part"), col("key"), col("fp").view(np.uint64), col("own").astype(bool), bound)
+                out = [pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.nulls(len(a), pa.int32()), pa.nulls(len(a), pa.int64()), pa.nulls(len(a), pa.int64()), pa.nulls(len(a), pa.bool_())]
+            yield pa.RecordBatch.from_arrays(out, ["a", "b", "part", "key", "fp", "own"])
 
-    return keyed.repartition("part", "key").mapInArrow(one, "a long, b long")
+    found, _ = write_table(keyed.repartition("part", "key").sortWithinPartitions("part", "key").mapInArrow(one, "a long, b long, part int, key long, fp long, own boolean"))
+    links, dense = found.where("part IS NULL").select("a", "b"), found.where("part IS NOT NULL").select("part", "key", "fp", "own")
+    return links if dense.isEmpty() else links.union(dense_links(dense, bound))
 
 
 def group_fingerprints(fps: DataFrame, bound: int = 4) -> DataFrame:
@@ -314,25 +400,32 @@ def shared_prefixes(texts: DataFrame, shingle: int, least: float) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(h[order][ok].view(np.int64)), b.column("id").take(pa.array(of[ok])), pa.array(size[of[ok]], pa.int32()), pa.array(pos[ok], pa.int32())], ["key", "id", "n", "pos"])
 
     def several(batches):
-        held = [b for b in batches if b.num_rows]
-        if held:
-            t = pa.Table.from_batches(held)
-            _, which, count = np.unique(t.column("key").to_numpy(), return_inverse=True, return_counts=True)
-            t = t.filter(pa.array(count[which] > 1))
-            del held
-            K.tidy()
-            yield from t.to_batches(max_chunksize=1 << 16)
+        # Sorted by key: a row has company if a neighbour has its key. The last row waits for the next batch.
+        last, wanted = None, False
+        for b in batches:
+            if not b.num_rows:
+                continue
+            t = pa.Table.from_batches([b] if last is None else [last, b])
+            key = t.column("key").to_numpy()
+            same = key[1:] == key[:-1]
+            keep = np.concatenate((same, [False])) | np.concatenate(([wanted], same))
+            t = t.combine_chunks()
+            yield from t.slice(0, len(key) - 1).filter(pa.array(keep[:-1])).to_batches()
+            last, wanted = t.slice(len(key) - 1).to_batches()[0], bool(keep[-1])
+        if wanted:
+            yield last
 
-    return texts.mapInArrow(first, kind).repartition("key").mapInArrow(several, kind)
+    return texts.mapInArrow(first, kind).repartition("key").sortWithinPartitions("key").mapInArrow(several, kind)
 
 
-def meet(keys: np.ndarray, n: np.ndarray, pos: np.ndarray, heads: int, least: float, most: int = 1 << 20):
-    """Row numbers (a, b) of rows sorted by key that share a key, a among its first ``heads`` rows and before b, if they can be similar."""
+def meet(keys: np.ndarray, n: np.ndarray, pos: np.ndarray, heads: int, least: float, old: int = 0, most: int = 1 << 20):
+    """Row numbers (a, b) of rows sorted by key that share a key, a among its first ``heads`` rows and before b, if they can be similar. The first ``old`` rows have met each other."""
     if not len(keys):
         return
     new = np.concatenate(([True], keys[1:] != keys[:-1]))
     begin = np.flatnonzero(new)[np.cumsum(new) - 1]
     partners = np.minimum(np.arange(len(keys)) - begin, heads)
+    partners[:old] = 0
     done = np.concatenate(([0], np.cumsum(partners)))
     lo = 0
     while lo < len(keys):
@@ -351,24 +444,31 @@ def candidates(prefixes: DataFrame, heads: int, least: float) -> DataFrame:
     kind = prefixes.schema["id"].dataType.simpleString()
 
     def one(batches):
-        held = [b for b in batches if b.num_rows]
-        if held:
-            t = pa.Table.from_batches(held).combine_chunks()
+        # Sorted by key and id: of the key that a batch ends in, the first rows go on to the next batch.
+        front = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            old = front.num_rows if front is not None else 0
+            t = pa.Table.from_batches([batch] if front is None else [*front.to_batches(), batch]).combine_chunks()
             codes = t.column("id").combine_chunks().dictionary_encode()
             of, ids = codes.indices.to_numpy().astype(np.int64), codes.dictionary
             key = t.column("key").to_numpy()
-            for a, b in meet(key, t.column("n").to_numpy().astype(np.int64), t.column("pos").to_numpy().astype(np.int64), heads, least):
+            for a, b in meet(key, t.column("n").to_numpy().astype(np.int64), t.column("pos").to_numpy().astype(np.int64), heads, least, old):
                 pair = np.unique(of[a] * len(ids) + of[b])
                 yield pa.RecordBatch.from_arrays([ids.take(pa.array(pair // len(ids))), ids.take(pa.array(pair % len(ids)))], ["a", "b"])
             new = np.concatenate(([True], key[1:] != key[:-1]))
-            late = np.unique(of[np.arange(len(key)) - np.flatnonzero(new)[np.cumsum(new) - 1] >= heads])
+            place = np.arange(len(key)) - np.flatnonzero(new)[np.cumsum(new) - 1]
+            late = np.unique(of[(place >= heads) & (np.arange(len(key)) >= old)])
             yield pa.RecordBatch.from_arrays([pa.nulls(len(late), ids.type), ids.take(pa.array(late))], ["a", "b"])
+            start = len(key) - 1 - int(place[-1])
+            front = t.slice(start, min(heads, len(key) - start))
 
     return prefixes.repartition("key").sortWithinPartitions("key", "id").mapInArrow(one, f"a {kind}, b {kind}").distinct()
 
 
-def similar(pairs: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
-    """The pairs (a, b) of a stored table whose texts' shingles have a Jaccard similarity of ``least`` or more."""
+def similar(pairs: DataFrame, heads: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """The pairs (a, b) of a stored table whose texts' shingles have a Jaccard similarity of ``least`` or more; heads: a stored table of the a's."""
     kind = pairs.schema["a"].dataType.simpleString()
 
     def judge(batches):
@@ -378,7 +478,7 @@ def similar(pairs: DataFrame, texts: DataFrame, shingle: int, least: float) -> D
                 yield b.select(["a", "b"]).filter(pa.array([similarity(x, y) >= least for x, y in both], pa.bool_()))
 
     members = texts.withColumnsRenamed({"id": "b"}).join(checked(pairs), "b")
-    heads, _ = write_table(pairs.select("a").distinct())
+    # One head may have any number of members: its row is the only one on its side, so a skewed join can be cut into many tasks.
     firsts = texts.withColumnsRenamed({"id": "a", "text": "head"}).join(checked(heads), "a", "left_semi")
     return members.join(firsts, "a").select("a", "b", "text", "head").mapInArrow(judge, f"a {kind}, b {kind}")
 
@@ -411,28 +511,31 @@ def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, lea
     settled, until every pair has met or left: large groups of copies cost a row a copy and not one a pair.
     Of rows that repeat an id one stays; rows without an id all stay.
     """
-    if not docs.where(F.col(id_col).isNotNull()).groupBy(id_col).count().where("count > 1").isEmpty():
-        own = F.col(id_col).isNotNull()
+    held = Tables(docs.sparkSession)
+    own = F.col(id_col).isNotNull()
+    if not docs.where(own).groupBy(id_col).count().where("count > 1").isEmpty():
         docs, _ = write_table(docs.where(own).dropDuplicates([id_col]).union(docs.where(~own)))
-    texts = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    digests, _ = write_table(set_digests(texts, shingle))
+    texts = docs.where(own).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    digests = held.write(set_digests(texts, shingle))
     smallest = digests.groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("k")).where("k > 1")
-    copies, _ = write_table(digests.join(smallest, "digest").where("id != first").select("id"))
+    copies = held.write(digests.join(smallest, "digest").where("id != first").select("id"))
     lost = [copies]
-    left, _ = write_table(shared_prefixes(texts.join(checked(copies), "id", "left_anti"), shingle, least))
+    left = held.write(shared_prefixes(texts.join(checked(copies), "id", "left_anti"), shingle, least))
     heads = 1
     while True:
-        met, _ = write_table(candidates(left, heads, least))
+        met = held.write(candidates(left, heads, least))
         pairs, late = met.where("a IS NOT NULL"), met.where("a IS NULL").select(F.col("b").alias("id"))
-        links, _ = write_table(similar(pairs, texts, shingle, least))
+        links = held.write(similar(pairs, held.write(pairs.select("a").distinct()), texts, shingle, least))
         if late.isEmpty():
             break
         # Has met all smaller ids and none is similar: stays.
-        stays, _ = write_table(left.select("id").distinct().join(late, "id", "left_anti").join(links.select(F.col("b").alias("id")), "id", "left_anti"))
-        goes, _ = write_table(links.join(stays.select(F.col("id").alias("a")), "a", "left_semi").select(F.col("b").alias("id")).distinct())
+        stays = held.write(left.select("id").distinct().join(late, "id", "left_anti").join(links.select(F.col("b").alias("id")), "id", "left_anti"))
+        goes = held.write(links.join(stays.select(F.col("id").alias("a")), "a", "left_semi").select(F.col("b").alias("id")).distinct())
         lost.append(goes)
-        left, _ = write_table(left.join(checked(stays), "id", "left_anti").join(checked(goes), "id", "left_anti"))
+        left = held.write(left.join(checked(stays), "id", "left_anti").join(checked(goes), "id", "left_anti"))
         heads *= 8
     lost.append(settle(links))
-    gone, _ = write_table(reduce(DataFrame.union, lost).select(F.col("id").alias("_id")))
-    return docs.join(checked(gone), F.col(id_col) == F.col("_id"), "left_anti")
+    name = free_name(docs, "gone")
+    gone, _ = write_table(reduce(DataFrame.union, lost).select(F.col("id").alias(name)))
+    held.drop()
+    return docs.join(checked(gone), F.col(id_col) == F.col(name), "left_anti")

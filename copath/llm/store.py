@@ -2,25 +2,16 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from copath.plans import store
+
 
 def shared_dir(spark: SparkSession) -> str:
     """The cluster's checkpoint folder; a temporary one only where none is set and everything runs in one process."""
-    context = spark.sparkContext
-    found = context._jsc.sc().getCheckpointDir()
-    if found.isDefined():
-        return found.get()
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
-            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-        named = "file://" + tempfile.mkdtemp(prefix="copath-")
-    context.setCheckpointDir(named)
-    return context._jsc.sc().getCheckpointDir().get()
+    return store.shared_dir(spark)
 
 
 def write_table(df: DataFrame) -> tuple[DataFrame, str]:
@@ -36,5 +27,30 @@ def drop_table(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+class Tables:
+    """Intermediate tables of one operator, dropped together once nothing reads them any more."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def write(self, df: DataFrame) -> DataFrame:
+        table, path = write_table(df)
+        self.paths.append(path)
+        return table
+
+    def drop(self) -> None:
+        for path in self.paths:
+            drop_table(self.spark, path)
+        self.paths = []
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """A column name like ``name`` that the frame doesn't have."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
