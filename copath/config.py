@@ -11,7 +11,10 @@ class MinerConfig:
 
     max_reach: most hops of a reach pattern (None: max_len; 0: no limit). psi: damping of the tail bound (None:
     exact). rho: share of source vertices in every stratum (None: all). policy: ``pruned`` or ``prefix_only``. bound:
-    ``global`` (largest in-degree of the graph) or ``per_label``. rule_form: ``single_pass``, ``lattice`` or ``bitmap``.
+    ``global`` (largest in-degree of the graph) or ``per_label``. rule_form: ``single_pass``, ``merged``, ``lattice``, ``bitmap`` or ``auto``
+    (``merged`` or ``lattice``, by the rows that they need; the plain policy always takes ``single_pass``). estimator: supports of sampled runs by the ``ratio`` rho, or by each stratum's own ``stratum_weight``. allow_empty: whether a
+    position may ask for no item. placement: how sources are dealt out to ``parallelism`` partitions (``greedy``, ``hash``, ``snake``; None: by
+    Spark). parallelism: most partitions of any step (None: as the session has it). deadline_s: seconds after which a run stops with what it has.
     """
 
     theta: float
@@ -26,11 +29,14 @@ class MinerConfig:
     seed: int = 42
     policy: str = "pruned"
     bound: str = "global"
-    rule_form: str = "single_pass"
+    rule_form: str = "auto"
+    estimator: str = "ratio"
     min_len: int = 1
     keep_dominated: bool = False
     allow_empty: bool = False
     drop_implied: bool = False
+    placement: str | None = None
+    parallelism: int | None = None
     deadline_s: float | None = None
 
     def __post_init__(self):
@@ -40,7 +46,7 @@ class MinerConfig:
             x = getattr(self, name)
             if x is not None and not 0 <= x <= 1 or name == "rho" and x == 0:
                 raise ValueError(f"{name} must lie between 0 and 1")
-        for name, known in (("policy", ("pruned", "prefix_only")), ("bound", ("global", "per_label")), ("rule_form", ("single_pass", "lattice", "bitmap")), ("sample_mode", ("quota", "threshold"))):
+        for name, known in (("policy", ("pruned", "prefix_only")), ("bound", ("global", "per_label")), ("rule_form", ("auto", "single_pass", "merged", "lattice", "bitmap")), ("estimator", ("ratio", "stratum_weight")), ("placement", (None, "greedy", "hash", "snake")), ("sample_mode", ("quota", "threshold"))):
             if getattr(self, name) not in known:
                 raise ValueError(f"{name} must be one of {known}")
 

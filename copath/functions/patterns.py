@@ -65,10 +65,10 @@ class Pattern:
                 for x in s:
                     yield self.with_sets((*sets[:i], tuple(y for y in s if y != x), *sets[i + 1 :]))
 
-    def parents(self):
-        """One item fewer anywhere, or the last hop gone if it asks for one item."""
-        yield from self.without_one_item()
-        if len(self.hops) > 1 and len(self.hops[-1][1]) == 1:
+    def parents(self, allow_empty: bool = False):
+        """One item fewer anywhere, or the last hop gone if it asks for one item (where sets may be empty: for none)."""
+        yield from self.without_one_item(allow_empty)
+        if len(self.hops) > 1 and len(self.hops[-1][1]) == (0 if allow_empty else 1):
             yield Pattern(self.head, self.hops[:-1])
 
     def dominates(self, other: Pattern) -> bool:

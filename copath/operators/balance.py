@@ -110,6 +110,9 @@ def balance_snake(costs: DataFrame, n: int) -> DataFrame:
     return ranked(costs).join(start, "cost").select("v", "cost", F.when(m < n, m).otherwise(2 * n - 1 - m).cast("int").alias("part"))
 
 
+PLANS = {"greedy": balance_greedy, "hash": balance_hash, "snake": balance_snake}
+
+
 def place(df: DataFrame, plan: DataFrame, n: int, key: str = "v") -> DataFrame:
     """Rows moved to the partition of their vertex's part."""
     return df.join(plan.select(F.col("v").alias(key), "part"), key).repartitionById(n, F.col("part"))

@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.functions.patterns import Pattern
+from copath.operators.kinds import ANY, Kinds, kinds_of
+from copath.plans.store import cut
 from copath.sources.graphs import PropertyGraph
 
 
@@ -50,7 +52,7 @@ class Targets:
     def _grow(self, hops: int, psi: float, labels=None) -> float:
         """log of d^(psi * hops), or of the product of the labels' own degrees (labels unknown: the largest one each hop)."""
         if self.by_label is not None and labels is None:
-            return psi * hops * log(max(1, *self.by_label.values(), 0))
+            return psi * hops * log(max([1, *self.by_label.values()]))
         if self.by_label is not None:
             return psi * sum(log(max(1, self.by_label.get(x, 0))) for x in labels)
         return psi * hops * log(max(1, self.degree))
@@ -82,30 +84,55 @@ class Targets:
         return {item for _, item in self.ends}
 
 
-def target_tables(g: PropertyGraph, theta: float, psi: float | None = None, bound: str = "global") -> Targets:
-    ends = {(r.label, r.item): r.n for r in edge_item_counts(g).collect()}
-    starts = {(r.item, r.label): r.n for r in vertex_label_counts(g).collect()}
-    by_label = largest_in_degrees(g) if bound == "per_label" else None
-    return Targets(theta, largest_in_degree(g), ends, starts, 1.0 if psi is None else psi, by_label)
+def target_tables(g: PropertyGraph, theta: float, psi: float | None = None, bound: str = "global", kinds: Kinds | None = None, max_len: int | None = None, hops: int = 0) -> Targets:
+    """The bounds' counts. With ``max_len``, only those that can pass for patterns of that length, or ``hops`` equal labels, leave the cluster."""
+    k = kinds or kinds_of(g)
+    psi = 1.0 if psi is None else psi
+    into = cut(g.edges.groupBy("label", "dst").agg(F.count("*").alias("n")))
+    degree = into.groupBy("dst").agg(F.sum("n").alias("n")).agg(F.max("n")).first()[0] or 0
+    by_label = {r.label: r.n for r in into.groupBy("label").agg(F.max("n").alias("n")).collect()} if bound == "per_label" else None
+    own = k.own.select(F.col("v").alias("dst"), "sid")
+    ends = into.join(own, "dst").groupBy("label", "sid").agg(F.sum("n").alias("n")).join(k.attrs, "sid").groupBy("label", "item").agg(F.sum("n").alias("n"))
+    out = g.edges.select(F.col("src").alias("v"), "label").distinct().join(k.own, "v")
+    starts = out.groupBy("label", "sid").agg(F.count("*").alias("n")).join(k.attrs, "sid").groupBy("item", "label").agg(F.sum("n").alias("n"))
+    if max_len is not None:
+        far = max(1, degree)
+        if hops:
+            ends = ends.where(F.col("n") >= theta / far ** (psi * (max(max_len, hops) - 1)) / hops - 1e-9)
+        starts = starts.where(F.col("n") >= theta / far ** (max_len - 1) - 1e-9)
+    return Targets(theta, degree, {(r.label, r.item): r.n for r in ends.collect()}, {(r.item, r.label): r.n for r in starts.collect()}, psi, by_label)
+
+
+def target_labels(t: Targets, max_len: int, hops: int) -> list[int]:
+    """Labels with an end and a start that can be part of a frequent pattern of length one or more."""
+    starts = {label for item, label in t.starts if t.step_ok(max_len, item, label)}
+    return sorted({label for label, item in t.ends if label in starts and (t.tail_ok(max_len, label, item) or t.reach_tail_ok(label, item, hops))})
+
+
+def target_items(t: Targets, max_len: int, hops: int) -> list[tuple[int, int]]:
+    """(label, item): ends that an edge of a target label can have in a frequent pattern."""
+    labels = set(target_labels(t, max_len, hops))
+    return sorted((label, item) for label, item in t.ends if label in labels and (t.tail_ok(max_len, label, item) or t.reach_tail_ok(label, item, hops)))
 
 
 def reduce_graph(g: PropertyGraph, t: Targets, max_len: int, hops: int) -> PropertyGraph:
-    """Without edges whose label or end can't be part of a frequent pattern of length one or more; items and vertices stay."""
+    """Without edges whose label can't be part of a frequent pattern of length one or more; items and vertices stay."""
     if not max_len:
         return g
-    used = {label for label, item in t.ends if t.tail_ok(max_len, label, item) or t.reach_tail_ok(label, item, hops)}
+    used = target_labels(t, max_len, hops)
     if len(used) == len(g.labels):
         return g
-    return PropertyGraph(g.vertices, g.attrs, g.edges.where(F.col("label").isin(sorted(used))) if used else g.edges.limit(0), g.items, g.labels, g._n)
+    return PropertyGraph(g.vertices, g.attrs, g.edges.where(F.col("label").isin(used)) if used else g.edges.limit(0), g.items, g.labels, g._n)
 
 
-def useful_sources(g: PropertyGraph, t: Targets) -> DataFrame:
+def useful_sources(g: PropertyGraph, t: Targets, heads: list[int] | None = None) -> DataFrame:
     """(v): vertices with a target item and an outgoing edge with a target label; no other starts a pattern of length one or more."""
     labels = sorted({label for (item, label) in t.starts if t.step_ok(1, item, label)})
-    heads = sorted({item for (item, label) in t.starts if t.step_ok(1, item, label)})
-    if not labels or not heads:
+    items = sorted({item for (item, label) in t.starts if item != ANY and t.step_ok(1, item, label)} if heads is None else heads)
+    if not labels or not items:
         return g.vertices.limit(0)
-    return g.attrs.where(F.col("item").isin(heads)).select("v").distinct().join(g.edges.where(F.col("label").isin(labels)).select(F.col("src").alias("v")).distinct(), "v", "left_semi")
+    own = g.vertices if ANY in items else g.attrs.where(F.col("item").isin(items)).select("v").distinct()
+    return own.join(g.edges.where(F.col("label").isin(labels)).select(F.col("src").alias("v")).distinct(), "v", "left_semi")
 
 
 def damping_loss(supports: list[tuple[Pattern, int]], exact: Targets, psi: float) -> list[tuple[Pattern, int, float, bool]]:

@@ -1,22 +1,29 @@
 """Frequent patterns, level by level: item sets, fixed patterns, reach patterns.
 
-The catalogue of patterns is small and lives on the driver; vertices never do. Each round turns the catalogue's
-candidates into one table that is broadcast, counts all of them in one job, and keeps the frequent ones.
-States (pid, src, tail) hold where each pattern's walks end, so that longer patterns start from there.
+A pattern is a head and a *code*, its hops. Codes are evaluated backwards, from their ends to the vertices that start
+them, without heads and without the pairs of vertices that a walk joins: rows (code, vertex) are at most codes times vertices. Heads come in only where
+rows are counted: vertices of one kind (the same items) are one group, so that a round counts (kind, code), and
+supports of all heads, of one item or many, are sums over kinds. Catalogues of frequent patterns are small and live on the driver; vertices
+never do. Where a prefix may be followed by any label and item that passes the bounds, candidates come from the data and
+only frequent ones are named; larger sets are candidates if some head has all of their parts.
 """
 
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import reduce
 from itertools import combinations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.config import MinerConfig
 from copath.functions.patterns import Pattern
 from copath.operators.bounds import Targets
+from copath.operators.kinds import ANY
 from copath.plans.store import cut
 from copath.sources.graphs import PropertyGraph
 
@@ -33,7 +40,7 @@ class Catalogue:
     names: list[Pattern] = field(default_factory=list)
     support: dict[Pattern, float] = field(default_factory=dict)
     rounds: list[tuple] = field(default_factory=list)
-    deadline: float | None = None
+    late: Callable[[], bool] = lambda: False
     finished: bool = True
 
     def number(self, p: Pattern) -> int:
@@ -42,255 +49,381 @@ class Catalogue:
             self.names.append(p)
         return self.ids[p]
 
+    def add(self, p: Pattern, n: float) -> int:
+        self.support[p] = n
+        return self.number(p)
+
     def frequent(self, p: Pattern) -> bool:
         return p in self.support
 
     def of(self, length: int, reach: bool = False) -> list[Pattern]:
         return [p for p in self.support if p.reach == reach and len(p.hops) == length]
 
-    def late(self) -> bool:
-        if self.deadline is not None and time.monotonic() > self.deadline:
-            self.finished = False
-        return not self.finished
+    def log(self, step: str, i: int, generated: int, frequent: int, began: float) -> None:
+        self.rounds.append((step, i, generated, frequent, time.monotonic() - began))
+
+
+_ARROW = {"int": pa.int32(), "long": pa.int64()}
 
 
 def small_table(df: DataFrame, rows: list[tuple], schema: str) -> DataFrame:
-    table = df.sparkSession.createDataFrame(rows, schema)
+    """Driver-side rows of whole numbers as a table; broadcast up to a checked number of rows."""
+    spark, fields = df.sparkSession, [f.split() for f in schema.split(", ")]
+    if not rows:
+        return F.broadcast(spark.createDataFrame([], schema))
+    columns = list(zip(*rows))
+    table = spark.createDataFrame(pa.table({name: pa.array(columns[i], _ARROW[kind]) for i, (name, kind) in enumerate(fields)}))
     return F.broadcast(table) if len(rows) <= BROADCAST_ROWS else table
 
 
-def settle(c: Catalogue, found: DataFrame, key: str, scale: float, step: str, i: int, generated: int, began: float) -> dict[int, float]:
-    """Supports of the candidates in ``found`` (distinct rows of pid and ``key``) that are frequent; ``scale`` turns sampled counts into estimates."""
-    one_row = set(found.columns) == {"pid", key}
-    counts = found.groupBy("pid").agg(F.count("*").alias("n") if one_row else F.count_distinct(key).alias("n"))
-    rows = counts.where(F.col("n") / scale >= c.theta - 1e-9).collect()
-    out = {r.pid: r.n / scale if scale != 1 else r.n for r in rows}
-    c.support.update({c.names[k]: n for k, n in out.items()})
-    c.rounds.append((step, i, generated, len(out), time.monotonic() - began))
-    return out
+def checked(df: DataFrame, rows: int) -> DataFrame:
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
 
+def frequent_keys(c: Catalogue, found: DataFrame, keys: list[str], scale: float, distinct: bool = False) -> list:
+    """Rows of keys and n, their estimated support, of keys whose sources (src, w) are enough. ``distinct``: a source may repeat."""
+    rows = found.select(*keys, "src", "w").distinct() if distinct else found
+    got = rows.groupBy(*keys).agg(F.sum("w").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9).collect()
+    return [(*r[:-1], r.n / scale if scale != 1 else r.n) for r in got]
 
-def only(df: DataFrame, ids) -> DataFrame:
+
+def only(df: DataFrame, ids, name: str = "pid") -> DataFrame:
     ids = list(ids)
-    return df.join(small_table(df, [(i,) for i in ids], "pid int"), "pid", "left_semi") if ids else df.limit(0)
+    return df.join(small_table(df, [(i,) for i in ids], f"{name} int"), name, "left_semi") if ids else df.limit(0)
+
+
+def union(frames: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.union, frames)
+
 
+def end_set(item: int) -> tuple[int, ...]:
+    return () if item == ANY else (item,)
 
-def frequent_itemsets(g: PropertyGraph, c: Catalogue, sources: DataFrame | None, scale: float, cfg: MinerConfig) -> DataFrame:
-    """Level-wise join and prune. matches(pid, v) of all frequent item sets."""
-    attrs = g.attrs if sources is None else g.attrs.join(sources, "v", "left_semi")
+
+def holding(attrs: DataFrame, sets: list[tuple[int, tuple[int, ...]]], name: str = "sid") -> DataFrame:
+    """(sid, v): vertices that have all items of a set; sets: (number, items), the empty one is ANY."""
+    rows = [(k, x, max(1, len(s))) for k, s in sets for x in (s or (ANY,))]
+    held = attrs.join(small_table(attrs, rows, f"{name} int, item int, k int"), "item")
+    if any(len(s) > 1 for _, s in sets):
+        held = held.groupBy(name, "v").agg(F.count("*").alias("have"), F.first("k").alias("k")).where("have = k")
+    return held.select(name, "v")
+
+
+def frequent_itemsets(attrs: DataFrame, weights: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig, n_items: int) -> DataFrame:
+    """Level-wise join and prune over attrs(v, item). (pid, v, w) of all frequent item sets."""
     began = time.monotonic()
-    singles = [Pattern((i,)) for i in range(len(g.items))]
-    cands = small_table(attrs, [(i, c.number(p)) for i, p in enumerate(singles)], "item int, pid int")
-    found = cut(attrs.join(cands, "item").select("pid", "v"))
-    keep = settle(c, found, "v", scale, "itemsets", 1, len(singles), began)
-    level, all_matches, size = only(found, keep), [only(found, keep)], 1
-    while keep and (cfg.max_items is None or size < cfg.max_items) and not c.late():
+    attrs = cut(attrs.join(weights, "v").select(F.col("v").alias("src"), "item", "w"))
+    rows = frequent_keys(c, attrs, ["item"], scale)
+    pids = [(item, c.add(Pattern(end_set(item)), n)) for item, n in sorted(rows)]
+    c.log("itemsets", 1, n_items, len(pids), began)
+    level = attrs.join(small_table(attrs, pids, "item int, pid int"), "item").select("pid", "src", "w")
+    frames, size = [level], 1
+    attrs = attrs.where(F.col("item") != ANY)
+    while pids and (cfg.max_items is None or size < cfg.max_items) and not c.late():
         began, size = time.monotonic(), size + 1
         heads = sorted(p.head for p in c.of(0) if len(p.head) == size - 1)
         known = set(heads)
         by_prefix: dict[tuple, list[int]] = {}
         for h in heads:
             by_prefix.setdefault(h[:-1], []).append(h[-1])
-        rows = []
+        cand = []
         for prefix, lasts in by_prefix.items():
             for a, b in combinations(lasts, 2):
                 s = (*prefix, a, b)
                 if cfg.policy == "prefix_only" or all(t in known for t in combinations(s, size - 1)):
-                    rows.append((c.ids[Pattern((*prefix, a))], b, c.number(Pattern(s))))
-        if not rows:
+                    cand.append((c.ids[Pattern((*prefix, a))], b, c.number(Pattern(s))))
+        if not cand:
             break
-        found = cut(level.join(small_table(level, rows, "pid int, item int, new int"), "pid").join(attrs, ["v", "item"]).select(F.col("new").alias("pid"), "v"))
-        keep = settle(c, found, "v", scale, "itemsets", size, len(rows), began)
-        level = only(found, keep)
-        all_matches.append(level)
-    out = all_matches[0]
-    for m in all_matches[1:]:
-        out = out.union(m)
-    return cut(out)
+        found = level.join(small_table(level, cand, "pid int, item int, new int"), "pid").join(attrs.select("src", "item"), ["src", "item"])
+        found = cut(found.select(F.col("new").alias("pid"), "src", "w"))
+        pids = frequent_keys(c, found, ["pid"], scale)
+        for k, n in pids:
+            c.add(c.names[k], n)
+        c.log("itemsets", size, len(cand), len(pids), began)
+        level = only(found, [k for k, _ in pids])
+        frames.append(level)
+    return cut(union(frames).withColumnRenamed("src", "v"))
+
+
+class Ends:
+    """Labels and items that may follow a prefix by the bounds, for patterns of one length."""
+
+    def __init__(self, t: Targets, i: int):
+        self.t, self.i = t, i
+        self.by_label: dict[int, list[int]] = {}
+        for label, item in sorted(t.ends):
+            self.by_label.setdefault(label, []).append(item)
+        self.known: dict = {}
+
+    def before(self, p: Pattern) -> tuple[int, ...]:
+        """What the bounds look at: the labels of the prefix, if degrees are counted by label."""
+        return tuple(label for label, _ in p.hops) if self.t.by_label is not None else ()
+
+    def items(self, before: tuple[int, ...], label: int) -> list[int]:
+        if (before, label) not in self.known:
+            own = before if self.t.by_label is not None else None
+            self.known[before, label] = [x for x in self.by_label[label] if self.t.tail_ok(self.i, label, x, own)]
+        return self.known[before, label]
+
+    def labels(self, p: Pattern) -> list[int]:
+        """Labels that the prefix's last set may be followed by, and that have an end."""
+        before, key = self.before(p), (self.before(p), p.sets[-1], "labels")
+        if key not in self.known:
+            own = before if self.t.by_label is not None else None
+            self.known[key] = [label for label in self.by_label if self.items(before, label) and all(self.t.step_ok(self.i, x, label, own) for x in p.sets[-1] or (ANY,))]
+        return self.known[key]
 
 
-def _covered(c: Catalogue, p: Pattern, cfg: MinerConfig) -> bool:
-    """Every pattern with one item less is frequent (checked under the pruned policy only)."""
-    return cfg.policy == "prefix_only" or all(c.frequent(q) for q in p.without_one_item())
+@dataclass
+class Sources:
+    """own(v, sid, w): the sources with their kind and weight; heads(sid, pid): the frequent item sets of each kind."""
+
+    own: DataFrame
+    heads: DataFrame
+
+
+class Codes:
+    """Hops of patterns, as patterns without a head: their numbers, the heads that each is frequent with, and rows (cid, v)."""
+
+    def __init__(self, c: Catalogue, sources: Sources, scale: float, cfg: MinerConfig):
+        self.c, self.sources, self.scale, self.cfg = c, sources, scale, cfg
+        self.ids: dict[Pattern, int] = {}
+        self.heads: dict[Pattern, set[int]] = {}
+        self.frames: list[DataFrame] = []
+
+    def number(self, q: Pattern) -> int:
+        return self.ids.setdefault(q, len(self.ids))
+
+    def count(self, found: DataFrame, keys: list[str], code_of) -> list[tuple]:
+        """Supports of all heads with the codes of found(keys, v); gives the keys of codes that are frequent with any head, with the code's number."""
+        c = self.c
+        by_kind = found.join(self.sources.own, "v").groupBy("sid", *keys).agg(F.sum("w").alias("n"))
+        rows = by_kind.join(self.sources.heads, "sid").groupBy("pid", *keys).agg(F.sum("n").alias("n")).where(F.col("n") / self.scale >= c.theta - 1e-9).collect()
+        out = {}
+        for r in sorted(rows):
+            h, key, n = c.names[r[0]], tuple(r[1:-1]), r.n / self.scale if self.scale != 1 else r.n
+            q = code_of(*key)
+            c.add(Pattern(h.head, q.hops, q.reach), n)
+            self.heads.setdefault(q, set()).add(r[0])
+            out[key] = self.number(q)
+        return [(*key, cid) for key, cid in out.items()]
+
+    def keep(self, found: DataFrame, keys: list[str], kept: list[tuple]) -> None:
+        """Rows of the frequent codes."""
+        table = small_table(found, kept, ", ".join(f"{k} int" for k in (*keys, "cid")))
+        self.frames.append(found.join(table, keys).select("cid", "v"))
+
+    def shared(self, q: Pattern) -> set[int]:
+        """Heads that all parts of a code are frequent with."""
+        parts = [self.heads.get(p, set()) for p in q.without_one_item(self.cfg.allow_empty)]
+        return set.intersection(*parts) if parts else set()
+
+    def rows(self) -> DataFrame | None:
+        """(cid, v) of the sources."""
+        return cut(union(self.frames).join(self.sources.own.select("v"), "v", "left_semi").select("cid", "v")) if self.frames else None
+
+    def patterns(self) -> list[tuple[int, int, int]]:
+        """(head's pid, cid, pid) of every frequent pattern with a hop."""
+        c = self.c
+        return [(h, self.ids[q], c.ids[Pattern(c.names[h].head, q.hops, q.reach)]) for q, heads in self.heads.items() for h in heads]
+
+
+def ends_of(edges: DataFrame, attrs: DataFrame, tips: dict[tuple[int, tuple[int, ...]], int]) -> DataFrame:
+    """(eid, v): vertices with an edge of the label to one that has the items; tips: (label, items) -> eid."""
+    held = holding(attrs, [(k, s) for (_, s), k in tips.items()], "eid")
+    label_of = small_table(attrs, [(k, label) for (label, _), k in tips.items()], "eid int, label int")
+    return cut(held.join(label_of, "eid").withColumnRenamed("v", "dst").join(edges, ["label", "dst"]).select("eid", F.col("src").alias("v")).distinct())
+
+
+def back(edges: DataFrame, attrs: DataFrame, rows: DataFrame, steps: list[tuple[int, tuple[int, ...], int, int]], extra: list[str]) -> DataFrame:
+    """(suffix, extra, v) one hop before rows(suffix, extra, v): steps are (label, items, suffix, new suffix)."""
+    sets = {s: k for k, s in enumerate(sorted({s for _, s, _, _ in steps}))}
+    table = small_table(rows, [(sets[s], suffix, label, new) for label, s, suffix, new in steps], "hid int, suffix int, label int, new int")
+    at = rows.join(holding(attrs, [(k, s) for s, k in sets.items()], "hid"), "v").join(table, ["hid", "suffix"])
+    hop = at.select("new", *extra, "label", F.col("v").alias("dst")).join(edges, ["label", "dst"])
+    return hop.select(F.col("new").alias("suffix"), *extra, F.col("src").alias("v")).distinct()
+
+
+def explicit(edges: DataFrame, attrs: DataFrame, codes: list[tuple[int, Pattern]]) -> DataFrame:
+    """(cid, v) of listed codes of one length."""
+    length = len(codes[0][1].hops)
+    number = [{} for _ in range(length)]
+    for j in range(length):
+        for _, q in codes:
+            number[j].setdefault(q.hops[j:], len(number[j]))
+    rows = ends_of(edges, attrs, {hops[0]: k for hops, k in number[-1].items()}).withColumnRenamed("eid", "suffix")
+    for j in range(length - 2, -1, -1):
+        steps = [(hops[0][0], hops[0][1], number[j + 1][hops[1:]], k) for hops, k in number[j].items()]
+        rows = cut(back(edges, attrs, rows, steps, []))
+    table = small_table(rows, [(number[0][q.hops], cid) for cid, q in codes], "suffix int, cid int")
+    return rows.join(table, "suffix").select("cid", "v")
+
+
+def grow_fixed(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tips: dict, first: DataFrame) -> None:
+    """All frequent fixed patterns of length 1 to max_len. first: (eid, v) of the single ends ``tips`` that any length or reach pattern may have."""
+    c, cfg = codes.c, codes.cfg
+    for i in range(1, cfg.max_len + 1):
+        began, ends = time.monotonic(), Ends(t, i)
+        # Prefixes by code; the bounds and heads are those of patterns.
+        prefixes = c.of(i - 1)
+        if not prefixes or c.late():
+            break
+        single = sorted({Pattern((), p.hops) for p in prefixes if all(len(s) <= 1 for _, s in p.hops)}, key=lambda p: p.hops)
+        generated = sum(len(ends.items(ends.before(p), label)) for p in prefixes for label in ends.labels(p))
+        if i == 1:
+            wanted = sorted({(label, x) for p in prefixes for label in ends.labels(p) for x in ends.items((), label)})
+            eids = [(tips[label, end_set(x)],) for label, x in wanted]
+            found = first.join(small_table(first, eids, "eid int"), "eid", "left_semi") if eids else first.limit(0)
+            keys, name = ["eid"], {k: Pattern((), (hop,)) for hop, k in tips.items()}
+            code_of = name.__getitem__
+        else:
+            found, code_of = followed(g, attrs, ends, single, tips, first)
+            keys = ["suffix", "eid"]
+        kept = codes.count(found, keys, code_of)
+        c.log(f"fixed_{i}", 1, generated, len(kept), began)
+        if not kept:
+            break
+        codes.keep(found, keys, kept)
+        m = 2
+        while not c.late() and m <= max(q.n_items for q in (*codes.heads, *(Pattern((), p.hops) for p in prefixes))) + 1:
+            began = time.monotonic()
+            cand = {q: codes.shared(q) for q in (*wider_ends(codes, i, m), *longer(codes, ends, prefixes, m)) if q not in codes.heads}
+            if i > 1:
+                cand = {q: heads & codes.heads.get(Pattern((), q.hops[:-1]), set()) for q, heads in cand.items()}
+            cand = {q: heads for q, heads in cand.items() if heads}
+            if cand:
+                found = cut(explicit(g.edges, attrs, [(codes.number(q), q) for q in sorted(cand, key=lambda q: q.hops)]))
+                names = {k: q for q, k in codes.ids.items()}
+                kept = codes.count(found, ["cid"], names.__getitem__)
+                c.log(f"fixed_{i}", m, sum(map(len, cand.values())), len(kept), began)
+                if kept:
+                    codes.frames.append(only(found, [k for k, _ in kept], "cid"))
+            m += 1
 
 
-def extend_length(c: Catalogue, t: Targets, g: PropertyGraph, i: int, cfg: MinerConfig) -> list[tuple[Pattern, int, int, Pattern]]:
-    """(parent, label, item, child): frequent patterns of length i-1 with one more hop to a single item."""
+def followed(g: PropertyGraph, attrs: DataFrame, ends: Ends, prefixes: list[Pattern], tips: dict, first: DataFrame) -> tuple[DataFrame, Callable]:
+    """(suffix, eid, v): prefixes of single items with one more hop to a single item that the bounds admit, by data; and the code of (suffix, eid)."""
+    length = len(prefixes[0].hops)
+    number = [{} for _ in range(length)] + [{(): 0}]
+    for j in range(length):
+        for p in prefixes:
+            number[j].setdefault(p.hops[j:], len(number[j]))
+    label_of = {k: label for (label, _), k in tips.items()}
+    groups: dict[tuple, int] = {}
+    allowed, admitted = [], set()
+    for p in prefixes:
+        grp = groups.setdefault(ends.before(p), len(groups))
+        for label in ends.labels(p):
+            allowed.append((number[0][p.hops], label, grp))
+    for before, grp in groups.items():
+        admitted |= {(grp, label, tips[label, end_set(x)]) for label in ends.by_label for x in ends.items(before, label) if (label, end_set(x)) in tips}
+    # Which ends may follow which last set: before any hop is taken.
+    last = {}
+    for p in prefixes:
+        last.setdefault(p.hops[-1][1], set()).update(ends.labels(p))
+    eids = sorted({k for *_, k in admitted})
+    rows = first.join(small_table(first, [(k, label_of[k]) for k in eids], "eid int, label int"), "eid")
+    sets = {s: k for k, s in enumerate(sorted(last))}
+    may = small_table(rows, [(sets[s], label) for s, labels in last.items() for label in labels], "hid int, label int")
+    rows = rows.join(holding(attrs, [(k, s) for s, k in sets.items()], "hid"), "v").join(may, ["hid", "label"]).select("hid", "eid", "v")
+    step = small_table(rows, [(sets[hops[0][1]], hops[0][0], k) for hops, k in number[length - 1].items()], "hid int, label int, suffix int")
+    rows = rows.join(step, "hid").select("suffix", "label", "eid", F.col("v").alias("dst")).join(g.edges, ["label", "dst"]).select("suffix", "eid", F.col("src").alias("v")).distinct()
+    for j in range(length - 2, -1, -1):
+        steps = [(hops[0][0], hops[0][1], number[j + 1][hops[1:]], k) for hops, k in number[j].items()]
+        rows = back(g.edges, attrs, cut(rows), steps, ["eid"])
+    by_label = small_table(rows, [(k, label_of[k]) for k in eids], "eid int, label int")
+    rows = rows.join(by_label, "eid").join(small_table(rows, allowed, "suffix int, label int, grp int"), ["suffix", "label"])
+    rows = cut(rows.join(small_table(rows, [(grp, k) for grp, _, k in sorted(admitted)], "grp int, eid int"), ["grp", "eid"], "left_semi").select("suffix", "eid", "v"))
+    names, hop_of = {k: hops for hops, k in number[0].items()}, {k: hop for hop, k in tips.items()}
+    return rows, lambda suffix, eid: Pattern((), (*names[suffix], hop_of[eid]))
+
+
+def wider_ends(codes: Codes, i: int, m: int) -> list[Pattern]:
+    """Codes of length i and m items: one more item at the end, larger than those there."""
+    level = [q for q in codes.heads if not q.reach and len(q.hops) == i]
+    singles: dict[tuple, list[int]] = {}
+    for q in level:
+        if len(q.hops[-1][1]) == 1:
+            singles.setdefault((q.hops[:-1], q.hops[-1][0]), []).append(q.hops[-1][1][0])
     out = []
-    tails: dict[int, list[int]] = {}
-    for label, item in t.ends:
-        tails.setdefault(label, []).append(item)
-    for p in c.of(i - 1):
-        before = tuple(label for label, _ in p.hops)
-        last = p.sets[-1]
-        for label, items in tails.items():
-            if cfg.policy == "pruned" and not all(t.step_ok(i, x, label, before) for x in last):
-                continue
-            for item in items:
-                if cfg.policy == "prefix_only" or t.tail_ok(i, label, item, before):
-                    out.append((p, label, item, Pattern(p.head, (*p.hops, (label, (item,))))))
+    for q in level:
+        label, s = q.hops[-1]
+        if q.n_items == m - 1 and s and (codes.cfg.max_items is None or len(s) < codes.cfg.max_items):
+            out += [Pattern((), (*q.hops[:-1], (label, (*s, x)))) for x in singles.get((q.hops[:-1], label), ()) if x > s[-1]]
     return out
 
 
-def extend_items(c: Catalogue, t: Targets, parents: list[Pattern], i: int, cfg: MinerConfig) -> list[tuple[Pattern, int, Pattern]]:
-    """(parent, item, child): patterns with one more item at their end, larger than those there.
-
-    The plain policy tries every item that any edge of the label ends at.
-    """
-    ends: dict[tuple, list[int]] = {}
-    for p in c.of(i):
-        if len(p.hops[-1][1]) == 1:
-            ends.setdefault((p.head, p.hops[:-1], p.hops[-1][0]), []).append(p.hops[-1][1][0])
-    if cfg.policy == "prefix_only":
-        for key in ends:
-            ends[key] = sorted(item for label, item in t.ends if label == key[2])
+def longer(codes: Codes, ends: Ends, prefixes: list[Pattern], m: int) -> list[Pattern]:
+    """Codes of m items: prefixes that hold a larger set somewhere, with the single ends that one of their parts has."""
+    wide = {Pattern((), p.hops) for p in prefixes if any(len(s) > 1 for _, s in p.hops)}
+    follow: dict[Pattern, set] = {}
+    for q in codes.heads:
+        if not q.reach and q.hops and len(q.hops[-1][1]) <= 1:
+            follow.setdefault(Pattern((), q.hops[:-1]), set()).add(q.hops[-1])
     out = []
-    for p in parents:
-        label, last = p.hops[-1]
-        if cfg.max_items is not None and len(last) >= cfg.max_items:
-            continue
-        for item in ends.get((p.head, p.hops[:-1], label), []):
-            if item > last[-1]:
-                out.append((p, item, Pattern(p.head, (*p.hops[:-1], (label, (*last, item))))))
+    for p in wide:
+        if p.n_items in (m - 1, m):
+            parts = [follow.get(q, set()) for q in p.without_one_item(codes.cfg.allow_empty)]
+            labels, before = set(ends.labels(p)), ends.before(p)
+            out += [q for hop in sorted(set.intersection(*parts)) if hop[0] in labels and (hop[1][0] if hop[1] else ANY) in ends.items(before, hop[0]) and (q := Pattern((), (*p.hops, hop))).n_items == m]
     return out
 
 
-def examined(c: Catalogue, g: PropertyGraph, i: int, m: int, tried: int, cfg: MinerConfig) -> int:
-    """Candidates of a vertical round. The plain policy has every frequent prefix with every label and item, whether or not they occur."""
-    return tried if cfg.policy == "pruned" else sum(p.n_items == m - 1 for p in c.of(i - 1)) * len(g.labels) * len(g.items)
-
-
-def last_hop(g: PropertyGraph, c: Catalogue, states: DataFrame, cand: list[tuple[Pattern, int, tuple[int, ...], Pattern]]) -> DataFrame:
-    """(pid, src) of candidates (prefix, label, items, pattern): prefixes' ends meet the vertices that an edge of the label leads to the items from."""
-    number = {x: k for k, x in enumerate(sorted({(label, s) for _, label, s, _ in cand}))}
-    want = small_table(states, [(k, label, x, len(s)) for (label, s), k in number.items() for x in s], "sid int, label int, item int, k int")
-    held = g.attrs.join(want, "item")
-    if any(len(s) > 1 for _, s in number):
-        held = held.groupBy("sid", "label", "v").agg(F.count("*").alias("have"), F.first("k").alias("k")).where("have = k")
-    ends = held.select("sid", "label", F.col("v").alias("dst")).join(g.edges, ["label", "dst"]).select("sid", F.col("src").alias("tail")).distinct()
-    rows = [(c.ids[p], number[label, s], c.number(q)) for p, label, s, q in cand]
-    hit = states.join(ends, "tail").join(small_table(states, rows, "pid int, sid int, new int"), ["pid", "sid"])
-    return hit.select(F.col("new").alias("pid"), "src")
-
-
-def grow_fixed(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, scale: float, cfg: MinerConfig) -> DataFrame | None:
-    """matches(pid, v) of all frequent fixed patterns of length 1 to max_len."""
-    states = heads.select("pid", F.col("v").alias("src"), F.col("v").alias("tail"))
-    matches = None
-    for i in range(1, cfg.max_len + 1):
-        vertical = extend_length(c, t, g, i, cfg)
-        if not vertical or c.late():
-            break
-        todo: dict[int, list] = {}
-        for p, label, item, q in vertical:
-            todo.setdefault(q.n_items, []).append((p, label, item, q))
-        level, done, m = [], {}, min(todo)
-        while m <= max(max(todo, default=0), max(done, default=0) + 1):
-            began = time.monotonic()
-            up = [(p, label, item, q) for p, label, item, q in todo.get(m, []) if _covered(c, q, cfg)]
-            grown = [x for x in extend_items(c, t, [p for p in c.of(i) if p.n_items == m - 1], i, cfg) if _covered(c, x[2], cfg)]
-            pieces = []
-            if i == cfg.max_len:
-                # No pattern goes on from here, so that which vertex ends a walk no longer matters.
-                cand = [(p, label, q.hops[-1][1], q) for p, label, _, q in up] + [(Pattern(q.head, q.hops[:-1]), q.hops[-1][0], q.hops[-1][1], q) for _, _, q in grown]
-                if cand:
-                    pieces.append(last_hop(g, c, states, cand))
-            elif up:
-                cand = [(c.ids[p], label, item, c.number(q)) for p, label, item, q in up]
-                own = states.join(small_table(states, sorted({(a,) for a, *_ in cand}), "pid int"), "pid", "left_semi")
-                steps = g.edges.select(F.col("src").alias("tail"), "label", "dst")
-                hop = own.join(steps, "tail").join(small_table(states, sorted({(a, b) for a, b, _, _ in cand}), "pid int, label int"), ["pid", "label"], "left_semi")
-                hop = hop.select("pid", "label", "src", F.col("dst").alias("v")).distinct()
-                ends = hop.join(g.attrs, "v").join(small_table(states, cand, "pid int, label int, item int, new int"), ["pid", "label", "item"])
-                pieces.append(ends.select(F.col("new").alias("pid"), "src", F.col("v").alias("tail")))
-            if i < cfg.max_len and grown and done.get(m - 1) is not None:
-                cand = [(c.ids[p], item, c.number(q)) for p, item, q in grown]
-                wide = done[m - 1].join(small_table(states, cand, "pid int, item int, new int"), "pid").join(g.attrs.select(F.col("v").alias("tail"), "item"), ["tail", "item"])
-                pieces.append(wide.select(F.col("new").alias("pid"), "src", "tail"))
-            if pieces:
-                found = pieces[0] if len(pieces) == 1 else pieces[0].union(pieces[1])
-                found = cut(found.distinct())
-                keep = settle(c, found, "src", scale, f"fixed_{i}", m, examined(c, g, i, m, len(up), cfg) + len(grown), began)
-                done[m] = only(found, keep) if keep else None
-                if keep:
-                    level.append(done[m])
-            m += 1
-            if c.late():
-                break
-        if not level:
-            break
-        states = level[0]
-        for x in level[1:]:
-            states = states.union(x)
-        if i < cfg.max_len:
-            states = cut(states)
-        own = states.select("pid", F.col("src").alias("v")).distinct()
-        matches = own if matches is None else matches.union(own)
-    return None if matches is None else cut(matches)
+def propagate(edges: DataFrame, seeds: DataFrame, hops: int) -> DataFrame:
+    """(tid, v) reached backwards from seeds(tid, label, v) in 1 to ``hops`` edges of the seed's label (0: until nothing is new)."""
+    first = seeds.join(edges.select(F.col("dst").alias("v"), "label", "src"), ["v", "label"]).select("tid", "label", F.col("src").alias("v")).distinct()
+    return onward(edges, cut(first), hops)
 
 
-def propagate(g: PropertyGraph, seeds: DataFrame, hops: int) -> DataFrame:
-    """(tid, v) reached backwards from seeds(tid, label, v) in 1 to ``hops`` edges of the seed's label (0: until nothing is new)."""
-    back = g.edges.select(F.col("dst").alias("v"), "label", "src")
-    front, seen, k = seeds, None, 0
+def onward(edges: DataFrame, first: DataFrame, hops: int) -> DataFrame:
+    """(tid, v) of a stored table (tid, label, v), and what reaches that in ``hops`` - 1 more edges of the label (0: until nothing is new)."""
+    step, first = edges.select(F.col("dst").alias("v"), "label", "src"), first.select("tid", "label", "v")
+    seen, front, k = first, first, 1
     while not hops or k < hops:
         k += 1
-        new = front.join(back, ["v", "label"]).select("tid", "label", F.col("src").alias("v")).distinct()
-        if seen is not None:
-            new = new.join(seen, ["tid", "label", "v"], "left_anti")
-        new = cut(new)
-        if (not hops or k < hops) and new.isEmpty():
+        new = front.join(step, ["v", "label"]).select("tid", "label", F.col("src").alias("v")).distinct()
+        front = cut(new.join(seen, ["tid", "label", "v"], "left_anti"))
+        if front.isEmpty():
             break
-        seen = new if seen is None else seen.union(new)
-        front = new
-    return seeds.select("tid", "v").limit(0) if seen is None else cut(seen.select("tid", "v"))
-
-
-def grow_reach(g: PropertyGraph, c: Catalogue, t: Targets, heads: DataFrame, scale: float, cfg: MinerConfig) -> DataFrame | None:
-    """matches(pid, v) of all frequent reach patterns; unit tails first, then tails all of whose parts are frequent."""
-    hops, matches = cfg.hops, None
-    all_heads = c.of(0)
-    tails = [(label, (item,)) for label, item in sorted(t.ends) if cfg.policy == "prefix_only" or t.reach_tail_ok(label, item, hops)]
+        seen = seen.union(front)
+    return seen.select("tid", "v")
+
+
+def wider_tails(known: set[Pattern], size: int) -> list[Pattern]:
+    """Reach codes with a tail of a size, all of whose parts are frequent."""
+    by_prefix: dict[tuple, list[int]] = {}
+    for q in known:
+        label, s = q.hops[0]
+        if len(s) == size - 1 and s:
+            by_prefix.setdefault((label, s[:-1]), []).append(s[-1])
+    return [Pattern((), ((label, (*prefix, a, b)),), True) for (label, prefix), lasts in sorted(by_prefix.items()) for a, b in combinations(sorted(lasts), 2)]
+
+
+def grow_reach(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tips: dict, first: DataFrame) -> None:
+    """All frequent reach patterns: single tails first, then larger ones that some head has all parts of."""
+    c, cfg, hops, began = codes.c, codes.cfg, codes.cfg.hops, time.monotonic()
+    name = {k: Pattern((), (hop,), True) for hop, k in tips.items()}
+    labels = {label for item, label in t.starts if t.step_ok(1, item, label)}
+    tails = sorted(tips[label, end_set(x)] for label, x in t.ends if label in labels and (label, end_set(x)) in tips and t.reach_tail_ok(label, x, hops))
+    if not tails or c.late():
+        return
+    reached = onward(g.edges, first.join(small_table(first, [(k, name[k].hops[0][0]) for k in tails], "eid int, label int"), "eid").withColumnRenamed("eid", "tid"), hops)
+    kept = codes.count(reached, ["tid"], name.__getitem__)
+    starts = sum(t.step_ok(1, x, label) for p in c.of(0) if len(p.head) <= 1 for x in p.head or (ANY,) for label in [name[k].hops[0][0] for k in tails])
+    c.log("reach", 1, starts, len(kept), began)
     size = 1
-    while tails and not c.late():
-        number = {x: i for i, x in enumerate(tails)}
+    while kept:
+        codes.keep(reached, ["tid"], kept)
+        size += 1
+        if c.late() or cfg.max_items is not None and size > cfg.max_items:
+            break
         began = time.monotonic()
-        want = small_table(heads, [(i, label, x, len(s)) for (label, s), i in number.items() for x in s], "tid int, label int, item int, k int")
-        held = g.attrs.join(want, "item").groupBy("tid", "label", "v").agg(F.count("*").alias("have"), F.first("k").alias("k")) if size > 1 else g.attrs.join(want, "item").select("tid", "label", "v")
-        seeds = held.where("have = k").select("tid", "label", "v") if size > 1 else held
-        reached = propagate(g, seeds, hops)
-        found_tails: dict[int, list[Pattern]] = {}
-        for wide in range(1, max((len(h.head) for h in all_heads), default=0) + 1):
-            rows = []
-            for h in (h for h in all_heads if len(h.head) == wide):
-                for (label, s), i in number.items():
-                    if cfg.policy == "pruned" and not all(t.step_ok(1, x, label) for x in h.head):
-                        continue
-                    p = Pattern(h.head, ((label, s),), True)
-                    if _covered(c, p, cfg):
-                        rows.append((c.ids[h], i, p))
-            if not rows:
-                continue
-            cand = small_table(heads, [(a, i, c.number(p)) for a, i, p in rows], "pid int, tid int, new int")
-            found = cut(heads.join(cand, "pid").join(reached, ["tid", "v"]).select(F.col("new").alias("pid"), "v"))
-            keep = settle(c, found, "v", scale, "reach", size * 10 + wide, len(rows), began)
-            began = time.monotonic()
-            if keep:
-                own = only(found, keep)
-                matches = own if matches is None else matches.union(own)
-                for k in keep:
-                    label, s = c.names[k].hops[0]
-                    found_tails.setdefault(label, []).append(s)
-        if cfg.max_items is not None and size >= cfg.max_items:
+        cand = {q: codes.shared(q) for q in wider_tails({q for q in codes.heads if q.reach}, size)}
+        cand = {q: heads for q, heads in cand.items() if heads}
+        if not cand:
             break
-        # A larger tail needs all its parts to be frequent tails of the label.
-        tails, size = [], size + 1
-        for label, sets in found_tails.items():
-            known = sorted(set(sets))
-            held_sets = set(known)
-            for a, b in combinations(known, 2):
-                if a[:-1] == b[:-1]:
-                    s = (*a, b[-1])
-                    if all(x in held_sets for x in combinations(s, len(s) - 1)):
-                        tails.append((label, s))
-    return None if matches is None else cut(matches)
+        number = {k: q for k, q in enumerate(sorted(cand, key=lambda q: q.hops))}
+        seeds = holding(attrs, [(k, q.hops[0][1]) for k, q in number.items()], "tid").join(small_table(attrs, [(k, q.hops[0][0]) for k, q in number.items()], "tid int, label int"), "tid")
+        reached = propagate(g.edges, seeds.select("tid", "label", "v"), hops)
+        kept = codes.count(reached, ["tid"], number.__getitem__)
+        c.log("reach", size, sum(map(len, cand.values())), len(kept), began)

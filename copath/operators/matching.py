@@ -34,7 +34,7 @@ def match_reach(g: PropertyGraph, p: Pattern, max_reach: int = 0) -> DataFrame:
     """(v): vertices with the head that get to a vertex with the tail by one or more edges of the label (0: any number)."""
     label, tail = p.hops[0]
     seeds = covering(g, tail).select(F.lit(0).alias("tid"), F.lit(label).alias("label"), "v")
-    return propagate(g, seeds, max_reach).select("v").join(covering(g, p.head), "v", "left_semi")
+    return propagate(g.edges, seeds, max_reach).select("v").join(covering(g, p.head), "v", "left_semi")
 
 
 def match(g: PropertyGraph, p: Pattern, max_reach: int = 0) -> DataFrame:

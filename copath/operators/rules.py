@@ -1,15 +1,17 @@
-"""Rules between frequent patterns that start at the same vertices, in three forms that give the same rules."""
+"""Rules between frequent patterns that start at the same vertices, in several forms that give the same rules."""
 
 from __future__ import annotations
 
 import time
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.config import MinerConfig
 from copath.functions.patterns import Pattern
-from copath.operators.growth import Catalogue, small_table
+from copath.operators.growth import BROADCAST_ROWS, Catalogue, small_table
+from copath.operators.matches import Matches
 from copath.plans.store import cut
 
 
@@ -17,61 +19,102 @@ def sides(c: Catalogue, cfg: MinerConfig) -> list[Pattern]:
     return [p for p in c.support if len(p.hops) >= cfg.min_len]
 
 
-def single_pass(matches: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
-    """pairs(x, y, n), x < y, by one join of the matches with themselves on the vertex; partial counts leave each task."""
-    a, b = matches.select("v", F.col("pid").alias("x")), matches.select("v", F.col("pid").alias("y"))
-    return a.join(b, "v").where("x < y").groupBy("x", "y").agg(F.count("*").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9)
+def single_pass(matches: Matches, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
+    """pairs(x, y, n), x < y, by one join of the matches (pid, v, w) with themselves on the vertex; partial counts leave each task."""
+    rows = matches.rows()
+    a, b = rows.select("v", F.col("pid").alias("x"), "w"), rows.select("v", F.col("pid").alias("y"))
+    return a.join(b, "v").where("x < y").groupBy("x", "y").agg(F.sum("w").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9)
 
 
-def bitmap(matches: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
+def pairs_of(lists: DataFrame, matches: Matches, c: Catalogue, scale: float) -> DataFrame:
+    """pairs(x, y, n), x < y, from lists (sid, cids, w) of codes: pairs of codes are counted for each kind, and stand for pairs of all of its heads."""
+    one = lists.select("sid", "w", "cids", F.posexplode("cids").alias("i", "a"))
+    two = one.select("sid", "a", "w", F.explode(F.slice("cids", F.col("i") + 1, F.size("cids"))).alias("b")).groupBy("sid", "a", "b").agg(F.sum("w").alias("n"))
+    names = matches.of_kind()
+    left, right = names.select("sid", F.col("cid").alias("a"), F.col("pid").alias("p")), names.select("sid", F.col("cid").alias("b"), F.col("pid").alias("q"))
+    # A code meets itself under different heads.
+    all_pairs = two.join(left, ["sid", "a"]).join(right, ["sid", "b"]).where("a < b OR p < q")
+    return all_pairs.groupBy(F.least("p", "q").alias("x"), F.greatest("p", "q").alias("y")).agg(F.sum("n").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9)
+
+
+def merged(matches: Matches, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
+    """The same pairs, from vertices merged by their kind and the codes that they match."""
+    return pairs_of(matches.lists(), matches, c, scale)
+
+
+def bitmap(matches: Matches, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
     """The same counts from one bitmap for each pattern and bucket of vertex ids; ids must not be negative."""
-    maps = matches.groupBy("pid", F.expr("bitmap_bucket_number(v)").alias("b")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(v))").alias("m"))
-    maps = cut(maps)
+    maps = cut(matches.rows().groupBy("pid", F.expr("bitmap_bucket_number(v)").alias("b")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(v))").alias("m")))
     x, y = maps.select("b", F.col("pid").alias("x"), F.col("m").alias("mx")), maps.select("b", F.col("pid").alias("y"), F.col("m").alias("my"))
     both = x.join(y, "b").where("x < y").select("x", "y", "b", F.explode(F.array("mx", "my")).alias("m"))
     n = both.groupBy("x", "y", "b").agg(F.expr("bitmap_count(bitmap_and_agg(m))").alias("n"))
     return n.groupBy("x", "y").agg(F.sum("n").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9)
 
 
-def lattice(matches: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
+def size_of(p: Pattern, cfg: MinerConfig) -> int:
+    """What falls by one from a pattern to each of its parts."""
+    return p.n_items + (len(p.hops) if cfg.allow_empty else 0)
+
+
+def lattice(matches: Matches, c: Catalogue, scale: float, cfg: MinerConfig, lists: DataFrame | None = None) -> DataFrame:
     """The same pairs from the bottom up: a pair is counted if every pair with one side one step simpler is frequent.
 
-    Pairs of a pattern with itself or with a pattern that it dominates are nodes too, or pairs above them would be lost.
+    Pairs are tables throughout. A round joins the last one's pairs with what their sides are parts of, counts for each pair made how many of
+    its parts made it, and keeps those that all did. Pairs of a pattern with itself or with one that it dominates are nodes too,
+    or pairs above them would be lost; they go at the end.
     """
     own = sides(c, cfg)
-    parents = {p: [q for q in p.parents() if q in c.support and len(q.hops) >= cfg.min_len] for p in own}
-    by_size: dict[int, list[Pattern]] = {}
-    for p in own:
-        by_size.setdefault(p.n_items, []).append(p)
-    sizes = sorted(by_size)
-    good: set[tuple[Pattern, Pattern]] = set()
-    pair = lambda a, b: (a, b) if c.ids[a] <= c.ids[b] else (b, a)
-    out = None
+    parents = {p: [q for q in p.parents(cfg.allow_empty) if c.frequent(q) and len(q.hops) >= cfg.min_len] for p in own}
+    lists = matches.lists() if lists is None else lists
+    at = cut(lists.withColumn("k", F.monotonically_increasing_id()))
+    rows = cut(at.select("k", "sid", "w", F.explode("cids").alias("cid")).join(matches.of_kind(), ["sid", "cid"]).select("k", "w", "pid"))
+    over = small_table(rows, [(c.ids[q], c.ids[p]) for p in own for q in parents[p]], "part int, whole int")
+    need = small_table(rows, [(c.ids[p], len(parents[p]), size_of(p, cfg)) for p in own], "pid int, need int, size int")
+    roots = [c.ids[p] for p in own if not parents[p]]
+    began = time.monotonic()
+    # Pairs of patterns without parts, and every pattern with itself, by the pair's size.
+    first = rows.join(small_table(rows, [(i,) for i in roots], "pid int"), "pid", "left_semi")
+    first = first.select("k", F.col("pid").alias("x"), "w").join(first.select("k", F.col("pid").alias("y")), "k").where("x < y").groupBy("x", "y").agg(F.sum("w").alias("n"))
+    seeds = first.where(F.col("n") / scale >= c.theta - 1e-9).union(small_table(rows, [(c.ids[p], c.ids[p], round(c.support[p] * scale)) for p in own], "x int, y int, n long"))
+    sized = seeds.join(need.select(F.col("pid").alias("x"), F.col("size").alias("sx")), "x").join(need.select(F.col("pid").alias("y"), F.col("size").alias("sy")), "y")
+    seeds = cut(sized.select("x", "y", "n", (F.col("sx") + F.col("sy")).alias("total")))
+    c.log("rules", 0, len(roots) * (len(roots) - 1) // 2, seeds.where("x < y").count(), began)
+    sizes = [size_of(p, cfg) for p in own]
+    good, out = None, [seeds.where("x < y").select("x", "y", "n")]
     for total in range(2 * min(sizes, default=1), 2 * max(sizes, default=0) + 1):
-        began, rows = time.monotonic(), set()
-        for s in sizes:
-            if total - s < s:
-                break
-            for a in by_size[s]:
-                for b in by_size.get(total - s, ()):
-                    if s == total - s and c.ids[a] > c.ids[b]:
-                        continue
-                    if all(pair(q, b) in good for q in parents[a]) and all(pair(a, q) in good for q in parents[b]):
-                        rows.add((c.ids[pair(a, b)[0]], c.ids[pair(a, b)[1]]))
-        if not rows or c.late():
-            continue
-        cand = small_table(matches, sorted(rows), "x int, y int")
-        n = matches.select("v", F.col("pid").alias("x")).join(cand, "x").join(matches.select("v", F.col("pid").alias("y")), ["v", "y"])
-        n = n.groupBy("x", "y").agg(F.count("*").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9)
-        found = [(r.x, r.y, r.n) for r in n.collect()]
-        good |= {(c.names[x], c.names[y]) for x, y, _ in found}
-        c.rounds.append(("rules", total, len(rows), len(found), time.monotonic() - began))
-        here = small_table(matches, [r for r in found if r[0] != r[1]], "x int, y int, n long")
-        out = here if out is None else out.union(here)
-    return out if out is not None else matches.select(F.col("pid").alias("x"), F.col("pid").alias("y"), F.lit(0).cast("long").alias("n")).limit(0)
-
-
-FORMS = {"single_pass": single_pass, "bitmap": bitmap, "lattice": lattice}
+        began, here = time.monotonic(), seeds.where(F.col("total") == total).select("x", "y")
+        if c.late():
+            break
+        if good is not None:
+            left = good.join(over, good.x == over.part).select(F.col("whole").alias("a"), F.col("y").alias("b"))
+            right = good.where("x < y").join(over, good.y == over.part).select(F.col("whole").alias("a"), F.col("x").alias("b"))
+            made = left.union(right).where("a != b").groupBy(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).agg(F.count("*").alias("have"))
+            wanted = made.join(need.select(F.col("pid").alias("x"), F.col("need").alias("nx")), "x").join(need.select(F.col("pid").alias("y"), F.col("need").alias("ny")), "y").where("have = nx + ny")
+            cand = cut(wanted.select("x", "y"))
+            generated = cand.count()
+            if generated:
+                few = F.broadcast(cand) if generated <= BROADCAST_ROWS else cand
+                n = rows.select("k", F.col("pid").alias("x"), "w").join(few, "x").join(rows.select("k", F.col("pid").alias("y")), ["k", "y"])
+                found = cut(n.groupBy("x", "y").agg(F.sum("w").alias("n")).where(F.col("n") / scale >= c.theta - 1e-9))
+                out.append(found)
+                here = here.union(found.select("x", "y"))
+                c.log("rules", total, generated, found.count(), began)
+        good = cut(here)
+    return reduce(DataFrame.union, out).select("x", "y", "n")
+
+
+#: Rows of code pairs up to which all pairs of each list are cheaper than the lattice's rounds.
+PAIR_ROWS = 200_000_000
+
+
+def cheapest(matches: Matches, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
+    """All pairs of each list of codes, or the lattice where that would be too many rows."""
+    lists = matches.lists()
+    rows = lists.agg(F.sum(F.size("cids") * (F.size("cids") + 1) / 2)).first()[0] or 0
+    return pairs_of(lists, matches, c, scale) if rows <= PAIR_ROWS else lattice(matches, c, scale, cfg, lists)
+
+
+FORMS = {"auto": cheapest, "single_pass": single_pass, "merged": merged, "bitmap": bitmap, "lattice": lattice}
 
 
 def dominated_pairs(c: Catalogue, own: list[Pattern]) -> list[tuple[int, int]]:
@@ -103,7 +146,7 @@ def implied_pairs(c: Catalogue, own: list[Pattern]) -> list[tuple[int, int]]:
     return out
 
 
-def mine(matches: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
+def mine(matches: Matches, c: Catalogue, scale: float, cfg: MinerConfig) -> DataFrame:
     """pairs(x, y, n), x < y, frequent, without pairs in which one side dominates the other."""
     own = sides(c, cfg)
     began = time.monotonic()
@@ -112,8 +155,8 @@ def mine(matches: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig) -> Da
     if cfg.drop_implied:
         drop += implied_pairs(c, own)
     if drop:
-        pairs = pairs.join(small_table(matches, drop, "x int, y int"), ["x", "y"], "left_anti")
+        pairs = pairs.join(small_table(pairs, drop, "x int, y int"), ["x", "y"], "left_anti")
     pairs = cut(pairs)
-    if cfg.rule_form != "lattice":
-        c.rounds.append(("rules", 1, len(own) * (len(own) - 1) // 2, pairs.count(), time.monotonic() - began))
+    if not any(step == "rules" for step, *_ in c.rounds):
+        c.log("rules", 1, len(own) * (len(own) - 1) // 2, pairs.count(), began)
     return pairs

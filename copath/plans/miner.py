@@ -6,16 +6,19 @@ import time
 from dataclasses import dataclass, field
 from math import ceil
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 from copath.config import MinerConfig
 from copath.functions import measures
-from copath.functions.patterns import STRUCT, as_row
-from copath.operators import growth, rules
-from copath.operators.bounds import Targets, reduce_graph, target_tables
-from copath.operators.sampling import sample_sources
-from copath.plans.store import cut
+from copath.functions.patterns import STRUCT, Pattern, as_row
+from copath.operators import balance, growth, plain, rules
+from copath.operators.bounds import Targets, reduce_graph, target_items, target_tables, useful_sources
+from copath.operators.kinds import ANY, kinds_of
+from copath.operators.matches import Matches
+from copath.operators.sampling import sample_sources, stratum_weights
+from copath.plans import meter
+from copath.plans.store import cut, scope
 from copath.sources.graphs import PropertyGraph
 
 
@@ -26,10 +29,17 @@ class MiningResult:
     theta: float
     catalogue: growth.Catalogue
     targets: Targets | None
-    matches: DataFrame
+    found: Matches
     pairs: DataFrame
     scale: float = 1.0
     steps: dict[str, float] = field(default_factory=dict)
+    balance: Row | None = None
+    stored_bytes: int = 0
+
+    @property
+    def matches(self) -> DataFrame:
+        """(pid, v): the source vertices of each pattern."""
+        return self.found.rows().select("pid", "v")
 
     @property
     def status(self) -> str:
@@ -46,7 +56,8 @@ class MiningResult:
         pairs = self.pairs
         both = pairs.select("x", "y", "n").union(pairs.select(F.col("y").alias("x"), F.col("x").alias("y"), "n"))
         named = self.patterns().select("pid", "text", "support", "kind", "len")
-        side = lambda s: F.broadcast(named.select(F.col("pid").alias(s), *[F.col(k).alias(f"{k}_{s}") for k in ("text", "support", "kind", "len")]))
+        rows = len(self.catalogue.support)
+        side = lambda s: growth.checked(named.select(F.col("pid").alias(s), *[F.col(k).alias(f"{k}_{s}") for k in ("text", "support", "kind", "len")]), rows)
         out = both.join(side("x"), "x").join(side("y"), "y")
         out = out.select(F.col("text_x").alias("x"), F.col("text_y").alias("y"), (F.col("n") / self.scale).alias("abs_support"), "support_x", "support_y", F.lit(self.graph.n).alias("n_vertices"), "kind_x", "kind_y", "len_x", "len_y")
         return measures.score(out, names)
@@ -63,7 +74,7 @@ class MiningResult:
 
     def stored_rows(self) -> int:
         """Rows of the match table and of the rules: the data-dependent part of what a run keeps."""
-        return self.matches.count() + self.pairs.count()
+        return (self.found.held if self.found.direct is None else self.found.direct).count() + self.pairs.count()
 
 
 def resolve_theta(g: PropertyGraph, cfg: MinerConfig) -> int:
@@ -71,53 +82,127 @@ def resolve_theta(g: PropertyGraph, cfg: MinerConfig) -> int:
     return max(1, ceil(cfg.theta * g.n - 1e-9)) if cfg.relative else ceil(cfg.theta)
 
 
-def mine_patterns(g: PropertyGraph, cfg: MinerConfig) -> MiningResult:
-    """A run that ends with the patterns; its pairs are empty."""
-    return mine_rules(g, cfg, with_rules=False)
-
-
 def mine_rules(g: PropertyGraph, cfg: MinerConfig, with_rules: bool = True) -> MiningResult:
-    theta = resolve_theta(g, cfg)
-    c = growth.Catalogue(theta, deadline=None if cfg.deadline_s is None else time.monotonic() + cfg.deadline_s)
-    steps: dict[str, float] = {}
-    clock = time.monotonic()
-
-    def tick(name: str) -> None:
-        nonlocal clock
+    spark, theta = g.vertices.sparkSession, resolve_theta(g, cfg)
+    c = growth.Catalogue(theta)
+    run = _Run(g, cfg, theta, c)
+    with meter.parallelism(spark, cfg.parallelism), meter.deadline(spark, cfg.deadline_s) as late, scope(spark) as tables:
+        c.late = late
+        try:
+            run.patterns()
+            if with_rules and not late():
+                run.rules()
+        except Exception:
+            # Cancelled jobs end in an error; any other one is the caller's.
+            if not late():
+                raise
+        c.finished = not late()
+        result = run.result()
+        tables.keep(result.pairs, *result.found.tables)
+        result.stored_bytes = tables.bytes()
+    return result
+
+
+class _Run:
+    """The steps of a run, each with the time that it took."""
+
+    def __init__(self, g: PropertyGraph, cfg: MinerConfig, theta: int, c: growth.Catalogue):
+        self.g, self.cfg, self.theta, self.c = g, cfg, theta, c
+        self.scale, self.targets, self.balance = 1.0, None, None
+        self.steps: dict[str, float] = {}
+        self.clock = time.monotonic()
+        self.matches = self.pairs = None
+
+    def tick(self, name: str) -> None:
         now = time.monotonic()
-        steps[name] = steps.get(name, 0.0) + now - clock
-        clock = now
-
-    sources, scale = None, 1.0
-    if cfg.rho is not None and cfg.rho < 1:
-        # Strata are sets of items that are frequent in the whole graph.
-        common = [r.item for r in g.attrs.groupBy("item").count().where(F.col("count") >= theta).collect()]
-        sources, scale = cut(sample_sources(g, common, cfg.rho, cfg.seed, cfg.sample_mode)), cfg.rho
-    heads = growth.frequent_itemsets(g, c, sources, scale, cfg)
-    tick("itemsets")
-    targets, fixed, reach, h = None, None, None, g
-    if cfg.max_len:
-        targets = target_tables(g, theta, cfg.psi, cfg.bound)
-        if cfg.policy == "pruned":
-            h = reduce_graph(g, targets, cfg.max_len, cfg.hops)
-        tick("bounds")
-        fixed = growth.grow_fixed(h, c, targets, heads, scale, cfg)
-        tick("fixed")
+        self.steps[name] = self.steps.get(name, 0.0) + now - self.clock
+        self.clock = now
+
+    def patterns(self) -> None:
+        g, cfg, c = self.g, self.cfg, self.c
+        kinds = kinds_of(g, cfg.allow_empty)
+        sources, weight = None, F.lit(1).cast("long")
+        if cfg.rho is not None and cfg.rho < 1:
+            # Strata are sets of items that are frequent in the whole graph.
+            common = [r.item for r in g.attrs.groupBy("item").count().where(F.col("count") >= self.theta).collect()]
+            sources, self.scale = cut(sample_sources(g, common, cfg.rho, cfg.seed, cfg.sample_mode)), cfg.rho
+            if cfg.estimator == "stratum_weight":
+                sources, self.scale, weight = cut(stratum_weights(g, common, sources)), 1.0, F.col("weight")
+        own = (kinds.own if sources is None else kinds.own.join(sources, "v")).select("v", "sid", weight.alias("w"))
+        weights = own.groupBy(F.col("sid").alias("v")).agg(F.sum("w").alias("w"))
+        of_kinds = growth.frequent_itemsets(kinds.attrs.withColumnRenamed("sid", "v"), weights, c, self.scale, cfg, len(g.items))
+        heads = cut(of_kinds.select(F.col("v").alias("sid"), "pid"))
+        self.tick("itemsets")
+        # Sources without a frequent head start no pattern; without a target label, none with a hop.
+        own = own.join(heads.select("sid").distinct(), "sid", "left_semi").select("v", "sid", "w")
+        every = not cfg.max_len or cfg.min_len == 0
+        attrs = kinds.own.join(kinds.attrs, "sid").select("v", "item") if cfg.allow_empty else g.attrs
+        pruned, hops = cfg.policy == "pruned", cfg.hops if cfg.reach else 1
+        if cfg.max_len:
+            self.targets = target_tables(g, self.theta, cfg.psi, cfg.bound, kinds, cfg.max_len if pruned else None, hops)
+        if not pruned and cfg.max_len:
+            self.plainly(plain.Work(attrs, g.edges, own.select("v", "w")), every)
+            return
+        nothing = Pattern(())
+        if cfg.max_len:
+            h = reduce_graph(g, self.targets, cfg.max_len, hops)
+            items = sorted({x for p in c.of(0) for x in p.head or (ANY,)})
+            if not every:
+                own = own.join(useful_sources(h, self.targets, items), "v", "left_semi")
+        own = cut(own)
+        codes = growth.Codes(c, growth.Sources(own, heads), self.scale, cfg)
+        if every:
+            codes.heads[nothing] = {c.ids[p] for p in c.of(0)}
+            codes.frames.append(own.select(F.lit(codes.number(nothing)).alias("cid"), "v"))
+        if cfg.max_len:
+            ends = target_items(self.targets, cfg.max_len, hops)
+            tips = {(label, growth.end_set(x)): k for k, (label, x) in enumerate(ends)}
+            attrs = cut(attrs.join(growth.small_table(attrs, [(x,) for x in sorted({x for _, x in ends})], "item int"), "item", "left_semi").select("v", "item"))
+            first = growth.ends_of(h.edges, attrs, tips)
+            self.tick("bounds")
+            growth.grow_fixed(h, attrs, self.targets, codes, tips, first)
+            self.tick("fixed")
+            if cfg.reach:
+                growth.grow_reach(h, attrs, self.targets, codes, tips, first)
+                self.tick("reach")
+        held = codes.rows()
+        self.matches = Matches(own.select(F.lit(0).alias("cid"), "v").limit(0) if held is None else held, codes.sources, codes.patterns())
+        if cfg.placement:
+            n = cfg.parallelism or int(own.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+            plan = balance.PLANS[cfg.placement](cut(balance.vertex_cost(g, self.targets)), n)
+            self.balance = balance.balance_report(plan.join(own, "v", "left_semi")).first()
+            self.matches.plan = plan.select("v", "part"), n
+
+    def plainly(self, work: plain.Work, every: bool) -> None:
+        g, cfg, c = self.g, self.cfg, self.c
+        at = plain.head_matches(work, c)
+        sets, n_sets = plain.item_sets(work.attrs, cfg.max_items)
+        self.tick("bounds")
+        fixed, reach = plain.grow_fixed(work, c, sets, n_sets, len(g.labels), at, self.scale, cfg), None
+        self.tick("fixed")
         if cfg.reach:
-            reach = growth.grow_reach(h, c, targets, heads, scale, cfg)
-            tick("reach")
-    matches = None
-    for part in (heads if cfg.min_len == 0 or not cfg.max_len else None, fixed, reach):
-        if part is not None:
-            matches = part if matches is None else matches.union(part)
-    matches = cut(heads.limit(0) if matches is None else matches)
-    if with_rules:
-        pairs = rules.mine(matches, c, scale, cfg if cfg.max_len else cfg.but(min_len=0))
-    else:
-        pairs = g.vertices.sparkSession.createDataFrame([], "x int, y int, n long")
-    pairs.count()
-    tick("rules")
-    return MiningResult(g, cfg, theta, c, targets, matches, pairs, scale, steps)
+            reach = plain.grow_reach(work, c, sets, n_sets, len(g.labels), at, self.scale, cfg)
+            self.tick("reach")
+        parts = [x for x in (at if every else None, fixed, reach) if x is not None]
+        self.matches = Matches(direct=cut(growth.union(parts) if parts else at.limit(0)))
+
+    def rules(self) -> None:
+        cfg = self.cfg if self.cfg.max_len else self.cfg.but(min_len=0)
+        if self.matches.direct is not None:
+            cfg = cfg.but(rule_form="single_pass")
+        self.pairs = rules.mine(self.matches, self.c, self.scale, cfg)
+        self.tick("rules")
+
+    def result(self) -> MiningResult:
+        none = lambda schema: self.g.vertices.sparkSession.createDataFrame([], schema)
+        matches = Matches(direct=none("pid int, v long, w long")) if self.matches is None else self.matches
+        pairs = none("x int, y int, n long") if self.pairs is None else self.pairs
+        return MiningResult(self.g, self.cfg, self.theta, self.c, self.targets, matches, pairs, self.scale, self.steps, self.balance)
+
+
+def mine_patterns(g: PropertyGraph, cfg: MinerConfig) -> MiningResult:
+    """A run that ends with the patterns; its pairs are empty."""
+    return mine_rules(g, cfg, with_rules=False)
 
 
 def mine_item_rules(g: PropertyGraph, cfg: MinerConfig) -> MiningResult:

@@ -1,12 +1,16 @@
-"""Cutting lineage between the rounds of a mining run."""
+"""Cutting lineage between the rounds of a mining run, and dropping what a run leaves behind."""
 
 from __future__ import annotations
 
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Tables written inside open scopes, innermost last.
+_SCOPES: list[list[str]] = []
+
 
 def one_process(spark: SparkSession) -> bool:
     master = spark.sparkContext.master
@@ -33,4 +37,46 @@ def cut(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/copath-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    if _SCOPES:
+        _SCOPES[-1].append(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._copath_path = path
+    return out
+
+
+def _file(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
+
+
+def bytes_of(spark: SparkSession, path: str) -> int:
+    files, where = _file(spark, path)
+    return files.getContentSummary(where).getLength() if files.exists(where) else 0
+
+
+class Scope:
+    """The tables that a run writes."""
+
+    def __init__(self, spark: SparkSession, paths: list[str]):
+        self.spark, self.paths, self.kept = spark, paths, set()
+
+    def keep(self, *tables: DataFrame | None) -> None:
+        self.kept |= {getattr(t, "_copath_path", None) for t in tables if t is not None}
+
+    def bytes(self) -> int:
+        return sum(bytes_of(self.spark, p) for p in self.paths)
+
+
+@contextmanager
+def scope(spark: SparkSession):
+    """Drops the tables cut inside, but for those that are kept, when the block ends."""
+    s = Scope(spark, [])
+    _SCOPES.append(s.paths)
+    try:
+        yield s
+    finally:
+        _SCOPES.remove(s.paths)
+        for p in s.paths:
+            if p not in s.kept:
+                files, where = _file(spark, p)
+                files.delete(where, True)
