@@ -9,8 +9,11 @@ blocks, each pair of which is one matrix product in double precision; a block se
 spanning forest of its links.
 
 Vectors with a null label, null or empty or zero ones, and those with null or non-finite components link
-with nothing and are their own component. Repeated rows link with each other; rows that share an id and a
-component are all kept if that id is the smallest.
+with nothing and are their own component; so do rows without an id, whose component has none either. Repeated rows link with each
+other; rows that share an id and a component are all kept if that id is the smallest. Ids are whole numbers.
+
+Cells grow in number with the label, as far as the bounded sample can tell them apart; beyond that, and where vectors don't
+cluster, a cell's work is quadratic in its rows, in blocks that many tasks share.
 """
 
 from __future__ import annotations
@@ -23,9 +26,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.llm.components import components, local_roots
-from copath.llm.store import write_table
+from copath.llm.store import free_name, write_table
 
-BLOCK = 1024
+#: Bytes of vectors in a block; a cell's rows are copied once for each block that they meet.
+BLOCK_BYTES = 4 << 20
 
 
 def unit(x: np.ndarray) -> np.ndarray:
@@ -63,11 +67,11 @@ def matrix(column) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(n, -1) if n else np.zeros((0, 1))
 
 
-def groups(vectors: DataFrame, id_col="vec_id", vec_col="embedding", label_col="label", least: float = 0.93, cell_rows: int = 4096, sample_rows: int = 20_000, most_cells: int = 256) -> DataFrame:
+def groups(vectors: DataFrame, id_col="vec_id", vec_col="embedding", label_col="label", least: float = 0.93, cell_rows: int = 4096, sample_rows: int = 20_000) -> DataFrame:
     """vec_id, n_links, component_id, kept of every vector."""
     spark = vectors.sparkSession
-    rows = vectors.select(F.col(id_col).alias("id"), F.col(vec_col).alias("vec"), F.col(label_col).alias("label"))
-    good = F.expr("label IS NOT NULL AND vec IS NOT NULL AND size(vec) > 0 AND NOT exists(vec, x -> x IS NULL OR isnan(x) OR abs(x) = double('inf')) AND exists(vec, x -> x != 0)")
+    rows = vectors.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{vec_col}`").alias("vec"), F.col(f"`{label_col}`").alias("label"))
+    good = F.expr("id IS NOT NULL AND label IS NOT NULL AND vec IS NOT NULL AND size(vec) > 0 AND NOT exists(vec, x -> x IS NULL OR isnan(x) OR abs(x) = double('inf')) AND exists(vec, x -> x != 0)")
     rows = rows.withColumn("good", F.coalesce(good, F.lit(False)))
     classes, _ = write_table(rows.where("good").groupBy("label", "vec").agg(F.min("id").alias("rep"), F.count("*").alias("w")).withColumn("dim", F.size("vec")))
     sizes = classes.groupBy("label", "dim").count()
@@ -76,11 +80,12 @@ def groups(vectors: DataFrame, id_col="vec_id", vec_col="embedding", label_col="
     # Labels too small for cells of their own need no centroid; the others share the sample by their size.
     share = min(1.0, sample_rows / max(1, n))
     centroids: dict[tuple, np.ndarray] = {}
-    sample = classes.join(large, ["label", "dim"]).select("label", "dim", "count", "vec").sample(share, 3).limit(sample_rows).toArrow()
+    drawn = F.pmod(F.xxhash64("vec", F.lit(3)), F.lit(1 << 30)) < int(share * (1 << 30))
+    sample = classes.join(large, ["label", "dim"]).select("label", "dim", "count", "vec", "rep").where(drawn).orderBy("rep").limit(sample_rows).toArrow()
     if sample.num_rows:
         frame = sample.select(["label", "dim", "count"]).to_pandas()
         for (label, dim, count), at in frame.groupby(["label", "dim", "count"]).indices.items():
-            k = min(ceil(count / cell_rows), most_cells, len(at) // 20)
+            k = min(ceil(count / cell_rows), len(at) // 20)
             if k > 1:
                 centroids[label, int(dim)] = spherical_kmeans(unit(matrix(sample.column("vec").take(pa.array(at)))), k)
     known = spark.sparkContext.broadcast(centroids)
@@ -93,7 +98,8 @@ def groups(vectors: DataFrame, id_col="vec_id", vec_col="embedding", label_col="
             by: dict[tuple, list[int]] = {}
             for i, key in enumerate(zip(labels, dims.tolist())):
                 by.setdefault(key, []).append(i)
-            for key, at in by.items():
+            # Many cells: a slice of rows at a time, so that their products stay small.
+            for key, at in ((k, v[i : i + 2048]) for k, v in by.items() for i in range(0, len(v), 2048)):
                 at = np.array(at)
                 c = known.value.get(key)
                 if c is None:
@@ -119,7 +125,8 @@ def groups(vectors: DataFrame, id_col="vec_id", vec_col="embedding", label_col="
     kind = {f.name: f.dataType.simpleString() for f in classes.schema}
     cells = classes.select("label", "dim", "rep", "w", "vec").mapInArrow(assign, f"label {kind['label']}, dim int, cell int, own boolean, rep {kind['rep']}, w long, vec {kind['vec']}")
     cells, _ = write_table(cells)
-    counts = cells.groupBy("label", "dim", "cell").agg(F.ceil(F.count_if("own") / BLOCK).alias("owns"), F.ceil(F.count("*") / BLOCK).alias("all"))
+    block = F.greatest(F.lit(64), F.floor(BLOCK_BYTES / 8 / F.col("dim")))
+    counts = cells.groupBy("label", "dim", "cell").agg(F.ceil(F.count_if("own") / block).alias("owns"), F.ceil(F.count("*") / block).alias("all"))
     cells = cells.join(counts, ["label", "dim", "cell"]).where("owns > 0")
     place = lambda n: F.pmod(F.xxhash64("rep"), F.col(n)).cast("int")
     other = lambda n: F.explode(F.sequence(F.lit(0), (F.col(n) - 1).cast("int")))
@@ -162,5 +169,6 @@ def groups(vectors: DataFrame, id_col="vec_id", vec_col="embedding", label_col="
 
 def keep_representatives(vectors: DataFrame, id_col="vec_id", **options) -> DataFrame:
     """The vectors that are their group's representative."""
-    kept = groups(vectors, id_col, **options).where("kept").select(F.col("vec_id").alias("_keep")).distinct()
-    return vectors.join(kept, F.col(id_col) == F.col("_keep"), "left_semi")
+    name = free_name(vectors, "keep")
+    kept = groups(vectors, id_col, **options).where("kept").select(F.col("vec_id").alias(name)).distinct()
+    return vectors.join(kept, F.col(f"`{id_col}`").eqNullSafe(F.col(name)), "left_semi")
