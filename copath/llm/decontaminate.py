@@ -1,9 +1,8 @@
 """Benchmark decontamination: a broadcast hash set of benchmark windows meets every window of every document.
 
 The benchmark's windows are gathered in blocks of at most ``block_bytes`` of text. One
-block is the rule; each further block is one more pass in the same job that adds to
-the document's bitmap of hit words, so no block outgrows its bound. A hit is a hash
-found in the set whose words then equal the item's words, byte for byte.
+block is the rule; each further block is one more pass that adds to the document's bitmap of hit words, so that the driver and
+the workers hold one block at a time. A hit is a hash found in the set whose words then equal the item's words, byte for byte.
 
 Null, empty and word-less texts have no words and no hits. Repeated documents are judged
 one by one. Benchmark rows without words have no window; items that repeat an id
@@ -21,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.llm import kernel as K
+from copath.llm.store import write_table
 
 TABLE = K.word_table()
 BLOCK_BYTES = 32 << 20
@@ -79,20 +79,11 @@ def scan(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text"
     id_type = docs.schema[id_col].dataType.simpleString()
     out = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.lit(None).cast("binary").alias("hit"), F.array().cast("array<string>").alias("items"))
     size = bench.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    rows = bench.toLocalIterator() if size > block_bytes else bench.collect()
-    block, held, blocks = [], 0, []
-    for r in rows:
-        block.append((r.i, r.t))
-        held += len(r.t)
-        if held >= block_bytes:
-            blocks.append(block)
-            block, held = [], 0
-    blocks.append(block)
     schema = f"id {id_type}, text string, hit binary, items array<string>"
-    for block in blocks:
+    for block, is_last in blocks_of(bench.toLocalIterator() if size > block_bytes else bench.collect(), block_bytes):
         known = spark.sparkContext.broadcast(WindowSet([i for i, _ in block], [t for _, t in block], n))
 
-        last = finish if block is blocks[-1] else None
+        last = finish if is_last else None
 
         def add(batches: Iterator[pa.RecordBatch], known=known) -> Iterator[pa.RecordBatch]:
             for whole in batches:
@@ -111,9 +102,29 @@ def scan(docs: DataFrame, benchmark: DataFrame, id_col="doc_id", text_col="text"
             return add(batches) if last is None else last(add(batches))
 
         out = out.mapInArrow(one, schema if last is None else finish_schema)
+        if not is_last:
+            out, _ = write_table(out)
+            known.destroy()
     return out
 
 
+def blocks_of(rows, most: int):
+    """(block, whether it is the last) of rows (i, t): up to ``most`` characters of text each, with one row at least. No rows: one empty block."""
+    block, held, waiting = [], 0, None
+    for r in rows:
+        if waiting is not None and not block:
+            yield waiting, False
+            waiting = None
+        block.append((r.i, r.t))
+        held += len(r.t)
+        if held >= most:
+            waiting, block, held = block, [], 0
+    if waiting is not None and block:
+        yield waiting, False
+        waiting = None
+    yield (waiting if waiting is not None else block), True
+
+
 def report(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated: one row per document."""
     id_type = docs.schema[options.get("id_col", "doc_id")].dataType.simpleString()
