@@ -517,8 +517,8 @@ def keep_first(docs: DataFrame, id_col="doc_id", text_col="text", shingle=5, lea
         docs, _ = write_table(docs.where(own).dropDuplicates([id_col]).union(docs.where(~own)))
     texts = docs.where(own).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     digests = held.write(set_digests(texts, shingle))
-    smallest = digests.groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("k")).where("k > 1")
-    copies = held.write(digests.join(smallest, "digest").where("id != first").select("id"))
+    smallest = held.write(digests.groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("k")).where("k > 1").select("digest", "first"))
+    copies = held.write(digests.join(checked(smallest), "digest").where("id != first").select("id"))
     lost = [copies]
     left = held.write(shared_prefixes(texts.join(checked(copies), "id", "left_anti"), shingle, least))
     heads = 1

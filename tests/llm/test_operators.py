@@ -12,6 +12,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from copath.llm import components, decontaminate, embeddings, exchange, hmm, html, kernel, lines, pieces, simhash, substring, toxicity, warc
+from copath.llm.store import write_table
 
 WORDS = [f"w{i}" for i in range(60)] + ["É", "ö", "漢字", "x" * 40]
 
@@ -197,6 +198,75 @@ def test_lines(spark, docs, texts):
     assert lines.clean(docs.limit(0)).count() == 0 and lines.clean(docs).columns == docs.columns
 
 
+def test_lines_tell_rearranged_words_apart(spark):
+    """A sequence of two words and its complement, for which sums of powers modulo 2^64 are equal."""
+    bits = [bin(i).count("1") & 1 for i in range(2048)]
+    rows = [(1, " ".join("ab"[b] for b in bits)), (2, " ".join("ba"[b] for b in bits)), (3, " ".join("ab"[b] for b in bits))]
+    got = {r.doc_id: r.n_removed for r in lines.report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 0, 2: 0, 3: 1}
+    got = {r.doc_id: r.n_removed for r in substring.report(spark.createDataFrame(rows[:2], "doc_id long, text string"), window=2047).collect()}
+    assert got == {1: 0, 2: 0}
+
+
+@pytest.mark.parametrize("which", [lines.report, substring.report, lambda d: hmm.score(d, table_words=20, sample_rounds=1, states=2)])
+def test_ids_of_any_kind(spark, which):
+    text = " ".join(WORDS[:20])
+    rows = [("b", text), ("a", text), (None, text), (None, text), ("c", None), ("a", "x")]
+    names = spark.createDataFrame(rows, "doc_id string, text string")
+    out = which(names).collect()
+    assert sorted(str(r.doc_id) for r in out) == ["None", "None", "a", "a", "b", "c"]
+    if "n_removed" in out[0]:
+        assert {(r.doc_id, r.n_removed > 0) for r in out} == {("a", False), ("b", True), (None, True), ("c", False)}
+    assert which(names.limit(0)).count() == 0
+
+
+def test_many_equal_rows_without_ids(spark):
+    """Not one group: rows without an id are dealt one by one."""
+    d = spark.range(3000).select(F.lit(None).cast("long").alias("doc_id"), F.lit("").alias("text")).union(spark.createDataFrame([(1, " ".join(WORDS) * 40)], "doc_id long, text string"))
+    rows, _ = exchange.parts(d, "doc_id", "text", part_bytes=1 << 12)
+    sizes = [r["count"] for r in rows.groupBy("pid").count().collect()]
+    assert len(sizes) > 10 and max(sizes) < 600
+    assert lines.report(d).count() == substring.report(d).count() == 3001
+
+
+def test_dense_groups_are_cut_into_blocks(spark, monkeypatch):
+    """Fingerprints of one probe group, more than a task holds: the same components as by brute force."""
+    rng = np.random.default_rng(4)
+    base = rng.integers(0, 1 << 62)
+    fps = sorted({int(base) ^ sum(1 << int(b) for b in rng.choice(12, rng.integers(0, 4), replace=False)) for _ in range(300)} | {int(x) for x in rng.integers(0, 1 << 62, 50)})
+    for held in (1 << 16, 40):
+        monkeypatch.setattr(simhash, "HELD", held)
+        monkeypatch.setattr(simhash.whole_groups, "__defaults__", (held,))
+        frame = spark.createDataFrame([(i, x) for i, x in enumerate(fps)], "id long, fp long")
+        got = {r.id: r.component_id for r in simhash.group_fingerprints(write_table(frame)[0], 4).collect()}
+        root = list(range(len(fps)))
+        changed = True
+        while changed:
+            changed = False
+            for i, a in enumerate(fps):
+                for j in range(i):
+                    if bin(a ^ fps[j]).count("1") <= 4 and root[i] != root[j]:
+                        root[i] = root[j] = min(root[i], root[j])
+                        changed = True
+        assert got == dict(enumerate(root))
+
+
+def test_near_duplicates_with_clashing_names(spark):
+    text = " ".join(WORDS[:30])
+    d = spark.createDataFrame([(1, text, "a", "p"), (2, text, "b", "q"), (None, text, "c", "r"), (3, None, "d", "s"), (4, "", "e", "t")], "doc_id long, text string, _id string, gone string")
+    out = simhash.keep_first(d)
+    assert out.columns == d.columns and {r["_id"] for r in out.collect()} == {"a", "c", "d"}
+    assert simhash.keep_first(d.limit(0)).count() == 0
+
+
+def test_decontaminate_in_blocks(spark, docs, texts):
+    """A benchmark of several blocks, one at a time, marks the same words."""
+    own = [(f"i{k}", " ".join(split(t)[:14])) for k, t in enumerate(texts) if t and len(split(t)) > 14] + [("short", "one"), ("none", None), ("i0", "again " * 12)]
+    b = spark.createDataFrame(own, "item_id string, text string")
+    key = lambda d: sorted(map(tuple, d.collect()))
+    assert key(decontaminate.report(docs, b)) == key(decontaminate.report(docs, b, block_bytes=400))
+
+
 def test_decontaminate(spark, docs, texts):
     rng = random.Random(8)
     bench = [(1, "w1 W2"), (2, None), (3, "..!"), (10, " ".join(rng.choice(WORDS[:6]) for _ in range(14))), (4, texts[-1]), (None, "漢字")]
@@ -273,6 +343,25 @@ def test_hmm(docs, texts):
         assert r.base_score == pytest.approx(base) and r.held_out == (zlib.crc32(str(i).encode()) % 10 == 0) and r.score < 0
 
 
+def test_hmm_of_one_state_is_a_unigram_model(docs, texts):
+    """All words in the table, one state: the score follows from counts alone; and repeats on other partitions."""
+    got = {r.doc_id: r.score for r in hmm.score(docs, table_words=5000, states=1, sample_rounds=1).collect()}
+    token = lambda t: [*split(lower(t)), None]
+    count = {}
+    for i, t in enumerate(texts):
+        if zlib.crc32(str(i).encode()) % 10:
+            for w in token(t):
+                count[w] = count.get(w, 0) + 1
+    n, once = sum(count.values()), sum(c == 1 for c in count.values())
+    unseen = min(0.5, (once + 1) / (n + 2))
+    for i, t in enumerate(texts):
+        want = sum(np.log10(count[w] / n * (1 - unseen) if w in count else unseen) for w in token(t))
+        assert got[i] == pytest.approx(want, rel=1e-4)
+    again = {r.doc_id: r.score for r in hmm.score(docs.repartition(2), table_words=40, states=3, sample_rounds=3).collect()}
+    other = {r.doc_id: r.score for r in hmm.score(docs.repartition(7), table_words=40, states=3, sample_rounds=3).collect()}
+    assert all(again[i] == pytest.approx(other[i], rel=1e-9) for i in again)
+
+
 def test_hmm_recursions():
     rng = np.random.default_rng(0)
     norm = lambda x, a: x / x.sum(a, keepdims=True)
@@ -323,6 +412,42 @@ def test_toxicity(spark):
     assert toxicity.report(d.limit(0), lab).count() == 0
 
 
+def test_toxicity_models_sum_to_one():
+    """After any word: all known words, a new word of each known beginning, and a word with a new beginning."""
+    texts = ["a b c a b d abcdefgh abcdefgi", "the cat sat on the mat the cat", "idiot fool the cat idiot idiotic", "a b idiot a idiot x abcdxx abcdez"] * 4
+    for stems in toxicity.CHAINS:
+        m = toxicity.Model(texts, np.array([0, 0, 1, 1] * 4), stems)
+        word, _, begin, _ = toxicity.tokenised(pa.array(sorted(set(" ".join(texts).split()))), stems)
+        new = np.uint64(7)
+        for before in (toxicity.START, word[0], word[3], np.uint64(12345)):
+            total = m.probabilities(word, np.full(len(word), before), begin).sum(1)
+            chains = {tuple(begin[::-1][: d + 1, i].tolist()) for i in range(len(word)) for d in range(len(stems))} | {()}
+            for known in chains:
+                fresh = [*known, *(5_000_000 + j for j in range(len(stems) - len(known)))][::-1]
+                total = total + m.probabilities(np.array([new]), np.array([before]), np.array(fresh, np.uint64)[:, None]).sum(1)
+            assert total == pytest.approx([1, 1], abs=1e-6)
+    # A rare word of one class says less than one that many of its texts hold.
+    p = m.probabilities(*[x[:1] if x.ndim == 1 else x[:, :1] for x in toxicity.tokenised(pa.array(["idiot"]), stems)[:3]])
+    q = m.probabilities(*[x[:1] if x.ndim == 1 else x[:, :1] for x in toxicity.tokenised(pa.array(["fool"]), stems)[:3]])
+    assert p[1] / p[0] > 2 and p[1] / p[0] > q[1] / q[0]
+
+
+def test_toxicity_edges(spark):
+    rng = random.Random(8)
+    rows = [(i, " ".join(rng.choice(WORDS) for _ in range(30)) + (" vile" if i % 4 == 0 else ""), "x") for i in range(40)]
+    rows += [(None, "vile", "y"), (0, rows[0][1], "z"), (999, "w1 " * 200_000 + "vile", "t")]
+    d = spark.createDataFrame(rows, "doc_id long, text string, toxicity string")
+    few = spark.createDataFrame([(i, int(i % 4 == 0)) for i in (0, 1, 2, 3, 4)], "doc_id long, toxic int")
+    for labels in (few, few.where("toxic = 1"), few.where("toxic = 0"), few.limit(0)):
+        model = toxicity.train(d, labels)
+        kept = toxicity.reject(d, model)
+        assert kept.columns == d.columns
+        assert toxicity.score(d, model).where("score BETWEEN 0 AND 1").count() == len(rows)
+    # Two texts that differ in length alone are both within the sample: it isn't the shortest ones that are taken.
+    long = spark.createDataFrame([(i, "w " * (1000 if i % 2 else 10), i % 2) for i in range(40)], "doc_id long, text string, toxic int")
+    assert isinstance(toxicity.train(long, long, most_bytes=40_000), toxicity.Model)
+
+
 PAGE = """<!DOCTYPE html><html><head><title>t</title><style>p{}</style><script>var a = "<p>no</p>";</script></head><body>
 <header><a href="/">Site name</a></header><nav><ul><li><a href=/a>Menu</a></li></ul></nav><div class="cookie-notice">We use cookies</div>
 {open}<h1>Head&amp;line</h1><p>First   <b>bo</b>ld para &eacute; with words enough to count.<br>After</p><aside>Related things</aside><div class="ad">Buy now</div>
@@ -335,9 +460,64 @@ def test_html(spark):
     assert html.extract(PAGE.replace("{open}", '<div id="content">').replace("{close}", "</div>")) == TEXT
     assert [html.extract(x) for x in (None, "", "<p></p>", "<!-- a", "<script>x")] == [""] * 5
     rows = [(1, "u", PAGE.replace("{open}", "<main>").replace("{close}", "</main>"), "x"), (2, None, None, "y")]
+    rows += [rows[0]] * 2 + [(3, "v", "<p>" + "long words " * 200_000, "z")]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
-    got = {r.page_id: r for r in html.report(pages).collect()}
-    assert got[1].text == TEXT and got[1].n_chars == len(TEXT) and got[2].text == "" and got[2].n_chars == 0
+    out = html.report(pages).collect()
+    got = {r.page_id: r for r in out}
+    assert len(out) == 5 and sum(r.page_id == 1 and r.text == TEXT for r in out) == 3
+    assert got[1].n_chars == len(TEXT) and got[2].text == "" and got[2].n_chars == 0 and got[3].text == ("long words " * 200_000).strip()
+    assert html.report(pages.limit(0)).count() == 0
+
+
+LONG = " ".join(["word"] * 30)
+
+
+@pytest.mark.parametrize(
+    "page, text",
+    [
+        ("<html><head><script>for(i=0;i<n;i++){x='a}</script></head><body><article><p>{}</p></article></body>", "{}"),
+        ("<script>var a='<!-- x';</script><body><article><p>{}</p></article>", "{}"),
+        ("<html><head><title>T</title><body><article><p>{}</p></article>", "{}"),
+        ('<article><p>{} <a href="x>link</a> tail</p></article>', "{} link tail"),
+        ('<article><p title="a > b">{} <img alt="x < y > z"> tail</p></article>', "{} tail"),
+        ('<section class="wide more"><p>{}</p></section>', "{}"),
+        ('<article><p>{}</p><div class="ad">buy now</div><p>end.</p></article>', "{} end."),
+        ('<div class="content"><h1>Hi</h1><p>{}</p><p>Bye.</p></div><div class="comments">{} {} {}</div><footer>f</footer>', "Hi {} Bye."),
+        ('<div class="with-sidebar"><div class="x"><h1>Hi</h1><p>{}</p></div><div class="sidebar">{}</div></div>', "Hi {}"),
+        ("<nav>a b c</nav><h1>Hi</h1><p>{}</p><p>So.</p><footer>f</footer>", "Hi {} So."),
+        ("<p>{}<template>no</template><noscript>no</noscript><iframe><p>no</iframe> &lt;b&gt; 1 < 2</p>", "{} <b> 1 < 2"),
+    ],
+)
+def test_html_cases(page, text):
+    assert html.extract(page.replace("{}", LONG)) == text.replace("{}", LONG)
+
+
+def test_html_time_is_linear():
+    import time
+
+    for page in ('<p x="y>' * 40_000, "<p x='y>a" * 20_000 + '<b y="' * 20_000, "<div>" * 40_000 + "x" + "</div>" * 40_000 + "</p>" * 40_000, "<" * 200_000, '<a b="' + "<" * 200_000):
+        began = time.monotonic()
+        html.extract(page)
+        assert time.monotonic() - began < 5
+
+
+def test_best_segment_equals_all_segments():
+    rng = random.Random(3)
+    for _ in range(300):
+        x = [rng.choice((-3.0, -1.0, -0.5, 0.0, 0.5, 1.0, 2.0)) for _ in range(rng.randint(0, 12))]
+        i, j = html.best_segment(x)
+        assert sum(x[i:j]) == max([0.0, *(sum(x[a:b]) for a in range(len(x)) for b in range(a + 1, len(x) + 1))])
+
+
+def test_html_learns_from_labelled_pages(spark):
+    """Marks hidden from the extractor, names of no list: what is inside is known from the labelled pages."""
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet").withColumn("html", F.regexp_replace("html", 'class="ad"', 'class="qzx"'))
+    weights = html.weights_from(pages)
+    assert weights[".qzx"] < -1 and weights["<p"] > weights["<li"] and weights["words"] > weights["link words"]
+    direct = {r.page_id: r.text for r in html.main_text(pages, weights=weights).collect()}
+    hidden = pages.withColumn("html", F.regexp_replace("html", "article", "div"))
+    got = {r.page_id: r.text for r in html.main_text(hidden, weights=weights).collect()}
+    assert got == direct and min(map(len, direct.values())) > 0
 
 
 def test_warc(spark, tmp_path):
@@ -352,16 +532,58 @@ def test_warc(spark, tmp_path):
     assert by["http://a/", "conversion"].block == "One two\nThree\nl" and by["http://b/", "conversion"].block == ""
     assert '"title": "A & B", "language": "de", "links": ["/x?a&b"]' in by["http://a/", "metadata"].block
     assert by["http://a/", "metadata"].source_payload_digest == warc.digest(page.encode())
-    raw = warc._bytes("response", {"WARC-Record-ID": "<urn:uuid:1>", "WARC-Target-URI": "http://a/", "WARC-Date": "d"}, b"HTTP/1.1 200 OK\r\nX: y\r\n\r\n" + page.encode())
-    (tmp_path / "a.warc").write_bytes(raw + raw)
-    read = warc.read_warc(spark, str(tmp_path / "a.warc"))
-    assert [r.payload for r in read.collect()] == [page, page]
-    warc.write_warc(warc.derive(read), str(tmp_path / "out"))
+    # Files are read back as they were written, marks inside payloads, binary and empty ones included.
+    odd = spark.createDataFrame(
+        [("<urn:uuid:1>", "http://a/", "d", "HTTP/1.1 200 OK\r\nX: y\r\n", page.encode()), ("<urn:uuid:2>", "http://b/", "d", "HTTP/1.1 200 OK\r\n", b"\x00\xff\r\n\r\nWARC/1.1\r\n\r\nWARC/1.0 \xfe\n\n"), ("<urn:uuid:3>", "http://c/", "d", "HTTP/1.1 204 None\r\n", b"")],
+        "record_id string, target_uri string, warc_date string, http_headers string, payload binary",
+    )
+    want = sorted((r.record_id, r.http_headers, bytes(r.payload), warc.digest(bytes(r.payload)), False) for r in odd.collect())
+    for packed in (None, "gzip"):
+        where = str(tmp_path / f"in_{packed}")
+        warc.write_responses(odd, where, packed)
+        read = warc.read_warc(spark, where)
+        assert sorted((r.record_id, r.http_headers, bytes(r.payload), r.payload_digest, r.truncated) for r in read.collect()) == want
+        made = warc.derive(read)
+        out = str(tmp_path / f"out_{packed}")
+        warc.write_warc(made, out, packed)
+        files = [f for f in __import__("os").listdir(out) if f.startswith("part")]
+        assert files and all(f.endswith(".warc.gz" if packed else ".warc") for f in files)
+        back = {(r.refers_to, r.warc_type): r for r in warc.read_derivatives(spark, out).collect()}
+        assert len(back) == 6
+        for r in made.collect():
+            x = back[r.refers_to, r.warc_type]
+            assert (x.record_id, x.target_uri, x.warc_date, x.content_type, bytes(x.block), x.block_digest) == (r.record_id, r.target_uri, r.warc_date, r.content_type, r.block.encode(), warc.digest(r.block.encode()))
+            assert x.source_payload_digest == r.source_payload_digest and x.source_block_digest == r.source_block_digest is not None
+    (tmp_path / "cut.warc").write_bytes(b"WARC/1.0\r\nWARC-Type: response\r\nContent-Length: 99\r\n\r\nHTTP/1.1 200 OK\r\n\r\nabc")
+    r = warc.read_warc(spark, str(tmp_path / "cut.warc")).first()
+    assert r.truncated and bytes(r.payload) == b"abc"
+
+
+def test_warc_edges(spark):
     import gzip
 
-    member = bytes(spark.read.parquet(str(tmp_path / "out")).first().member)
-    fields, _ = next(warc.parse_warc(gzip.decompress(member)))
-    assert fields["warc-refers-to"] == "<urn:uuid:1>"
+    one = lambda raw, head, **more: warc.derive(spark.createDataFrame([{"record_id": "r", "target_uri": "u", "warc_date": "d", "http_headers": head, "payload": raw, **more}])).where("warc_type = 'conversion'").first()
+    text = "<p>gr\u00fc\u00df dich</p>"
+    packed = gzip.compress(text.encode())
+    assert one(packed, "HTTP/1.1 200 OK\r\nContent-Encoding: gzip\r\n").block == "gr\u00fc\u00df dich"
+    chunked = b"".join(b"%x\r\n%s\r\n" % (len(x), x) for x in (packed[:7], packed[7:])) + b"0\r\n\r\n"
+    r = one(chunked, "HTTP/1.1 200 OK\r\ncontent-encoding: gzip\r\ntransfer-encoding: chunked\r\n", payload_digest="sha1:KNOWN", block_digest="sha1:BLOCK")
+    assert (r.block, r.source_payload_digest, r.source_block_digest) == ("gr\u00fc\u00df dich", "sha1:KNOWN", "sha1:BLOCK")
+    assert one(text.encode("latin-1"), "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=ISO-8859-1\r\n").block == "gr\u00fc\u00df dich"
+    assert one(b"not packed", "Content-Encoding: gzip\r\n").block == "not packed" and one(b"\xff", "Content-Type: x; charset=nonsense").block == "\ufffd"
+    pages = spark.createDataFrame([(1, "u", "<p>a</p>" * 20000, "x"), (1, "u", "<p>a</p>" * 20000, "x"), (None, None, None, None)], "page_id long, url string, html string, record_id string")
+    got = warc.report(pages).collect()
+    assert len(got) == 6 and len({r.record_id for r in got}) == 4 and max(r.content_length for r in got) >= 39999
+    assert warc.report(pages.limit(0)).count() == 0
+
+
+def test_embeddings_without_ids_and_with_clashing_names(spark):
+    rows = [(None, [1.0, 0.0], 1, "a"), (None, [1.0, 0.0], 1, "b"), (1, [1.0, 0.01], 1, "c"), (2, [1.0, 0.0], 1, "d"), (2, [1.0, 0.0], 1, "e"), (3, [0.0, 1.0], 2, "f")]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int, keep string")
+    got = sorted(((r.vec_id, r.n_links, r.component_id, r.kept) for r in embeddings.groups(df).collect()), key=repr)
+    assert got == sorted([(None, 0, None, True)] * 2 + [(1, 2, 1, True)] + [(2, 2, 1, False)] * 2 + [(3, 0, 3, True)], key=repr)
+    kept = embeddings.keep_representatives(df)
+    assert kept.columns == df.columns and {r.keep for r in kept.collect()} == {"a", "b", "c", "f"}
 
 
 def test_embeddings(spark):
@@ -442,7 +664,7 @@ def test_keep_first_meets_every_similar_pair(spark):
     assert any(bin(int(fp[i] ^ fp[j])).count("1") > 8 for i, j in near)
     docs = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
     texts = docs.withColumnRenamed("doc_id", "id")
-    left = simhash.shared_prefixes(texts, 5, 0.8).localCheckpoint()
+    left = write_table(simhash.shared_prefixes(texts, 5, 0.8))[0]
     met = {(r.a, r.b) for r in simhash.candidates(left, 1000, 0.8).where("a IS NOT NULL").collect()}
     assert {(i, j) for i, j in near if sets[i] != sets[j]} <= met
     assert {r.doc_id for r in simhash.keep_first(docs).collect()} == first_come(sets)
@@ -494,3 +716,29 @@ def test_pieces_have_log_scores(spark):
     both = far.expected(np.frombuffer(text.encode() + bytes(8), np.uint8), np.array([0]), np.array([len(text)]), np.array([3]))
     assert both[1] == pytest.approx(likelihood) and both[0] == pytest.approx(use)
     assert pieces.fit(docs.limit(0)).value.encode(pa.array(["a b"]))[1][-1] > 0
+
+
+def test_pieces_equal_the_library_under_the_same_scores(spark):
+    """The fitted scores in a unigram model file, read by the library: the same pieces, or others that score no better."""
+    import sentencepiece
+    from sentencepiece import sentencepiece_model_pb2 as pb
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    m = pieces.fit(docs).value
+    proto = pb.ModelProto()
+    with open(pieces.DEFAULT_MODEL, "rb") as f:
+        proto.ParseFromString(f.read())
+    for p, x in zip(proto.pieces, m.scores):
+        p.score = float(x)
+    proto.trainer_spec.model_type = 1
+    library = sentencepiece.SentencePieceProcessor(model_proto=proto.SerializeToString())
+    texts = [r.text for r in docs.collect() if r.text and "  " not in r.text and "\n" not in r.text.strip() and r.text == r.text.strip()][:60]
+    texts = [" ".join(t.split()[:40]) for t in texts]
+    ids, at = m.encode(pa.array(texts))
+    same = 0
+    for t, i, j in zip(texts, at[:-1], at[1:]):
+        own, theirs = ids[i:j].tolist(), library.encode(t)
+        same += own == theirs
+        if library.decode(theirs) == t and not set(own) & set(m.byte_id.tolist()):
+            assert sum(m.scores[own]) >= sum(m.scores[theirs]) - 1e-3
+    assert len(texts) >= 20 and same >= 0.9 * len(texts)
