@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from copath.functions.patterns import Pattern
 from copath.operators.kinds import ANY, Kinds, kinds_of
-from copath.plans.store import cut
+from copath.plans.meter import together
 from copath.sources.graphs import PropertyGraph
 
 
@@ -88,19 +88,18 @@ def target_tables(g: PropertyGraph, theta: float, psi: float | None = None, boun
     """The bounds' counts. With ``max_len``, only those that can pass for patterns of that length, or ``hops`` equal labels, leave the cluster."""
     k = kinds or kinds_of(g)
     psi = 1.0 if psi is None else psi
-    into = cut(g.edges.groupBy("label", "dst").agg(F.count("*").alias("n")))
-    degree = into.groupBy("dst").agg(F.sum("n").alias("n")).agg(F.max("n")).first()[0] or 0
-    by_label = {r.label: r.n for r in into.groupBy("label").agg(F.max("n").alias("n")).collect()} if bound == "per_label" else None
-    own = k.own.select(F.col("v").alias("dst"), "sid")
-    ends = into.join(own, "dst").groupBy("label", "sid").agg(F.sum("n").alias("n")).join(k.attrs, "sid").groupBy("label", "item").agg(F.sum("n").alias("n"))
-    out = g.edges.select(F.col("src").alias("v"), "label").distinct().join(k.own, "v")
+    far = max(1, largest_in_degree(g))
+    # Edges by the kind of their end, sources of a label by their own: both are few rows for each kind.
+    ends = k.edges.groupBy("label", "sid").agg(F.count("*").alias("n")).join(k.attrs, "sid").groupBy("label", "item").agg(F.sum("n").alias("n"))
+    out = k.edges.select(F.col("src").alias("v"), "label").distinct().join(k.own, "v")
     starts = out.groupBy("label", "sid").agg(F.count("*").alias("n")).join(k.attrs, "sid").groupBy("item", "label").agg(F.sum("n").alias("n"))
     if max_len is not None:
-        far = max(1, degree)
         if hops:
             ends = ends.where(F.col("n") >= theta / far ** (psi * (max(max_len, hops) - 1)) / hops - 1e-9)
         starts = starts.where(F.col("n") >= theta / far ** (max_len - 1) - 1e-9)
-    return Targets(theta, degree, {(r.label, r.item): r.n for r in ends.collect()}, {(r.item, r.label): r.n for r in starts.collect()}, psi, by_label)
+    jobs = [ends.collect, starts.collect, lambda: largest_in_degrees(g) if bound == "per_label" else None]
+    at_ends, at_starts, by_label = together(*jobs)
+    return Targets(theta, far, {(r.label, r.item): r.n for r in at_ends}, {(r.item, r.label): r.n for r in at_starts}, psi, by_label)
 
 
 def target_labels(t: Targets, max_len: int, hops: int) -> list[int]:
@@ -125,11 +124,11 @@ def reduce_graph(g: PropertyGraph, t: Targets, max_len: int, hops: int) -> Prope
     return PropertyGraph(g.vertices, g.attrs, g.edges.where(F.col("label").isin(used)) if used else g.edges.limit(0), g.items, g.labels, g._n)
 
 
-def useful_sources(g: PropertyGraph, t: Targets, heads: list[int] | None = None) -> DataFrame:
+def useful_sources(g: PropertyGraph, t: Targets) -> DataFrame:
     """(v): vertices with a target item and an outgoing edge with a target label; no other starts a pattern of length one or more."""
     labels = sorted({label for (item, label) in t.starts if t.step_ok(1, item, label)})
-    items = sorted({item for (item, label) in t.starts if item != ANY and t.step_ok(1, item, label)} if heads is None else heads)
-    if not labels or not items:
+    items = sorted({item for (item, label) in t.starts if t.step_ok(1, item, label)})
+    if not labels:
         return g.vertices.limit(0)
     own = g.vertices if ANY in items else g.attrs.where(F.col("item").isin(items)).select("v").distinct()
     return own.join(g.edges.where(F.col("label").isin(labels)).select(F.col("src").alias("v")).distinct(), "v", "left_semi")

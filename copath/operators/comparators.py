@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from copath.functions.patterns import Pattern, escape, subsets
-from copath.sources.graphs import PropertyGraph
+from copath.sources.graphs import PropertyGraph, name_table
 
 
 def brute_force(vertices, attrs, edges, max_len: int, max_reach: int, theta: float, min_len: int = 1, max_items: int | None = None):
@@ -60,8 +60,8 @@ def correlated_pairs(g: PropertyGraph, theta: int, k: int, h: int = 0, max_edges
     a vertex with both within h edges, directions ignored. Ties by text.
     """
     spark = g.attrs.sparkSession
-    item = F.broadcast(spark.createDataFrame([(i, escape(s)) for i, s in enumerate(g.items)], "item int, iname string"))
-    label = F.broadcast(spark.createDataFrame([(i, escape(s)) for i, s in enumerate(g.labels)], "label int, lname string"))
+    item = name_table(spark, "item", [escape(s) for s in g.items]).withColumnRenamed("name", "iname")
+    label = name_table(spark, "label", [escape(s) for s in g.labels]).withColumnRenamed("name", "lname")
     a = g.attrs.join(item, "item").select("v", "iname")
     e = g.edges.join(label, "label").select("src", "lname", "dst")
     one = e.join(a.select(F.col("v").alias("src"), F.col("iname").alias("a")), "src").join(a.select(F.col("v").alias("dst"), F.col("iname").alias("b")), "dst")

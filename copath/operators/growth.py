@@ -23,9 +23,8 @@ from pyspark.sql import functions as F
 from copath.config import MinerConfig
 from copath.functions.patterns import Pattern
 from copath.operators.bounds import Targets
-from copath.operators.kinds import ANY
+from copath.operators.kinds import ANY, Kinds
 from copath.plans.store import cut
-from copath.sources.graphs import PropertyGraph
 
 #: Candidate tables up to this many rows are broadcast.
 BROADCAST_ROWS = 2_000_000
@@ -100,19 +99,10 @@ def end_set(item: int) -> tuple[int, ...]:
     return () if item == ANY else (item,)
 
 
-def holding(attrs: DataFrame, sets: list[tuple[int, tuple[int, ...]]], name: str = "sid") -> DataFrame:
-    """(sid, v): vertices that have all items of a set; sets: (number, items), the empty one is ANY."""
-    rows = [(k, x, max(1, len(s))) for k, s in sets for x in (s or (ANY,))]
-    held = attrs.join(small_table(attrs, rows, f"{name} int, item int, k int"), "item")
-    if any(len(s) > 1 for _, s in sets):
-        held = held.groupBy(name, "v").agg(F.count("*").alias("have"), F.first("k").alias("k")).where("have = k")
-    return held.select(name, "v")
-
-
 def frequent_itemsets(attrs: DataFrame, weights: DataFrame, c: Catalogue, scale: float, cfg: MinerConfig, n_items: int) -> DataFrame:
     """Level-wise join and prune over attrs(v, item). (pid, v, w) of all frequent item sets."""
     began = time.monotonic()
-    attrs = cut(attrs.join(weights, "v").select(F.col("v").alias("src"), "item", "w"))
+    attrs = attrs.join(weights, "v").select(F.col("v").alias("src"), "item", "w")
     rows = frequent_keys(c, attrs, ["item"], scale)
     pids = [(item, c.add(Pattern(end_set(item)), n)) for item, n in sorted(rows)]
     c.log("itemsets", 1, n_items, len(pids), began)
@@ -228,38 +218,39 @@ class Codes:
         return [(h, self.ids[q], c.ids[Pattern(c.names[h].head, q.hops, q.reach)]) for q, heads in self.heads.items() for h in heads]
 
 
-def ends_of(edges: DataFrame, attrs: DataFrame, tips: dict[tuple[int, tuple[int, ...]], int]) -> DataFrame:
+def ends_of(kinds: Kinds, edges: DataFrame, tips: dict[tuple[int, tuple[int, ...]], int]) -> DataFrame:
     """(eid, v): vertices with an edge of the label to one that has the items; tips: (label, items) -> eid."""
-    held = holding(attrs, [(k, s) for (_, s), k in tips.items()], "eid")
-    label_of = small_table(attrs, [(k, label) for (label, _), k in tips.items()], "eid int, label int")
-    return cut(held.join(label_of, "eid").withColumnRenamed("v", "dst").join(edges, ["label", "dst"]).select("eid", F.col("src").alias("v")).distinct())
+    held = kinds.holding([(k, s) for (_, s), k in tips.items()], "eid")
+    label_of = small_table(edges, [(k, label) for (label, _), k in tips.items()], "eid int, label int")
+    return edges.join(kinds.small(held.join(label_of, "eid")), ["label", "sid"]).select("eid", F.col("src").alias("v")).distinct()
 
 
-def back(edges: DataFrame, attrs: DataFrame, rows: DataFrame, steps: list[tuple[int, tuple[int, ...], int, int]], extra: list[str]) -> DataFrame:
+def back(kinds: Kinds, edges: DataFrame, rows: DataFrame, steps: list[tuple[int, tuple[int, ...], int, int]], extra: list[str]) -> DataFrame:
     """(suffix, extra, v) one hop before rows(suffix, extra, v): steps are (label, items, suffix, new suffix)."""
     sets = {s: k for k, s in enumerate(sorted({s for _, s, _, _ in steps}))}
     table = small_table(rows, [(sets[s], suffix, label, new) for label, s, suffix, new in steps], "hid int, suffix int, label int, new int")
-    at = rows.join(holding(attrs, [(k, s) for s, k in sets.items()], "hid"), "v").join(table, ["hid", "suffix"])
-    hop = at.select("new", *extra, "label", F.col("v").alias("dst")).join(edges, ["label", "dst"])
+    # An edge knows the kind of its end, and so which items a walk may ask for there.
+    into = edges.withColumnRenamed("dst", "v").join(kinds.small(kinds.holding([(k, s) for s, k in sets.items()], "hid")), "sid")
+    hop = rows.join(into, "v").join(table, ["hid", "suffix", "label"])
     return hop.select(F.col("new").alias("suffix"), *extra, F.col("src").alias("v")).distinct()
 
 
-def explicit(edges: DataFrame, attrs: DataFrame, codes: list[tuple[int, Pattern]]) -> DataFrame:
+def explicit(kinds: Kinds, edges: DataFrame, codes: list[tuple[int, Pattern]]) -> DataFrame:
     """(cid, v) of listed codes of one length."""
     length = len(codes[0][1].hops)
     number = [{} for _ in range(length)]
     for j in range(length):
         for _, q in codes:
             number[j].setdefault(q.hops[j:], len(number[j]))
-    rows = ends_of(edges, attrs, {hops[0]: k for hops, k in number[-1].items()}).withColumnRenamed("eid", "suffix")
+    rows = ends_of(kinds, edges, {hops[0]: k for hops, k in number[-1].items()}).withColumnRenamed("eid", "suffix")
     for j in range(length - 2, -1, -1):
         steps = [(hops[0][0], hops[0][1], number[j + 1][hops[1:]], k) for hops, k in number[j].items()]
-        rows = cut(back(edges, attrs, rows, steps, []))
+        rows = back(kinds, edges, rows, steps, [])
     table = small_table(rows, [(number[0][q.hops], cid) for cid, q in codes], "suffix int, cid int")
     return rows.join(table, "suffix").select("cid", "v")
 
 
-def grow_fixed(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tips: dict, first: DataFrame) -> None:
+def grow_fixed(kinds: Kinds, edges: DataFrame, t: Targets, codes: Codes, tips: dict, first: DataFrame) -> None:
     """All frequent fixed patterns of length 1 to max_len. first: (eid, v) of the single ends ``tips`` that any length or reach pattern may have."""
     c, cfg = codes.c, codes.cfg
     for i in range(1, cfg.max_len + 1):
@@ -277,7 +268,7 @@ def grow_fixed(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tip
             keys, name = ["eid"], {k: Pattern((), (hop,)) for hop, k in tips.items()}
             code_of = name.__getitem__
         else:
-            found, code_of = followed(g, attrs, ends, single, tips, first)
+            found, code_of = followed(kinds, edges, ends, single, tips, first)
             keys = ["suffix", "eid"]
         kept = codes.count(found, keys, code_of)
         c.log(f"fixed_{i}", 1, generated, len(kept), began)
@@ -292,7 +283,7 @@ def grow_fixed(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tip
                 cand = {q: heads & codes.heads.get(Pattern((), q.hops[:-1]), set()) for q, heads in cand.items()}
             cand = {q: heads for q, heads in cand.items() if heads}
             if cand:
-                found = cut(explicit(g.edges, attrs, [(codes.number(q), q) for q in sorted(cand, key=lambda q: q.hops)]))
+                found = cut(explicit(kinds, edges, [(codes.number(q), q) for q in sorted(cand, key=lambda q: q.hops)]))
                 names = {k: q for q, k in codes.ids.items()}
                 kept = codes.count(found, ["cid"], names.__getitem__)
                 c.log(f"fixed_{i}", m, sum(map(len, cand.values())), len(kept), began)
@@ -301,7 +292,7 @@ def grow_fixed(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tip
             m += 1
 
 
-def followed(g: PropertyGraph, attrs: DataFrame, ends: Ends, prefixes: list[Pattern], tips: dict, first: DataFrame) -> tuple[DataFrame, Callable]:
+def followed(kinds: Kinds, edges: DataFrame, ends: Ends, prefixes: list[Pattern], tips: dict, first: DataFrame) -> tuple[DataFrame, Callable]:
     """(suffix, eid, v): prefixes of single items with one more hop to a single item that the bounds admit, by data; and the code of (suffix, eid)."""
     length = len(prefixes[0].hops)
     number = [{} for _ in range(length)] + [{(): 0}]
@@ -325,12 +316,12 @@ def followed(g: PropertyGraph, attrs: DataFrame, ends: Ends, prefixes: list[Patt
     rows = first.join(small_table(first, [(k, label_of[k]) for k in eids], "eid int, label int"), "eid")
     sets = {s: k for k, s in enumerate(sorted(last))}
     may = small_table(rows, [(sets[s], label) for s, labels in last.items() for label in labels], "hid int, label int")
-    rows = rows.join(holding(attrs, [(k, s) for s, k in sets.items()], "hid"), "v").join(may, ["hid", "label"]).select("hid", "eid", "v")
-    step = small_table(rows, [(sets[hops[0][1]], hops[0][0], k) for hops, k in number[length - 1].items()], "hid int, label int, suffix int")
-    rows = rows.join(step, "hid").select("suffix", "label", "eid", F.col("v").alias("dst")).join(g.edges, ["label", "dst"]).select("suffix", "eid", F.col("src").alias("v")).distinct()
+    step = small_table(rows, [(sets[hops[0][1]], hops[0][0], k) for hops, k in number[length - 1].items()], "hid int, by int, suffix int")
+    into = edges.select("src", F.col("label").alias("by"), F.col("dst").alias("v"), "sid").join(kinds.small(kinds.holding([(k, s) for s, k in sets.items()], "hid")), "sid").join(step, ["hid", "by"])
+    rows = rows.join(into.select("src", "v", "hid", "suffix"), "v").join(may, ["hid", "label"]).select("suffix", "eid", F.col("src").alias("v")).distinct()
     for j in range(length - 2, -1, -1):
         steps = [(hops[0][0], hops[0][1], number[j + 1][hops[1:]], k) for hops, k in number[j].items()]
-        rows = back(g.edges, attrs, cut(rows), steps, ["eid"])
+        rows = back(kinds, edges, cut(rows), steps, ["eid"])
     by_label = small_table(rows, [(k, label_of[k]) for k in eids], "eid int, label int")
     rows = rows.join(by_label, "eid").join(small_table(rows, allowed, "suffix int, label int, grp int"), ["suffix", "label"])
     rows = cut(rows.join(small_table(rows, [(grp, k) for grp, _, k in sorted(admitted)], "grp int, eid int"), ["grp", "eid"], "left_semi").select("suffix", "eid", "v"))
@@ -383,7 +374,7 @@ def onward(edges: DataFrame, first: DataFrame, hops: int) -> DataFrame:
         k += 1
         new = front.join(step, ["v", "label"]).select("tid", "label", F.col("src").alias("v")).distinct()
         front = cut(new.join(seen, ["tid", "label", "v"], "left_anti"))
-        if front.isEmpty():
+        if k != hops and front.isEmpty():
             break
         seen = seen.union(front)
     return seen.select("tid", "v")
@@ -399,7 +390,7 @@ def wider_tails(known: set[Pattern], size: int) -> list[Pattern]:
     return [Pattern((), ((label, (*prefix, a, b)),), True) for (label, prefix), lasts in sorted(by_prefix.items()) for a, b in combinations(sorted(lasts), 2)]
 
 
-def grow_reach(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tips: dict, first: DataFrame) -> None:
+def grow_reach(kinds: Kinds, edges: DataFrame, t: Targets, codes: Codes, tips: dict, first: DataFrame) -> None:
     """All frequent reach patterns: single tails first, then larger ones that some head has all parts of."""
     c, cfg, hops, began = codes.c, codes.cfg, codes.cfg.hops, time.monotonic()
     name = {k: Pattern((), (hop,), True) for hop, k in tips.items()}
@@ -407,7 +398,7 @@ def grow_reach(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tip
     tails = sorted(tips[label, end_set(x)] for label, x in t.ends if label in labels and (label, end_set(x)) in tips and t.reach_tail_ok(label, x, hops))
     if not tails or c.late():
         return
-    reached = onward(g.edges, first.join(small_table(first, [(k, name[k].hops[0][0]) for k in tails], "eid int, label int"), "eid").withColumnRenamed("eid", "tid"), hops)
+    reached = onward(edges, first.join(small_table(first, [(k, name[k].hops[0][0]) for k in tails], "eid int, label int"), "eid").withColumnRenamed("eid", "tid"), hops)
     kept = codes.count(reached, ["tid"], name.__getitem__)
     starts = sum(t.step_ok(1, x, label) for p in c.of(0) if len(p.head) <= 1 for x in p.head or (ANY,) for label in [name[k].hops[0][0] for k in tails])
     c.log("reach", 1, starts, len(kept), began)
@@ -423,7 +414,8 @@ def grow_reach(g: PropertyGraph, attrs: DataFrame, t: Targets, codes: Codes, tip
         if not cand:
             break
         number = {k: q for k, q in enumerate(sorted(cand, key=lambda q: q.hops))}
-        seeds = holding(attrs, [(k, q.hops[0][1]) for k, q in number.items()], "tid").join(small_table(attrs, [(k, q.hops[0][0]) for k, q in number.items()], "tid int, label int"), "tid")
-        reached = propagate(g.edges, seeds.select("tid", "label", "v"), hops)
+        own = {q.hops[0]: k for k, q in number.items()}
+        label_of = small_table(edges, [(k, label) for (label, _), k in own.items()], "tid int, label int")
+        reached = onward(edges, cut(ends_of(kinds, edges, own).withColumnRenamed("eid", "tid").join(label_of, "tid")), hops)
         kept = codes.count(reached, ["tid"], number.__getitem__)
         c.log("reach", size, sum(map(len, cand.values())), len(kept), began)

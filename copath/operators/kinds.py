@@ -1,4 +1,4 @@
-"""Vertices merged by their items: most questions about a head are questions about its kind."""
+"""Vertices merged by their items: most questions about a vertex are questions about its kind."""
 
 from __future__ import annotations
 
@@ -12,14 +12,32 @@ from copath.sources.graphs import PropertyGraph
 
 #: The item that every vertex has where patterns may ask for none.
 ANY = -1
+#: Tables of kinds are broadcast up to this many kinds.
+BROADCAST_KINDS = 50_000
 
 
 @dataclass
 class Kinds:
-    """attrs(sid, item) of each distinct item set; own(v, sid) of each vertex."""
+    """attrs(sid, item) of each distinct item set; own(v, sid) of each vertex; edges(src, label, dst, sid) with the kind of the end (null: no items)."""
 
     attrs: DataFrame
     own: DataFrame
+    edges: DataFrame
+    n: int
+
+    def small(self, df: DataFrame) -> DataFrame:
+        """A table with a few rows for each kind, broadcast if there are few kinds."""
+        return F.broadcast(df) if self.n <= BROADCAST_KINDS else df
+
+    def holding(self, sets: list[tuple[int, tuple[int, ...]]], name: str) -> DataFrame:
+        """(name, sid): kinds that have all items of a set; sets: (number, items), the empty one is ANY."""
+        from copath.operators.growth import small_table
+
+        rows = [(k, x, max(1, len(s))) for k, s in sets for x in (s or (ANY,))]
+        held = self.attrs.join(small_table(self.attrs, rows, f"{name} int, item int, k int"), "item")
+        if any(len(s) > 1 for _, s in sets):
+            held = held.groupBy(name, "sid").agg(F.count("*").alias("have"), F.first("k").alias("k")).where("have = k")
+        return held.select(name, "sid")
 
 
 def kinds_of(g: PropertyGraph, allow_empty: bool = False) -> Kinds:
@@ -29,4 +47,7 @@ def kinds_of(g: PropertyGraph, allow_empty: bool = False) -> Kinds:
         per = g.vertices.join(per, "v", "left").select("v", F.concat(F.array(F.lit(ANY)), F.coalesce("items", F.array().cast("array<int>"))).alias("items"))
     per = cut(per)
     kinds = cut(per.select("items").distinct().withColumn("sid", F.monotonically_increasing_id()))
-    return Kinds(kinds.select("sid", F.explode("items").alias("item")), cut(per.join(kinds, "items").select("v", "sid")))
+    n = kinds.count()
+    own = cut(per.join(F.broadcast(kinds) if n <= BROADCAST_KINDS else kinds, "items").select("v", "sid"))
+    edges = cut(g.edges.join(own.withColumnRenamed("v", "dst"), "dst", "left").select("src", "label", "dst", "sid"))
+    return Kinds(kinds.select("sid", F.explode("items").alias("item")), own, edges, n)

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from copath.config import MinerConfig
 from copath.functions.patterns import Pattern
-from copath.operators.growth import Catalogue, checked, frequent_keys, holding, small_table, union
+from copath.operators.growth import Catalogue, checked, frequent_keys, small_table, union
 from copath.operators.kinds import ANY
 from copath.plans.store import cut
 
@@ -31,8 +31,9 @@ class Work:
 
 def head_matches(work: Work, c: Catalogue) -> DataFrame:
     """(pid, v, w): the frequent item sets of each source."""
-    sets = [(c.ids[p], p.head) for p in c.of(0)]
-    return cut(holding(work.attrs, sets, "pid").join(work.weights, "v").select("pid", "v", "w"))
+    rows = [(c.ids[p], x, max(1, len(p.head))) for p in c.of(0) for x in p.head or (ANY,)]
+    held = work.attrs.join(small_table(work.attrs, rows, "pid int, item int, k int"), "item").groupBy("pid", "v").agg(F.count("*").alias("have"), F.first("k").alias("k")).where("have = k")
+    return cut(held.join(work.weights, "v").select("pid", "v", "w"))
 
 
 def item_sets(attrs: DataFrame, most: int | None) -> tuple[DataFrame, int]:

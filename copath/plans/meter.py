@@ -7,11 +7,33 @@ import time
 import uuid
 from contextlib import contextmanager
 
+from pyspark import InheritableThread
 from pyspark.sql import SparkSession
 
 from copath.plans.store import one_process
 
 
+def together(*jobs) -> list:
+    """Results of functions that each wait for Spark, run at the same time."""
+    out: list = [None] * len(jobs)
+    failed: list[Exception] = []
+
+    def one(i: int) -> None:
+        try:
+            out[i] = jobs[i]()
+        except Exception as e:  # raised again below
+            failed.append(e)
+
+    threads = [InheritableThread(target=one, args=(i,)) for i in range(len(jobs))]
+    for t in threads:
+        t.start()
+    for t in threads:
+        t.join()
+    if failed:
+        raise failed[0]
+    return out
+
+
 @contextmanager
 def deadline(spark: SparkSession, seconds: float | None):
     """Jobs inside are cancelled once the time is up; gives a function that says whether it is."""

@@ -13,8 +13,8 @@ from copath.config import MinerConfig
 from copath.functions import measures
 from copath.functions.patterns import STRUCT, Pattern, as_row
 from copath.operators import balance, growth, plain, rules
-from copath.operators.bounds import Targets, reduce_graph, target_items, target_tables, useful_sources
-from copath.operators.kinds import ANY, kinds_of
+from copath.operators.bounds import Targets, target_items, target_labels, target_tables, useful_sources
+from copath.operators.kinds import kinds_of
 from copath.operators.matches import Matches
 from copath.operators.sampling import sample_sources, stratum_weights
 from copath.plans import meter
@@ -129,26 +129,26 @@ class _Run:
             if cfg.estimator == "stratum_weight":
                 sources, self.scale, weight = cut(stratum_weights(g, common, sources)), 1.0, F.col("weight")
         own = (kinds.own if sources is None else kinds.own.join(sources, "v")).select("v", "sid", weight.alias("w"))
-        weights = own.groupBy(F.col("sid").alias("v")).agg(F.sum("w").alias("w"))
+        weights = cut(own.groupBy(F.col("sid").alias("v")).agg(F.sum("w").alias("w")))
         of_kinds = growth.frequent_itemsets(kinds.attrs.withColumnRenamed("sid", "v"), weights, c, self.scale, cfg, len(g.items))
         heads = cut(of_kinds.select(F.col("v").alias("sid"), "pid"))
         self.tick("itemsets")
-        # Sources without a frequent head start no pattern; without a target label, none with a hop.
+        # Sources without a frequent head start no pattern.
         own = own.join(heads.select("sid").distinct(), "sid", "left_semi").select("v", "sid", "w")
         every = not cfg.max_len or cfg.min_len == 0
-        attrs = kinds.own.join(kinds.attrs, "sid").select("v", "item") if cfg.allow_empty else g.attrs
         pruned, hops = cfg.policy == "pruned", cfg.hops if cfg.reach else 1
         if cfg.max_len:
             self.targets = target_tables(g, self.theta, cfg.psi, cfg.bound, kinds, cfg.max_len if pruned else None, hops)
         if not pruned and cfg.max_len:
-            self.plainly(plain.Work(attrs, g.edges, own.select("v", "w")), every)
+            self.plainly(plain.Work(kinds.own.join(kinds.attrs, "sid").select("v", "item"), g.edges, own.select("v", "w")), every)
             return
         nothing = Pattern(())
         if cfg.max_len:
-            h = reduce_graph(g, self.targets, cfg.max_len, hops)
-            items = sorted({x for p in c.of(0) for x in p.head or (ANY,)})
+            labels = target_labels(self.targets, cfg.max_len, hops)
+            edges = kinds.edges.where(F.col("sid").isNotNull() & F.col("label").isin(labels))
             if not every:
-                own = own.join(useful_sources(h, self.targets, items), "v", "left_semi")
+                # Nor does one without a target item and an edge of a target label.
+                own = own.join(useful_sources(g, self.targets), "v", "left_semi")
         own = cut(own)
         codes = growth.Codes(c, growth.Sources(own, heads), self.scale, cfg)
         if every:
@@ -157,13 +157,12 @@ class _Run:
         if cfg.max_len:
             ends = target_items(self.targets, cfg.max_len, hops)
             tips = {(label, growth.end_set(x)): k for k, (label, x) in enumerate(ends)}
-            attrs = cut(attrs.join(growth.small_table(attrs, [(x,) for x in sorted({x for _, x in ends})], "item int"), "item", "left_semi").select("v", "item"))
-            first = growth.ends_of(h.edges, attrs, tips)
+            first = cut(growth.ends_of(kinds, edges, tips))
             self.tick("bounds")
-            growth.grow_fixed(h, attrs, self.targets, codes, tips, first)
+            growth.grow_fixed(kinds, edges, self.targets, codes, tips, first)
             self.tick("fixed")
             if cfg.reach:
-                growth.grow_reach(h, attrs, self.targets, codes, tips, first)
+                growth.grow_reach(kinds, edges, self.targets, codes, tips, first)
                 self.tick("reach")
         held = codes.rows()
         self.matches = Matches(own.select(F.lit(0).alias("cid"), "v").limit(0) if held is None else held, codes.sources, codes.patterns())

@@ -20,7 +20,7 @@ from copath.sources.graphs import build, graph_stats, oracle_graph
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 #: Thresholds as shares of all vertices.
-SHARE = {"trade": 0.1, "copart": 0.1, "users": 0.4, "eventchain": 0.05, "lineage": 0.05, "corpus": 0.05, "dialog": 0.05}
+SHARE = {"trade": 0.1, "copart": 0.16, "users": 0.3, "eventchain": 0.05, "lineage": 0.05, "corpus": 0.05, "dialog": 0.05}
 
 
 def query(name: str, oracle: str | None = None):
@@ -34,16 +34,15 @@ def query(name: str, oracle: str | None = None):
 
 
 def named(g, df: DataFrame, items: bool = True, labels: bool = True) -> DataFrame:
-    spark = df.sparkSession
-    if items:
-        df = df.join(F.broadcast(spark.createDataFrame(list(enumerate(g.items)), "item int, iname string")), "item").withColumn("item", F.col("iname")).drop("iname")
-    if labels:
-        df = df.join(F.broadcast(spark.createDataFrame(list(enumerate(g.labels)), "label int, lname string")), "label").withColumn("label", F.col("lname")).drop("lname")
+    for wanted, column, names in ((items, "item", g.items), (labels, "label", g.labels)):
+        if wanted:
+            table = graphs.name_table(df.sparkSession, column, names)
+            df = df.join(table, column).withColumn(column, F.col("name")).drop("name")
     return df
 
 
 def config(graph: str, **changes) -> MinerConfig:
-    return MinerConfig(SHARE[graph], relative=True, max_items=1).but(**changes)
+    return MinerConfig(SHARE[graph], relative=True).but(**changes)
 
 
 def measured(rules: DataFrame) -> DataFrame:
@@ -131,27 +130,22 @@ def mine_rules_patterns(g, cfg: MinerConfig) -> DataFrame:
 
 for _g, _kind, _h in (("trade", "1", 2), ("trade", "2", 2), ("trade", "reach", 2), ("copart", "1", 2), ("copart", "2", 2), ("users", "1", 2), ("users", "reach", 2), ("lineage", "1", 2), ("lineage", "2", 2), ("eventchain", "1", 2), ("eventchain", "2", 2), ("eventchain", "reach", 4), ("corpus", "1", 2), ("corpus", "reach", 2), ("dialog", "1", 2), ("dialog", "2", 2)):
     _name = f"reach{_h}_{_g}" if _kind == "reach" else f"unit_len{_kind}_{_g}"
-    query(_name, O.patterns(_g, SHARE[_g], _kind, _h))(_patterns(_g, _kind, _h))
+    query(_name, O.patterns(_g, SHARE[_g], _kind, _h))(_patterns(_g, _kind, _h, max_items=1))
+for _name, _kind, _where, _h, _two in (("multi_len1_trade", "1", "l1 IS NULL", 0, False), ("multi_len2_trade", "2", "l1 IS NOT NULL", 0, True), ("multi_reach2_trade", "reach", "star", 2, False)):
+    query(_name, O.supports(_where, "trade", SHARE["trade"], _h, _two))(_patterns("trade", _kind))
 
-_SETS = ", sets AS (SELECT v, item AS a, CAST(NULL AS VARCHAR) AS b, item AS txt FROM ats UNION ALL SELECT x.v, x.item AS a, y.item AS b, concat(x.item, ',', y.item) AS txt FROM ats AS x JOIN ats AS y ON x.v = y.v AND x.item < y.item)"
-query("multi_len1_trade", oracle_graph("trade") + _SETS + f", e1 AS (SELECT es.src, es.label, t.txt AS b FROM es JOIN sets AS t ON t.v = es.dst), p1 AS (SELECT DISTINCT concat('{{', h.txt, '}}|', x.label, '|{{', x.b, '}}') AS p, x.src AS v FROM e1 AS x JOIN sets AS h ON h.v = x.src) SELECT p AS text, CAST(count(*) AS DOUBLE) AS support FROM p1 GROUP BY p HAVING count(*) >= {O.theta(0.1)}")(_patterns("trade", "1", max_items=2))
-query("multi_reach2_trade", oracle_graph("trade") + _SETS + O.reach(2).split(", rb AS")[0] + f", rb2 AS (SELECT r.src, r.label, t.txt AS b FROM r JOIN sets AS t ON t.v = r.dst), p1 AS (SELECT DISTINCT concat('{{', h.txt, '}}|', x.label, '*|{{', x.b, '}}') AS p, x.src AS v FROM rb2 AS x JOIN sets AS h ON h.v = x.src) SELECT p AS text, CAST(count(*) AS DOUBLE) AS support FROM p1 GROUP BY p HAVING count(*) >= {O.theta(0.1)}")(_patterns("trade", "reach", max_items=2))
-
-# Rules: exact in three forms, the plain baseline, and other graphs.
+# Rules: exact in its forms, the plain baseline, and other graphs; any number of items at a position.
 _RULES = O.rules("trade", SHARE["trade"])
-for _name, _more in {"rules_trade": {}, "rules_lattice_trade": {"rule_form": "lattice"}, "rules_bitmap_trade": {"rule_form": "bitmap"}, "rules_prefix_only_trade": {"policy": "prefix_only"}, "rules_per_label_bound_trade": {"bound": "per_label"}, "rules_psi1_trade": {"psi": 1.0}}.items():
+for _name, _more in {"rules_trade": {}, "rules_lattice_trade": {"rule_form": "lattice"}, "rules_bitmap_trade": {"rule_form": "bitmap"}, "rules_single_pass_trade": {"rule_form": "single_pass"}, "rules_prefix_only_trade": {"policy": "prefix_only"}, "rules_per_label_bound_trade": {"bound": "per_label"}, "rules_psi1_trade": {"psi": 1.0}, "rules_placed_trade": {"placement": "greedy", "parallelism": 8}}.items():
     query(_name, _RULES)(lambda s, d, more=_more: measured(mine_rules(build(s, d, "trade"), config("trade", **more)).rules()))
-query("rules_copart", O.rules("copart", 0.1, 0, False))(lambda s, d: measured(mine_rules(build(s, d, "copart"), config("copart", max_len=1, reach=False)).rules()))
-query("rules_users", O.rules("users", 0.4, 2, False))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", max_len=1, max_reach=2)).rules()))
-query("rules_lineage", O.rules("lineage", SHARE["lineage"]))(lambda s, d: measured(mine_rules(build(s, d, "lineage"), config("lineage")).rules()))
-query("rules_eventchain", O.rules("eventchain", SHARE["eventchain"], 4))(lambda s, d: measured(mine_rules(build(s, d, "eventchain"), config("eventchain", max_reach=4)).rules()))
-query("rules_corpus", O.rules("corpus", SHARE["corpus"]))(lambda s, d: measured(mine_rules(build(s, d, "corpus"), config("corpus")).rules()))
-query("rules_dialog", O.rules("dialog", SHARE["dialog"]))(lambda s, d: measured(mine_rules(build(s, d, "dialog"), config("dialog")).rules()))
-query("rules_web")(lambda s, d: measured(mine_rules(build(s, d, "web"), MinerConfig(0.02, relative=True, max_items=2)).rules()))
+for _g, _h in (("copart", 2), ("users", 2), ("lineage", 2), ("eventchain", 4), ("corpus", 2), ("dialog", 2)):
+    query(f"rules_{_g}", O.rules(_g, SHARE[_g], _h))(lambda s, d, g=_g, h=_h: measured(mine_rules(build(s, d, g), config(g, max_reach=h)).rules()))
+query("rules_web")(lambda s, d: measured(mine_rules(build(s, d, "web"), MinerConfig(0.02, relative=True)).rules()))
 query("rules_vecnn")(lambda s, d: measured(mine_rules(build(s, d, "vecnn"), MinerConfig(0.01, relative=True)).rules()))
-query("rules_multi_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", theta=0.2, max_items=3)).rules()))
-query("rules_keep_dominated_trade", O.rule_tables("trade", SHARE["trade"]).replace("WHERE coalesce(sx.pre, '') <> pr.y AND coalesce(sy.pre, '') <> pr.x", "") + f" SELECT {O.MEASURED} FROM ru")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", keep_dominated=True)).rules()))
+query("rules_multi_trade", O.rules("trade", 0.2, 2, True, 2))(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", theta=0.2, max_items=2)).rules()))
+query("rules_keep_dominated_trade", O.rule_tables("trade", SHARE["trade"], dominated=True) + f" SELECT {O.MEASURED} FROM ru")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", keep_dominated=True)).rules()))
 query("rules_drop_implied_trade", O.rule_tables("trade", SHARE["trade"]) + f" SELECT {O.MEASURED} FROM ru WHERE replace(x, '*', '') <> replace(y, '*', '')")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", drop_implied=True)).rules()))
+query("rules_empty_sets_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", theta=0.3, allow_empty=True)).rules()))
 
 
 # Measures, filters, reports on rules.
@@ -168,28 +162,19 @@ query("top_rules_lift", f"SELECT * FROM ({_R} SELECT {O.MEASURED} FROM ru) AS z
 query("top_rules_per_head", f"SELECT x, y, abs_support, rel_support, confidence, lift, CAST(rank AS BIGINT) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY confidence DESC, x, y) AS rank FROM ({_R} SELECT {O.MEASURED} FROM ru) AS z) AS w WHERE rank <= 3")(lambda s, d: measures.top_rules(measured(_rules(s, d)), "confidence", 3, per="x").withColumn("rank", F.col("rank").cast("long")))
 _SIDE = "CASE WHEN strpos(x, '*') > 0 THEN 'reach' ELSE concat('length_', CAST((length(x) - length(replace(x, '|', ''))) // 2 AS VARCHAR)) END"
 query("rule_side_types_trade", _R + f" SELECT {_SIDE} AS side, count(*) AS n FROM ru GROUP BY 1")(lambda s, d: accuracy.rule_side_types(_rules(s, d)))
-query("pattern_counts_trade")(lambda s, d: accuracy.count_outputs(mine_rules(build(s, d, "trade"), config("trade"))))
+query(
+    "pattern_counts_trade",
+    _R + f" SELECT 'fixed' AS kind, CAST(0 AS INTEGER) AS len, (SELECT count(*) FROM (SELECT txt FROM sets GROUP BY txt HAVING count(*) >= {O.theta(SHARE['trade'])}) AS z) AS n UNION ALL SELECT CASE WHEN star THEN 'reach' ELSE 'fixed' END AS kind, CASE WHEN l1 IS NULL THEN 1 ELSE 2 END AS len, count(*) AS n FROM s GROUP BY 1, 2 UNION ALL SELECT 'rule' AS kind, 0 AS len, (SELECT count(*) FROM ok) AS n",
+)(lambda s, d: accuracy.count_outputs(mine_rules(build(s, d, "trade"), config("trade"))))
 _KIND = "CASE WHEN strpos({}, '*') > 0 THEN 'reach' ELSE 'fixed' END"
 query("rules_cube_trade", f"SELECT kind_x, kind_y, count(*) AS n, round(avg(c), 6) AS mean_confidence FROM ({_R} SELECT {_KIND.format('x')} AS kind_x, {_KIND.format('y')} AS kind_y, CAST(n AS DOUBLE) / nx AS c FROM ru) AS z GROUP BY CUBE (kind_x, kind_y)")(lambda s, d: accuracy.rules_cube(_rules(s, d)))
 
 
 # Approximations.
-def _damped_sql(graph: str, share: float, psi: float) -> str:
-    # A pattern of length two goes if its last end's edges times the damped degree miss theta; reach tails likewise over one and two hops.
-    dm = f"(SELECT power(CAST(max(c) AS DOUBLE), {psi}) FROM (SELECT count(*) AS c FROM es GROUP BY dst) AS d)"
-    th = O.theta(share)
-    cte = O.rule_tables(graph, share)
-    ends = f", ends AS (SELECT label, b, count(*) AS n FROM e1 GROUP BY label, b), bad2 AS (SELECT concat('|', label, '|{{', b, '}}') AS suffix FROM ends WHERE n * {dm} < {th}), badr AS (SELECT concat('|', label, '*|{{', b, '}}') AS suffix FROM ends WHERE n * (1 + {dm}) < {th} AND n < {th} AND n * {dm} < {th})"
-    cte = cte.replace(", al AS (", ends + ", al AS (", 1)
-    cte = cte.replace("SELECT p, v, pre FROM p2", "SELECT p, v, pre FROM p2 WHERE substr(p, length(pre) + 1) NOT IN (SELECT suffix FROM bad2)")
-    return cte.replace("SELECT p, v, NULL AS pre FROM ps", "SELECT p, v, NULL AS pre FROM ps WHERE substr(p, strpos(p, '|')) NOT IN (SELECT suffix FROM badr)") + f" SELECT {O.MEASURED} FROM ru"
-
-
-query("rules_damped_trade", _damped_sql("trade", SHARE["trade"], 0.4))(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", psi=0.4)).rules()))
-query("rules_damped_lineage", _damped_sql("lineage", SHARE["lineage"], 0.2))(lambda s, d: measured(mine_rules(build(s, d, "lineage"), config("lineage", psi=0.2)).rules()))
-query("rules_sampled_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", rho=0.4)).rules()))
-query("rules_damped_sampled_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", psi=0.4, rho=0.4)).rules()))
-query("rules_threshold_sampled_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", rho=0.4, sample_mode="threshold")).rules()))
+for _name, _g, _more in (("rules_damped_trade", "trade", {"psi": 0.4}), ("rules_damped_lineage", "lineage", {"psi": 0.2}), ("rules_sampled_trade", "trade", {"rho": 0.4}), ("rules_damped_sampled_trade", "trade", {"psi": 0.4, "rho": 0.4}), ("rules_threshold_sampled_trade", "trade", {"rho": 0.4, "sample_mode": "threshold"})):
+    _sql = {"mode" if k == "sample_mode" else k: x for k, x in _more.items()}
+    query(_name, O.rules(_g, SHARE[_g], **_sql))(lambda s, d, g=_g, more=_more: measured(mine_rules(build(s, d, g), config(g, **more)).rules()))
+query("rules_stratum_weight_trade")(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", rho=0.4, estimator="stratum_weight")).rules()))
 
 
 @query("lost_patterns_lineage", O.oracle_graph("lineage") + O.one_hop() + O.P1 + O.P2 + f", ends AS (SELECT label, b, count(*) AS n FROM e1 GROUP BY label, b), f AS (SELECT p, max(pre) AS pre, count(*) AS n FROM p2 GROUP BY p HAVING count(*) >= {O.theta(0.02)}) SELECT f.p AS text, CAST(f.n AS DOUBLE) AS support, round(CAST(f.n AS DOUBLE) / ends.n, 6) AS c, ends.n * (SELECT power(CAST(max(c) AS DOUBLE), 0.2) FROM (SELECT count(*) AS c FROM es GROUP BY dst) AS d) < {O.theta(0.02)} AS lost FROM f JOIN ends ON concat('|', ends.label, '|{{', ends.b, '}}') = substr(f.p, length(f.pre) + 1)")
@@ -197,7 +182,7 @@ def _lost(s, d):
     from copath.plans.miner import mine_patterns
 
     g = build(s, d, "lineage")
-    r = mine_patterns(g, config("lineage", theta=0.02, reach=False))
+    r = mine_patterns(g, config("lineage", theta=0.02, reach=False, max_items=1))
     rows = [(p.text(g.items, g.labels), float(n), round(c, 6), bool(x)) for p, n, c, x in bounds.damping_loss(list(r.catalogue.support.items()), r.targets, 0.2) if len(p.hops) == 2]
     return s.createDataFrame(rows, "text string, support double, c double, lost boolean")
 
@@ -220,7 +205,7 @@ def _strata(s, d):
 
 @query("sampled_support_trade", oracle_graph("trade") + _SAMPLED + O.one_hop() + O.P1 + f" SELECT p AS text, count(*) / 0.4 AS support FROM p1 WHERE v IN (SELECT v FROM sv) GROUP BY p HAVING count(*) / 0.4 >= {O.theta(0.1)}")
 def _sampled(s, d):
-    return mine_rules_patterns(build(s, d, "trade"), config("trade", rho=0.4, max_len=1, reach=False)).where("len = 1").select("text", "support")
+    return mine_rules_patterns(build(s, d, "trade"), config("trade", rho=0.4, max_len=1, reach=False, max_items=1)).where("len = 1").select("text", "support")
 
 
 @query("support_interval_trade", oracle_graph("trade") + _SAMPLED + O.one_hop() + O.P1 + f", cnt AS (SELECT p, count(*) AS n FROM p1 WHERE v IN (SELECT v FROM sv) GROUP BY p HAVING count(*) / 0.4 >= {O.theta(0.1)}), q AS (SELECT p, n, (SELECT count(*) FROM sv) AS m, (SELECT count(*) FROM st) AS big FROM cnt) SELECT p AS text, round(big * (CAST(n AS DOUBLE) / m), 4) AS estimate, round(big * (CAST(n AS DOUBLE) / m - 1.959963984540054 * sqrt(m * (CAST(n AS DOUBLE) / m) * (1 - CAST(n AS DOUBLE) / m) / (m - 1) / m)), 4) AS lo, round(big * (CAST(n AS DOUBLE) / m + 1.959963984540054 * sqrt(m * (CAST(n AS DOUBLE) / m) * (1 - CAST(n AS DOUBLE) / m) / (m - 1) / m)), 4) AS hi FROM q")
@@ -229,13 +214,11 @@ def _interval(s, d):
     common = _common(g, resolve_theta(g, config("trade")))
     m = sampling.sample_sources(g, common, 0.4).count()
     big = sampling.strata(g, common).count()
-    p = mine_rules_patterns(g, config("trade", rho=0.4, max_len=1, reach=False)).where("len = 1")
+    p = mine_rules_patterns(g, config("trade", rho=0.4, max_len=1, reach=False, max_items=1)).where("len = 1")
     est, lo, hi = sampling.support_interval(F.round(F.col("support") * 0.4), F.lit(float(m)), F.lit(float(big)))
     return p.select("text", F.round(est, 4).alias("estimate"), F.round(lo, 4).alias("lo"), F.round(hi, 4).alias("hi"))
 
 
-query("accuracy_grid_trade")(lambda s, d: W.accuracy_grid(build(s, d, "trade"), config("trade"), "trade", (0.2, 0.6)))
-
 # Placement.
 _COST = oracle_graph("trade") + f", ta AS (SELECT label, item FROM (SELECT label, item, count(*) AS n FROM es JOIN ats ON v = dst GROUP BY label, item) AS x WHERE n >= {O.theta(0.1)} UNION SELECT label, item FROM (SELECT label, item, count(*) AS n FROM (SELECT DISTINCT src, label FROM es) AS x JOIN ats ON v = src GROUP BY label, item) AS y WHERE n >= {O.theta(0.1)}), tl AS (SELECT DISTINCT label FROM (SELECT label, item, count(*) AS n FROM (SELECT DISTINCT src, label FROM es) AS x JOIN ats ON v = src GROUP BY label, item) AS y WHERE n >= {O.theta(0.1)}), o AS (SELECT src, count(*) AS d FROM es WHERE label IN (SELECT label FROM tl) GROUP BY src), w AS (SELECT v, count(*) AS a FROM ats WHERE item IN (SELECT item FROM ta) GROUP BY v) SELECT vs.v, coalesce(o.d, 0) * coalesce(w.a, 0) AS cost FROM vs LEFT JOIN o ON o.src = vs.v LEFT JOIN w ON w.v = vs.v"
 
@@ -262,34 +245,55 @@ _BIAS = (
     + ' SELECT sz.grp AS "group", n_group, count(*) AS n_rules, CAST(sum(n) AS BIGINT) AS sum_support, round(sum(CAST(n AS DOUBLE) / n_group), 6) AS sum_confidence, CAST(0 AS BIGINT) AS sum_support_unset FROM sz JOIN hit ON hit.grp = sz.grp GROUP BY sz.grp, n_group'
 )
 query("bias_segment_priority", _BIAS)(lambda s, d: matching.bias_check(build(s, d, "trade"), ["seg:BUILDING", "seg:AUTOMOBILE"], "places", "prio:", 2, unset="bal:"))
-query("bias_lang_toxic")(lambda s, d: matching.bias_check(build(s, d, "corpus"), ["lang:en", "lang:de", "lang:fr", "lang:es"], "next_in_source", "toxic:", 1, unset="quality:"))
+_LANGS = "('lang:en', 'lang:de', 'lang:fr', 'lang:es')"
+query(
+    "bias_lang_toxic",
+    oracle_graph("corpus")
+    + f", mem AS (SELECT v, item AS grp FROM ats WHERE item IN {_LANGS}), tip AS (SELECT DISTINCT es.src AS v, x.item FROM es JOIN ats AS x ON x.v = es.dst AND x.item LIKE 'toxic:%' WHERE es.label = 'next_in_source'), hit AS (SELECT grp, item, count(*) AS n, count(*) FILTER (WHERE mem.v NOT IN (SELECT v FROM ats WHERE item LIKE 'quality:%')) AS u FROM mem JOIN tip ON tip.v = mem.v GROUP BY grp, item), sz AS (SELECT grp, count(*) AS n_group FROM mem GROUP BY grp)"
+    + ' SELECT sz.grp AS "group", n_group, count(item) AS n_rules, CAST(coalesce(sum(n), 0) AS BIGINT) AS sum_support, round(coalesce(sum(CAST(n AS DOUBLE) / n_group), 0), 6) AS sum_confidence, CAST(coalesce(sum(u), 0) AS BIGINT) AS sum_support_unset FROM sz LEFT JOIN hit ON hit.grp = sz.grp GROUP BY sz.grp, n_group',
+)(lambda s, d: matching.bias_check(build(s, d, "corpus"), ["lang:en", "lang:de", "lang:fr", "lang:es"], "next_in_source", "toxic:", 1, unset="quality:"))
 _EX = ("{lang:en}|same_text|{lang:en}", "{lang:en}|same_text|{quality:1}")
 query("rule_exceptions_corpus", oracle_graph("corpus") + " , mx AS (SELECT DISTINCT es.src AS v FROM es JOIN ats AS h ON h.v = es.src AND h.item = 'lang:en' JOIN ats AS t ON t.v = es.dst AND t.item = 'lang:en' WHERE es.label = 'same_text'), my AS (SELECT DISTINCT es.src AS v FROM es JOIN ats AS h ON h.v = es.src AND h.item = 'lang:en' JOIN ats AS t ON t.v = es.dst AND t.item = 'quality:1' WHERE es.label = 'same_text') SELECT mx.v, es.dst AS tail FROM mx LEFT JOIN es ON es.src = mx.v AND es.label = 'same_text' WHERE mx.v NOT IN (SELECT v FROM my)")(
     lambda s, d: (lambda g: matching.rule_exceptions(g, *[parse(x, g.items, g.labels) for x in _EX]))(build(s, d, "corpus"))
 )
-query("missing_items_corpus")(lambda s, d: (lambda g: matching.missing_item_report(g, *[parse(x, g.items, g.labels) for x in _EX], "quality:"))(build(s, d, "corpus")))
+query(
+    "missing_items_corpus",
+    oracle_graph("corpus")
+    + ", mx AS (SELECT DISTINCT es.src AS v FROM es JOIN ats AS h ON h.v = es.src AND h.item = 'lang:en' JOIN ats AS t ON t.v = es.dst AND t.item = 'lang:en' WHERE es.label = 'same_text'), my AS (SELECT DISTINCT es.src AS v FROM es JOIN ats AS h ON h.v = es.src AND h.item = 'lang:en' JOIN ats AS t ON t.v = es.dst AND t.item = 'quality:1' WHERE es.label = 'same_text'), ex AS (SELECT mx.v, es.dst AS tail FROM mx LEFT JOIN es ON es.src = mx.v AND es.label = 'same_text' WHERE mx.v NOT IN (SELECT v FROM my))"
+    + " SELECT CASE WHEN tail IS NULL THEN 'no_end' WHEN tail IN (SELECT v FROM ats WHERE item LIKE 'quality:%') THEN 'other' ELSE 'gap' END AS reason, count(DISTINCT v) AS n FROM ex GROUP BY 1",
+)(lambda s, d: (lambda g: matching.missing_item_report(g, *[parse(x, g.items, g.labels) for x in _EX], "quality:"))(build(s, d, "corpus")))
 query("label_bands_places", oracle_graph("lineage") + " SELECT label, count(*) AS n FROM es WHERE label LIKE 'places%' GROUP BY label")(lambda s, d: (lambda g: named(g, g.edges, items=False).where("label LIKE 'places%'").groupBy("label").agg(F.count("*").alias("n")))(graphs.split_label_by_out_degree(build(s, d, "trade"), "places")))
 
 # Comparator.
-_CP = oracle_graph("copart") + f", one AS (SELECT concat('{{', a.item, '}}|', es.label, '|{{', b.item, '}}') AS t, es.src, es.dst FROM es JOIN ats AS a ON a.v = es.src JOIN ats AS b ON b.v = es.dst), im AS (SELECT DISTINCT t, 0 AS pos, src AS v FROM one UNION ALL SELECT DISTINCT t, 1 AS pos, dst AS v FROM one), fr AS (SELECT t FROM (SELECT t, pos, count(*) AS n FROM im GROUP BY t, pos) AS z GROUP BY t HAVING min(n) >= {O.theta(0.1)}), tv AS (SELECT DISTINCT t, v FROM im WHERE t IN (SELECT t FROM fr)) SELECT a.t AS x, b.t AS y, count(*) AS correlation FROM tv AS a JOIN tv AS b ON a.v = b.v AND a.t < b.t GROUP BY a.t, b.t ORDER BY correlation DESC, x, y LIMIT 100"
-query("correlated_pairs_copart", _CP)(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("copart")), 100, max_edges=1))(build(s, d, "copart")))
-query("correlated_pairs_trade_reduced")(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("trade", theta=0.05)), 100))(graphs.reduce_items(build(s, d, "trade"), "most")))
+query("correlated_pairs_copart", O.correlated("copart", 0.1, 100, 1))(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("copart", theta=0.1)), 100, max_edges=1))(build(s, d, "copart")))
+query("correlated_pairs_trade_reduced", O.correlated("trade", 0.05, 100, 2, reduced=True))(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("trade", theta=0.05)), 100))(graphs.reduce_items(build(s, d, "trade"), "most")))
+query("correlated_pairs_near_trade")(lambda s, d: (lambda g: comparators.correlated_pairs(g, resolve_theta(g, config("trade", theta=0.2)), 100, h=1, max_edges=1))(graphs.reduce_items(build(s, d, "trade"), "most")))
 query("reduce_items_trade", oracle_graph("trade") + " SELECT v, min(item) AS item FROM ats GROUP BY v")(lambda s, d: (lambda g: named(g, graphs.reduce_items(g).attrs, labels=False).select("v", "item"))(build(s, d, "trade")))
 query("sample_graph_trade")(lambda s, d: graph_stats(graphs.sample_graph(build(s, d, "trade"), 0.4)))
 
 # Experiments.
+for _g, _shares in (("trade", (0.05, 0.1)), ("lineage", (0.05, 0.1)), ("copart", (0.16, 0.17)), ("users", (0.3, 0.4))):
+    query(f"exp_theta_sweep_{_g}")(lambda s, d, g=_g, shares=_shares: W.theta_sweep(s, d, g, shares))
+for _g, _share in (("trade", 0.1), ("eventchain", 0.1), ("copart", 0.17)):
+    query(f"exp_length_sweep_{_g}")(lambda s, d, g=_g, share=_share: W.length_sweep(s, d, g, share, (1, 2, 3) if g == "copart" else (1, 2, 3, 4)))
+for _g, _share in (("trade", 0.1), ("copart", 0.16), ("users", 0.3), ("eventchain", 0.1)):
+    query(f"exp_factor_sweep_{_g}")(lambda s, d, g=_g, share=_share: W.factor_sweep(s, d, g, share))
+for _g, _share in (("trade", 0.1), ("copart", 0.16)):
+    query(f"exp_memory_{_g}")(lambda s, d, g=_g, share=_share: W.memory(s, d, g, share))
 for _name, _f in {
-    "exp_theta_sweep": W.theta_sweep,
-    "exp_length_sweep": W.length_sweep,
-    "exp_factor_sweep": W.factor_sweep,
     "exp_graph_size": W.graph_size,
+    "exp_memory_by_size": W.memory_by_size,
+    "exp_threads": W.thread_sweep,
+    "exp_placement": W.placements,
+    "exp_coverage": W.coverage,
     "exp_step_shares": W.step_shares,
     "exp_comparator": W.comparator,
-    "exp_knowledge_rules": W.knowledge_rules,
-    "exp_social_reach": W.social_reach,
-    "exp_stored_rows": W.stored_rows,
 }.items():
     query(_name)(_f)
+query("exp_knowledge_rules", O.rule_tables("trade", 0.05, 0, True, 1) + " SELECT x, y, CAST(n AS DOUBLE) AS abs_support, round(CAST(n AS DOUBLE) / nx, 6) AS confidence, round(CAST(n AS DOUBLE) * nv / (CAST(nx AS DOUBLE) * ny), 6) AS lift FROM ru WHERE length(x) - length(replace(x, '|', '')) = 4 AND length(y) - length(replace(y, '|', '')) = 2 AND split_part(x, '|', 2) <> split_part(y, '|', 2)")(W.knowledge_rules)
+for _g, _share in (("eventchain", 0.05), ("users", 0.3)):
+    _two, _four = (O.rule_tables(_g, _share, h, False, 1) + f" SELECT {h} AS hops, x, y, CAST(n AS DOUBLE) AS abs_support, round(CAST(n AS DOUBLE) / nx, 6) AS confidence, round(CAST(n AS DOUBLE) * nv / (CAST(nx AS DOUBLE) * ny), 6) AS lift FROM ru WHERE strpos(x, '*') > 0" for h in (2, 4))
+    query(f"exp_social_reach_{_g}", f"SELECT * FROM ({_two}) AS a UNION ALL SELECT * FROM ({_four}) AS b")(lambda s, d, g=_g, share=_share: W.social_reach(s, d, g, share))
 
 # Builders around the graphs.
 query("asof_event_order_edges", "SELECT event_id, o_orderkey FROM (SELECT e.event_id, o.o_orderkey, row_number() OVER (PARTITION BY e.event_id ORDER BY o.o_orderdate DESC, o.o_orderkey DESC) AS r FROM events AS e JOIN orders AS o ON o.o_custkey = e.user_id AND o.o_orderdate <= e.ts) AS z WHERE r = 1")(W.asof_edges)

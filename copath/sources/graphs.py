@@ -58,7 +58,7 @@ class PropertyGraph:
     def save(self, path: str) -> None:
         """Three Parquet tables with names; edges partitioned by label."""
         spark = self.vertices.sparkSession
-        names = lambda xs, c: F.broadcast(spark.createDataFrame(list(enumerate(xs)), f"{c} int, name string"))
+        names = lambda xs, c: name_table(spark, c, xs)
         self.vertices.write.mode("overwrite").parquet(f"{path}/vertices")
         self.attrs.join(names(self.items, "item"), "item").select("v", F.col("name").alias("item")).write.mode("overwrite").parquet(f"{path}/attrs")
         self.edges.join(names(self.labels, "label"), "label").select("src", F.col("name").alias("label"), "dst").write.mode("overwrite").partitionBy("label").parquet(f"{path}/edges")
@@ -69,6 +69,12 @@ class PropertyGraph:
         return PropertyGraph.encode(read("vertices"), read("attrs"), read("edges").select("src", F.col("label").cast("string").alias("label"), "dst"))
 
 
+def name_table(spark: SparkSession, column: str, names: list[str]) -> DataFrame:
+    """(column, name) of a vocabulary; broadcast up to a checked size."""
+    table = spark.createDataFrame(list(enumerate(names)), f"{column} int, name string")
+    return F.broadcast(table) if len(names) <= BROADCAST_NAMES else table
+
+
 def band(x: str) -> str:
     return f"CASE WHEN {x} < 0 THEN 'neg' WHEN {x} < 5000 THEN 'mid' ELSE 'high' END"
 
@@ -110,7 +116,7 @@ _LOCATED = (
     "SELECT s_suppkey * 16 + 4 AS src, 'located_in' AS label, CAST(s_nationkey AS BIGINT) * 16 + 5 AS dst FROM {supplier}",
     "SELECT CAST(n_nationkey AS BIGINT) * 16 + 5 AS src, 'located_in' AS label, CAST(n_regionkey AS BIGINT) * 16 + 6 AS dst FROM {nation}",
 )
-_SHIPPED = "SELECT DISTINCT l_orderkey * 16 + 2 AS src, 'shipped_by' AS label, l_suppkey * 16 + 4 AS dst FROM {lineitem}"
+_SHIPPED = "SELECT l_orderkey * 16 + 2 AS src, 'shipped_by' AS label, l_suppkey * 16 + 4 AS dst FROM {lineitem}"
 #: The bands of a source's out-degree (fixed values): 1, 2-4, 5-14, 15-29, 30-49, 50-100, above.
 DEGREE_BANDS = ((1, "1"), (4, "2_4"), (14, "5_14"), (29, "15_29"), (49, "30_49"), (100, "50_100"), (None, "over_100"))
 
@@ -125,7 +131,7 @@ GRAPHS: dict[str, dict[str, str]] = {
         "attrs": _TRADE_A,
         "edges": _union(
             "SELECT o_custkey * 16 + 1 AS src, 'places' AS label, o_orderkey * 16 + 2 AS dst FROM {orders}",
-            "SELECT DISTINCT l_orderkey * 16 + 2 AS src, 'contains' AS label, l_partkey * 16 + 3 AS dst FROM {lineitem}",
+            "SELECT l_orderkey * 16 + 2 AS src, 'contains' AS label, l_partkey * 16 + 3 AS dst FROM {lineitem}",
             _SHIPPED,
             *_LOCATED,
         ),
@@ -135,7 +141,7 @@ GRAPHS: dict[str, dict[str, str]] = {
         "attrs": _TRADE_A,
         "edges": _union(
             f"SELECT o_custkey * 16 + 1 AS src, concat('places_', {degree_band('n')}) AS label, o_orderkey * 16 + 2 AS dst FROM {{orders}} JOIN (SELECT o_custkey AS k, count(*) AS n FROM {{orders}} GROUP BY o_custkey) AS d ON o_custkey = k",
-            "SELECT DISTINCT l_orderkey * 16 + 2 AS src, concat('contains_', l_returnflag, l_linestatus, CAST(year(l_shipdate) AS VARCHAR(4))) AS label, l_partkey * 16 + 3 AS dst FROM {lineitem}",
+            "SELECT l_orderkey * 16 + 2 AS src, concat('contains_', l_returnflag, l_linestatus, CAST(year(l_shipdate) AS VARCHAR(4))) AS label, l_partkey * 16 + 3 AS dst FROM {lineitem}",
             _SHIPPED,
             *_LOCATED,
         ),
@@ -143,7 +149,7 @@ GRAPHS: dict[str, dict[str, str]] = {
     "copart": {
         "vertices": "SELECT p_partkey * 16 + 3 AS v FROM {part}",
         "attrs": "SELECT p_partkey * 16 + 3 AS v, concat('type:', p_type) AS item FROM {part}",
-        "edges": "SELECT DISTINCT a.l_partkey * 16 + 3 AS src, concat('with_', a.l_returnflag) AS label, b.l_partkey * 16 + 3 AS dst FROM {lineitem} AS a JOIN {lineitem} AS b ON a.l_orderkey = b.l_orderkey WHERE a.l_partkey <> b.l_partkey",
+        "edges": "SELECT a.l_partkey * 16 + 3 AS src, concat('with_', a.l_returnflag) AS label, b.l_partkey * 16 + 3 AS dst FROM {lineitem} AS a JOIN {lineitem} AS b ON a.l_orderkey = b.l_orderkey WHERE a.l_partkey <> b.l_partkey",
     },
     # The globally next event: within the day by a window, across days from each day's last to the next day's first.
     "users": {
@@ -153,7 +159,7 @@ GRAPHS: dict[str, dict[str, str]] = {
             f"SELECT user_id * 16 + 7 AS v, concat('bal:', {band('c_acctbal')}) AS item FROM (SELECT DISTINCT user_id FROM {{events}}) AS u JOIN {{customer}} ON user_id = c_custkey",
             "SELECT user_id * 16 + 7 AS v, concat('reg:', r_name) AS item FROM (SELECT DISTINCT user_id FROM {events}) AS u JOIN {customer} ON user_id = c_custkey JOIN {nation} ON c_nationkey = n_nationkey JOIN {region} ON n_regionkey = r_regionkey",
         ),
-        "edges": "SELECT DISTINCT user_id * 16 + 7 AS src, event_type AS label, coalesce(nxt, first_next) * 16 + 7 AS dst FROM (SELECT user_id, event_type, date_trunc('day', ts) AS day, lead(user_id) OVER (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id) AS nxt FROM {events}) AS e JOIN (SELECT day AS d, lead(first_user) OVER (ORDER BY day) AS first_next FROM (SELECT date_trunc('day', ts) AS day, user_id AS first_user, row_number() OVER (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id) AS k FROM {events}) AS f WHERE k = 1) AS g ON day = d WHERE coalesce(nxt, first_next) IS NOT NULL",
+        "edges": "SELECT user_id * 16 + 7 AS src, event_type AS label, coalesce(nxt, first_next) * 16 + 7 AS dst FROM (SELECT user_id, event_type, date_trunc('day', ts) AS day, lead(user_id) OVER (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id) AS nxt FROM {events}) AS e JOIN (SELECT day AS d, lead(first_user) OVER (ORDER BY day) AS first_next FROM (SELECT date_trunc('day', ts) AS day, user_id AS first_user, row_number() OVER (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id) AS k FROM {events}) AS f WHERE k = 1) AS g ON day = d WHERE coalesce(nxt, first_next) IS NOT NULL",
     },
     "eventchain": {
         "vertices": "SELECT event_id * 16 + 8 AS v FROM {events}",
@@ -175,8 +181,8 @@ GRAPHS: dict[str, dict[str, str]] = {
         ),
         "edges": _union(
             # Copies meet in a star around the smallest id and back, so that a group of n copies has 2n edges, not n squared.
-            "SELECT doc_id * 16 + 9 AS src, 'same_text' AS label, head * 16 + 9 AS dst FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY md5(text)) AS head FROM {documents}) AS t WHERE doc_id <> head",
-            "SELECT head * 16 + 9 AS src, 'same_text' AS label, doc_id * 16 + 9 AS dst FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY md5(text)) AS head FROM {documents}) AS t WHERE doc_id <> head",
+            "SELECT doc_id * 16 + 9 AS src, 'same_text' AS label, head * 16 + 9 AS dst FROM (SELECT doc_id, head FROM {documents} JOIN (SELECT md5(text) AS h, min(doc_id) AS head FROM {documents} WHERE text IS NOT NULL GROUP BY md5(text)) AS m ON md5(text) = h) AS t WHERE doc_id <> head",
+            "SELECT head * 16 + 9 AS src, 'same_text' AS label, doc_id * 16 + 9 AS dst FROM (SELECT doc_id, head FROM {documents} JOIN (SELECT md5(text) AS h, min(doc_id) AS head FROM {documents} WHERE text IS NOT NULL GROUP BY md5(text)) AS m ON md5(text) = h) AS t WHERE doc_id <> head",
             "SELECT src, label, dst FROM (SELECT doc_id * 16 + 9 AS src, 'next_in_source' AS label, lead(doc_id) OVER (PARTITION BY source ORDER BY doc_id) * 16 + 9 AS dst FROM {documents}) AS e WHERE dst IS NOT NULL",
         ),
     },
@@ -296,9 +302,10 @@ def reduce_items(g: PropertyGraph, how: str = "first") -> PropertyGraph:
     if how == "first":
         attrs = g.attrs.groupBy("v").agg(F.min("item").alias("item"))
     else:
-        freq = g.attrs.groupBy("item").count()
+        freq = g.attrs.groupBy("item").count()  # as many rows as the vocabulary
+        freq = F.broadcast(freq) if len(g.items) <= BROADCAST_NAMES else freq
         sign = -1 if how == "most" else 1
-        attrs = g.attrs.join(F.broadcast(freq), "item").groupBy("v").agg(F.min(F.struct((F.col("count") * sign).alias("c"), "item")).alias("m")).select("v", "m.item")
+        attrs = g.attrs.join(freq, "item").groupBy("v").agg(F.min(F.struct((F.col("count") * sign).alias("c"), "item")).alias("m")).select("v", "m.item")
     return PropertyGraph(g.vertices, cut(attrs), g.edges, g.items, g.labels, g._n)
 
 
@@ -319,9 +326,9 @@ def split_label_by_out_degree(g: PropertyGraph, label: str, bands=DEGREE_BANDS)
     name = F.lit(f"{label}_{bands[-1][1]}")
     for hi, text in reversed(bands[:-1]):
         name = F.when(F.col("n") <= hi, F.lit(f"{label}_{text}")).otherwise(name)
-    names = F.broadcast(spark.createDataFrame(list(enumerate(g.labels)), "label int, name string"))
+    names = name_table(spark, "label", g.labels)
     rest = g.edges.where(F.col("label") != number).join(names, "label").select("src", F.col("name").alias("label"), "dst")
-    item_names = F.broadcast(spark.createDataFrame(list(enumerate(g.items)), "item int, name string"))
+    item_names = name_table(spark, "item", g.items)
     return PropertyGraph.encode(g.vertices, g.attrs.join(item_names, "item").select("v", F.col("name").alias("item")), own.join(degree, "src").select("src", name.alias("label"), "dst").union(rest))
 
 
