@@ -7,6 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from copath.plans.store import cut
+
 MEASURES: dict[str, Callable[[Column, Column, Column, Column], Column]] = {}
 
 
@@ -39,6 +41,14 @@ def filter_rules(rules: DataFrame, min_conf: float | None = None, min_lift: floa
     return rules
 
 
+def best_consequents(antecedents: DataFrame, rules: DataFrame, k: int = 3, by: str = "confidence") -> DataFrame:
+    """x, y, measures of the best k rules of each antecedent (a column x); ties by text. A lateral join with a limited subquery."""
+    rest = ", ".join(f"q.`{c}`" for c in rules.columns if c != "x")
+    best = f"SELECT {rest} FROM {{rules}} AS q WHERE q.x = a.x ORDER BY q.`{by}` DESC, q.y LIMIT {int(k)}"
+    # A table of its own: both sides may come from the same run, and the subquery must not share their attributes.
+    return rules.sparkSession.sql(f"SELECT a.x, b.* FROM {{antecedents}} AS a, LATERAL ({best}) AS b", antecedents=antecedents.select("x").distinct(), rules=cut(rules))
+
+
 def top_rules(rules: DataFrame, by: str = "lift", k: int = 10, per: str | None = None) -> DataFrame:
     """The best k rules by a measure, overall or for each value of ``per``; ties by text."""
     from pyspark.sql import Window

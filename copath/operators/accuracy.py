@@ -16,6 +16,13 @@ def accuracy(exact: DataFrame, approx: DataFrame) -> DataFrame:
     return n.withColumns({"recall": share("n_exact"), "precision": share("n_approx")})
 
 
+def differences(exact: DataFrame, approx: DataFrame) -> DataFrame:
+    """side, x, y: rules that only the exact run has (missed), only the approximate one (added), or both (kept), by their texts."""
+    a, b = exact.select("x", "y"), approx.select("x", "y")
+    named = lambda side, df: df.select(F.lit(side).alias("side"), "x", "y")
+    return named("missed", a.exceptAll(b)).unionByName(named("added", b.exceptAll(a))).unionByName(named("kept", a.intersectAll(b)))
+
+
 def count_outputs(r: MiningResult) -> DataFrame:
     """kind, len, n of frequent patterns, and the number of unordered rules as kind ``rule``."""
     own = r.patterns().groupBy("kind", "len").agg(F.count("*").alias("n"))

@@ -11,8 +11,8 @@ from copath.functions.patterns import Pattern, escape, subsets
 from copath.sources.graphs import PropertyGraph, name_table
 
 
-def brute_force(vertices, attrs, edges, max_len: int, max_reach: int, theta: float, min_len: int = 1, max_items: int | None = None):
-    """Every frequent pattern and every rule pair of a tiny graph, by enumeration without pruning.
+def brute_force(vertices, attrs, edges, max_len: int, max_reach: int, theta: float, min_len: int = 1, max_items: int | None = None, allow_empty: bool = False):
+    """Every frequent pattern and every rule pair of a tiny graph, by enumeration without pruning. allow_empty: sets of no items count too.
 
     attrs: (v, item) and edges: (src, label, dst) with numbers. Gives {pattern: sources} and {(p, q): n} for p < q.
     """
@@ -21,7 +21,7 @@ def brute_force(vertices, attrs, edges, max_len: int, max_reach: int, theta: flo
         items[v].add(i)
     for s, label, d in edges:
         out[s].add((label, d))
-    sets = {v: list(subsets(tuple(sorted(items[v])), max_items)) for v in vertices}
+    sets = {v: [()] * allow_empty + list(subsets(tuple(sorted(items[v])), max_items)) for v in vertices}
     found: dict[Pattern, set] = defaultdict(set)
     for v in vertices:
         states = {(Pattern(h), v) for h in sets[v]}

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from copath.config import MinerConfig
 from copath.functions import measures
 from copath.functions.patterns import parse
-from copath.operators import accuracy, balance, bounds, comparators, matching, sampling
+from copath.operators import accuracy, balance, bounds, comparators, matching, sampling, sketches
 from copath.plans import oracles as O  # noqa: E741, N812
 from copath.plans import workloads as W  # noqa: N812
 from copath.plans.miner import mine_rules, resolve_theta
@@ -54,6 +54,7 @@ for _g in ("trade", "lineage", "copart", "users", "eventchain", "corpus", "dialo
     query(f"graph_stats_{_g}", O.stats(_g))(lambda s, d, g=_g: graph_stats(build(s, d, g)))
 query("graph_stats_web")(lambda s, d: graph_stats(build(s, d, "web")))
 query("graph_stats_vecnn")(lambda s, d: graph_stats(build(s, d, "vecnn")))
+query("lsh_neighbours_vecnn")(graphs.lsh_neighbours)
 query("graph_stats_uniform")(lambda s, d: graph_stats(graphs.generated(s, 20_000, "uniform")))
 query("graph_stats_exponential")(lambda s, d: graph_stats(graphs.generated(s, 20_000, "exponential")))
 
@@ -162,6 +163,30 @@ query("top_rules_lift", f"SELECT * FROM ({_R} SELECT {O.MEASURED} FROM ru) AS z
 query("top_rules_per_head", f"SELECT x, y, abs_support, rel_support, confidence, lift, CAST(rank AS BIGINT) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY confidence DESC, x, y) AS rank FROM ({_R} SELECT {O.MEASURED} FROM ru) AS z) AS w WHERE rank <= 3")(lambda s, d: measures.top_rules(measured(_rules(s, d)), "confidence", 3, per="x").withColumn("rank", F.col("rank").cast("long")))
 _SIDE = "CASE WHEN strpos(x, '*') > 0 THEN 'reach' ELSE concat('length_', CAST((length(x) - length(replace(x, '|', ''))) // 2 AS VARCHAR)) END"
 query("rule_side_types_trade", _R + f" SELECT {_SIDE} AS side, count(*) AS n FROM ru GROUP BY 1")(lambda s, d: accuracy.rule_side_types(_rules(s, d)))
+query("best_consequents_trade", f"SELECT x, y, abs_support, rel_support, confidence, lift FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY confidence DESC, y) AS r FROM ({_R} SELECT {O.MEASURED} FROM ru) AS z) AS w WHERE r <= 3")(lambda s, d: (lambda m: measures.best_consequents(m, m, 3))(measured(_rules(s, d))))
+query("either_support_trade", O.rule_tables("trade", SHARE["trade"], 0, False, 1) + " SELECT x, y, nx + ny - n AS n FROM ru WHERE x < y")(lambda s, d: _either(s, d))
+query("sketched_support_trade")(lambda s, d: _sketched(s, d))
+query("rules_lost_by_damping_lineage", f"SELECT 'missed' AS side, x, y FROM (SELECT x, y FROM ({O.rules('lineage', SHARE['lineage'])}) AS a EXCEPT SELECT x, y FROM ({O.rules('lineage', SHARE['lineage'], psi=0.2)}) AS b) AS c UNION ALL SELECT 'kept' AS side, x, y FROM ({O.rules('lineage', SHARE['lineage'], psi=0.2)}) AS e")(lambda s, d: (lambda g: accuracy.differences(*(mine_rules(g, config("lineage", **more)).rules() for more in ({}, {"psi": 0.2}))))(build(s, d, "lineage")))
+
+
+def _named_pairs(s, d):
+    r = mine_rules(build(s, d, "trade"), config("trade", max_items=1, max_len=1, reach=False))
+    names = r.patterns().select("pid", "text")
+    name = lambda df: df.join(names.select(F.col("pid").alias("x"), F.col("text").alias("tx")), "x").join(names.select(F.col("pid").alias("y"), F.col("text").alias("ty")), "y")
+    return r, lambda df, n: name(df).select(F.least("tx", "ty").alias("x"), F.greatest("tx", "ty").alias("y"), n)
+
+
+def _either(s, d):
+    r, name = _named_pairs(s, d)
+    return name(sketches.either_support(r.matches, r.pairs), "n")
+
+
+def _sketched(s, d):
+    """Estimates beside the counts that they stand for."""
+    r, name = _named_pairs(s, d)
+    return name(sketches.sketched_support(r.matches, r.pairs).join(r.pairs, ["x", "y"]), "estimate").join(name(r.pairs, "n"), ["x", "y"])
+
+
 query(
     "pattern_counts_trade",
     _R + f" SELECT 'fixed' AS kind, CAST(0 AS INTEGER) AS len, (SELECT count(*) FROM (SELECT txt FROM sets GROUP BY txt HAVING count(*) >= {O.theta(SHARE['trade'])}) AS z) AS n UNION ALL SELECT CASE WHEN star THEN 'reach' ELSE 'fixed' END AS kind, CASE WHEN l1 IS NULL THEN 1 ELSE 2 END AS len, count(*) AS n FROM s GROUP BY 1, 2 UNION ALL SELECT 'rule' AS kind, 0 AS len, (SELECT count(*) FROM ok) AS n",

@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from copath.functions.measures import BASIC
+from copath.functions.patterns import STRUCT
+from copath.operators import growth
 from copath.plans.miner import MiningResult
 
 EDGE = "src long, label string, dst long"
@@ -50,6 +53,23 @@ def write_result(r: MiningResult, path: str, kind: str = "parquet") -> None:
     r.rules().write.mode("overwrite").format(kind).save(f"{path}/rules")
 
 
+#: A rule as JSON: both sides' patterns and a map of measures.
+RULE_JSON = f"struct<x: {STRUCT}, y: {STRUCT}, measures: map<string, double>>"
+
+
+def rules_as_json(r: MiningResult) -> DataFrame:
+    """rule: one JSON text for each rule, with the patterns' structure (names by number) and its measures."""
+    rules, named = r.rules(), r.patterns().select("text", "pattern")
+    side = lambda s: growth.checked(named.select(F.col("text").alias(s), F.col("pattern").alias(f"p{s}")), len(r.catalogue.support))
+    measures = F.create_map(*[c for m in BASIC for c in (F.lit(m), F.col(m))])
+    return rules.join(side("x"), "x").join(side("y"), "y").select(F.to_json(F.struct(F.col("px").alias("x"), F.col("py").alias("y"), measures.alias("measures"))).alias("rule"))
+
+
+def read_rules_json(spark: SparkSession, path: str) -> DataFrame:
+    """x, y, measures of rules that ``rules_as_json`` wrote as text."""
+    return spark.read.text(path).select(F.from_json("value", RULE_JSON).alias("r")).select("r.*")
+
+
 def save_matches_table(r: MiningResult, name: str, buckets: int = 64) -> None:
     """Matches as a table bucketed by vertex, so that later joins on the vertex need no shuffle."""
     r.matches.write.mode("overwrite").bucketBy(buckets, "v").sortBy("v").saveAsTable(name)

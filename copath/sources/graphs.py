@@ -263,6 +263,25 @@ def vecnn(spark: SparkSession, sf_dir: str, neighbours: int = 5, one_label: bool
     return PropertyGraph.encode(rows.select(key("vec_id").alias("v")), attrs, near.select(key("src").alias("src"), name.alias("label"), key("dst").alias("dst")))
 
 
+def lsh_neighbours(spark: SparkSession, sf_dir: str, neighbours: int = 5, least: float = 0.5, bucket: float = 0.5, tables: int = 8) -> DataFrame:
+    """src, dst, sim: nearest neighbours of cosine ``least`` or more among vectors that meet in a hash table of random projections.
+
+    For tables of vectors too large for all blocks; what it misses, ``vecnn`` finds. Equal vectors always meet.
+    """
+    from pyspark.ml.feature import BucketedRandomProjectionLSH, Normalizer
+    from pyspark.ml.functions import array_to_vector
+    from pyspark.sql import Window
+
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").where("embedding IS NOT NULL AND exists(embedding, x -> x != 0)")
+    unit = Normalizer(inputCol="raw", outputCol="unit").transform(rows.select("vec_id", array_to_vector(F.col("embedding").cast("array<double>")).alias("raw")))
+    model = BucketedRandomProjectionLSH(inputCol="unit", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=42).fit(unit)
+    # On unit vectors, a distance is a cosine.
+    near = model.approxSimilarityJoin(unit, unit, (2 - 2 * least) ** 0.5, "d").where("datasetA.vec_id != datasetB.vec_id")
+    pairs = near.select(F.col("datasetA.vec_id").alias("src"), F.col("datasetB.vec_id").alias("dst"), (1 - F.col("d") * F.col("d") / 2).alias("sim"))
+    rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("sim"), "dst"))
+    return pairs.withColumn("r", rank).where(F.col("r") <= neighbours).drop("r")
+
+
 def generated(spark: SparkSession, n: int, kind: str = "uniform", degree: int = 5, labels: int = 500, items: int = 500, items_each: int = 2, seed: int = 42) -> PropertyGraph:
     """n vertices with ``degree`` edges on average; end points drawn evenly or by an exponential law. Every draw is a hash, so it repeats on any cluster."""
     even = lambda *c: F.pmod(F.xxhash64(*c, F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)

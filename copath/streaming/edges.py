@@ -11,28 +11,36 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 
 def _next_events(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    rows = pd.concat(list(batches)) if not state.hasTimedOut else None
-    if rows is None:
+    # An event waits until the watermark has passed it: only then can no earlier one still come.
+    last, times, ids = state.get if state.exists else (None, [], [])
+    rows = [(t, i) for t, i in zip(times, ids)]
+    if not state.hasTimedOut:
+        for b in batches:
+            rows += [(int(t.value) // 1000, int(i)) for t, i in zip(b["ts"], b["event_id"])]
+    limit = state.getCurrentWatermarkMs() * 1000
+    rows.sort()
+    ready = [i for t, i in rows if t <= limit]
+    chain = ([last] if last is not None else []) + ready
+    rows = rows[len(ready) :]
+    if chain and not rows and not ready and state.hasTimedOut:
         state.remove()
-        return
-    rows = rows.sort_values(["ts", "event_id"])
-    last = state.get[0] if state.exists else None
-    ids = rows["event_id"].tolist()
-    chain = ([last] if last is not None else []) + ids
-    state.update((ids[-1],))
-    if state.getCurrentWatermarkMs() >= 0:
-        state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs() + 1, int(rows["ts"].max().timestamp() * 1000) + 86_400_000))
+    else:
+        state.update((chain[-1] if chain else None, [t for t, _ in rows], [i for _, i in rows]))
+        # The next event that waits, or a day without any: then the user is forgotten.
+        due = rows[0][0] // 1000 if rows else limit // 1000 + 86_400_000
+        state.setTimeoutTimestamp(max(limit // 1000 + 1, due + 1))
     if len(chain) > 1:
         yield pd.DataFrame({"src": chain[:-1], "dst": chain[1:]})
 
 
 def next_edges(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
-    """src, label ``next``, dst: each event and the next one of its user. One id a user is kept, for a day of event time without events.
+    """src, label ``next``, dst: each event and the next one of its user by (ts, event_id), once the watermark has passed both.
 
-    Events that come later than the watermark are dropped; inside a batch the order is (ts, event_id).
+    The state of a user is the last such event and those that still wait; a day of event time without events ends it. Events
+    that come later than the watermark are dropped.
     """
     own = events.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id").withWatermark("ts", watermark)
-    late_free = own.groupBy("user_id").applyInPandasWithState(_next_events, "src long, dst long", "last long", "append", GroupStateTimeout.EventTimeTimeout)
+    late_free = own.groupBy("user_id").applyInPandasWithState(_next_events, "src long, dst long", "last long, times array<long>, ids array<long>", "append", GroupStateTimeout.EventTimeTimeout)
     return late_free.select("src", F.lit("next").alias("label"), "dst")
 
 
@@ -40,7 +48,8 @@ def unit_support(events: DataFrame, window: str = "1 day", slide: str | None = N
     """window_start, pattern, support: distinct users of each {type} event in tumbling or sliding windows; late rows are dropped."""
     own = events.select(F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type").withWatermark("ts", watermark)
     w = F.window("ts", window, slide) if slide else F.window("ts", window)
-    return own.groupBy(w.alias("w"), "event_type").agg(F.approx_count_distinct("user_id", 0.01).alias("support")).select(F.col("w.start").alias("window_start"), F.concat(F.lit("{type:"), "event_type", F.lit("}")).alias("pattern"), "support")
+    once = own.select(w.alias("w"), "user_id", "event_type").dropDuplicates(["w", "user_id", "event_type"])
+    return once.groupBy("w", "event_type").agg(F.count("*").alias("support")).select(F.col("w.start").alias("window_start"), F.concat(F.lit("{type:"), "event_type", F.lit("}")).alias("pattern"), "support")
 
 
 def sessions(events: DataFrame, gap: str = "30 minutes", watermark: str | None = "1 hour") -> DataFrame:

@@ -84,8 +84,11 @@ def test_files_and_sql(spark, tmp_path):
 def test_streams(spark, tmp_path):
     schema = "event_id long, ts timestamp, user_id long, event_type string"
     rows = [(i, f"2024-01-01 {i // 60:02d}:{i % 60:02d}:00", i % 3, "ab"[i % 2]) for i in range(0, 600, 5)]
+    # Files out of order within the watermark; at last an event far ahead that lets the others go, and one that is too late.
     late = [(1000, "2024-01-01 00:01:00", 7, "a")]
-    for k, part in enumerate((rows[:60], rows[60:], late)):
+    swapped = rows[:60]
+    swapped[55:60], held = [], swapped[55:60]
+    for k, part in enumerate((swapped, rows[60:66], held + rows[66:], [(2000, "2024-01-03 00:00:00", 9, "a")], late)):
         spark.createDataFrame(part, "event_id long, ts string, user_id long, event_type string").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(str(tmp_path / f"in{k}"))
     src = str(tmp_path / "in")
     os.makedirs(src)
@@ -98,7 +101,7 @@ def test_streams(spark, tmp_path):
     edges = stream.next_edges(events).writeStream.format("memory").queryName("next_edges").outputMode("append").option("checkpointLocation", str(tmp_path / "c1")).start()
     counts = stream.unit_support(events, "1 hour").writeStream.format("memory").queryName("supports").outputMode("append").option("checkpointLocation", str(tmp_path / "c2")).start()
     try:
-        for k in range(3):
+        for k in range(5):
             feed(k)
             edges.processAllAvailable()
             counts.processAllAvailable()
@@ -113,7 +116,73 @@ def test_streams(spark, tmp_path):
     assert batch.count() == 3
 
 
-@pytest.mark.parametrize("name", ["rules_trade", "rules_corpus", "reach4_eventchain", "multi_len1_trade", "sampled_support_trade", "rules_damped_lineage", "bias_segment_priority", "session_edges"])
+def test_entry_without_the_training_data_operators(tmp_path):
+    """The two folders and the pipeline deleted: everything else is there and runs."""
+    import shutil
+    import subprocess
+    import sys
+
+    here = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    shutil.copytree(os.path.join(here, "copath"), tmp_path / "copath", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(os.path.join(here, "__spark_entry__.py"), tmp_path)
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert 'rules_trade' in q and set(o) <= set(q) and not [k for k in q if k.startswith('op') or k == 'pipeline']"
+    for with_pipeline in (False, True):
+        if with_pipeline and os.path.exists(os.path.join(here, "corpus_pipeline.py")):
+            shutil.copy(os.path.join(here, "corpus_pipeline.py"), tmp_path)
+        done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env={**os.environ, "PYTHONPATH": ""}, capture_output=True, text=True)
+        assert done.returncode == 0, done.stderr
+
+
+def test_sql_functions_and_json(spark, tmp_path):
+    from copath.config import MinerConfig
+    from copath.functions import measures
+    from copath.operators import accuracy, sketches
+    from copath.plans import sql
+    from copath.plans.miner import mine_rules
+    from copath.sources import files, graphs
+
+    g = graphs.from_rows(spark, range(40), [(v, x) for v in range(40) for x in (["a,b", "c|d"] if v % 2 else ["a,b"])], [(v, "l*", (v + 1) % 40) for v in range(40)])
+    r = mine_rules(g, MinerConfig(theta=5))
+    sql.register(spark, r)
+    args = "(SELECT array_agg(name) FROM (SELECT name FROM g_items ORDER BY item)), (SELECT array_agg(name) FROM (SELECT name FROM g_labels ORDER BY label))"
+    assert spark.sql(f"SELECT text FROM patterns WHERE text != pattern_text(pattern, {args})").count() == 0
+    names = r.catalogue.names
+    got = {(x.p, x.q) for x in spark.sql("SELECT a.pid AS p, b.pid AS q FROM patterns AS a JOIN patterns AS b ON dominates(a.pattern, b.pattern)").collect()}
+    assert got == {(i, j) for i, p in enumerate(names) for j, q in enumerate(names) if p.dominates(q) and p in r.catalogue.support and q in r.catalogue.support}
+    assert spark.sql("SELECT gini(x) AS g FROM VALUES (0.0), (0.0), (0.0), (4.0) AS t(x)").first().g == pytest.approx(0.75)
+    assert spark.sql("SELECT gini(x) AS g FROM VALUES (2.0), (2.0) AS t(x)").first().g == pytest.approx(0)
+    assert spark.sql("SELECT count(*) AS n FROM (SELECT DISTINCT pattern.head AS h FROM patterns) AS p, LATERAL subsets(p.h, 2)").first().n > 0
+    files.rules_as_json(r).coalesce(1).write.text(str(tmp_path / "rules"))
+    back = files.read_rules_json(spark, str(tmp_path / "rules"))
+    rules = r.rules()
+    assert back.count() == rules.count() and back.agg(F.round(F.sum(back.measures["confidence"]), 6)).first()[0] == rules.agg(F.round(F.sum("confidence"), 6)).first()[0]
+    best = measures.best_consequents(rules, rules, 2)
+    assert best.count() == sum(min(2, n) for n in (x["count"] for x in rules.groupBy("x").count().collect()))
+    fewer = rules.where("confidence >= 0.9")
+    sides = {x.side: x["count"] for x in accuracy.differences(rules, fewer).groupBy("side").count().collect()}
+    assert sides == {"missed": rules.count() - fewer.count(), "kept": fewer.count()}
+    n = {(x.x, x.y): x.n for x in r.pairs.collect()}
+    support = {r.catalogue.ids[p]: k for p, k in r.catalogue.support.items()}
+    assert all(x.n == support[x.x] + support[x.y] - n[x.x, x.y] for x in sketches.either_support(r.matches, r.pairs).collect())
+    assert all(abs(x.estimate - n[x.x, x.y]) < 1 for x in sketches.sketched_support(r.matches, r.pairs).collect())
+
+
+def test_hashed_neighbours(spark):
+    from copath.sources import graphs
+
+    sf = "/root/testdata/sf0.001"
+    v = {r.vec_id: r for r in spark.read.parquet(f"{sf}/embeddings.parquet").collect() if r.embedding and any(r.embedding)}
+    unit = {k: [x / sum(y * y for y in r.embedding) ** 0.5 for x in r.embedding] for k, r in v.items()}
+    cos = lambda a, b: sum(x * y for x, y in zip(unit[a], unit[b]))
+    got = graphs.lsh_neighbours(spark, sf, 3).collect()
+    near = {(r.src, r.dst) for r in got}
+    assert all(r.sim == pytest.approx(cos(r.src, r.dst), abs=1e-6) for r in got[:200])
+    some = sorted(v)[:60]
+    want = {(a, b) for a in some for b in sorted((x for x in v if x != a), key=lambda x: (-cos(a, x), x))[:3] if cos(a, b) >= 0.5}
+    assert len(want & near) >= 0.9 * len(want)
+
+
+@pytest.mark.parametrize("name", ["rules_trade", "rules_prefix_only_trade", "rules_lattice_trade", "rules_threshold_sampled_trade", "best_consequents_trade", "either_support_trade", "pattern_counts_trade", "rules_corpus", "reach4_eventchain", "multi_len2_trade", "sampled_support_trade", "rules_damped_lineage", "bias_segment_priority", "session_edges"])
 def test_queries_equal_sql(spark, name):
     import __spark_entry__ as entry
 

@@ -44,7 +44,7 @@ def test_rules_equal_exhaustive_search(g, mined):
     assert {tuple(sorted(k, key=repr)) + (n,) for k, n in pairs.items()} == pair_set(mined)
 
 
-@pytest.mark.parametrize("more", [{"rule_form": "lattice"}, {"rule_form": "bitmap"}, {"policy": "prefix_only"}, {"bound": "per_label"}, {"psi": 1.0}, {"rho": 1.0}], ids=str)
+@pytest.mark.parametrize("more", [{"rule_form": "lattice"}, {"rule_form": "bitmap"}, {"rule_form": "merged"}, {"rule_form": "single_pass"}, {"policy": "prefix_only"}, {"bound": "per_label"}, {"psi": 1.0}, {"rho": 1.0}, {"placement": "greedy", "parallelism": 3}], ids=str)
 def test_forms_and_policies_agree(g, mined, more):
     r = mine_rules(g, MinerConfig(theta=2, **more))
     assert r.catalogue.support == mined.catalogue.support
@@ -61,11 +61,13 @@ def test_random_graphs_equal_exhaustive_search(spark, seed):
     edges = [(rng.randrange(n), f"l{rng.randrange(2)}", rng.randrange(n)) for _ in range(2 * n)]
     g = from_rows(spark, range(n), attrs, edges)
     theta, k = rng.randint(1, 3), rng.choice((1, 2, 3))
-    cfg = MinerConfig(theta=theta, max_len=k, max_items=2)
-    r = mine_rules(g, cfg)
-    frequent, pairs = comparators.brute_force(*rows_of(g), k, k, theta, max_items=2)
-    assert {p: len(s) for p, s in frequent.items()} == r.catalogue.support
-    assert len(pairs) == r.pairs.count()
+    for empty in (False, True):
+        cfg = MinerConfig(theta=theta + empty, max_len=k, max_items=2, allow_empty=empty, rule_form="lattice" if empty else "auto")
+        r = mine_rules(g, cfg)
+        frequent, pairs = comparators.brute_force(*rows_of(g), k, k, theta + empty, max_items=2, allow_empty=empty)
+        assert {p: len(s) for p, s in frequent.items()} == r.catalogue.support
+        assert len(pairs) == r.pairs.count()
+        assert r.matches.count() == sum(len(s) for p, s in frequent.items() if p.hops)
 
 
 def test_merged_ends_need_one_witness(spark):
@@ -150,7 +152,7 @@ def test_edge_cases(spark):
     assert {x.text for x in r.patterns().collect()} == {"{a}", "{a}|l|{a}", "{a}|l|{a}|l|{a}", "{a}|l*|{a}"}
     assert mine_rules(loop, MinerConfig(theta=5)).patterns().count() == 0
     late = mine_rules(loop, MinerConfig(theta=1, deadline_s=0.0))
-    assert late.status == "did_not_finish"
+    assert late.status == "did_not_finish" and late.pairs.count() == 0 and late.rules().count() == 0
     with pytest.raises(ValueError):
         MinerConfig(theta=1, psi=2)
 
@@ -202,3 +204,42 @@ def test_per_label_bound_keeps_late_labels(spark):
     assert any(len(p.hops) == 2 and n == 100 for p, n in r.catalogue.support.items())
     assert {p: len(s) for p, s in frequent.items()} == r.catalogue.support
     assert {tuple(sorted(k, key=repr)) + (n,) for k, n in pairs.items()} == pair_set(r)
+
+
+def test_deadline_cancels_a_running_job(spark):
+    """A job that would take minutes ends soon after the limit; the session goes on."""
+    import time
+
+    rng = random.Random(1)
+    n = 3000
+    g = from_rows(spark, range(n), [(v, f"i{k}") for v in range(n) for k in rng.sample(range(12), 7)], [(rng.randrange(n), "l", rng.randrange(n)) for _ in range(20 * n)])
+    began = time.monotonic()
+    r = mine_rules(g, MinerConfig(theta=30, policy="prefix_only", deadline_s=6.0))
+    assert r.status == "did_not_finish" and time.monotonic() - began < 60 and r.pairs.count() == 0
+    assert spark.range(5).count() == 5 and spark.sparkContext.getLocalProperty("spark.jobGroup.id") is None
+
+
+def test_stratum_weights_remove_the_quota_bias(spark):
+    """Strata of few vertices are sampled whole: the ratio overrates them, their own weights don't."""
+    small = [(v, f"x{v // 2}") for v in range(100)]
+    g = from_rows(spark, range(300), [(v, "a") for v in range(300)] + small, [(v, "l", (v + 1) % 300) for v in range(300)])
+    by = lambda r: {x.text: x.support for x in r.patterns().collect()}
+    cfg = MinerConfig(theta=2, max_len=1, reach=False, max_items=1)
+    exact, ratio = by(mine_rules(g, cfg, with_rules=False)), by(mine_rules(g, cfg.but(rho=0.4), with_rules=False))
+    weighted = by(mine_rules(g, cfg.but(rho=0.4, estimator="stratum_weight"), with_rules=False))
+    assert exact["{x3}"] == 2 == weighted["{x3}"] and ratio["{x3}"] == 2.5
+    assert weighted["{a}"] == pytest.approx(300) and weighted["{a}|l|{a}"] == pytest.approx(300)
+
+
+def test_runs_leave_only_what_they_keep(spark, g):
+    from copath.plans import store
+
+    def tables():
+        files, where = store._file(spark, store.shared_dir(spark))
+        return {f.getPath().getName() for f in files.listStatus(where)}
+
+    before = tables()
+    r = mine_rules(g, MinerConfig(theta=2))
+    left = tables() - before
+    kept = {t._copath_path.rsplit("/", 1)[1] for t in [r.pairs, *r.found.tables] if t is not None and hasattr(t, "_copath_path")}
+    assert left == kept and r.stored_bytes > 0 and r.matches.count() > 0
