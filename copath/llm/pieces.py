@@ -371,11 +371,16 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
         return start
 
     def count(batches):
+        seen = Tally()
         for whole in batches:
             for b in K.slices(whole, "text", 2 << 20):
-                buf, lo, hi, _, one, which, _ = start.value.chunks(b.column("text"))
-                raw = buf.tobytes()
-                yield pa.RecordBatch.from_arrays([pa.array([raw[i:j] for i, j in zip(lo[one].tolist(), hi[one].tolist())], pa.binary()), pa.array(np.bincount(which, minlength=len(one)), pa.int64())], ["chunk", "n"])
+                buf, lo, hi, _, one, which, h = start.value.chunks(b.column("text"))
+                raw, first, last = buf.tobytes(), lo[one].tolist(), hi[one].tolist()
+                seen.add(h, np.bincount(which, minlength=len(one)), lambda i: raw[first[i] : last[i]])  # noqa: B023
+                if len(seen.raw) > 1 << 18:
+                    yield seen.batch()
+                    seen = Tally()
+        yield seen.batch()
 
     found = docs.select(F.col(text_col).alias("text")).mapInArrow(count, "chunk binary, n long")
     chunks, path = write_table(found.groupBy("chunk").agg(F.sum("n").alias("n")))
@@ -433,6 +438,31 @@ def fit(docs: DataFrame, text_col="text", model_path: str = DEFAULT_MODEL):
     return model
 
 
+class Tally:
+    """How often a task has met each chunk, by the chunks' hashes."""
+
+    def __init__(self):
+        self.keys, self.n, self.row, self.raw = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), []
+
+    def add(self, h: np.ndarray, n: np.ndarray, chunk_of) -> None:
+        """h: sorted hashes, n: uses of each; chunk_of(i): bytes of the i-th."""
+        at = np.searchsorted(self.keys, h)
+        known = np.zeros(len(h), bool)
+        if len(self.keys):
+            known = self.keys[np.minimum(at, len(self.keys) - 1)] == h
+        self.n[at[known]] += n[known]
+        new = np.flatnonzero(~known)
+        if len(new):
+            rows = np.arange(len(self.raw), len(self.raw) + len(new))
+            self.raw += [chunk_of(i) for i in new.tolist()]
+            self.keys, self.n, self.row = (np.insert(x, at[new], y) for x, y in ((self.keys, h[new]), (self.n, n[new]), (self.row, rows)))
+
+    def batch(self) -> pa.RecordBatch:
+        n = np.empty(len(self.raw), np.int64)
+        n[self.row] = self.n
+        return pa.RecordBatch.from_arrays([pa.array(self.raw, pa.binary()), pa.array(n)], ["chunk", "n"])
+
+
 class Fitted:
     """A model under other scores: one broadcast of pieces and trie serves all of them."""
 
