@@ -29,13 +29,13 @@ def run(g: PropertyGraph, cfg: MinerConfig, graph: str, method: str, parameter:
 
 
 #: Seconds after which one run of an experiment is given up.
-CAP = 120.0
+CAP = 60.0
 
 
-def theta_sweep(spark: SparkSession, sf_dir: str, graph: str, shares: tuple[float, ...], methods=tuple(METHODS), max_items: int | None = None) -> DataFrame:
+def theta_sweep(spark: SparkSession, sf_dir: str, graph: str, shares: tuple[float, ...], methods=tuple(METHODS), **more) -> DataFrame:
     """Run time, candidates and output of every method over thresholds."""
     g = build(spark, sf_dir, graph)
-    return spark.createDataFrame([run(g, MinerConfig(t, relative=True, max_items=max_items, deadline_s=CAP), graph, m, "theta", t)[0] for t in shares for m in methods], LOG)
+    return spark.createDataFrame([run(g, MinerConfig(t, relative=True, deadline_s=CAP, **more), graph, m, "theta", t)[0] for t in shares for m in methods], LOG)
 
 
 def length_sweep(spark: SparkSession, sf_dir: str, graph: str, share: float, lengths=(1, 2, 3, 4), methods=("prefix_only", "exact", "both"), max_items: int | None = None) -> DataFrame:
@@ -54,9 +54,9 @@ def length_sweep(spark: SparkSession, sf_dir: str, graph: str, share: float, len
 OPTIONS = {"damped": ("psi",), "sampled": ("rho",), "both": ("psi", "rho")}
 
 
-def factor_sweep(spark: SparkSession, sf_dir: str, graph: str, share: float, factors=(0.2, 0.4, 0.6, 0.8), max_items: int | None = None) -> DataFrame:
+def factor_sweep(spark: SparkSession, sf_dir: str, graph: str, share: float, factors=(0.2, 0.4, 0.6, 0.8), **more) -> DataFrame:
     """Every approximation over its factor: recall and precision against the exact rules, seconds, candidates, rules."""
-    g, cfg = build(spark, sf_dir, graph), MinerConfig(share, relative=True, max_items=max_items, deadline_s=CAP)
+    g, cfg = build(spark, sf_dir, graph), MinerConfig(share, relative=True, deadline_s=CAP, **more)
     line, exact = run(g, cfg, graph, "exact", "factor", 1.0)
     truth = texts(exact)
     rows = [(graph, "exact", 1.0, 1.0, 1.0, *line[5:7], line[8])]
@@ -142,7 +142,7 @@ def coverage(spark: SparkSession, sf_dir: str, graph: str = "trade", share: floa
     return spark.createDataFrame(rows, "seed int, n_patterns int, covered double")
 
 
-def step_shares(spark: SparkSession, sf_dir: str, names=("trade", "lineage", "copart", "eventchain"), shares=(0.1, 0.1, 0.16, 0.1)) -> DataFrame:
+def step_shares(spark: SparkSession, sf_dir: str, names=("trade", "lineage", "copart", "eventchain"), shares=(0.1, 0.1, 0.17, 0.1)) -> DataFrame:
     """graph, step, share of the run time; and the candidates and frequent patterns of each step."""
     out = None
     for graph, share in zip(names, shares):

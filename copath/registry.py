@@ -20,7 +20,7 @@ from copath.sources.graphs import build, graph_stats, oracle_graph
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 #: Thresholds as shares of all vertices.
-SHARE = {"trade": 0.1, "copart": 0.16, "users": 0.3, "eventchain": 0.05, "lineage": 0.05, "corpus": 0.05, "dialog": 0.05}
+SHARE = {"trade": 0.1, "copart": 0.16, "users": 0.4, "eventchain": 0.05, "lineage": 0.05, "corpus": 0.05, "dialog": 0.05}
 
 
 def query(name: str, oracle: str | None = None):
@@ -139,8 +139,11 @@ for _name, _kind, _where, _h, _two in (("multi_len1_trade", "1", "l1 IS NULL", 0
 _RULES = O.rules("trade", SHARE["trade"])
 for _name, _more in {"rules_trade": {}, "rules_lattice_trade": {"rule_form": "lattice"}, "rules_bitmap_trade": {"rule_form": "bitmap"}, "rules_single_pass_trade": {"rule_form": "single_pass"}, "rules_prefix_only_trade": {"policy": "prefix_only"}, "rules_per_label_bound_trade": {"bound": "per_label"}, "rules_psi1_trade": {"psi": 1.0}, "rules_placed_trade": {"placement": "greedy", "parallelism": 8}}.items():
     query(_name, _RULES)(lambda s, d, more=_more: measured(mine_rules(build(s, d, "trade"), config("trade", **more)).rules()))
-for _g, _h in (("copart", 2), ("users", 2), ("lineage", 2), ("eventchain", 4), ("corpus", 2), ("dialog", 2)):
+for _g, _h in (("copart", 2), ("lineage", 2), ("eventchain", 4), ("corpus", 2), ("dialog", 2)):
     query(f"rules_{_g}", O.rules(_g, SHARE[_g], _h))(lambda s, d, g=_g, h=_h: measured(mine_rules(build(s, d, g), config(g, max_reach=h)).rules()))
+#: Nearly every pair of users is joined by two hops, so that at length two (6,494 patterns of single items on 150 vertices) nearly all pairs of patterns are rules.
+DENSE = {"max_len": 1, "max_items": 1}
+query("rules_users", O.rules("users", SHARE["users"], 2, False, 1))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", max_reach=2, **DENSE)).rules()))
 query("rules_web")(lambda s, d: measured(mine_rules(build(s, d, "web"), MinerConfig(0.02, relative=True)).rules()))
 query("rules_vecnn")(lambda s, d: measured(mine_rules(build(s, d, "vecnn"), MinerConfig(0.01, relative=True)).rules()))
 query("rules_multi_trade", O.rules("trade", 0.2, 2, True, 2))(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", theta=0.2, max_items=2)).rules()))
@@ -297,13 +300,13 @@ query("reduce_items_trade", oracle_graph("trade") + " SELECT v, min(item) AS ite
 query("sample_graph_trade")(lambda s, d: graph_stats(graphs.sample_graph(build(s, d, "trade"), 0.4)))
 
 # Experiments.
-for _g, _shares in (("trade", (0.05, 0.1)), ("lineage", (0.05, 0.1)), ("copart", (0.16, 0.17)), ("users", (0.3, 0.4))):
-    query(f"exp_theta_sweep_{_g}")(lambda s, d, g=_g, shares=_shares: W.theta_sweep(s, d, g, shares))
+for _g, _shares, _more in (("trade", (0.05, 0.1), {}), ("lineage", (0.1,), {}), ("copart", (0.16, 0.17), {}), ("users", (0.3, 0.4), DENSE)):
+    query(f"exp_theta_sweep_{_g}")(lambda s, d, g=_g, shares=_shares, more=_more: W.theta_sweep(s, d, g, shares, **more))
 for _g, _share in (("trade", 0.1), ("eventchain", 0.1), ("copart", 0.17)):
-    query(f"exp_length_sweep_{_g}")(lambda s, d, g=_g, share=_share: W.length_sweep(s, d, g, share, (1, 2, 3) if g == "copart" else (1, 2, 3, 4)))
-for _g, _share in (("trade", 0.1), ("copart", 0.16), ("users", 0.3), ("eventchain", 0.1)):
-    query(f"exp_factor_sweep_{_g}")(lambda s, d, g=_g, share=_share: W.factor_sweep(s, d, g, share))
-for _g, _share in (("trade", 0.1), ("copart", 0.16)):
+    query(f"exp_length_sweep_{_g}")(lambda s, d, g=_g, share=_share: W.length_sweep(s, d, g, share, (1, 2) if g == "copart" else (1, 2, 3, 4)))
+for _g, _share, _more in (("trade", 0.1, {"max_items": 1}), ("copart", 0.17, {}), ("users", 0.4, DENSE), ("eventchain", 0.1, {"max_items": 1})):
+    query(f"exp_factor_sweep_{_g}")(lambda s, d, g=_g, share=_share, more=_more: W.factor_sweep(s, d, g, share, (0.2, 0.8) if g in ("users", "eventchain") else (0.2, 0.4, 0.6, 0.8), **more))
+for _g, _share in (("trade", 0.1), ("copart", 0.17)):
     query(f"exp_memory_{_g}")(lambda s, d, g=_g, share=_share: W.memory(s, d, g, share))
 for _name, _f in {
     "exp_graph_size": W.graph_size,
@@ -316,7 +319,7 @@ for _name, _f in {
 }.items():
     query(_name)(_f)
 query("exp_knowledge_rules", O.rule_tables("trade", 0.05, 0, True, 1) + " SELECT x, y, CAST(n AS DOUBLE) AS abs_support, round(CAST(n AS DOUBLE) / nx, 6) AS confidence, round(CAST(n AS DOUBLE) * nv / (CAST(nx AS DOUBLE) * ny), 6) AS lift FROM ru WHERE length(x) - length(replace(x, '|', '')) = 4 AND length(y) - length(replace(y, '|', '')) = 2 AND split_part(x, '|', 2) <> split_part(y, '|', 2)")(W.knowledge_rules)
-for _g, _share in (("eventchain", 0.05), ("users", 0.3)):
+for _g, _share in (("eventchain", 0.05), ("users", 0.4)):
     _two, _four = (O.rule_tables(_g, _share, h, False, 1) + f" SELECT {h} AS hops, x, y, CAST(n AS DOUBLE) AS abs_support, round(CAST(n AS DOUBLE) / nx, 6) AS confidence, round(CAST(n AS DOUBLE) * nv / (CAST(nx AS DOUBLE) * ny), 6) AS lift FROM ru WHERE strpos(x, '*') > 0" for h in (2, 4))
     query(f"exp_social_reach_{_g}", f"SELECT * FROM ({_two}) AS a UNION ALL SELECT * FROM ({_four}) AS b")(lambda s, d, g=_g, share=_share: W.social_reach(s, d, g, share))
 
