@@ -357,7 +357,7 @@ def dedup(docs: DataFrame, id_col="doc_id", text_col="text", min_words: int = 5,
         return emit(part, gone)
 
     told, _ = write_table(rows.groupBy("pid").applyInArrow(ask, X.MESSAGE).groupBy("bucket").applyInArrow(_first_reply, X.MESSAGE))
-    # A line within an edit of others shares halves; its neighbourhood has two keys a word. All words bound them, and so do shared halves of the longest lines.
+    # Only lines that share halves send their neighbourhoods, two keys a word: no more than all words, and about as many as halves of lines of 128 words.
     wide = X.buckets_for(min(2.0 * X.tally(told, 7), X.tally(told, 8) * 256.0))
     told = told.where("pid >= 0")
     again = rows.groupBy("pid").cogroup(told.groupBy("pid")).applyInArrow(compare, X.MESSAGE).groupBy("bucket").applyInArrow(_second_reply, X.MESSAGE)
