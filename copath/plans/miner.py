@@ -145,7 +145,9 @@ class _Run:
         nothing = Pattern(())
         if cfg.max_len:
             labels = target_labels(self.targets, cfg.max_len, hops)
-            edges = kinds.edges.where(F.col("sid").isNotNull() & F.col("label").isin(labels))
+            # A fixed pattern asks for items wherever it passes; equal labels may lead through vertices that have none.
+            edges = kinds.edges.where(F.col("label").isin(labels))
+            steps = edges.where("sid IS NOT NULL")
             if not every:
                 # Nor does one without a target item and an edge of a target label.
                 own = own.join(useful_sources(g, self.targets), "v", "left_semi")
@@ -157,9 +159,9 @@ class _Run:
         if cfg.max_len:
             ends = target_items(self.targets, cfg.max_len, hops)
             tips = {(label, growth.end_set(x)): k for k, (label, x) in enumerate(ends)}
-            first = cut(growth.ends_of(kinds, edges, tips))
+            first = cut(growth.ends_of(kinds, steps, tips))
             self.tick("bounds")
-            growth.grow_fixed(kinds, edges, self.targets, codes, tips, first)
+            growth.grow_fixed(kinds, steps, self.targets, codes, tips, first)
             self.tick("fixed")
             if cfg.reach:
                 growth.grow_reach(kinds, edges, self.targets, codes, tips, first)

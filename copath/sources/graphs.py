@@ -125,6 +125,8 @@ def degree_band(x: str) -> str:
     return "CASE " + " ".join(f"WHEN {x} <= {hi} THEN '{name}'" for hi, name in DEGREE_BANDS if hi) + f" ELSE '{DEGREE_BANDS[-1][1]}' END"
 
 
+#: Ids that one window sorts at most, of a source that may have any number.
+_SLICE = "CAST(floor(doc_id / 65536) AS BIGINT)"
 GRAPHS: dict[str, dict[str, str]] = {
     "trade": {
         "vertices": _TRADE_V,
@@ -151,7 +153,7 @@ GRAPHS: dict[str, dict[str, str]] = {
         "attrs": "SELECT p_partkey * 16 + 3 AS v, concat('type:', p_type) AS item FROM {part}",
         "edges": "SELECT a.l_partkey * 16 + 3 AS src, concat('with_', a.l_returnflag) AS label, b.l_partkey * 16 + 3 AS dst FROM {lineitem} AS a JOIN {lineitem} AS b ON a.l_orderkey = b.l_orderkey WHERE a.l_partkey <> b.l_partkey",
     },
-    # The globally next event: within the day by a window, across days from each day's last to the next day's first.
+    # The globally next event: within the hour by a window, across hours from each one's last to the next one's first.
     "users": {
         "vertices": "SELECT DISTINCT user_id * 16 + 7 AS v FROM {events}",
         "attrs": _union(
@@ -159,7 +161,7 @@ GRAPHS: dict[str, dict[str, str]] = {
             f"SELECT user_id * 16 + 7 AS v, concat('bal:', {band('c_acctbal')}) AS item FROM (SELECT DISTINCT user_id FROM {{events}}) AS u JOIN {{customer}} ON user_id = c_custkey",
             "SELECT user_id * 16 + 7 AS v, concat('reg:', r_name) AS item FROM (SELECT DISTINCT user_id FROM {events}) AS u JOIN {customer} ON user_id = c_custkey JOIN {nation} ON c_nationkey = n_nationkey JOIN {region} ON n_regionkey = r_regionkey",
         ),
-        "edges": "SELECT user_id * 16 + 7 AS src, event_type AS label, coalesce(nxt, first_next) * 16 + 7 AS dst FROM (SELECT user_id, event_type, date_trunc('day', ts) AS day, lead(user_id) OVER (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id) AS nxt FROM {events}) AS e JOIN (SELECT day AS d, lead(first_user) OVER (ORDER BY day) AS first_next FROM (SELECT date_trunc('day', ts) AS day, user_id AS first_user, row_number() OVER (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id) AS k FROM {events}) AS f WHERE k = 1) AS g ON day = d WHERE coalesce(nxt, first_next) IS NOT NULL",
+        "edges": "SELECT user_id * 16 + 7 AS src, event_type AS label, coalesce(nxt, first_next) * 16 + 7 AS dst FROM (SELECT user_id, event_type, date_trunc('hour', ts) AS day, lead(user_id) OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS nxt FROM {events}) AS e JOIN (SELECT day AS d, lead(first_user) OVER (ORDER BY day) AS first_next FROM (SELECT date_trunc('hour', ts) AS day, user_id AS first_user, row_number() OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS k FROM {events}) AS f WHERE k = 1) AS g ON day = d WHERE coalesce(nxt, first_next) IS NOT NULL",
     },
     "eventchain": {
         "vertices": "SELECT event_id * 16 + 8 AS v FROM {events}",
@@ -183,7 +185,8 @@ GRAPHS: dict[str, dict[str, str]] = {
             # Copies meet in a star around the smallest id and back, so that a group of n copies has 2n edges, not n squared.
             "SELECT doc_id * 16 + 9 AS src, 'same_text' AS label, head * 16 + 9 AS dst FROM (SELECT doc_id, head FROM {documents} JOIN (SELECT md5(text) AS h, min(doc_id) AS head FROM {documents} WHERE text IS NOT NULL GROUP BY md5(text)) AS m ON md5(text) = h) AS t WHERE doc_id <> head",
             "SELECT head * 16 + 9 AS src, 'same_text' AS label, doc_id * 16 + 9 AS dst FROM (SELECT doc_id, head FROM {documents} JOIN (SELECT md5(text) AS h, min(doc_id) AS head FROM {documents} WHERE text IS NOT NULL GROUP BY md5(text)) AS m ON md5(text) = h) AS t WHERE doc_id <> head",
-            "SELECT src, label, dst FROM (SELECT doc_id * 16 + 9 AS src, 'next_in_source' AS label, lead(doc_id) OVER (PARTITION BY source ORDER BY doc_id) * 16 + 9 AS dst FROM {documents}) AS e WHERE dst IS NOT NULL",
+            # The next document of a source: within a slice of ids by a window, across slices from each one's last to the next one's first.
+            f"SELECT src, label, dst FROM (SELECT doc_id * 16 + 9 AS src, 'next_in_source' AS label, coalesce(nxt, first_next) * 16 + 9 AS dst FROM (SELECT doc_id, source, {_SLICE} AS sl, lead(doc_id) OVER (PARTITION BY source, {_SLICE} ORDER BY doc_id) AS nxt FROM {{documents}}) AS d JOIN (SELECT source AS s2, sl2, lead(first_id) OVER (PARTITION BY source ORDER BY sl2) AS first_next FROM (SELECT source, {_SLICE} AS sl2, min(doc_id) AS first_id FROM {{documents}} WHERE doc_id IS NOT NULL GROUP BY source, {_SLICE}) AS f) AS g ON source IS NOT DISTINCT FROM s2 AND sl = sl2) AS e WHERE dst IS NOT NULL",
         ),
     },
     "dialog": {

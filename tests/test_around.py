@@ -196,3 +196,25 @@ def test_queries_equal_sql(spark, name):
     want = sorted((tuple(norm(v) for _, v in sorted(zip(names, row))) for row in r.fetchall()), key=repr)
     got = sorted((tuple(norm(v) for _, v in sorted(row.asDict().items())) for row in df.collect()), key=repr)
     assert got == want and sorted(names) == sorted(df.columns)
+
+
+def test_graphs_from_tables_by_plain_loops(spark):
+    """Edges that the shared SQL builds through slices, against sorted lists."""
+    from copath.sources import graphs
+
+    g = graphs.build(spark, SF, "corpus")
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "source", F.md5("text").alias("h")).collect()
+    by = {}
+    for r in sorted(docs, key=lambda r: r.doc_id):
+        by.setdefault(r.source, []).append(r.doc_id * 16 + 9)
+    want = {(a, "next_in_source", b) for own in by.values() for a, b in zip(own, own[1:])}
+    same = {}
+    for r in docs:
+        if r.h is not None:
+            same.setdefault(r.h, []).append(r.doc_id * 16 + 9)
+    for own in same.values():
+        want |= {x for v in own if v != min(own) for x in ((v, "same_text", min(own)), (min(own), "same_text", v))}
+    assert {(e.src, g.labels[e.label], e.dst) for e in g.edges.collect()} == want
+    g = graphs.build(spark, SF, "users")
+    events = sorted((r.ts, r.event_id, r.user_id, r.event_type) for r in spark.read.parquet(f"{SF}/events.parquet").select("ts", "event_id", "user_id", "event_type").collect())
+    assert {(e.src, g.labels[e.label], e.dst) for e in g.edges.collect()} == {(a[2] * 16 + 7, a[3], b[2] * 16 + 7) for a, b in zip(events, events[1:])}
