@@ -144,6 +144,8 @@ for _g, _h in (("copart", 2), ("lineage", 2), ("eventchain", 4), ("corpus", 2),
 #: Nearly every pair of users is joined by two hops, so that at length two (6,494 patterns of single items on 150 vertices) nearly all pairs of patterns are rules.
 DENSE = {"max_len": 1, "max_items": 1}
 query("rules_users", O.rules("users", SHARE["users"], 2, False, 1))(lambda s, d: measured(mine_rules(build(s, d, "users"), config("users", max_reach=2, **DENSE)).rules()))
+for _name, _more in {"rules_single_items_trade": {}, "rules_prefix_only_single_items_trade": {"policy": "prefix_only"}}.items():
+    query(_name, O.rules("trade", SHARE["trade"], 2, True, 1))(lambda s, d, more=_more: measured(mine_rules(build(s, d, "trade"), config("trade", max_items=1, **more)).rules()))
 query("rules_web")(lambda s, d: measured(mine_rules(build(s, d, "web"), MinerConfig(0.02, relative=True)).rules()))
 query("rules_vecnn")(lambda s, d: measured(mine_rules(build(s, d, "vecnn"), MinerConfig(0.01, relative=True)).rules()))
 query("rules_multi_trade", O.rules("trade", 0.2, 2, True, 2))(lambda s, d: measured(mine_rules(build(s, d, "trade"), config("trade", theta=0.2, max_items=2)).rules()))
