@@ -243,3 +243,17 @@ def test_runs_leave_only_what_they_keep(spark, g):
     left = tables() - before
     kept = {t._copath_path.rsplit("/", 1)[1] for t in [r.pairs, *r.found.tables] if t is not None and hasattr(t, "_copath_path")}
     assert left == kept and r.stored_bytes > 0 and r.matches.count() > 0
+
+
+def test_codes_of_the_same_vertices_are_one(spark, monkeypatch):
+    # Every p has k, so that {k}, {p} and {k,p} are the same ends, and a reach pattern is its only hop.
+    g = from_rows(spark, range(8), [(v, "s") for v in (0, 1, 2)] + [(v, i) for v in (3, 4, 5) for i in "kp"] + [(v, "q") for v in (6, 7)], [(0, "l", 3), (1, "l", 4), (2, "l", 5), (0, "l", 6), (1, "l", 7), (0, "m", 5)])
+    asked = []
+    monkeypatch.setattr("copath.operators.growth.explicit", lambda kinds, edges, codes: asked.extend(codes))
+    r = mine_rules(g, MinerConfig(theta=2, max_len=1))
+    assert not asked
+    # No vertex has k and q.
+    wanted = {Pattern((g.items.index("s"),), ((0, s),), reach): n for s, n in (((0,), 3), ((1,), 3), ((0, 1), 3), ((2,), 2)) for reach in (False, True)}
+    assert {p: n for p, n in r.catalogue.support.items() if p.hops} == wanted
+    assert len({cid for _, cid, _ in r.found.merged().names}) == 2
+    assert r.found.merged().held.count() == 5 and r.matches.count() == 22
