@@ -257,3 +257,25 @@ def test_codes_of_the_same_vertices_are_one(spark, monkeypatch):
     assert {p: n for p, n in r.catalogue.support.items() if p.hops} == wanted
     assert len({cid for _, cid, _ in r.found.merged().names}) == 2
     assert r.found.merged().held.count() == 5 and r.matches.count() == 22
+
+
+def test_labels_that_no_edge_follows_are_walked_once(spark, monkeypatch):
+    """A reach pattern over such a label is its hop, and more than 64 codes of one vertex take several masks."""
+    from copath.operators import growth
+
+    attrs = [*[(v, "order") for v in range(6)], (6, "part"), (7, "part"), (7, "red"), (8, "box")]
+    shop = from_rows(spark, range(9), attrs, [*[(v, "has", 6 + v % 2) for v in range(6)], (0, "has", 7), (6, "in", 8), (7, "in", 8)])
+    frequent, pairs = comparators.brute_force(*rows_of(shop), 2, 2, 2)
+
+    def onward(*_):
+        raise AssertionError("no walk of two hops has one label")
+
+    with monkeypatch.context() as m:
+        m.setattr(growth, "onward", onward)
+        r = mine_rules(shop, MinerConfig(theta=2))
+    assert {p: len(s) for p, s in frequent.items()} == r.catalogue.support
+    assert {tuple(sorted(k, key=repr)) + (n,) for k, n in pairs.items()} == pair_set(r)
+
+    many = from_rows(spark, range(4), [(0, "a"), (1, "a"), *[(2, f"i{k:03}") for k in range(70)], (3, "i069")], [(0, "x", 2), (1, "x", 2), (1, "x", 3)])
+    found = mine_rules(many, MinerConfig(theta=2, max_items=1, max_len=1, reach=False), with_rules=False).catalogue.support
+    assert sum(bool(p.hops) for p in found) == 70 and all(n == 2 for n in found.values())
