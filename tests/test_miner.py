@@ -279,3 +279,10 @@ def test_labels_that_no_edge_follows_are_walked_once(spark, monkeypatch):
     many = from_rows(spark, range(4), [(0, "a"), (1, "a"), *[(2, f"i{k:03}") for k in range(70)], (3, "i069")], [(0, "x", 2), (1, "x", 2), (1, "x", 3)])
     found = mine_rules(many, MinerConfig(theta=2, max_items=1, max_len=1, reach=False), with_rules=False).catalogue.support
     assert sum(bool(p.hops) for p in found) == 70 and all(n == 2 for n in found.values())
+
+
+def test_ends_are_bounded_by_the_labels_before_them():
+    t = bounds.Targets(4, 100, {(1, 7): 1, (1, 8): 2, (0, 9): 4}, {})
+    paths = bounds.Walks([{0}, {1}], {0: {1}}, [{0: 1}, {1: 2}])
+    assert paths.ends(t, 1) == [(0, 9), (1, 8)]
+    assert bounds.Walks([{0}, {1}], {0: {1}}, [{0: 1}, {1: 2}], exact=False).ends(t, 1) == [(0, 9), (1, 7), (1, 8)]
