@@ -245,6 +245,50 @@ def test_runs_leave_only_what_they_keep(spark, g):
     assert left == kept and r.stored_bytes > 0 and r.matches.count() > 0
 
 
+def test_runs_leave_no_shuffle_files(spark, g):
+    def shuffles():
+        files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+        return {files.apply(i).getName() for i in range(files.size()) if files.apply(i).getName().startswith("shuffle_")}
+
+    before = shuffles()
+    mine_rules(g, MinerConfig(theta=2, max_len=1))
+    assert not shuffles() - before
+
+
+def test_edges_of_a_source_lie_together(spark):
+    edges = from_rows(spark, range(64), [(v, "a") for v in range(64)], [(v, "l", (v + k) % 64) for v in range(64) for k in range(1, 9)]).edges
+    files = len(edges.inputFiles())
+    n = edges.selectExpr("src", "input_file_name() AS f").distinct().count()
+    # Two ranges that follow each other share one source at most.
+    assert edges.count() == 512 and n < 64 + max(1, files)
+
+
+def test_experiments_share_counts_and_leave_nothing(spark, g, monkeypatch):
+    from copath.operators import kinds
+    from copath.plans import store, workloads
+
+    def tables():
+        files, where = store._file(spark, store.shared_dir(spark))
+        return {f.getPath().getName() for f in files.listStatus(where)}
+
+    made = []
+    attr_sets = type(g).attr_sets
+    monkeypatch.setattr(type(g), "attr_sets", lambda self: made.append(1) or attr_sets(self))
+    monkeypatch.setattr(workloads, "build", lambda *_: toy(spark))
+    before = tables()
+    rows = workloads.placements(spark, "", "toy", 0.2, 2).collect()
+    assert len(rows) == 4 and len({r.n_rules for r in rows}) == 1 and rows[0].n_rules > 0
+    assert tables() == before and len(made) == 1
+    assert kinds.kinds_of(kinds.indexed(toy(spark)), True).attrs.where("item = -1").count() > 0
+
+
+def test_sampled_runs_count_their_sources(spark):
+    g = from_rows(spark, range(20), [(v, "a") for v in range(20)], [(v, "l", (v + 1) % 20) for v in range(20)])
+    r = mine_rules(g, MinerConfig(theta=2, max_len=1, rho=0.4), with_rules=False, with_matches=False)
+    assert r.sampled == sampling.sample_sources(g, [0], 0.4).count() == 8
+    assert r.catalogue.support == mine_rules(g, MinerConfig(theta=2, max_len=1, rho=0.4)).catalogue.support and r.matches.isEmpty()
+
+
 def test_codes_of_the_same_vertices_are_one(spark, monkeypatch):
     # Every p has k, so that {k}, {p} and {k,p} are the same ends, and a reach pattern is its only hop.
     g = from_rows(spark, range(8), [(v, "s") for v in (0, 1, 2)] + [(v, i) for v in (3, 4, 5) for i in "kp"] + [(v, "q") for v in (6, 7)], [(0, "l", 3), (1, "l", 4), (2, "l", 5), (0, "l", 6), (1, "l", 7), (0, "m", 5)])
