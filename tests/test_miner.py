@@ -276,8 +276,8 @@ def test_experiments_share_counts_and_leave_nothing(spark, g, monkeypatch):
     monkeypatch.setattr(type(g), "attr_sets", lambda self: made.append(1) or attr_sets(self))
     monkeypatch.setattr(workloads, "build", lambda *_: toy(spark))
     before = tables()
-    rows = workloads.placements(spark, "", "toy", 0.2, 2).collect()
-    assert len(rows) == 4 and len({r.n_rules for r in rows}) == 1 and rows[0].n_rules > 0
+    rows = workloads.thread_sweep(spark, "", "toy", 2 / g.n, (1, 2), ("exact",)).collect()
+    assert len(rows) == 2 and len({r.n_rules for r in rows}) == 1 and rows[0].n_rules > 0
     assert tables() == before and len(made) == 1
     assert kinds.kinds_of(kinds.indexed(toy(spark)), True).attrs.where("item = -1").count() > 0
 
