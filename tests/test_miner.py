@@ -282,6 +282,19 @@ def test_experiments_share_counts_and_leave_nothing(spark, g, monkeypatch):
     assert kinds.kinds_of(kinds.indexed(toy(spark)), True).attrs.where("item = -1").count() > 0
 
 
+def test_factor_sweeps_tell_failures_from_results(spark, g, monkeypatch):
+    """No limit of time cuts a sweep's runs; of runs that a given limit stops, no accuracy is told."""
+    from copath.plans import workloads
+
+    monkeypatch.setattr(workloads, "build", lambda *_: toy(spark))
+    monkeypatch.setattr(workloads, "CAP", 0.0)
+    rows = workloads.factor_sweep(spark, "", "toy", 2 / g.n, (0.8,), max_items=1, max_len=1).collect()
+    assert [r.option for r in rows] == ["exact", "damped", "sampled", "both"] and all(r.status == "finished" for r in rows)
+    assert rows[0].n_rules > 0 and rows[1].n_rules == rows[0].n_rules and rows[1].recall == rows[1].precision == 1
+    late = workloads.factor_sweep(spark, "", "toy", 2 / g.n, (0.8,), max_items=1, max_len=1, deadline_s=0.0).collect()
+    assert all((r.status, r.recall, r.precision, r.n_rules) == ("did_not_finish", None, None, 0) for r in late)
+
+
 def test_sampled_runs_count_their_sources(spark):
     g = from_rows(spark, range(20), [(v, "a") for v in range(20)], [(v, "l", (v + 1) % 20) for v in range(20)])
     r = mine_rules(g, MinerConfig(theta=2, max_len=1, rho=0.4), with_rules=False, with_matches=False)
