@@ -295,6 +295,30 @@ def test_factor_sweeps_tell_failures_from_results(spark, g, monkeypatch):
     assert all((r.status, r.recall, r.precision, r.n_rules) == ("did_not_finish", None, None, 0) for r in late)
 
 
+def test_runs_of_a_sweep_share_edges_and_keep_masks(spark, monkeypatch):
+    """Edges meet the kinds of their ends once for all runs, and codes go to the rules without a row for each code and vertex; the same results."""
+    from copath.operators import growth
+    from copath.operators.kinds import Kinds, indexed
+
+    met = []
+    meet = Kinds.meet
+    monkeypatch.setattr(Kinds, "meet", lambda self, labels: met.append(labels) or meet(self, labels))
+    shop = lambda: from_rows(spark, range(12), [*[(v, f"o{v % 2}") for v in range(6)], *[(v, i) for v in range(6, 12) for i in ("p", f"c{v % 3}")]], [(v, label, 6 + (v + k) % 6) for v in range(6) for k, label in enumerate("ab")])
+    own, cfg = indexed(shop()), MinerConfig(theta=2, max_len=1)
+    with monkeypatch.context() as m:
+        m.setattr(growth.Codes, "rows", lambda self: 1 / 0)
+        both = [mine_rules(own, cfg), mine_rules(own, cfg.but(rho=0.5))]
+    assert len(met) == 1
+    for r, c in zip(both, (cfg, cfg.but(rho=0.5, rule_form="bitmap"))):
+        # One run with its own counts, and with codes listed by vertex.
+        with monkeypatch.context() as m:
+            m.setattr(growth.Codes, "masks", lambda *_: None)
+            want = mine_rules(shop(), c)
+        assert r.catalogue.support == want.catalogue.support and pair_set(r) == pair_set(want) and pair_set(r)
+        assert {tuple(x) for x in r.matches.collect()} == {tuple(x) for x in want.matches.collect()} and r.stored_rows() == want.stored_rows()
+    assert sorted(sampling.strata(own, [0, 1]).collect()) == sorted(sampling.strata(shop(), [0, 1]).collect()) != []
+
+
 def test_sampled_runs_count_their_sources(spark):
     g = from_rows(spark, range(20), [(v, "a") for v in range(20)], [(v, "l", (v + 1) % 20) for v in range(20)])
     r = mine_rules(g, MinerConfig(theta=2, max_len=1, rho=0.4), with_rules=False, with_matches=False)
